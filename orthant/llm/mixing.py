@@ -5,7 +5,7 @@ copies and an inclusion probability pi = r - floor(r). The flight phase moves th
 time along a null vector of the balancing constraints (documents and words of the mix), so both totals stay
 exactly where they were, until all but two documents are decided. It runs in bounded chunks of a source; the
 two documents that each chunk leaves meet in the next round, and a source that fits into one chunk lands: of
-the ways to round the last two documents, the one nearest to the word total wins.
+the ways to round the last two documents, and of a few such flights, the one nearest to the word total wins.
 
 Defined results: null text has size 0; a null source is a source of its own, last in the order; a source of
 size 0 has target 0; an empty table gives no rows; rows that repeat a doc_id are separate documents. The random
@@ -22,9 +22,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from orthant.functions.shipping import ship
+
 from .common import n_words, whole_text, written
 
 CHUNK, CAP, WEIGHTS, SEED = 2048, 3.0, (5.0, 2.0, 1.0), 42
+#: Flights of a source's last chunk; the one that lands nearest to the word total is kept.
+LANDINGS = 12
 #: Most sources that are broadcast; beyond, the join shuffles and adaptive execution splits hot sources.
 BROADCAST_SOURCES = 50_000
 EPS = 1e-9
@@ -110,15 +114,21 @@ def _decide(land: bool):
         pdf = pdf.sort_values(["size", "_h", "doc_id"], ascending=[False, True, True], kind="stable") if land else pdf.sort_values(["_h", "doc_id", "size"], kind="stable")
         sizes = pdf["size"].astype(float).tolist()
         rng = random.Random(f"{SEED}/{pdf['source_no'].iloc[0]}/{pdf['_chunk'].iloc[0]}/{len(pdf)}/{land}")
-        pi = flight(pdf["pi"].tolist(), [(1.0, s) for s in sizes], rng)
-        return pdf.assign(pi=landing(pi, sizes) if land else pi).drop(columns=["_h", "_chunk", "_land"])
+        start, balance = pdf["pi"].tolist(), [(1.0, s) for s in sizes]
+        if land:
+            want = sum(p * s for p, s in zip(start, sizes, strict=True))
+            tries = (landing(flight(start, balance, rng), sizes) for _ in range(LANDINGS))
+            pi = min(tries, key=lambda x: abs(sum(p * s for p, s in zip(x, sizes, strict=True)) - want))
+        else:
+            pi = flight(start, balance, rng)
+        return pdf.assign(pi=pi).drop(columns=["_h", "_chunk", "_land"])
 
     return run
 
 
 def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = CAP, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", chunk: int = CHUNK) -> DataFrame:
     """One row per document: doc_id, size, source_size, target, taken (size times the copies that the mix takes)."""
-    spark = docs.sparkSession
+    ship(docs.sparkSession)
     sizes = written(docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), n_words(whole_text(text_col)).alias("size")), "sizes")
     targets = written(source_targets(sizes, weights, cap), "targets")
     side = F.broadcast(targets) if targets.count() <= BROADCAST_SOURCES else targets
