@@ -5,7 +5,8 @@ copies and an inclusion probability pi = r - floor(r). The flight phase moves th
 time along a null vector of the balancing constraints (documents and words of the mix), so both totals stay
 exactly where they were, until all but two documents are decided. It runs in bounded chunks of a source; the
 two documents that each chunk leaves meet in the next round, and a source that fits into one chunk lands: of
-the ways to round the last two documents, and of a few such flights, the one nearest to the word total wins.
+the ways to round the last two documents the one nearest to the word total wins, and at most three exchanges
+of a taken for a left document close the gap that long documents leave in a small source.
 
 Defined results: null text has size 0; a null source is a source of its own, last in the order; a source of
 size 0 has target 0; an empty table gives no rows; rows that repeat a doc_id are separate documents. The random
@@ -15,8 +16,7 @@ choices are seeded by source and chunk and taken in the order of hashed ids, so
 from __future__ import annotations
 
 import random
-from collections.abc import Iterator
-
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -27,8 +27,8 @@ from orthant.functions.shipping import ship
 from .common import n_words, whole_text, written
 
 CHUNK, CAP, WEIGHTS, SEED = 2048, 3.0, (5.0, 2.0, 1.0), 42
-#: Flights of a source's last chunk; the one that lands nearest to the word total is kept.
-LANDINGS = 12
+#: Most exchanges of a taken for a left document after a source's landing.
+EXCHANGES = 3
 #: Most sources that are broadcast; beyond, the join shuffles and adaptive execution splits hot sources.
 BROADCAST_SOURCES = 50_000
 EPS = 1e-9
@@ -89,6 +89,21 @@ def landing(pi: list[float], sizes: list[float]) -> list[float]:
     return out
 
 
+def settle(pi: list[float], sizes: list[float], want: float) -> list[float]:
+    """Exchange a taken for a left document, at most EXCHANGES times, while that brings the word total nearer."""
+    pi, size = np.array(pi), np.array(sizes)
+    for _ in range(EXCHANGES):
+        gap, taken, left = want - float(pi @ size), np.flatnonzero(pi == 1), np.flatnonzero(pi == 0)
+        if not len(taken) or not len(left):
+            break
+        off = np.abs(size[left][None, :] - size[taken][:, None] - gap)
+        i, j = np.unravel_index(off.argmin(), off.shape)
+        if off[i, j] >= abs(gap):
+            break
+        pi[taken[i]], pi[left[j]] = 0.0, 1.0
+    return pi.tolist()
+
+
 def source_targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = CAP) -> DataFrame:
     """(source, source_size, n_docs, source_no, target) from (source, size): shares by weight, none above cap times its size.
 
@@ -117,8 +132,7 @@ def _decide(land: bool):
         start, balance = pdf["pi"].tolist(), [(1.0, s) for s in sizes]
         if land:
             want = sum(p * s for p, s in zip(start, sizes, strict=True))
-            tries = (landing(flight(start, balance, rng), sizes) for _ in range(LANDINGS))
-            pi = min(tries, key=lambda x: abs(sum(p * s for p, s in zip(x, sizes, strict=True)) - want))
+            pi = settle(landing(flight(start, balance, rng), sizes), sizes, want)
         else:
             pi = flight(start, balance, rng)
         return pdf.assign(pi=pi).drop(columns=["_h", "_chunk", "_land"])
