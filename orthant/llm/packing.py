@@ -28,7 +28,7 @@ from pyspark.sql.window import Window
 from orthant.functions.shipping import ship
 
 from .common import whole_text, written
-from .tokens import crc, in_slices, tokenizer
+from .tokens import ByteLevelTokenizer, crc, in_slices, tokenizer
 
 CAPACITY, EOS = 2048, 0
 #: Fillings looked at for one step, fillings tried at one node, nodes in all, rows numbered together.
@@ -179,7 +179,7 @@ def places(plan: Plan) -> tuple[np.ndarray, ...]:
 
 def _tokenise(path: str, capacity: int, eos: int, with_ids: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok, end = tokenizer(path), int(eos).to_bytes(4, "little")
+        tok, end = tokenizer(path, ByteLevelTokenizer), int(eos).to_bytes(4, "little")
         for batch in batches:
             ids_of, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for a, b in in_slices(texts):
