@@ -11,8 +11,8 @@ from dataclasses import dataclass
 import numpy as np
 
 #: Window, tokens of context that a later window repeats, width, hidden width, output classes, input rows.
-WINDOW, OVERLAP, WIDTH, HIDDEN, CLASSES, SHARED_CLASSES, ROWS, SHARED_ROWS = 32, 8, 16, 32, 128, 8, 2048, 64
-STEP, DECAY = 3e-3, (0.9, 0.99)
+WINDOW, OVERLAP, WIDTH, HIDDEN, CLASSES, SHARED_CLASSES, ROWS, SHARED_ROWS = 32, 8, 24, 48, 256, 8, 2048, 64
+STEP, DECAY = 6e-3, (0.9, 0.99)
 _BEFORE = np.tril(np.ones((WINDOW, WINDOW), dtype=np.float32))
 
 

@@ -52,9 +52,17 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **bounds: int) -> DataFrame:
-    """docs without the copies; all columns stay. Rows are matched by id, so ids must be unique and not null."""
-    losers = exact_groups(docs, id_col, text_col, **bounds).where("not kept").select(id_col)
-    return docs.join(losers, id_col, "left_anti")
+    """docs without the copies, all columns kept.
+
+    Copies of heavy digests end in the map tasks; what is left is shuffled once, by digest. No join by id, so null and
+    repeated ids are safe: of rows that repeat id and text one stays.
+    """
+    rows = docs.withColumn("_hex", F.sha2(whole_text(text_col).cast("binary"), 256))
+    keyed = written(rows.select(F.col(id_col).alias("_id"), "_hex"), "digests")
+    heavy = written(heavy_digests(keyed, **bounds), "heavy")
+    left = rows.join(F.broadcast(heavy), "_hex", "left").where(F.col("_n").isNull() | F.col(id_col).eqNullSafe(F.col("_keep")))
+    ranked = left.withColumn("_rank", F.row_number().over(Window.partitionBy("_hex").orderBy(F.col(id_col).desc_nulls_last())))
+    return ranked.where("_rank = 1").select(docs.columns)
 
 
 OP4_SQL = """

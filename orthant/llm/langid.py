@@ -190,6 +190,23 @@ def identify(docs: DataFrame, model: LanguageModel, held: Column, id_col: str =
     return read.mapInArrow(_score(shared), "doc_id long, held_out boolean, lang_pred string, score double")
 
 
+def _keep(shared, least: float, text_col: str):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = shared.value
+        for batch in batches:
+            told = [model.predict(t.as_py()) for t in batch.column(text_col)]
+            yield batch.filter(pa.array([lang != UNKNOWN and s >= least for lang, s in told], pa.bool_()))
+
+    return run
+
+
+def keep_identified(docs: DataFrame, least: float = 0.4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs without those that have no letter or no language of at least this score, all columns kept."""
+    model = train(docs, ~held_out(id_col, 4, 2), id_col, text_col)
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    return docs.mapInArrow(_keep(shared, least, text_col), docs.schema)
+
+
 def languages(docs: DataFrame) -> DataFrame:
     """Train on the rows whose remainder by 4 is not 2, then predict every row."""
     held = held_out("doc_id", 4, 2)

@@ -35,7 +35,7 @@ from .langid import held_out
 from .tokens import ByteLevelTokenizer, tokenizer
 
 #: Words sent to the workers, words a worker folds or remembers, documents of the first fit, share and passes of the later one.
-HEAVY, FOLDED, MEMO_WORDS, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 300_000, 250_000, 600, 4, 16, 32
+HEAVY, FOLDED, MEMO_WORDS, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 300_000, 250_000, 1000, 3, 16, 32
 IDS = 50_257
 WORD_ROW, SUBWORD_ROW, DOC_ROW = 0, 1, 2
 

@@ -140,13 +140,16 @@ def _decide(land: bool):
     return run
 
 
-def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = CAP, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", chunk: int = CHUNK) -> DataFrame:
-    """One row per document: doc_id, size, source_size, target, taken (size times the copies that the mix takes)."""
+def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = CAP, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", chunk: int = CHUNK, with_row: bool = False) -> DataFrame:
+    """One row per document: doc_id, size, source_size, target, taken (size times the copies that the mix takes).
+
+    with_row: also _row, a hash of all columns of docs, and _times, the copies.
+    """
     ship(docs.sparkSession)
-    sizes = written(docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), n_words(whole_text(text_col)).alias("size")), "sizes")
+    sizes = written(docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), n_words(whole_text(text_col)).alias("size"), F.xxhash64(*docs.columns).alias("_row")), "sizes")
     targets = written(source_targets(sizes, weights, cap), "targets")
     side = F.broadcast(targets) if targets.count() <= BROADCAST_SOURCES else targets
-    rows = sizes.alias("d").join(side.alias("s"), F.expr("d.source <=> s.source")).select("doc_id", "size", "source_no", "source_size", "target", (F.col("target") / F.nullif("source_size", F.lit(0))).alias("_r"))
+    rows = sizes.alias("d").join(side.alias("s"), F.expr("d.source <=> s.source")).select("doc_id", "size", "_row", "source_no", "source_size", "target", (F.col("target") / F.nullif("source_size", F.lit(0))).alias("_r"))
     rows = rows.withColumn("base", F.coalesce(F.floor(F.col("_r") + EPS), F.lit(0)).cast("long"))
     rows = rows.withColumn("pi", F.greatest(F.lit(0.0), F.coalesce(F.col("_r"), F.lit(0.0)) - F.col("base"))).drop("_r")
     rows = rows.withColumn("pi", F.when(F.col("pi") <= EPS, 0.0).otherwise(F.col("pi")))
@@ -169,14 +172,18 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = CAP,
     every = done[0]
     for x in done[1:]:
         every = every.unionByName(x)
-    return every.select("doc_id", "size", "source_size", "target", (F.col("size") * (F.col("base") + F.col("pi").cast("long"))).alias("taken"))
+    times = F.col("base") + F.col("pi").cast("long")
+    told = every.select("doc_id", "size", "source_size", "target", (F.col("size") * times).alias("taken"), "_row", times.alias("_times"))
+    return told if with_row else told.drop("_row", "_times")
 
 
 def copies(docs: DataFrame, **kw) -> DataFrame:
-    """docs as the mix takes them: each row as often as it is taken, all columns kept; ids must be unique.
+    """docs as the mix takes them: each row as often as it is taken, all columns kept.
 
-    A document of size 0 adds no words and is left out.
+    Rows are matched by a 64-bit hash of all columns; equal rows share their copies. Documents of sources of size 0 add no
+    words and are left out.
     """
-    id_col = kw.get("id_col", "doc_id")
-    taken = mix(docs, **kw).where("taken > 0").select(F.col("doc_id").alias(id_col), (F.col("taken") / F.col("size")).cast("int").alias("_times"))
-    return docs.join(taken, id_col).withColumn("_times", F.explode(F.sequence(F.lit(1), F.col("_times")))).drop("_times").select(docs.columns)
+    taken = mix(docs, with_row=True, **kw).groupBy("_row").agg(F.sum("_times").cast("int").alias("_times")).where("_times > 0")
+    rows = docs.withColumn("_row", F.xxhash64(*docs.columns)).join(written(taken, "taken"), "_row")
+    first = rows.withColumn("_rank", F.row_number().over(Window.partitionBy("_row").orderBy("_times"))).where("_rank = 1")
+    return first.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(docs.columns)

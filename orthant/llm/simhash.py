@@ -26,6 +26,8 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.window import Window
 
 from orthant.functions.shipping import ship
 
@@ -150,24 +152,46 @@ def links(fps: DataFrame, n: int) -> DataFrame:
     return emitted.repartitionById(slices, "slice").mapInArrow(_meet, "u long, v long")
 
 
-def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: doc_id, fp long, component_id (smallest doc_id that links reach)."""
-    ship(docs.sparkSession)
-    own = written(fingerprints(docs, id_col, text_col), "fingerprints")
+def _named(own: DataFrame) -> DataFrame:
+    """(fp, component_id) of fingerprints (doc_id, fp)."""
     nodes = written(own.groupBy("fp").agg(F.min("doc_id").alias("first")), "nodes")
     roots = connected_components(links(nodes, nodes.count()))
     rooted = written(nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first", F.coalesce("root", "fp").alias("root")), "rooted")
     # most nodes are alone; only the others need their root's smallest document
     least = rooted.where("root <> fp").groupBy("root").agg(F.min("first").alias("_m"))
     named = rooted.join(least, "root", "left").join(nodes.select(F.col("fp").alias("root"), F.col("first").alias("_r")), "root")
-    named = named.select("fp", F.least("_m", "_r").alias("component_id"))
-    return own.join(named, "fp").select("doc_id", "fp", "component_id")
+    return written(named.select("fp", F.least("_m", "_r").alias("component_id")), "named")
+
+
+def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per document: doc_id, fp long, component_id (smallest doc_id that links reach)."""
+    ship(docs.sparkSession)
+    own = written(fingerprints(docs, id_col, text_col), "fingerprints")
+    return own.join(_named(own), "fp").select("doc_id", "fp", "component_id")
+
+
+def _with_fingerprint(text_col: str):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = batch.column(text_col).cast(pa.binary())
+            h = np.fromiter((fingerprint(t.as_py() or b"") for t in texts), dtype=np.uint64, count=len(texts))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(h.view(np.int64))], [*batch.schema.names, "_fp"])
+
+    return run
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs with one document of each group, that with the smallest id; ids must be unique and not null."""
-    others = near_groups(docs, id_col, text_col).where("doc_id <> component_id").select(F.col("doc_id").alias(id_col))
-    return docs.join(others, id_col, "left_anti")
+    """docs with one document of each group, that with the smallest id, all columns kept.
+
+    Rows find their group by fingerprint, not by id, so null and repeated ids are safe: a null id loses to any other, and of
+    rows with the same id and fingerprint one stays.
+    """
+    ship(docs.sparkSession)
+    named = _named(written(fingerprints(docs, id_col, text_col), "fingerprints"))
+    rows = docs.mapInArrow(_with_fingerprint(text_col), T.StructType([*docs.schema.fields, T.StructField("_fp", T.LongType())]))
+    left = rows.join(named.withColumnRenamed("fp", "_fp"), "_fp").where(F.col(id_col).eqNullSafe(F.col("component_id")))
+    ranked = left.withColumn("_rank", F.row_number().over(Window.partitionBy("_fp").orderBy(id_col)))
+    return ranked.where("_rank = 1").select(docs.columns)
 
 
 def near_dedup(docs: DataFrame) -> DataFrame:
