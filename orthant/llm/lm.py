@@ -16,8 +16,9 @@ the model its untrained start; repeated rows each get a row; an empty table give
 
 from __future__ import annotations
 
+from array import array
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from itertools import chain
 
 import numpy as np
@@ -32,7 +33,7 @@ from orthant.functions.shipping import ship
 from . import attention
 from .common import whole_text, written
 from .langid import held_out
-from .tokens import ByteLevelTokenizer, tokenizer
+from .tokens import RUN_CHARS, ByteLevelTokenizer, tokenizer
 
 #: Words sent to the workers, words a worker folds or remembers, documents of the first fit, share and passes of the later one.
 HEAVY, FOLDED, MEMO_WORDS, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 300_000, 250_000, 1000, 3, 16, 32
@@ -50,23 +51,28 @@ class WordIds:
     def __init__(self, path: str) -> None:
         self.tok, self.memo = tokenizer(path, ByteLevelTokenizer), {}
 
-    def fill(self, words: set[bytes]) -> dict[bytes, bytes]:
+    def fill(self, words: Iterable[bytes]) -> dict[bytes, bytes]:
         """Ids of those of the words that the memo lacks."""
-        new = [w for w in words if w not in self.memo]
-        ids = self.tok.encode([" " + w.decode("utf-8") for w in new])
-        own = {w: np.frombuffer(x, dtype="<u4").astype("<u2").tobytes() for w, x in zip(new, ids, strict=True)}
+        memo, fast = self.memo, self.tok.fast
+        own = {}
+        for w in words:
+            if w not in memo:
+                text = " " + w.decode("utf-8")
+                if fast is not None and len(text) < RUN_CHARS and "<|" not in text:
+                    own[w] = array("H", fast.encode_ordinary(text)).tobytes()
+                else:
+                    own[w] = np.frombuffer(self.tok.encode([text])[0], dtype="<u4").astype("<u2").tobytes()
         for w, x in own.items():
-            if len(self.memo) >= MEMO_WORDS:
+            if len(memo) >= MEMO_WORDS:
                 break
             if len(w) <= 48:
-                self.memo[w] = x
+                memo[w] = x
         return own
 
     def sequences(self, docs: list[list[bytes]]) -> list[np.ndarray]:
         own = self.fill(set().union(*docs)) if docs else {}
-        look = {**own} if len(own) < 64 else own
         memo = self.memo
-        return [np.frombuffer(b"".join([memo[w] if w in memo else look[w] for w in words]), dtype="<u2") for words in docs]
+        return [np.frombuffer(b"".join([memo[w] if w in memo else own[w] for w in words]), dtype="<u2") for words in docs]
 
 
 _OPEN: dict[str, WordIds] = {}
@@ -97,11 +103,14 @@ def _count(path: str):
         ids, words, subwords, docs = word_ids(path), Counter(), np.zeros(IDS, dtype=np.int64), 0
 
         def fold() -> pa.RecordBatch:
-            own, items = ids.fill(set(words)), list(words.items())
-            for w, n in items:
-                x = ids.memo.get(w) or own.get(w, b"")
-                np.add.at(subwords, np.frombuffer(x, dtype="<u2"), n)
-            return pa.RecordBatch.from_arrays([pa.array(np.full(len(items), WORD_ROW, dtype=np.int32)), pa.array([digest(w) for w, _ in items], pa.int64()), pa.array([n for _, n in items], pa.int64())], ["kind", "key", "n"])
+            nonlocal subwords
+            memo, own = ids.memo, ids.fill(words.keys())
+            n = np.fromiter(words.values(), dtype=np.int64, count=len(words))
+            found = [own[w] if w in own else memo[w] for w in words]
+            sizes = np.fromiter(map(len, found), dtype=np.int64, count=len(found)) // 2
+            subwords += np.bincount(np.frombuffer(b"".join(found), dtype="<u2"), weights=np.repeat(n, sizes), minlength=IDS).astype(np.int64)
+            keys = np.fromiter(map(digest, words), dtype=np.int64, count=len(words))
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(n), WORD_ROW, dtype=np.int32)), pa.array(keys), pa.array(n)], ["kind", "key", "n"])
 
         for batch in batches:
             for _, run_of in _slices(batch, "text"):
@@ -151,8 +160,9 @@ def train(texts: DataFrame, path: str, vocabulary: attention.Vocabulary, id_col:
     order = F.xxhash64(F.col(id_col), F.lit(6))
     chosen = texts.select(order.alias("h"), F.col(id_col)).orderBy("h", id_col).limit(warm_docs).select(id_col).distinct()
     warm = texts.join(F.broadcast(chosen), id_col).select(F.xxhash64(id_col, F.lit(6)).alias("h"), "text").toLocalIterator()
-    sequences = [s for _, s in sorted(((r["h"], tuple(s.tolist())) for r in warm for s in word_ids(path).sequences([r["text"].encode("utf-8", "replace").lower().split()])))]
-    w, _, _ = attention.train(attention.start(), [np.array(s, dtype="<u2") for s in sequences], vocabulary, WARM_PASSES)
+    sequences = sorted((r["h"], s.tobytes()) for r in warm for s in word_ids(path).sequences([r["text"].encode("utf-8", "replace").lower().split()]))
+    w, _, _ = attention.train(attention.start(), [np.frombuffer(s, dtype="<u2") for _, s in sequences], vocabulary, WARM_PASSES)
+    _OPEN.clear()
     sc = spark.sparkContext
     first, shared = sc.broadcast(attention.pack(w)), sc.broadcast(vocabulary)
     mine = texts.where(F.pmod(order, F.lit(share)) == 0).select("text")
@@ -170,9 +180,10 @@ def heavy_words(counts: DataFrame, distinct: int, heavy: int = HEAVY) -> tuple[i
         least = int(counts.agg(F.percentile_approx("n", 1 - heavy / distinct, 10_000).alias("q")).first()["q"])
         while counts.where(F.col("n") > least).count() > 1.5 * heavy:
             least = 2 * least + 1
-    found = counts.where(F.col("n") > least).select("key", "n").toPandas()
-    found = found.sort_values("key")
-    return least, found["key"].to_numpy(np.int64), found["n"].to_numpy(np.int64)
+    found = counts.where(F.col("n") > least).select("key", "n").toArrow()
+    key, n = found.column("key").to_numpy(), found.column("n").to_numpy()
+    order = np.argsort(key)
+    return least, key[order], n[order]
 
 
 class WordCounts:
