@@ -107,27 +107,26 @@ def fit_temperature(logits: np.ndarray, labels: np.ndarray) -> float:
     return min(np.geomspace(0.01, 100, 161), key=lambda t: (loss(t), t)) if len(labels) else 1.0
 
 
-def fit(counts: list[np.ndarray], labels: list[str]) -> LanguageModel:
-    """counts: dense n-gram counts of each training text; the first part fits the weights, the rest the temperature."""
+def fit(rows: list[tuple[np.ndarray, np.ndarray]], labels: list[str]) -> LanguageModel:
+    """rows: (indices, counts) of each training text; the first part fits the weights, the rest the temperature."""
     languages = sorted(set(labels))
     buckets = 1 << BUCKETS_LOG2
     if not languages:
         return LanguageModel([], np.zeros(buckets), np.zeros((buckets, 0)), 1.0)
     y = np.array([languages.index(x) for x in labels])
     df = np.zeros(buckets)
-    for c in counts:
-        df += c > 0
-    idf = np.log((1 + len(counts)) / (1 + df)) + 1
+    for at, _ in rows:
+        df[at] += 1
+    idf = np.log((1 + len(rows)) / (1 + df)) + 1
 
-    def sparse(c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        at = np.flatnonzero(c)
-        x = np.log1p(c[at]) * idf[at]
+    def scaled(at: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        x = np.log1p(n) * idf[at]
         return at, x / max(1e-12, float(np.sqrt(x @ x)))
 
-    cut = max(1, round(len(counts) * (1 - HELD_FOR_TEMPERATURE)))
-    weights = fit_ftrl([sparse(c) for c in counts[:cut]], y[:cut], len(languages), buckets)
-    model = LanguageModel(languages, idf, weights, 1.0)
-    held = np.array([model.logits(c) for c in counts[cut:]]).reshape(-1, len(languages))
+    every = [scaled(at, n) for at, n in rows]
+    cut = max(1, round(len(rows) * (1 - HELD_FOR_TEMPERATURE)))
+    weights = fit_ftrl(every[:cut], y[:cut], len(languages), buckets)
+    held = np.array([x @ weights[at] for at, x in every[cut:]]).reshape(-1, len(languages))
     return LanguageModel(languages, idf, weights, float(fit_temperature(held, y[cut:])))
 
 
@@ -146,17 +145,12 @@ def train(docs: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str
     order = F.xxhash64(F.col(id_col), F.lit(8))
     chosen = fit_rows.select(order.alias("h"), F.col(id_col).alias("i")).orderBy("h", "i").limit(sample_rows)
     # the bounded list of ids goes to the texts, not the texts through a sort
-    texts = fit_rows.join(F.broadcast(chosen.select(F.col("i").alias(id_col)).distinct()), id_col).select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text"), order.alias("h"))
-    rows = texts.select("lang", "text", "h")
-    found = rows.select("lang", "text").mapInArrow(_sparse_grams, "lang string, at binary, n binary").collect()
+    texts = fit_rows.join(F.broadcast(chosen.select(F.col("i").alias(id_col)).distinct()), id_col).select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
+    found = texts.select("lang", "text").mapInArrow(_sparse_grams, "lang string, at binary, n binary").collect()
     # order of the fit: by content, so that it doesn't follow the partitions
     found = sorted(found, key=lambda r: (hash_of(r["at"], r["n"]), r["lang"]))
-    counts = []
-    for r in found:
-        c = np.zeros(1 << BUCKETS_LOG2, dtype=np.int32)
-        c[np.frombuffer(r["at"], dtype="<u4")] = np.frombuffer(r["n"], dtype="<u4")
-        counts.append(c)
-    return fit(counts, [r["lang"] for r in found])
+    rows = [(np.frombuffer(r["at"], dtype="<u4"), np.frombuffer(r["n"], dtype="<u4")) for r in found]
+    return fit(rows, [r["lang"] for r in found])
 
 
 def hash_of(*parts: bytes) -> int:
