@@ -57,12 +57,12 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **
     Copies of heavy digests end in the map tasks; what is left is shuffled once, by digest. No join by id, so null and
     repeated ids are safe: of rows that repeat id and text one stays.
     """
-    rows = docs.withColumn("_hex", F.sha2(whole_text(text_col).cast("binary"), 256))
-    keyed = written(rows.select(F.col(id_col).alias("_id"), "_hex"), "digests")
-    heavy = written(heavy_digests(keyed, **bounds), "heavy")
-    left = rows.join(F.broadcast(heavy), "_hex", "left").where(F.col("_n").isNull() | F.col(id_col).eqNullSafe(F.col("_keep")))
-    ranked = left.withColumn("_rank", F.row_number().over(Window.partitionBy("_hex").orderBy(F.col(id_col).desc_nulls_last())))
-    return ranked.where("_rank = 1").select(docs.columns)
+    # all columns travel as one, so their names can't clash with ours
+    rows = docs.select(F.struct("*").alias("_all"), F.col(id_col).alias("_id"), F.sha2(whole_text(text_col).cast("binary"), 256).alias("_hex"))
+    heavy = written(heavy_digests(written(rows.select("_id", "_hex"), "digests"), **bounds), "heavy")
+    left = rows.join(F.broadcast(heavy), "_hex", "left").where(F.col("_n").isNull() | F.col("_id").eqNullSafe(F.col("_keep")))
+    ranked = left.withColumn("_rank", F.row_number().over(Window.partitionBy("_hex").orderBy(F.col("_id").desc_nulls_last())))
+    return ranked.where("_rank = 1").select("_all.*")
 
 
 OP4_SQL = """

@@ -184,6 +184,7 @@ def copies(docs: DataFrame, **kw) -> DataFrame:
     words and are left out.
     """
     taken = mix(docs, with_row=True, **kw).groupBy("_row").agg(F.sum("_times").cast("int").alias("_times")).where("_times > 0")
-    rows = docs.withColumn("_row", F.xxhash64(*docs.columns)).join(written(taken, "taken"), "_row")
+    # all columns travel as one, so their names can't clash with ours
+    rows = docs.select(F.struct("*").alias("_all"), F.xxhash64(*docs.columns).alias("_row")).join(written(taken, "taken"), "_row")
     first = rows.withColumn("_rank", F.row_number().over(Window.partitionBy("_row").orderBy("_times"))).where("_rank = 1")
-    return first.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(docs.columns)
+    return first.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select("_all.*")

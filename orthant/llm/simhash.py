@@ -170,14 +170,11 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     return own.join(_named(own), "fp").select("doc_id", "fp", "component_id")
 
 
-def _with_fingerprint(text_col: str):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            texts = batch.column(text_col).cast(pa.binary())
-            h = np.fromiter((fingerprint(t.as_py() or b"") for t in texts), dtype=np.uint64, count=len(texts))
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(h.view(np.int64))], [*batch.schema.names, "_fp"])
-
-    return run
+def _with_fingerprint(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        texts = batch.column("_text").cast(pa.binary())
+        h = np.fromiter((fingerprint(t.as_py()) for t in texts), dtype=np.uint64, count=len(texts))
+        yield pa.RecordBatch.from_arrays([batch.column("_all"), batch.column("_id"), pa.array(h.view(np.int64))], ["_all", "_id", "_fp"])
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -187,11 +184,13 @@ def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     rows with the same id and fingerprint one stays.
     """
     ship(docs.sparkSession)
-    named = _named(written(fingerprints(docs, id_col, text_col), "fingerprints"))
-    rows = docs.mapInArrow(_with_fingerprint(text_col), T.StructType([*docs.schema.fields, T.StructField("_fp", T.LongType())]))
-    left = rows.join(named.withColumnRenamed("fp", "_fp"), "_fp").where(F.col(id_col).eqNullSafe(F.col("component_id")))
-    ranked = left.withColumn("_rank", F.row_number().over(Window.partitionBy("_fp").orderBy(id_col)))
-    return ranked.where("_rank = 1").select(docs.columns)
+    named = _named(written(fingerprints(docs, id_col, text_col), "fingerprints")).withColumnRenamed("fp", "_fp")
+    # all columns travel as one, so their names can't clash with ours
+    rows = docs.select(F.struct("*").alias("_all"), F.col(id_col).cast("long").alias("_id"), whole_text(text_col).alias("_text"))
+    schema = T.StructType([rows.schema["_all"], rows.schema["_id"], T.StructField("_fp", T.LongType())])
+    left = rows.mapInArrow(_with_fingerprint, schema).join(named, "_fp").where(F.col("_id").eqNullSafe(F.col("component_id")))
+    ranked = left.withColumn("_rank", F.row_number().over(Window.partitionBy("_fp").orderBy("_id")))
+    return ranked.where("_rank = 1").select("_all.*")
 
 
 def near_dedup(docs: DataFrame) -> DataFrame:
