@@ -11,7 +11,7 @@ from dataclasses import dataclass
 import numpy as np
 
 #: Window, tokens of context that a later window repeats, width, hidden width, output classes, input rows.
-WINDOW, OVERLAP, WIDTH, HIDDEN, CLASSES, SHARED_CLASSES, ROWS, SHARED_ROWS = 32, 8, 24, 48, 256, 8, 2048, 64
+WINDOW, OVERLAP, WIDTH, HIDDEN, CLASSES, SHARED_CLASSES, ROWS, SHARED_ROWS = 32, 4, 16, 32, 256, 8, 2048, 64
 STEP, DECAY = 6e-3, (0.9, 0.99)
 _BEFORE = np.tril(np.ones((WINDOW, WINDOW), dtype=np.float32))
 
@@ -89,8 +89,8 @@ def windows(sequences: list[np.ndarray], vocabulary: Vocabulary) -> tuple[np.nda
     return np.where(inside, vocabulary.row[flat[at]], 0), vocabulary.cls[targets], scored, owner, targets
 
 
-def log10_probabilities(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary, batch: int = 1024) -> np.ndarray:
-    """log10 of the probability of each sequence with its end."""
+def log10_probabilities(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary, batch: int = 48) -> np.ndarray:
+    """log10 of the probability of each sequence with its end. A batch of windows is as large as fits into a core's cache."""
     x, cls, scored, owner, targets = windows(sequences, vocabulary)
     out = np.zeros(len(sequences))
     for i in range(0, len(x), batch):

@@ -35,44 +35,36 @@ from .common import whole_text, written
 from .langid import held_out
 from .tokens import RUN_CHARS, ByteLevelTokenizer, tokenizer
 
-#: Words sent to the workers, words a worker folds or remembers, documents of the first fit, share and passes of the later one.
-HEAVY, FOLDED, MEMO_WORDS, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 300_000, 250_000, 1000, 3, 16, 32
-IDS = 50_257
-WORD_ROW, SUBWORD_ROW, DOC_ROW = 0, 1, 2
+#: Words sent to the workers, words a task folds and a worker remembers, documents and passes of the first fit, share of the later one.
+HEAVY, FOLDED, MEMO_WORDS, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 600_000, 500_000, 1000, 3, 64, 32
+IDS, SEED = 50_257, 42
 
 
 def digest(word: bytes) -> int:
-    return xxhash.xxh64_intdigest(word) - (1 << 63)
+    """The 64-bit hash that Spark's xxhash64 gives, as an unsigned number."""
+    return xxhash.xxh64_intdigest(word, SEED)
 
 
 class WordIds:
-    """Ids of words with a leading space, lower-cased already, as bytes of little-endian u2; remembered for frequent words."""
+    """Ids of words with a leading space, lower-cased already, as bytes of little-endian u2; the first words seen are remembered."""
 
     def __init__(self, path: str) -> None:
         self.tok, self.memo = tokenizer(path, ByteLevelTokenizer), {}
 
-    def fill(self, words: Iterable[bytes]) -> dict[bytes, bytes]:
-        """Ids of those of the words that the memo lacks."""
-        memo, fast = self.memo, self.tok.fast
-        own = {}
+    def of(self, words: Iterable[bytes]) -> list[bytes]:
+        memo, fast, out = self.memo, self.tok.fast, []
         for w in words:
-            if w not in memo:
+            x = memo.get(w)
+            if x is None:
                 text = " " + w.decode("utf-8")
                 if fast is not None and len(text) < RUN_CHARS and "<|" not in text:
-                    own[w] = array("H", fast.encode_ordinary(text)).tobytes()
+                    x = array("H", fast.encode_ordinary(text)).tobytes()
                 else:
-                    own[w] = np.frombuffer(self.tok.encode([text])[0], dtype="<u4").astype("<u2").tobytes()
-        for w, x in own.items():
-            if len(memo) >= MEMO_WORDS:
-                break
-            if len(w) <= 48:
-                memo[w] = x
-        return own
-
-    def sequences(self, docs: list[list[bytes]]) -> list[np.ndarray]:
-        own = self.fill(set().union(*docs)) if docs else {}
-        memo = self.memo
-        return [np.frombuffer(b"".join([memo[w] if w in memo else own[w] for w in words]), dtype="<u2") for words in docs]
+                    x = np.frombuffer(self.tok.encode([text])[0], dtype="<u4").astype("<u2").tobytes()
+                if len(memo) < MEMO_WORDS and len(w) <= 48:
+                    memo[w] = x
+            out.append(x)
+        return out
 
 
 _OPEN: dict[str, WordIds] = {}
@@ -84,7 +76,35 @@ def word_ids(path: str) -> WordIds:
     return _OPEN[path]
 
 
-def _slices(batch: pa.RecordBatch, column: str, most: int = 1 << 21) -> Iterator[tuple[int, list[list[bytes]]]]:
+class Run:
+    """Some documents' words as positions in the list of their distinct words."""
+
+    def __init__(self, docs: list[list[bytes]]) -> None:
+        place: dict[bytes, int] = {}
+        for words in docs:
+            for w in words:
+                if w not in place:
+                    place[w] = len(place)
+        self.distinct = list(place)
+        self.sizes = np.fromiter(map(len, docs), dtype=np.int64, count=len(docs))
+        self.at = np.fromiter(map(place.__getitem__, chain.from_iterable(docs)), dtype=np.int64, count=int(self.sizes.sum()))
+        self.doc = np.repeat(np.arange(len(docs)), self.sizes)
+
+    def sequences(self, ids: WordIds) -> list[np.ndarray]:
+        """Subword ids of each document."""
+        parts = ids.of(self.distinct)
+        length = np.fromiter(map(len, parts), dtype=np.int64, count=len(parts)) // 2
+        flat, first, n = np.frombuffer(b"".join(parts), dtype="<u2"), np.cumsum(length) - length, length[self.at]
+        index = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(first[self.at], n)
+        ends = np.cumsum(np.bincount(self.doc, weights=n, minlength=len(self.sizes)).astype(np.int64))
+        return np.split(flat[index], ends[:-1])
+
+    def sums(self, value: np.ndarray) -> np.ndarray:
+        """Per document the sum of a value of its words."""
+        return np.bincount(self.doc, weights=value[self.at], minlength=len(self.sizes))
+
+
+def _slices(batch: pa.RecordBatch, column: str, most: int = 6 << 20) -> Iterator[tuple[int, list[list[bytes]]]]:
     """Runs of documents as lists of words, with the first row's number: about so many bytes a run."""
     out, held, first = [], 0, 0
     for i, t in enumerate(batch.column(column).cast(pa.binary())):
@@ -98,38 +118,46 @@ def _slices(batch: pa.RecordBatch, column: str, most: int = 1 << 21) -> Iterator
         yield first, out
 
 
-def _count(path: str):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, words, subwords, docs = word_ids(path), Counter(), np.zeros(IDS, dtype=np.int64), 0
-
-        def fold() -> pa.RecordBatch:
-            nonlocal subwords
-            memo, own = ids.memo, ids.fill(words.keys())
-            n = np.fromiter(words.values(), dtype=np.int64, count=len(words))
-            found = [own[w] if w in own else memo[w] for w in words]
-            sizes = np.fromiter(map(len, found), dtype=np.int64, count=len(found)) // 2
-            subwords += np.bincount(np.frombuffer(b"".join(found), dtype="<u2"), weights=np.repeat(n, sizes), minlength=IDS).astype(np.int64)
-            keys = np.fromiter(map(digest, words), dtype=np.int64, count=len(words))
-            return pa.RecordBatch.from_arrays([pa.array(np.full(len(n), WORD_ROW, dtype=np.int32)), pa.array(keys), pa.array(n)], ["kind", "key", "n"])
+def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(word, n) of the task's documents, folded; the number of documents under a null word."""
+    words, docs = Counter(), 0
+    fold = lambda: pa.RecordBatch.from_arrays([pa.array(list(words), pa.binary()), pa.array(list(words.values()), pa.int64())], ["word", "n"])
+    for batch in batches:
+        for _, run_of in _slices(batch, "text"):
+            docs += len(run_of)
+            words.update(chain.from_iterable(run_of))
+            if len(words) >= FOLDED:
+                yield fold()
+                words.clear()
+    yield fold()
+    yield pa.RecordBatch.from_arrays([pa.array([None], pa.binary()), pa.array([docs], pa.int64())], ["word", "n"])
 
+
+def corpus_counts(texts: DataFrame) -> DataFrame:
+    """(word, key, n): occurrences of every word of the texts, its digest; the number of texts under a null word."""
+    counted = texts.mapInArrow(_count, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    return written(counted.select("word", F.xxhash64("word").alias("key"), "n"), "counts")
+
+
+def _subwords(path: str):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, total = word_ids(path), np.zeros(IDS, dtype=np.int64)
         for batch in batches:
-            for _, run_of in _slices(batch, "text"):
-                docs += len(run_of)
-                words.update(chain.from_iterable(run_of))
-                if len(words) >= FOLDED:
-                    yield fold()
-                    words.clear()
-        yield fold()
-        at = np.flatnonzero(subwords)
-        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), SUBWORD_ROW, dtype=np.int32)), pa.array(at), pa.array(subwords[at])], ["kind", "key", "n"])
-        yield pa.RecordBatch.from_arrays([pa.array([DOC_ROW], pa.int32()), pa.array([0], pa.int64()), pa.array([docs], pa.int64())], ["kind", "key", "n"])
+            parts = ids.of(batch.column("word").to_pylist())
+            n = np.repeat(batch.column("n").to_numpy(), np.fromiter(map(len, parts), dtype=np.int64, count=len(parts)) // 2)
+            total += np.bincount(np.frombuffer(b"".join(parts), dtype="<u2"), weights=n, minlength=IDS).astype(np.int64)
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], ["id", "n"])
 
     return run
 
 
-def corpus_counts(texts: DataFrame, path: str) -> DataFrame:
-    """(kind, key, n) over the texts: occurrences of words and subwords, and the number of documents."""
-    return written(texts.mapInArrow(_count(path), "kind int, key long, n long").groupBy("kind", "key").agg(F.sum("n").alias("n")), "counts")
+def subword_counts(words: DataFrame, path: str) -> np.ndarray:
+    """How often each subword id occurs, from the counts of all words."""
+    rows = words.select("word", "n").mapInArrow(_subwords(path), "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).toArrow()  # a row for each id
+    out = np.zeros(IDS, dtype=np.int64)
+    out[rows.column("id").to_numpy()] = rows.column("n").to_numpy()
+    return out
 
 
 def _refine(path: str, shared, vocabulary):
@@ -137,7 +165,7 @@ def _refine(path: str, shared, vocabulary):
         ids, w, seen = word_ids(path), attention.unpack(shared.value), 0
         for batch in batches:
             for _, docs in _slices(batch, "text"):
-                w, n, _ = attention.train(w, ids.sequences(docs), vocabulary.value, 1, step=attention.STEP / 3)
+                w, n, _ = attention.train(w, Run(docs).sequences(ids), vocabulary.value, 1, step=attention.STEP / 3)
                 seen += n
         part = TaskContext.get().partitionId() % MERGERS
         yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([seen], pa.int64()), pa.array([(attention.pack(w) * seen).tobytes()], pa.binary())], ["part", "n", "weights"])
@@ -160,7 +188,7 @@ def train(texts: DataFrame, path: str, vocabulary: attention.Vocabulary, id_col:
     order = F.xxhash64(F.col(id_col), F.lit(6))
     chosen = texts.select(order.alias("h"), F.col(id_col)).orderBy("h", id_col).limit(warm_docs).select(id_col).distinct()
     warm = texts.join(F.broadcast(chosen), id_col).select(F.xxhash64(id_col, F.lit(6)).alias("h"), "text").toLocalIterator()
-    sequences = sorted((r["h"], s.tobytes()) for r in warm for s in word_ids(path).sequences([r["text"].encode("utf-8", "replace").lower().split()]))
+    sequences = sorted((r["h"], s.tobytes()) for r in warm for s in Run([r["text"].encode("utf-8", "replace").lower().split()]).sequences(word_ids(path)))
     w, _, _ = attention.train(attention.start(), [np.frombuffer(s, dtype="<u2") for _, s in sequences], vocabulary, WARM_PASSES)
     _OPEN.clear()
     sc = spark.sparkContext
@@ -186,27 +214,6 @@ def heavy_words(counts: DataFrame, distinct: int, heavy: int = HEAVY) -> tuple[i
     return least, key[order], n[order]
 
 
-class WordCounts:
-    """Counts of frequent words by digest, remembered by word; -1 where the count isn't here."""
-
-    def __init__(self, keys: np.ndarray, counts: np.ndarray) -> None:
-        self.keys, self.counts, self.memo = keys, counts, {}
-
-    def of(self, docs: list[list[bytes]]) -> list[np.ndarray]:
-        memo = self.memo
-        new = [w for w in set().union(*docs) if w not in memo] if docs else []
-        h = np.fromiter(map(digest, new), dtype=np.int64, count=len(new))
-        at = np.minimum(np.searchsorted(self.keys, h), max(0, len(self.keys) - 1))
-        n = np.where(self.keys[at] == h, self.counts[at], -1) if len(self.keys) else np.full(len(new), -1)
-        own = dict(zip(new, n.tolist(), strict=True))
-        for w, k in own.items():
-            if len(memo) >= MEMO_WORDS:
-                break
-            if len(w) <= 48:
-                memo[w] = k
-        return [np.fromiter([memo[w] if w in memo else own[w] for w in words], dtype=np.int64, count=len(words)) for words in docs]
-
-
 SCORED = "row long, doc_id long, held_out boolean, n_tokens long, n_known long, base double, score double, key long"
 
 
@@ -215,23 +222,26 @@ def _score(path: str, shared, total: int, distinct: int, ends: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         w, vocabulary, keys, counts = shared.value
-        ids, look, row = word_ids(path), WordCounts(keys, counts), TaskContext.get().partitionId() << 33
+        ids, row = word_ids(path), TaskContext.get().partitionId() << 33
         scale = np.log10(total + distinct + 1)
         for batch in batches:
             docs, held = batch.column("doc_id"), batch.column("held_out")
-            for first, run_of in _slices(batch, "text"):
-                score = attention.log10_probabilities(w, ids.sequences(run_of), vocabulary)
-                n = look.of(run_of)
-                rows = np.arange(row, row + len(run_of))
-                row += len(run_of)
-                known = np.array([(c > 0).sum() for c in n], dtype=np.int64) + (ends > 0)
-                base = np.array([np.log10(c[c >= 0] + 1.0).sum() - scale * (c >= 0).sum() for c in n]) + np.log10(ends + 1.0) - scale
-                length = np.array([len(c) + 1 for c in n], dtype=np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(rows), docs.slice(first, len(rows)), held.slice(first, len(rows)), pa.array(length), pa.array(known), pa.array(base), pa.array(score), pa.nulls(len(rows), pa.int64())], SCORED_NAMES)
-                light = [(r, digest(words[i])) for r, words, c in zip(rows.tolist(), run_of, n, strict=True) for i in np.flatnonzero(c < 0).tolist()]
-                if light:
+            for first, words in _slices(batch, "text"):
+                own = Run(words)
+                score = attention.log10_probabilities(w, own.sequences(ids), vocabulary)
+                h = np.fromiter(map(digest, own.distinct), dtype=np.uint64, count=len(own.distinct)).view(np.int64)
+                at = np.minimum(np.searchsorted(keys, h), max(0, len(keys) - 1))
+                n = np.where(keys[at] == h, counts[at], -1) if len(keys) else np.full(len(h), -1)
+                rows = np.arange(row, row + len(words))
+                row += len(words)
+                here = n >= 0
+                known = own.sums((n > 0).astype(float)).astype(np.int64) + (ends > 0)
+                base = own.sums(np.where(here, np.log10(np.maximum(n, 0) + 1.0) - scale, 0.0)) + np.log10(ends + 1.0) - scale
+                yield pa.RecordBatch.from_arrays([pa.array(rows), docs.slice(first, len(rows)), held.slice(first, len(rows)), pa.array(own.sizes + 1), pa.array(known), pa.array(base), pa.array(score), pa.nulls(len(rows), pa.int64())], SCORED_NAMES)
+                light = np.flatnonzero(~here[own.at])
+                if len(light):
                     k = len(light)
-                    yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in light], pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.bool_()), *(pa.nulls(k, t) for t in (pa.int64(), pa.int64(), pa.float64(), pa.float64())), pa.array([x[1] for x in light], pa.int64())], SCORED_NAMES)
+                    yield pa.RecordBatch.from_arrays([pa.array(rows[own.doc[light]]), pa.nulls(k, pa.int64()), pa.nulls(k, pa.bool_()), *(pa.nulls(k, t) for t in (pa.int64(), pa.int64(), pa.float64(), pa.float64())), pa.array(h[own.at[light]])], SCORED_NAMES)
 
     return run
 
@@ -244,17 +254,15 @@ def score(docs: DataFrame, path: str, held: Column, id_col: str = "doc_id", text
     ship(docs.sparkSession)
     read = docs.select(F.col(id_col).cast("long").alias("doc_id"), held.alias("held_out"), whole_text(text_col).alias("text"))
     learn = read.where(~F.col("held_out"))
-    counts = corpus_counts(learn.select("text"), path)
-    sums = {r["kind"]: (r["n"], r["k"]) for r in counts.groupBy("kind").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("k")).collect()}
-    ends = int(sums.get(DOC_ROW, (0, 0))[0] or 0)
-    total, distinct = int(sums.get(WORD_ROW, (0, 0))[0] or 0) + ends, sums.get(WORD_ROW, (0, 0))[1] + (ends > 0)
-    subwords = np.zeros(IDS, dtype=np.int64)
-    for r in counts.where(F.col("kind") == SUBWORD_ROW).collect():  # at most one row for each id
-        subwords[r["key"]] = r["n"]
+    counts = corpus_counts(learn.select("text"))
+    words = counts.where("word is not null")
+    r = counts.agg(F.sum(F.when(F.col("word").isNull(), F.col("n"))).alias("docs"), F.sum(F.when(F.col("word").isNotNull(), F.col("n"))).alias("n"), F.count("word").alias("k")).first()
+    ends = int(r["docs"] or 0)
+    total, distinct = int(r["n"] or 0) + ends, int(r["k"]) + (ends > 0)
+    subwords = subword_counts(words, path)
     subwords[IDS - 1] += ends
     vocabulary = attention.Vocabulary.of(subwords, IDS - 1)
     w = train(learn.select("doc_id", "text"), path, vocabulary)
-    words = counts.where(F.col("kind") == WORD_ROW)
     least, keys, n = heavy_words(words, distinct, heavy)
     shared = docs.sparkSession.sparkContext.broadcast((w, vocabulary, keys, n))
     scored = written(read.mapInArrow(_score(path, shared, total, distinct, ends), SCORED), "scored")
