@@ -6,7 +6,7 @@ import os
 import uuid
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -30,7 +30,10 @@ def query(sql: str | None = None, name: str | None = None):
     return keep
 
 
-one = F.count(F.lit(1))
+
+def one() -> Column:
+    return F.count(F.lit(1))
+
 
 # ---- projection, filter, sample, statistics ------------------------------------------------------------------------------
 
@@ -42,13 +45,13 @@ def op_project_positions(s, d):
 
 @query("SELECT event_type, count(*) AS n FROM events WHERE value > 110 GROUP BY event_type")
 def op_energy_filter(s, d):
-    return table(s, d, "events").where("value > 110").groupBy("event_type").agg(one.alias("n"))
+    return table(s, d, "events").where("value > 110").groupBy("event_type").agg(one().alias("n"))
 
 
 @query("SELECT count(*) AS n, min(l_extendedprice) AS least, max(l_extendedprice) AS most FROM lineitem WHERE l_quantity BETWEEN 10 AND 20 AND l_discount BETWEEN 0.02 AND 0.05")
 def op_box_filter(s, d):
     box = F.col("l_quantity").between(10, 20) & F.col("l_discount").between(0.02, 0.05)
-    return table(s, d, "lineitem").where(box).agg(one.alias("n"), F.min("l_extendedprice").alias("least"), F.max("l_extendedprice").alias("most"))
+    return table(s, d, "lineitem").where(box).agg(one().alias("n"), F.min("l_extendedprice").alias("least"), F.max("l_extendedprice").alias("most"))
 
 
 @query("SELECT o_orderkey AS pid FROM orders WHERE o_orderkey % 10 = 3")
@@ -64,7 +67,7 @@ def op_bottom_m_sample(s, d):
 
 @query("SELECT count(*) AS n, round(var_pop(value), 4) AS v1, round(var_pop(CAST(regexp_extract(props, '\"k\": *([0-9]+)', 1) AS DOUBLE)), 4) AS v2 FROM events")
 def op_variance_by_dim(s, d):
-    return P.events3(s, d).df.agg(one.alias("n"), F.round(F.var_pop("c1"), 4).alias("v1"), F.round(F.var_pop("c2"), 4).alias("v2"))
+    return P.events3(s, d).df.agg(one().alias("n"), F.round(F.var_pop("c1"), 4).alias("v1"), F.round(F.var_pop("c2"), 4).alias("v2"))
 
 
 @query("SELECT max(o_totalprice) - min(o_totalprice) AS price, max(o_custkey) - min(o_custkey) AS customer FROM orders")
@@ -84,12 +87,12 @@ _EDGES = (0, 5, 10, 20, 40, 80, 160, 320)
 @query("SELECT bin, count(*) AS n FROM (SELECT " + " + ".join(f"CAST(value >= {e} AS INT)" for e in _EDGES) + " AS bin FROM events) GROUP BY bin")
 def op_histogram_nonuniform(s, d):
     at = F.size(F.filter(F.array(*(F.lit(float(e)) for e in _EDGES)), lambda e: F.col("value") >= e))
-    return table(s, d, "events").groupBy(at.alias("bin")).agg(one.alias("n"))
+    return table(s, d, "events").groupBy(at.alias("bin")).agg(one().alias("n"))
 
 
 @query("SELECT bin, n, CAST(sum(n) OVER (ORDER BY bin) AS BIGINT) AS upto FROM (SELECT CAST(floor(value / 10) AS BIGINT) AS bin, count(*) AS n FROM events GROUP BY 1)")
 def op_prefix_sum(s, d):
-    h = table(s, d, "events").groupBy(F.floor(F.col("value") / 10).alias("bin")).agg(one.alias("n"))
+    h = table(s, d, "events").groupBy(F.floor(F.col("value") / 10).alias("bin")).agg(one().alias("n"))
     return h.withColumn("upto", F.sum("n").over(Window.orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)))
 
 
@@ -100,13 +103,13 @@ def op_prefix_sum(s, d):
 def op_broadcast_join(s, d):
     small = table(s, d, "nation").join(table(s, d, "region"), F.col("n_regionkey") == F.col("r_regionkey"))  # 25 rows
     met = table(s, d, "customer").join(F.broadcast(small), F.col("c_nationkey") == F.col("n_nationkey"))
-    return met.groupBy("r_name").agg(one.alias("n"), F.sum(F.col("c_acctbal").cast("decimal(18,2)")).cast("double").alias("balance"))
+    return met.groupBy("r_name").agg(one().alias("n"), F.sum(F.col("c_acctbal").cast("decimal(18,2)")).cast("double").alias("balance"))
 
 
 @query("SELECT o_orderkey, count(*) AS lines, CAST(sum(CAST(l_extendedprice AS DECIMAL(18, 2))) AS DOUBLE) AS price FROM orders JOIN lineitem ON l_orderkey = o_orderkey GROUP BY o_orderkey")
 def op_sortmerge_join(s, d):
     met = table(s, d, "orders").select("o_orderkey").hint("merge").join(table(s, d, "lineitem"), F.col("l_orderkey") == F.col("o_orderkey"))
-    return met.groupBy("o_orderkey").agg(one.alias("lines"), F.sum(F.col("l_extendedprice").cast("decimal(18,2)")).cast("double").alias("price"))
+    return met.groupBy("o_orderkey").agg(one().alias("lines"), F.sum(F.col("l_extendedprice").cast("decimal(18,2)")).cast("double").alias("price"))
 
 
 @query("SELECT doc_id, lang FROM documents SEMI JOIN labels USING (doc_id)")
@@ -146,7 +149,7 @@ def op_range_join(s, d):
 @query("SELECT o_orderpriority, count(*) AS n FROM orders JOIN lineitem ON l_orderkey = o_orderkey AND l_shipdate BETWEEN o_orderdate AND o_orderdate + INTERVAL 60 DAY GROUP BY o_orderpriority")
 def op_interval_join(s, d):
     on = (F.col("l_orderkey") == F.col("o_orderkey")) & F.col("l_shipdate").between(F.col("o_orderdate"), F.col("o_orderdate") + F.expr("INTERVAL 60 DAYS"))
-    return table(s, d, "orders").join(table(s, d, "lineitem"), on).groupBy("o_orderpriority").agg(one.alias("n"))
+    return table(s, d, "orders").join(table(s, d, "lineitem"), on).groupBy("o_orderpriority").agg(one().alias("n"))
 
 
 @query(
@@ -180,7 +183,7 @@ _SPOT = "l_quantity, round(l_discount * 100), round(l_tax * 100)"
 
 @query(f"SELECT copies, count(*) AS spots FROM (SELECT count(*) AS copies FROM lineitem GROUP BY {_SPOT}) GROUP BY copies")
 def op_distinct_spots(s, d):
-    return P.grid3(s, d).df.groupBy("c0", "c1", "c2").agg(one.alias("copies")).groupBy("copies").agg(one.alias("spots"))
+    return P.grid3(s, d).df.groupBy("c0", "c1", "c2").agg(one().alias("copies")).groupBy("copies").agg(one().alias("spots"))
 
 
 @query()
@@ -190,23 +193,23 @@ def op_approx_distinct(s, d):
 
 @query("SELECT event_type, strftime(ts, '%Y-%m-%d') AS day, count(*) AS n FROM events GROUP BY ROLLUP (event_type, strftime(ts, '%Y-%m-%d'))")
 def op_rollup(s, d):
-    return table(s, d, "events").select("event_type", F.date_format("ts", "yyyy-MM-dd").alias("day")).rollup("event_type", "day").agg(one.alias("n"))
+    return table(s, d, "events").select("event_type", F.date_format("ts", "yyyy-MM-dd").alias("day")).rollup("event_type", "day").agg(one().alias("n"))
 
 
 @query("SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)")
 def op_cube(s, d):
-    return table(s, d, "orders").cube("o_orderstatus", "o_orderpriority").agg(one.alias("n"))
+    return table(s, d, "orders").cube("o_orderstatus", "o_orderpriority").agg(one().alias("n"))
 
 
 @query("SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority))")
 def op_grouping_sets(s, d):
-    return table(s, d, "orders").groupingSets([["o_orderstatus"], ["o_orderpriority"]], "o_orderstatus", "o_orderpriority").agg(one.alias("n"))
+    return table(s, d, "orders").groupingSets([["o_orderstatus"], ["o_orderpriority"]], "o_orderstatus", "o_orderpriority").agg(one().alias("n"))
 
 
 @query("SELECT quality, " + ", ".join(f"CAST(coalesce(sum(CASE WHEN lang = '{x}' THEN 1 END), 0) AS BIGINT) AS {x}" for x in ("en", "fr", "de", "es")) + " FROM labels JOIN documents USING (doc_id) GROUP BY quality")
 def op_pivot(s, d):
     met = table(s, d, "labels").join(table(s, d, "documents").select("doc_id", "lang"), "doc_id")
-    return met.groupBy("quality").pivot("lang", ["en", "fr", "de", "es"]).agg(one).fillna(0)
+    return met.groupBy("quality").pivot("lang", ["en", "fr", "de", "es"]).agg(one()).fillna(0)
 
 
 @query("SELECT p_partkey, rank() OVER w AS rank, dense_rank() OVER w AS dense, CAST(ntile(4) OVER (PARTITION BY p_brand ORDER BY p_retailprice, p_partkey) AS INT) AS quarter FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_retailprice)")
@@ -278,14 +281,14 @@ def op_posexplode_coords(s, d):
 @query("SELECT label, count(*) AS votes FROM embeddings GROUP BY label")
 def op_map_votes(s, d):
     """Votes through a map and back."""
-    v = table(s, d, "embeddings").groupBy("label").agg(one.alias("n"))
+    v = table(s, d, "embeddings").groupBy("label").agg(one().alias("n"))
     m = v.agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("label", "n")))).alias("m"))  # one entry for each label
     return m.select(F.explode("m").alias("label", "votes"))
 
 
 @query("SELECT CAST(floor(CAST(regexp_extract(props, '\"k\": *([0-9]+)', 1) AS INT) / 10) AS BIGINT) AS tens, count(*) AS n FROM events GROUP BY 1")
 def op_json_extract(s, d):
-    return table(s, d, "events").groupBy(F.floor(F.get_json_object("props", "$.k").cast("int") / 10).alias("tens")).agg(one.alias("n"))
+    return table(s, d, "events").groupBy(F.floor(F.get_json_object("props", "$.k").cast("int") / 10).alias("tens")).agg(one().alias("n"))
 
 
 @query("SELECT doc_id, length(text) AS chars, length(text) - length(regexp_replace(text, '[A-Z]', '', 'g')) AS capitals, length(text) - length(regexp_replace(text, '[0-9]', '', 'g')) AS digits FROM documents")
@@ -300,7 +303,7 @@ def op_page_features(s, d):
 
 @query("SELECT role, count(*) AS turns, round(avg(length(text)), 6) AS mean_chars FROM conversations GROUP BY role")
 def op_conversation_turns(s, d):
-    return table(s, d, "conversations").groupBy("role").agg(one.alias("turns"), F.round(F.avg(F.length("text")), 6).alias("mean_chars"))
+    return table(s, d, "conversations").groupBy("role").agg(one().alias("turns"), F.round(F.avg(F.length("text")), 6).alias("mean_chars"))
 
 
 @query("SELECT o_orderkey, month(o_orderdate) AS m, dayofweek(o_orderdate) + 1 AS weekday, date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS days FROM orders")
@@ -347,7 +350,7 @@ def op_csv_json_orc_roundtrip(s, d):
         writer = part.write.format(kind)
         (writer.option("header", True) if kind == "csv" else writer).save(path)
         back = formats.points(s, path, kind, "p_partkey long, p_retailprice double")
-        row = back.agg(F.lit(kind).alias("format"), one.alias("n"), F.sum(F.col("p_retailprice").cast("decimal(18,2)")).cast("double").alias("price"))
+        row = back.agg(F.lit(kind).alias("format"), one().alias("n"), F.sum(F.col("p_retailprice").cast("decimal(18,2)")).cast("double").alias("price"))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -366,7 +369,7 @@ def op_column_arrays_source(s, d):
         paths[c] = f"{local}/{c}-{uuid.uuid4().hex}.f8"
         rows[c].to_numpy(dtype="<f8").tofile(paths[c])
     back = formats.column_arrays(s, paths, 4096)
-    return back.agg(one.alias("n"), F.sum(F.col("o_totalprice").cast("decimal(18,2)")).cast("double").alias("price"), F.sum("o_custkey").alias("customers"))
+    return back.agg(one().alias("n"), F.sum(F.col("o_totalprice").cast("decimal(18,2)")).cast("double").alias("price"), F.sum("o_custkey").alias("customers"))
 
 
 @query("SELECT event_id AS pid, value * 2 AS c0 FROM events WHERE event_id % 10 = 3")
@@ -418,7 +421,7 @@ def stream_sliding_counts(s, d):
 def stream_session_counts(s, d):
     """Sessions of each user, closed by a gap of 30 minutes."""
     got = streams.run_to_memory(streams.windowed_counts(_stream(s, d), ["user_id"], F.session_window("time", "30 minutes")), _named("session"))
-    return got.groupBy("user_id").agg(one.alias("n"))
+    return got.groupBy("user_id").agg(one().alias("n"))
 
 
 @query()
