@@ -194,7 +194,7 @@ def _keep(shared, least: float, text_col: str):
     return run
 
 
-def keep_identified(docs: DataFrame, least: float = 0.4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def keep_identified(docs: DataFrame, least: float = 0.3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs without those that have no letter or no language of at least this score, all columns kept."""
     model = train(docs, ~held_out(id_col, 4, 2), id_col, text_col)
     shared = docs.sparkSession.sparkContext.broadcast(model)
