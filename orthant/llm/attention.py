@@ -11,7 +11,7 @@ from dataclasses import dataclass
 import numpy as np
 
 #: Window, tokens of context that a later window repeats, width, hidden width, output classes, input rows.
-WINDOW, OVERLAP, WIDTH, HIDDEN, CLASSES, SHARED_CLASSES, ROWS, SHARED_ROWS = 32, 4, 16, 32, 256, 8, 2048, 64
+WINDOW, OVERLAP, WIDTH, HIDDEN, CLASSES, SHARED_CLASSES, ROWS, SHARED_ROWS = 32, 4, 16, 32, 192, 8, 2048, 64
 STEP, DECAY = 6e-3, (0.9, 0.99)
 _BEFORE = np.tril(np.ones((WINDOW, WINDOW), dtype=np.float32))
 
@@ -50,17 +50,22 @@ def start(seed: int = 42) -> dict[str, np.ndarray]:
     return {k: (np.zeros(s) if len(s) == 1 else rng.normal(0, 0.3 if k == "e" else s[0] ** -0.5 if k != "p" else 0.1, s)).astype(np.float32) for k, s in shapes.items()}
 
 
-def body(w: dict[str, np.ndarray], x: np.ndarray) -> tuple[np.ndarray, ...]:
-    """Hidden states of windows of rows (windows x WINDOW), and what the backward pass needs."""
+def body(w: dict[str, np.ndarray], x: np.ndarray, keep_shares: bool = False) -> tuple[np.ndarray, ...]:
+    """Hidden states of windows of rows (windows x WINDOW), and what the backward pass needs (attention as shares if asked)."""
     x0 = w["e"][x] + w["p"]
     q, k, v = np.split(x0 @ w["qkv"], 3, axis=-1)
+    q = q * np.float32(WIDTH**-0.5)
     s = q @ k.transpose(0, 2, 1)
-    s *= np.float32(WIDTH**-0.5)
-    np.clip(s, -30, 30, out=s)
+    np.minimum(s, 60, out=s)
     np.exp(s, out=s)
     s *= _BEFORE
-    s /= s.sum(axis=-1, keepdims=True)
-    c = s @ v
+    norm = s.sum(axis=-1, keepdims=True)
+    if keep_shares:
+        s /= norm
+        c = s @ v
+    else:
+        c = s @ v
+        c /= norm
     h = x0 + c @ w["o"]
     r = h @ w["w1"] + w["b1"]
     g = np.maximum(r, 0)
@@ -89,26 +94,68 @@ def windows(sequences: list[np.ndarray], vocabulary: Vocabulary) -> tuple[np.nda
     return np.where(inside, vocabulary.row[flat[at]], 0), vocabulary.cls[targets], scored, owner, targets
 
 
-def log10_probabilities(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary, batch: int = 48) -> np.ndarray:
-    """log10 of the probability of each sequence with its end. A batch of windows is as large as fits into a core's cache."""
-    x, cls, scored, owner, targets = windows(sequences, vocabulary)
-    out = np.zeros(len(sequences))
+class _Scorer:
+    """The forward pass for scoring, into buffers that are reused: fresh ones of this size would cost more than the arithmetic."""
+
+    def __init__(self, w: dict[str, np.ndarray], batch: int) -> None:
+        self.w, f = w, np.float32
+        self.qkv = w["qkv"] * np.concatenate([np.full(WIDTH, WIDTH**-0.5, dtype=f), np.ones(2 * WIDTH, dtype=f)])
+        sizes = {"x0": WIDTH, "qkv": 3 * WIDTH, "s": WINDOW, "norm": 1, "c": WIDTH, "h": WIDTH, "r": HIDDEN, "h2": WIDTH, "z": CLASSES, "total": 1}
+        self.to = {k: np.empty((batch, WINDOW, n), dtype=f) for k, n in sizes.items()}
+        self.ones, self.odds, self.half = np.ones((WINDOW, 1), dtype=f), np.exp(w["b"])[:, None], w["w2"] / 2
+
+    def log_classes(self, x: np.ndarray, cls: np.ndarray) -> np.ndarray:
+        """Natural logs of the probabilities of the classes, at all places of the windows."""
+        w, to = self.w, {k: b[: len(x)] for k, b in self.to.items()}
+        x0 = np.take(w["e"], x, axis=0, out=to["x0"], mode="clip")
+        x0 += w["p"]
+        qkv = np.matmul(x0, self.qkv, out=to["qkv"])
+        s = np.matmul(qkv[..., :WIDTH], qkv[..., WIDTH : 2 * WIDTH].transpose(0, 2, 1), out=to["s"])
+        if s.max() > 60:  # a maximum is cheap, a comparison with each is not
+            np.minimum(s, 60, out=s)
+        np.exp(s, out=s)
+        s *= _BEFORE
+        c = np.matmul(s, qkv[..., 2 * WIDTH :], out=to["c"])
+        c /= np.matmul(s, self.ones, out=to["norm"])
+        h = np.matmul(c, w["o"], out=to["h"])
+        h += x0
+        r = np.matmul(h, w["w1"], out=to["r"])
+        r += w["b1"]
+        r += np.abs(r)  # twice the positive part
+        h2 = np.matmul(r, self.half, out=to["h2"])
+        h2 += h
+        z = np.matmul(h2, w["u"], out=to["z"])
+        if z.max() > 60:
+            np.minimum(z, 60, out=z)
+        own = np.take_along_axis(z, cls[..., None], axis=-1)[..., 0].astype(np.float64) + w["b"][cls]
+        np.exp(z, out=z)
+        return own - np.log(np.matmul(z, self.odds, out=to["total"])[..., 0].astype(np.float64))
+
+
+def log10_tokens(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary, batch: int = 32) -> np.ndarray:
+    """log10 of the probability of every token and of the end of each sequence, in order.
+
+    A batch of windows is as large as fits into a core's cache.
+    """
+    x, cls, scored, _, targets = windows(sequences, vocabulary)
+    scorer, out, at = _Scorer(w, min(batch, max(1, len(x)))), np.zeros(int(scored.sum())), 0
     for i in range(0, len(x), batch):
         keep = scored[i : i + batch]
-        h = body(w, x[i : i + batch])[-1][keep]
-        z = h @ w["u"]
-        z += w["b"]
-        own = z[np.arange(len(z)), cls[i : i + batch][keep]].astype(np.float64)
-        np.clip(z, -60, 60, out=z)
-        np.exp(z, out=z)
-        p = (own - np.log(z.sum(axis=1, dtype=np.float32).astype(np.float64))) / np.log(10) + vocabulary.inside[targets[i : i + batch][keep]]
-        out += np.bincount(np.repeat(owner[i : i + batch], keep.sum(axis=1)), weights=p, minlength=len(sequences))
-    return out
+        own = scorer.log_classes(x[i : i + batch], cls[i : i + batch])[keep]
+        out[at : at + len(own)] = own
+        at += len(own)
+    return out / np.log(10) + vocabulary.inside[targets[scored]]
+
+
+def log10_probabilities(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary) -> np.ndarray:
+    """log10 of the probability of each sequence with its end."""
+    owner = np.repeat(np.arange(len(sequences)), [len(s) + 1 for s in sequences])
+    return np.bincount(owner, weights=log10_tokens(w, sequences, vocabulary), minlength=len(sequences))
 
 
 def gradients(w: dict[str, np.ndarray], x: np.ndarray, cls: np.ndarray, scored: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
     """Mean log loss of the classes and its gradients."""
-    x0, q, k, v, a, c, h, g, h2 = body(w, x)
+    x0, q, k, v, a, c, h, g, h2 = body(w, x, True)
     z = h2 @ w["u"] + w["b"]
     z -= z.max(axis=-1, keepdims=True)
     p = np.exp(z)
@@ -127,8 +174,8 @@ def gradients(w: dict[str, np.ndarray], x: np.ndarray, cls: np.ndarray, scored:
     dc = dh @ w["o"].T
     d["o"] = flat(c).T @ flat(dh)
     da = dc @ v.transpose(0, 2, 1)
-    ds = a * (da - (da * a).sum(axis=-1, keepdims=True)) * np.float32(WIDTH**-0.5)
-    dqkv = np.concatenate([ds @ k, ds.transpose(0, 2, 1) @ q, a.transpose(0, 2, 1) @ dc], axis=-1)
+    ds = a * (da - (da * a).sum(axis=-1, keepdims=True))  # q is scaled already
+    dqkv = np.concatenate([ds @ k * np.float32(WIDTH**-0.5), ds.transpose(0, 2, 1) @ q, a.transpose(0, 2, 1) @ dc], axis=-1)
     d["qkv"] = flat(x0).T @ flat(dqkv)
     dx = dh + dqkv @ w["qkv"].T
     d["p"] = dx.sum(axis=0)

@@ -5,7 +5,8 @@
 3. The attention weights start from a fit to a bounded, documented number of training documents (``warm_docs``); then
    every partition trains on its share of the training documents (one in ``share``, by hash of the id, so the work
    grows with the corpus) and the weights are averaged by the number of windows.
-4. One pass scores every text: whole, in overlapping windows, each token once.
+4. One pass scores every text: whole, in overlapping windows, each token once. Word by word the model's probability is mixed
+   with the corpus share of the word, where it is a frequent one: a small network can't hold what a count knows.
 
 Word counts are looked up in two ways, which together are exact: frequent words, at most about ``heavy``, go to the
 workers as sorted arrays; occurrences of all other words are joined to their counts by digest.
@@ -36,8 +37,10 @@ from .langid import held_out
 from .tokens import RUN_CHARS, ByteLevelTokenizer, tokenizer
 
 #: Words sent to the workers, words a task folds and a worker remembers, documents and passes of the first fit, share of the later one.
-HEAVY, FOLDED, MEMO_WORDS, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 600_000, 500_000, 1000, 3, 64, 32
+HEAVY, FOLDED, MEMO_WORDS, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 500_000, 400_000, 1000, 3, 64, 32
 IDS, SEED = 50_257, 42
+#: Weight of a frequent word's corpus share beside the attention model.
+MIXED = 0.4
 
 
 def digest(word: bytes) -> int:
@@ -91,20 +94,32 @@ class Run:
         self.doc = np.repeat(np.arange(len(docs)), self.sizes)
 
     def sequences(self, ids: WordIds) -> list[np.ndarray]:
-        """Subword ids of each document."""
+        """Subword ids of each document; n is then the number of them in each word."""
         parts = ids.of(self.distinct)
         length = np.fromiter(map(len, parts), dtype=np.int64, count=len(parts)) // 2
         flat, first, n = np.frombuffer(b"".join(parts), dtype="<u2"), np.cumsum(length) - length, length[self.at]
+        self.n = n
         index = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(first[self.at], n)
         ends = np.cumsum(np.bincount(self.doc, weights=n, minlength=len(self.sizes)).astype(np.int64))
         return np.split(flat[index], ends[:-1])
 
+    def mixed(self, tokens: np.ndarray, share: np.ndarray, end_share: float) -> np.ndarray:
+        """log10 of the texts' probabilities: of each word and end, its tokens' together, mixed with its share of the corpus."""
+        groups = len(self.at) + len(self.sizes)
+        word, end = np.arange(len(self.at)) + self.doc, np.cumsum(self.sizes + 1) - 1
+        n, known = np.ones(groups, dtype=np.int64), np.full(groups, end_share)
+        n[word], known[word] = self.n, share[self.at]
+        own = np.add.reduceat(tokens, np.cumsum(n) - n)
+        with np.errstate(divide="ignore"):
+            p = np.logaddexp(np.log(1 - MIXED) + own * np.log(10), np.log(MIXED) + np.log(known)) / np.log(10)
+        return np.bincount(np.repeat(np.arange(len(self.sizes)), self.sizes + 1), weights=p, minlength=len(self.sizes))
+
     def sums(self, value: np.ndarray) -> np.ndarray:
         """Per document the sum of a value of its words."""
         return np.bincount(self.doc, weights=value[self.at], minlength=len(self.sizes))
 
 
-def _slices(batch: pa.RecordBatch, column: str, most: int = 6 << 20) -> Iterator[tuple[int, list[list[bytes]]]]:
+def _slices(batch: pa.RecordBatch, column: str, most: int = 3 << 20) -> Iterator[tuple[int, list[list[bytes]]]]:
     """Runs of documents as lists of words, with the first row's number: about so many bytes a run."""
     out, held, first = [], 0, 0
     for i, t in enumerate(batch.column(column).cast(pa.binary())):
@@ -228,13 +243,14 @@ def _score(path: str, shared, total: int, distinct: int, ends: int):
             docs, held = batch.column("doc_id"), batch.column("held_out")
             for first, words in _slices(batch, "text"):
                 own = Run(words)
-                score = attention.log10_probabilities(w, own.sequences(ids), vocabulary)
+                tokens = attention.log10_tokens(w, own.sequences(ids), vocabulary)
                 h = np.fromiter(map(digest, own.distinct), dtype=np.uint64, count=len(own.distinct)).view(np.int64)
                 at = np.minimum(np.searchsorted(keys, h), max(0, len(keys) - 1))
                 n = np.where(keys[at] == h, counts[at], -1) if len(keys) else np.full(len(h), -1)
                 rows = np.arange(row, row + len(words))
                 row += len(words)
                 here = n >= 0
+                score = own.mixed(tokens, np.maximum(n, 0) / max(1, total), ends / max(1, total))
                 known = own.sums((n > 0).astype(float)).astype(np.int64) + (ends > 0)
                 base = own.sums(np.where(here, np.log10(np.maximum(n, 0) + 1.0) - scale, 0.0)) + np.log10(ends + 1.0) - scale
                 yield pa.RecordBatch.from_arrays([pa.array(rows), docs.slice(first, len(rows)), held.slice(first, len(rows)), pa.array(own.sizes + 1), pa.array(known), pa.array(base), pa.array(score), pa.nulls(len(rows), pa.int64())], SCORED_NAMES)
