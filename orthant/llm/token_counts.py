@@ -84,5 +84,5 @@ def count_tokens(docs: DataFrame, tokenizer_path: str, cache_path: str | None =
     misses = firsts if stored is None else firsts.join(stored, "digest", "left_anti").repartition(n, "digest")
     misses.mapInArrow(_encode(tokenizer_path, version), CACHE_SCHEMA).write.mode("append").parquet(cache_path)
     # a writer that ran at the same time may have stored a digest too
-    counts = cached_counts(spark, cache_path, version).groupBy("digest").agg(F.max("n_tokens").alias("n_tokens"))
+    counts = written(cached_counts(spark, cache_path, version).groupBy("digest").agg(F.max("n_tokens").alias("n_tokens")), "counts")
     return keyed.join(counts, "digest").select(F.col("_id").alias(id_col), "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
