@@ -13,6 +13,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from orthant import kernel as K
 from orthant.functions.shipping import ship
@@ -20,6 +21,8 @@ from orthant.points import PointSet, hash32
 
 #: Most sampled points on the driver, and most cells that are routed by a nested CASE.
 SAMPLE_CAP, CASE_CELLS = 65_536, 64
+#: Cells that mode 'groups' makes by full histograms before it goes on inside them.
+GROUPS = 1024
 
 
 @dataclass
@@ -168,14 +171,56 @@ def sample(points: PointSet, size: int, seed: int = 0) -> np.ndarray:
     return top.select(*points.coords).toPandas().to_numpy(dtype=float).reshape(-1, points.dims)
 
 
+def best_cut(x: np.ndarray, policy: K.SplitPolicy, level: int, share: float, order: np.ndarray | None = None) -> tuple[int, float, np.ndarray] | None:
+    """(dimension, value, edges) of a node from its sample: the first dimension that splits it evenly enough, or else the evenest."""
+    best = None
+    for dim in K.dimension_order(x, policy, level) if order is None else order:
+        v = x[:, dim]
+        edges, n_of = np.unique(v, return_counts=True)
+        if policy.value_rule in ("midrange", "first100"):
+            value = K.split_value(v, policy)
+            if value is not None:
+                return int(dim), float(value), edges
+            continue
+        found = K.edge_nearest(edges, np.concatenate([[0], n_of]), share)
+        if found is None:
+            continue
+        off = abs(found[1] - share)
+        if best is None or off < best[0]:
+            best = (off, int(dim), found[0], edges)
+        if off <= 0.5 - policy.min_balance:
+            break
+    return best and best[1:]
+
+
+def _share(tree: GlobalTree, node: int) -> float:
+    return -(-tree.want[node] // 2) / tree.want[node]
+
+
+def grow_from_sample(x: np.ndarray, cells: int, policy: K.SplitPolicy) -> GlobalTree:
+    """A tree whose dimensions and values all come from these points."""
+    tree = GlobalTree(x.shape[1])
+    stack = [(tree.add(0, max(1, cells)), x)]
+    while stack:
+        node, x = stack.pop()
+        if tree.want[node] < 2 or len(x) < 2 or not (found := best_cut(x, policy, tree.level[node], _share(tree, node))):
+            continue
+        left = x[:, found[0]] < found[1]
+        a, b = tree.cut(node, *found[:2])
+        stack += [(a, x[left]), (b, x[~left])]
+    return tree
+
+
 def build_global_tree(points: PointSet, cells: int, policy: K.SplitPolicy = K.SplitPolicy(), mode: str = "level", seed: int = 0) -> GlobalTree:
     """Halve the space until there are so many cells (any number; fewer where points coincide).
 
     mode 'level': every value comes from a histogram of all points between sampled edges, or from whatever the policy says;
-    mode 'sample': dimensions and values come from the sample alone, for few passes over very many points.
+    mode 'sample': dimensions and values come from the sample alone, for few passes over very many points;
+    mode 'groups': as 'level' for the first cells, and inside each of those, on the executors, from a sample of its own.
     """
-    spark = points.df.sparkSession
-    ship(spark)
+    if mode == "groups" and cells > GROUPS:
+        return _in_groups(points, cells, policy, seed)
+    ship(points.df.sparkSession)
     tree = GlobalTree(points.dims)
     tree.add(0, max(1, cells))
     if cells <= 1:
@@ -183,43 +228,29 @@ def build_global_tree(points: PointSet, cells: int, policy: K.SplitPolicy = K.Sp
     drawn = sample(points, min(SAMPLE_CAP, policy.sample_per_part * cells), seed)
     if not len(drawn):
         return tree
+    if mode == "sample":
+        return grow_from_sample(drawn, cells, policy)
     members = {0: drawn}
     while members:
         ready: dict[int, tuple[int, float]] = {}
         edges_of: dict[int, tuple[int, np.ndarray]] = {}
-        full = _full_stats(points, tree, members, policy) if mode == "level" else {}
+        full = _full_stats(points, tree, members, policy)
         for n, x in members.items():
-            order = _dimensions(x, full.get(n), policy, tree.level[n])
-            share = -(-tree.want[n] // 2) / tree.want[n]
-            choice = best = None
+            order, own = _dimensions(x, full.get(n), policy, tree.level[n]), full.get(n)
+            if policy.value_rule == "hist":
+                if found := best_cut(x, policy, tree.level[n], _share(tree, n), order):
+                    edges_of[n] = (found[0], found[2])
+                continue
             for dim in order:
-                v, own = x[:, dim], full.get(n, {})
-                if mode == "level" and policy.value_rule in ("exact", "sketch"):
-                    value = own["median"][dim]
-                    value = value if own["min"][dim] < value else None
-                elif mode == "level" and policy.value_rule == "midrange":
-                    low, high = own["min"][dim], own["max"][dim]
-                    value = K.split_value(np.array([low, high]), policy) if low < high else None
-                elif policy.value_rule == "hist":
-                    edges, n_of = np.unique(v, return_counts=True)
-                    found = K.edge_nearest(edges, np.concatenate([[0], n_of]), share)
-                    off = abs(found[1] - share) if found else 1.0
-                    if found and (best is None or off < best[0]):
-                        best = (off, int(dim), found[0], edges)
-                    if off > 0.5 - policy.min_balance:  # too uneven here: try the next dimension
-                        continue
-                    break
+                if policy.value_rule in ("exact", "sketch"):
+                    value = own["median"][dim] if own["min"][dim] < own["median"][dim] else None
+                elif policy.value_rule == "midrange":
+                    value = K.split_value(np.array([own["min"][dim], own["max"][dim]]), policy)
                 else:
-                    value = K.split_value(v, policy)
+                    value = K.split_value(x[:, dim], policy)
                 if value is not None:
-                    choice = (int(dim), float(value))
+                    ready[n] = (int(dim), float(value))
                     break
-            if best and mode == "level":
-                edges_of[n] = (best[1], best[3])
-            elif best:
-                choice = best[1:3]
-            if choice:
-                ready[n] = choice
         if edges_of:
             ready |= _by_histogram(points, tree, edges_of, policy)
         after = {}
@@ -233,6 +264,50 @@ def build_global_tree(points: PointSet, cells: int, policy: K.SplitPolicy = K.Sp
     return tree
 
 
+_NODES = "cell int, node int, level int, want int, dim int, split double, left int, right int"
+
+
+def _subtree(want: dict[int, int], dims: int, policy: K.SplitPolicy):
+    def run(part: pa.Table) -> pa.Table:
+        x = np.stack([part.column(f"c{i}").to_numpy() for i in range(dims)], axis=1)
+        # in hashed order, as the rules expect a sample
+        x = x[np.lexsort((part.column("pid").to_numpy(), part.column("_h").to_numpy()))]
+        cell = part.column("cell")[0].as_py()
+        t = grow_from_sample(x, want[cell], policy)
+        n = len(t.dim)
+        whole = lambda a: pa.array(a, pa.int32())
+        return pa.table([whole([cell] * n), whole(range(n)), whole(t.level), whole(t.want), whole(t.dim), pa.array(t.split, pa.float64()), whole(t.left), whole(t.right)], names=["cell", "node", "level", "want", "dim", "split", "left", "right"])
+
+    return run
+
+
+def _in_groups(points: PointSet, cells: int, policy: K.SplitPolicy, seed: int) -> GlobalTree:
+    """First GROUPS cells by full histograms; their insides in parallel, each from its own sample; the driver grafts nodes only."""
+    tree = build_global_tree(points, GROUPS, policy, "level", seed)
+    leaves = tree.leaves()
+    each, more = divmod(cells, len(leaves))
+    want = {i: each + (i < more) for i in range(len(leaves))}
+    size = policy.sample_per_part * (each + 1)
+    routed = tree.routed(points.positions()).withColumn("_h", hash32(F.col("pid") + seed))
+    drawn = routed.withColumn("_r", F.row_number().over(Window.partitionBy("cell").orderBy("_h", "pid"))).where(F.col("_r") <= size).drop("_r")
+    rows = drawn.groupBy("cell").applyInArrow(_subtree(want, points.dims, policy), _NODES).toArrow().to_pylist()  # two rows for each cell
+    by: dict[int, list] = {}
+    for r in rows:
+        by.setdefault(r["cell"], []).append(r)
+    for n in range(len(tree.want)):
+        tree.want[n] = 0
+    for i, leaf in enumerate(leaves):
+        at = {0: leaf}
+        tree.want[leaf] = want[i]
+        for r in sorted(by.get(i, []), key=lambda r: r["node"]):
+            if r["left"] >= 0:
+                at[r["left"]], at[r["right"]] = tree.cut(at[r["node"]], r["dim"], r["split"])
+    for n in range(len(tree.want) - 1, -1, -1):
+        if tree.want[n] == 0 and tree.left[n] >= 0:
+            tree.want[n] = tree.want[tree.left[n]] + tree.want[tree.right[n]]
+    return tree
+
+
 def _dimensions(x: np.ndarray, full: dict | None, policy: K.SplitPolicy, level: int) -> np.ndarray:
     if full and policy.dim_rule in ("variance_full", "range"):
         extent = full["max"] - full["min"]

@@ -10,6 +10,7 @@ from orthant import points as P
 from orthant.operators import predict
 from orthant.operators.knn import Knn, knn, knn_all_nodes, knn_brute, knn_relational, knn_replicated, radius_search
 from orthant.operators.layout import SpatialLayout, build_layout, collapse_colocated, independent_layout, pack
+from orthant.plans import global_tree
 from orthant.plans.global_tree import GlobalTree, build_global_tree, descend
 from orthant.plans.planner import choose, knn_join
 from orthant.points import PointSet
@@ -121,6 +122,12 @@ def test_many_cells_are_routed_by_the_shipped_tree(spark, cloud, asked, want):
     assert layout.cells > 64 and rows(knn(layout, asked, 5)) == want
 
 
+def test_growing_inside_groups(spark, cloud, asked, want, monkeypatch):
+    monkeypatch.setattr(global_tree, "GROUPS", 3)
+    layout = build_layout(cloud, 11, mode="groups")
+    assert 8 <= layout.cells <= 11 and layout.n.sum() == cloud.df.count() and rows(knn(layout, asked, 5)) == want
+
+
 def test_balance_of_the_first_split(spark, sf):
     for make in (P.events3, P.orders3):
         layout = build_layout(make(spark, sf), 2)
