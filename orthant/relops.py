@@ -361,6 +361,8 @@ def op_column_arrays_source(s, d):
     from urllib.parse import urlparse
 
     top = fresh_path(s, "arrays")
+    if urlparse(top).scheme not in ("", "file"):
+        raise ValueError(f"plain array files need a mounted folder, not {top}")
     local = urlparse(top).path
     os.makedirs(local, exist_ok=True)
     rows = table(s, d, "orders").select("o_totalprice", F.col("o_custkey").cast("double").alias("o_custkey")).toPandas()

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orthant import kernel as K
-from orthant import measures, relops
+from orthant import experiments, measures, relops
 from orthant import points as P
 from orthant.operators import predict
 from orthant.operators.knn import Knn, knn, knn_all_nodes, knn_brute, knn_relational, knn_replicated, radius_search
@@ -385,8 +385,28 @@ def _prediction() -> None:
     add("density_top10", dense, knn_sql("events3", TENTH, 5, "qid, d2 AS d2_k", where="p.pid <> q.qid") + " WHERE rank = 5 ORDER BY d2, qid LIMIT 10")
 
 
+# ---- experiments -------------------------------------------------------------------------------------------------------
+
+
+def _experiments() -> None:
+    for setting, values in (("bucket_size", (8, 32, 128)), ("sample_per_part", (32, 256)), ("cells", (1, 4, 16)), ("k", (1, 5, 20)), ("prune", ("mbr", "region", "none")), ("two_level", (True, False)), ("dim_rule", ("variance", "variance_full", "range", "cycle")), ("value_rule", ("hist", "exact", "first100", "midrange", "sketch"))):
+        add(f"exp_{setting}", lambda s, d, x=setting, v=values: experiments.sweep(s, P.events3(s, d), x, v))
+    three = ("events3", "orders3", "doctext10")
+    add("exp_policies", lambda s, d: experiments.policies(s, {n: SETS[n][0](s, d) for n in three}))
+    add("exp_breakdown", lambda s, d: experiments.breakdown(s, {n: SETS[n][0](s, d) for n in ("orders3", "grid3")}))
+    add("exp_bin_lookups", lambda s, d: experiments.bin_lookups(s))
+
+    def weak(s: SparkSession, d: str) -> DataFrame:
+        """Parts of the events in proportion to the cells: a tenth, half, all."""
+        ps = P.events3(s, d)
+        return experiments.weak_scaling(s, [(str(n), ps.where(F.pmod("pid", F.lit(10)) >= 10 - n)) for n in (1, 5, 10)])
+
+    add("exp_weak_scaling", weak)
+
+
 _strategies()
 _building()
+_experiments()
 _work()
 _prediction()
 for _name, (_f, _sql) in relops.QUERIES.items():
