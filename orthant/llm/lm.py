@@ -17,10 +17,9 @@ the model its untrained start; repeated rows each get a row; an empty table give
 
 from __future__ import annotations
 
-from array import array
-from collections import Counter
+from collections import Counter, defaultdict
 from collections.abc import Iterable, Iterator
-from itertools import chain
+from itertools import chain, count
 
 import numpy as np
 import pyarrow as pa
@@ -36,8 +35,8 @@ from .common import whole_text, written
 from .langid import held_out
 from .tokens import RUN_CHARS, ByteLevelTokenizer, tokenizer
 
-#: Words sent to the workers, words a task folds and a worker remembers, documents and passes of the first fit, share of the later one.
-HEAVY, FOLDED, MEMO_WORDS, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 500_000, 400_000, 1000, 3, 64, 32
+#: Words sent to the workers, words a task folds, documents and passes of the first fit, share of the later one.
+HEAVY, FOLDED, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 500_000, 1000, 3, 64, 32
 IDS, SEED = 50_257, 42
 #: Weight of a frequent word's corpus share beside the attention model.
 MIXED = 0.4
@@ -49,25 +48,26 @@ def digest(word: bytes) -> int:
 
 
 class WordIds:
-    """Ids of words with a leading space, lower-cased already, as bytes of little-endian u2; the first words seen are remembered."""
+    """Subword ids of lower-cased words, each with a leading space.
+
+    All words of a list are encoded in one call, joined: no match of the pre-tokenizer reaches over the space before a word,
+    and words hold no space, so a token that begins with one begins a word. Lists that don't come apart so go word by word.
+    """
 
     def __init__(self, path: str) -> None:
-        self.tok, self.memo = tokenizer(path, ByteLevelTokenizer), {}
-
-    def of(self, words: Iterable[bytes]) -> list[bytes]:
-        memo, fast, out = self.memo, self.tok.fast, []
-        for w in words:
-            x = memo.get(w)
-            if x is None:
-                text = " " + w.decode("utf-8")
-                if fast is not None and len(text) < RUN_CHARS and "<|" not in text:
-                    x = array("H", fast.encode_ordinary(text)).tobytes()
-                else:
-                    x = np.frombuffer(self.tok.encode([text])[0], dtype="<u4").astype("<u2").tobytes()
-                if len(memo) < MEMO_WORDS and len(w) <= 48:
-                    memo[w] = x
-            out.append(x)
-        return out
+        self.tok = tokenizer(path, ByteLevelTokenizer)
+        fast = self.tok.fast
+        self.opens = None if fast is None else np.array([fast.decode_single_token_bytes(i)[:1] == b" " for i in range(fast.n_vocab)])
+
+    def of(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all words in a row, how many each has)."""
+        if self.opens is not None and words and max(map(len, words)) < RUN_CHARS:
+            flat = self.tok.fast.encode_to_numpy((b" " + b" ".join(words)).decode("utf-8"), disallowed_special=())
+            starts = np.flatnonzero(self.opens[flat])
+            if len(starts) == len(words):
+                return flat.astype(np.uint16), np.diff(np.append(starts, len(flat)))
+        parts = [np.frombuffer(x, dtype="<u4") for x in self.tok.encode([" " + w.decode("utf-8") for w in words])]
+        return np.concatenate([np.zeros(0, dtype=np.uint16), *(x.astype(np.uint16) for x in parts)]), np.array([len(x) for x in parts], dtype=np.int64)
 
 
 _OPEN: dict[str, WordIds] = {}
@@ -83,21 +83,16 @@ class Run:
     """Some documents' words as positions in the list of their distinct words."""
 
     def __init__(self, docs: list[list[bytes]]) -> None:
-        place: dict[bytes, int] = {}
-        for words in docs:
-            for w in words:
-                if w not in place:
-                    place[w] = len(place)
-        self.distinct = list(place)
+        place: dict[bytes, int] = defaultdict(count().__next__)  # numbers words as they come
         self.sizes = np.fromiter(map(len, docs), dtype=np.int64, count=len(docs))
         self.at = np.fromiter(map(place.__getitem__, chain.from_iterable(docs)), dtype=np.int64, count=int(self.sizes.sum()))
+        self.distinct = list(place)
         self.doc = np.repeat(np.arange(len(docs)), self.sizes)
 
     def sequences(self, ids: WordIds) -> list[np.ndarray]:
         """Subword ids of each document; n is then the number of them in each word."""
-        parts = ids.of(self.distinct)
-        length = np.fromiter(map(len, parts), dtype=np.int64, count=len(parts)) // 2
-        flat, first, n = np.frombuffer(b"".join(parts), dtype="<u2"), np.cumsum(length) - length, length[self.at]
+        flat, length = ids.of(self.distinct)
+        first, n = np.cumsum(length) - length, length[self.at]
         self.n = n
         index = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(first[self.at], n)
         ends = np.cumsum(np.bincount(self.doc, weights=n, minlength=len(self.sizes)).astype(np.int64))
@@ -119,7 +114,7 @@ class Run:
         return np.bincount(self.doc, weights=value[self.at], minlength=len(self.sizes))
 
 
-def _slices(batch: pa.RecordBatch, column: str, most: int = 3 << 20) -> Iterator[tuple[int, list[list[bytes]]]]:
+def _slices(batch: pa.RecordBatch, column: str, most: int = 4 << 20) -> Iterator[tuple[int, list[list[bytes]]]]:
     """Runs of documents as lists of words, with the first row's number: about so many bytes a run."""
     out, held, first = [], 0, 0
     for i, t in enumerate(batch.column(column).cast(pa.binary())):
@@ -158,9 +153,8 @@ def _subwords(path: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, total = word_ids(path), np.zeros(IDS, dtype=np.int64)
         for batch in batches:
-            parts = ids.of(batch.column("word").to_pylist())
-            n = np.repeat(batch.column("n").to_numpy(), np.fromiter(map(len, parts), dtype=np.int64, count=len(parts)) // 2)
-            total += np.bincount(np.frombuffer(b"".join(parts), dtype="<u2"), weights=n, minlength=IDS).astype(np.int64)
+            flat, length = ids.of(batch.column("word").to_pylist())
+            total += np.bincount(flat, weights=np.repeat(batch.column("n").to_numpy(), length), minlength=IDS).astype(np.int64)
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], ["id", "n"])
 
