@@ -1,16 +1,15 @@
-"""Shared plumbing: table access, lineage cuts in the cluster's shared folder, word pattern."""
+"""Shared plumbing: tables, lineage cuts, the word pattern."""
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orthant.functions.shipping import ship
+from orthant.sources import tables
+from orthant.sources.tables import fresh_path, written
+
+__all__ = ["WORD", "fresh_path", "n_words", "shuffle_partitions", "table", "whole_text", "written"]
 
 #: A word is a maximal run of characters other than space and the five ASCII controls tab to CR.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -18,35 +17,7 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     ship(spark)
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where the session names none."""
-    sc = spark.sparkContext
-    found = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
-    if not found:
-        found = tempfile.mkdtemp(prefix="orthant-")
-        atexit.register(shutil.rmtree, found, ignore_errors=True)
-        sc.setCheckpointDir(found)
-    return found.rstrip("/")
-
-
-def fresh_path(spark: SparkSession, name: str) -> str:
-    """A new path in the shared folder, removed when the session's file systems close."""
-    path = f"{shared_dir(spark)}/orthant/{uuid.uuid4().hex}/{name}"
-    jvm = spark.sparkContext._jvm
-    hadoop = jvm.org.apache.hadoop.fs.Path(path.rsplit("/", 1)[0])
-    hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(hadoop)
-    return path
-
-
-def written(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage: write df to the shared folder and read it back."""
-    spark = df.sparkSession
-    path = fresh_path(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return tables.table(spark, sf_dir, name)
 
 
 def whole_text(name: str = "text") -> Column:
