@@ -58,12 +58,14 @@ def _search_cell(dims: int, k: int, policy: K.SplitPolicy, bucket_size: int, exc
 def search_cells(layout: SpatialLayout, queries: DataFrame, k: int, hop: int, exclude_self: bool = False, order: str = "near_first", batch_rows: int | None = None) -> DataFrame:
     """Rows of FOUND for queries (qid, coordinates, r2, cell).
 
-    A cell's queries are dealt into batches of about batch_rows, and its points are read once for each: a hot cell is many
-    groups. The number of batches follows the largest cell of the queries, one count per cell.
+    The queries of a cell are dealt into batches of about batch_rows, and its points are read once for each: a hot cell is many
+    groups. Without batch_rows that happens only where some cell has more than BATCH_ROWS queries, which one count tells.
     """
     coords = [f"c{i}" for i in range(layout.dims)]
     points, queries = layout.points.select("pid", *coords, "cell"), queries.select(*(F.col(c).alias(c) for c in ("qid", *coords, "r2", "cell")))  # own columns, whatever they come from
     keys = ["cell"]
+    if batch_rows is None and (queries.groupBy("cell").count().agg(F.max("count").alias("n")).first()["n"] or 0) > BATCH_ROWS:
+        batch_rows = BATCH_ROWS
     if batch_rows:
         need = queries.groupBy("cell").agg(F.ceil(F.count(F.lit(1)) / batch_rows).cast("int").alias("batches"))  # a row for each cell
         queries = queries.join(F.broadcast(need), "cell").withColumn("batch", F.pmod(F.xxhash64("qid"), F.col("batches")).cast("int")).drop("batches")

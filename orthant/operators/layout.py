@@ -9,6 +9,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from orthant import kernel as K
 from orthant.functions.shipping import ship
@@ -154,12 +155,14 @@ def pack(layout: SpatialLayout) -> DataFrame:
     return layout.points.groupBy("cell").applyInArrow(_packed(layout.dims, layout.bucket_size, layout.policy), f"pid long, {columns}, cell int, bucket int")
 
 
-def collapse_colocated(points: PointSet, k: int) -> DataFrame:
-    """Per distinct spot its multiplicity, and of its points the k with the smallest ids: enough for any k-nearest answer."""
-    from pyspark.sql.window import Window
-
-    spot = Window.partitionBy(*points.coords)
-    ranked = points.positions().withColumn("_r", F.row_number().over(spot.orderBy("pid"))).withColumn("copies", F.count(F.lit(1)).over(spot))
-    return ranked.where(F.col("_r") <= k).drop("_r")
-
+def collapse_colocated(points: PointSet, k: int, with_copies: bool = False) -> DataFrame:
+    """Of the points in one spot the k with the smallest ids: enough for any k-nearest answer.
 
+    The rank limit works inside the map tasks, so a spot that holds a third of all points sends k rows a task. with_copies adds
+    the multiplicity of the spot, from a map-side combined count.
+    """
+    spot = Window.partitionBy(*points.coords).orderBy("pid")
+    few = points.positions().withColumn("_r", F.row_number().over(spot)).where(F.col("_r") <= k).drop("_r")
+    if not with_copies:
+        return few
+    return few.join(points.positions().groupBy(*points.coords).agg(F.count(F.lit(1)).alias("copies")), points.coords)

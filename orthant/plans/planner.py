@@ -8,10 +8,12 @@ from pyspark.sql import DataFrame
 
 from orthant import kernel as K
 from orthant.operators.knn import BROADCAST_BYTES, Knn, knn_brute, knn_replicated
-from orthant.operators.layout import SpatialLayout, build_layout
+from orthant.operators.layout import SpatialLayout, build_layout, collapse_colocated
 from orthant.points import PointSet
 
 CELL_BYTES = 128 << 20
+#: A largest cell of so many times the mean calls for collapsing co-located points.
+HOT = 4.0
 
 
 @dataclass(frozen=True)
@@ -53,4 +55,7 @@ def knn_join(points: PointSet, queries: DataFrame, k: int = 5, strategy: str = "
     if strategy == "replicate":
         return knn_replicated(points, queries, k, policy=policy, **options)
     layout = build_layout(points, cells or 10 * spark.sparkContext.defaultParallelism, policy)
+    if layout.cells > 1 and layout.balance() > HOT:
+        # no split separates points in one spot; of those only the first k can answer (one more where a query is one of them)
+        layout = build_layout(PointSet(collapse_colocated(points, k + exclude_self), points.dims), layout.cells, policy)
     return Knn(layout, queries, k, **options).neighbors()

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from orthant import kernel as K
 from orthant import measures
 from orthant import points as P
+from orthant.operators import knn as knn_module
 from orthant.operators import predict
 from orthant.operators.knn import Knn, knn, knn_all_nodes, knn_brute, knn_relational, knn_replicated, radius_search
 from orthant.operators.layout import SpatialLayout, build_layout, collapse_colocated, independent_layout, pack
@@ -100,6 +101,22 @@ def test_collapsed_spots(cloud, asked, want):
     assert few.df.count() < cloud.df.count() and rows(knn(build_layout(few, 5), asked, 5)) == want
 
 
+def test_a_spot_with_most_points(spark, asked):
+    rng = np.random.default_rng(2)
+    x = [(i, 1.0, 1.0, 1.0) for i in range(3000)] + [(5000 + i, *map(float, rng.normal(size=3))) for i in range(300)]
+    ps = PointSet(spark.createDataFrame(x, "pid long, c0 double, c1 double, c2 double"), 3)
+    for own in (False, True):
+        q = ps.sample_queries(100, 3)
+        assert rows(knn_join(ps, q, 5, "tree", cells=8, exclude_self=own)) == rows(knn_brute(ps, q, 5, exclude_self=own))
+    copies = collapse_colocated(ps, 2, with_copies=True).groupBy("copies").count().collect()
+    assert sorted(map(tuple, copies)) == [(1, 300), (3000, 2)]
+
+
+def test_hot_cells_are_dealt(cloud, asked, want, monkeypatch):
+    monkeypatch.setattr(knn_module, "BATCH_ROWS", 5)
+    assert rows(knn(build_layout(cloud, 3), asked, 5)) == want
+
+
 def test_cells_partition_the_points(cloud):
     layout = build_layout(cloud, 9)
     assert layout.n.sum() == cloud.df.count()
