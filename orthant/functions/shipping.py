@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import zipfile
 from pathlib import Path
@@ -16,7 +18,9 @@ def ship(spark: SparkSession) -> None:
     sc = spark.sparkContext
     if getattr(sc, "_orthant_shipped", False):
         return
-    path = Path(tempfile.mkdtemp(prefix="orthant-ship-")) / f"{PACKAGE.name}.zip"
+    folder = tempfile.mkdtemp(prefix="orthant-ship-")
+    atexit.register(shutil.rmtree, folder, ignore_errors=True)
+    path = Path(folder) / f"{PACKAGE.name}.zip"
     with zipfile.ZipFile(path, "w") as z:
         for source in sorted(PACKAGE.rglob("*.py")):
             z.write(source, source.relative_to(PACKAGE.parent))
