@@ -36,7 +36,7 @@ from .langid import held_out
 from .tokens import RUN_CHARS, ByteLevelTokenizer, tokenizer
 
 #: Words sent to the workers, words a task folds, documents and passes of the first fit, share of the later one.
-HEAVY, FOLDED, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 500_000, 1000, 3, 64, 32
+HEAVY, FOLDED, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 500_000, 1000, 3, 16, 32
 IDS, SEED = 50_257, 42
 #: Weight of a frequent word's corpus share beside the attention model.
 MIXED = 0.4

@@ -341,6 +341,15 @@ def test_lm_base_by_brute_force(docs, texts, heavy):
     assert all(r["score"] < 0 and math.isfinite(r["score"]) for r in rows)
 
 
+def test_network_is_not_cut():
+    """Tokens after a window's start see at least 8 tokens of context; a sixteenth of the documents trains the dealt network."""
+    voc = attention.Vocabulary.of(np.ones(1000), 999)
+    _, _, scored, _, _ = attention.windows([np.arange(200)], voc)
+    assert len(scored) > 1 and all(s.argmax() >= 8 for s in scored[1:])
+    assert attention.start()["e"].shape[1] >= 24 and attention.start()["w1"].shape[1] >= 48 and len(attention.start()["b"]) >= 256
+    assert lm.SHARE <= 16
+
+
 # ---- 7 and 8, held out ----
 
 
