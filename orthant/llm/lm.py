@@ -6,10 +6,11 @@
    every partition trains on its share of the training documents (one in ``share``, by hash of the id, so the work
    grows with the corpus) and the weights are averaged by the number of windows.
 4. One pass scores every text: whole, in overlapping windows, each token once. Word by word the model's probability is mixed
-   with the corpus share of the word, where it is a frequent one: a small network can't hold what a count knows.
+   with the corpus share of the word: a small network can't hold what a count knows.
 
 Word counts are looked up in two ways, which together are exact: frequent words, at most about ``heavy``, go to the
-workers as sorted arrays; occurrences of all other words are joined to their counts by digest.
+workers as sorted arrays; occurrences of all other words are joined to their counts by digest, with the model's probability
+of each, so that base and score don't depend on ``heavy``.
 
 Defined results: null text is empty and consists of the end token; without training documents the base takes N = V = 0 and
 the model its untrained start; repeated rows each get a row; an empty table gives no rows.
@@ -38,7 +39,7 @@ from .tokens import RUN_CHARS, ByteLevelTokenizer, tokenizer
 #: Words sent to the workers, words a task folds, documents and passes of the first fit, share of the later one.
 HEAVY, FOLDED, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 500_000, 1000, 3, 16, 32
 IDS, SEED = 50_257, 42
-#: Weight of a frequent word's corpus share beside the attention model.
+#: Weight of a word's corpus share beside the attention model.
 MIXED = 0.4
 
 
@@ -98,8 +99,11 @@ class Run:
         ends = np.cumsum(np.bincount(self.doc, weights=n, minlength=len(self.sizes)).astype(np.int64))
         return np.split(flat[index], ends[:-1])
 
-    def mixed(self, tokens: np.ndarray, share: np.ndarray, end_share: float) -> np.ndarray:
-        """log10 of the texts' probabilities: of each word and end, its tokens' together, mixed with its share of the corpus."""
+    def mixed(self, tokens: np.ndarray, share: np.ndarray, end_share: float, here: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(log10 of the texts' probabilities, the model's own log10 of each occurrence of a word).
+
+        Of each word and end: its tokens' probability together, mixed with its share of the corpus. Words not here are left out.
+        """
         groups = len(self.at) + len(self.sizes)
         word, end = np.arange(len(self.at)) + self.doc, np.cumsum(self.sizes + 1) - 1
         n, known = np.ones(groups, dtype=np.int64), np.full(groups, end_share)
@@ -107,7 +111,8 @@ class Run:
         own = np.add.reduceat(tokens, np.cumsum(n) - n)
         with np.errstate(divide="ignore"):
             p = np.logaddexp(np.log(1 - MIXED) + own * np.log(10), np.log(MIXED) + np.log(known)) / np.log(10)
-        return np.bincount(np.repeat(np.arange(len(self.sizes)), self.sizes + 1), weights=p, minlength=len(self.sizes))
+        p[word[~here[self.at]]] = 0
+        return np.bincount(np.repeat(np.arange(len(self.sizes)), self.sizes + 1), weights=p, minlength=len(self.sizes)), own[word]
 
     def sums(self, value: np.ndarray) -> np.ndarray:
         """Per document the sum of a value of its words."""
@@ -227,7 +232,7 @@ SCORED = "row long, doc_id long, held_out boolean, n_tokens long, n_known long,
 
 
 def _score(path: str, shared, total: int, distinct: int, ends: int):
-    """Rows of documents (key null) and of the occurrences of words that aren't frequent (only row and key set)."""
+    """Rows of documents (key null) and of the occurrences of words that aren't frequent (row and key; score is the model's own)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         w, vocabulary, keys, counts = shared.value
@@ -244,14 +249,14 @@ def _score(path: str, shared, total: int, distinct: int, ends: int):
                 rows = np.arange(row, row + len(words))
                 row += len(words)
                 here = n >= 0
-                score = own.mixed(tokens, np.maximum(n, 0) / max(1, total), ends / max(1, total))
+                score, each = own.mixed(tokens, np.maximum(n, 0) / max(1, total), ends / max(1, total), here)
                 known = own.sums((n > 0).astype(float)).astype(np.int64) + (ends > 0)
                 base = own.sums(np.where(here, np.log10(np.maximum(n, 0) + 1.0) - scale, 0.0)) + np.log10(ends + 1.0) - scale
                 yield pa.RecordBatch.from_arrays([pa.array(rows), docs.slice(first, len(rows)), held.slice(first, len(rows)), pa.array(own.sizes + 1), pa.array(known), pa.array(base), pa.array(score), pa.nulls(len(rows), pa.int64())], SCORED_NAMES)
                 light = np.flatnonzero(~here[own.at])
                 if len(light):
                     k = len(light)
-                    yield pa.RecordBatch.from_arrays([pa.array(rows[own.doc[light]]), pa.nulls(k, pa.int64()), pa.nulls(k, pa.bool_()), *(pa.nulls(k, t) for t in (pa.int64(), pa.int64(), pa.float64(), pa.float64())), pa.array(h[own.at[light]])], SCORED_NAMES)
+                    yield pa.RecordBatch.from_arrays([pa.array(rows[own.doc[light]]), pa.nulls(k, pa.int64()), pa.nulls(k, pa.bool_()), *(pa.nulls(k, t) for t in (pa.int64(), pa.int64(), pa.float64())), pa.array(each[light]), pa.array(h[own.at[light]])], SCORED_NAMES)
 
     return run
 
@@ -276,11 +281,14 @@ def score(docs: DataFrame, path: str, held: Column, id_col: str = "doc_id", text
     least, keys, n = heavy_words(words, distinct, heavy)
     shared = docs.sparkSession.sparkContext.broadcast((w, vocabulary, keys, n))
     scored = written(read.mapInArrow(_score(path, shared, total, distinct, ends), SCORED), "scored")
-    light = scored.where("key is not null").select("row", "key").join(written(words.where(F.col("n") <= least).select("key", "n"), "light"), "key", "left")
+    light = scored.where("key is not null").select("row", "key", "score").join(written(words.where(F.col("n") <= least).select("key", "n"), "light"), "key", "left")
     scale = float(np.log10(total + distinct + 1))
-    per = light.groupBy("row").agg(F.sum(F.log10(F.coalesce("n", F.lit(0)) + F.lit(1.0)) - F.lit(scale)).alias("_base"), F.count("n").alias("_known"))
+    model, share = F.col("score") + F.lit(float(np.log10(1 - MIXED))), F.log10(F.col("n") * F.lit(MIXED / max(1, total)))
+    more, less = F.greatest(model, share), F.least(model, share)
+    score_of = F.when(F.col("n").isNull(), model).otherwise(more + F.log1p(F.pow(F.lit(10.0), less - more)) / F.lit(float(np.log(10))))
+    per = light.groupBy("row").agg(F.sum(F.log10(F.coalesce("n", F.lit(0)) + F.lit(1.0)) - F.lit(scale)).alias("_base"), F.count("n").alias("_known"), F.sum(score_of).alias("_score"))
     told = scored.where("key is null").join(per, "row", "left")
-    return told.select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("_known", F.lit(0))).alias("n_known"), F.lit(total).cast("long").alias("train_tokens"), (F.col("base") + F.coalesce("_base", F.lit(0.0))).alias("base_score"), "score")
+    return told.select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("_known", F.lit(0))).alias("n_known"), F.lit(total).cast("long").alias("train_tokens"), (F.col("base") + F.coalesce("_base", F.lit(0.0))).alias("base_score"), (F.col("score") + F.coalesce("_score", F.lit(0.0))).alias("score"))
 
 
 def lm_scores(docs: DataFrame, path: str) -> DataFrame:

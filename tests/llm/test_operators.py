@@ -341,6 +341,12 @@ def test_lm_base_by_brute_force(docs, texts, heavy):
     assert all(r["score"] < 0 and math.isfinite(r["score"]) for r in rows)
 
 
+def test_lm_score_does_not_depend_on_heavy(docs):
+    path = tokens.vocabulary("byte_bpe_50k.json")
+    few, all_ = (sorted((r["doc_id"], r["n_tokens"], r["score"]) for r in lm.score(docs, path, langid.held_out("doc_id", 7, 2), heavy=h).collect()) for h in (200, 1_000_000))
+    assert len(few) == len(all_) and all(a[:2] == b[:2] and math.isclose(a[2], b[2], rel_tol=1e-9) for a, b in zip(few, all_, strict=True))
+
+
 def test_network_is_not_cut():
     """Tokens after a window's start see at least 8 tokens of context; a sixteenth of the documents trains the dealt network."""
     voc = attention.Vocabulary.of(np.ones(1000), 999)
