@@ -285,6 +285,15 @@ def test_quality_keeps_clean_documents(spark):
     assert not good & {r[0] for r in rows}
 
 
+def test_quality_refuses_documents_without_common_words(spark):
+    docs = duckdb.sql(f"SELECT doc_id, text, lang FROM '{DATA}/sf0.01/documents.parquet' WHERE lang = 'en' ORDER BY doc_id LIMIT 300").fetchall()
+    bare = [(10_000_000 + i, " ".join(w for w in t.split() if w.lower().rstrip(".,;:!?") not in quality.COMMON), None) for i, t, _ in docs]
+    rows = {r["doc_id"]: r for r in quality.judge(spark.createDataFrame(docs + bare, "doc_id long, text string, lang string")).collect()}
+    # only the words speak against these
+    tried = [r for i, r in rows.items() if i >= 10_000_000 and rows[i - 10_000_000]["kept"] and r["n_words"] >= 80 and not r["base_failed"] and r["char_distance"] <= quality.CHAR_DISTANCE]
+    assert len(tried) > 10 and not any(r["kept"] for r in tried)
+
+
 # ---- 6 language model ----
 
 
