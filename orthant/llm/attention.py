@@ -1,7 +1,9 @@
 """A small causal self-attention model over subword ids, in numpy: one attention layer, one feed-forward layer.
 
-Its output is factored: a softmax over classes, then a fixed distribution inside the class from corpus counts. Frequent
-subwords are classes of their own; the others share classes by frequency.
+A place sees the rows of its own and, through a matrix, of the last subword; attention reaches back through the window. The
+output is a softmax over classes of subwords, then one over the units of the class; every frequent subword is a unit of its
+own, rare ones share units by frequency and divide them by their corpus counts. Classes hold about equal sums of square
+roots of counts, so a place costs some tens of outputs however large the vocabulary is.
 """
 
 from __future__ import annotations
@@ -10,19 +12,25 @@ from dataclasses import dataclass
 
 import numpy as np
 
-#: Window, tokens of context that a later window repeats, width, hidden width, output classes, input rows.
-WINDOW, OVERLAP, WIDTH, HIDDEN, CLASSES, SHARED_CLASSES, ROWS, SHARED_ROWS = 32, 8, 24, 48, 256, 8, 2048, 64
-STEP, DECAY = 6e-3, (0.9, 0.99)
+#: Window, tokens of context that a later window repeats, width, hidden width, classes, units, units shared by rare subwords, input rows, rows shared.
+WINDOW, OVERLAP, WIDTH, HIDDEN, CLASSES, UNITS, SHARED_UNITS, ROWS, SHARED_ROWS = 32, 8, 24, 48, 16, 4096, 64, 4096, 64
+#: Windows of a training step, the rate at the start and its part at the end, memories of the two moments.
+BATCH, STEP, LAST, DECAY = 128, 0.03, 0.1, (0.9, 0.99)
 _BEFORE = np.tril(np.ones((WINDOW, WINDOW), dtype=np.float32))
+_TOP = 60.0
+_TABLES = ("e", "t")
 
 
 @dataclass
 class Vocabulary:
-    """Subword statistics: input row and output class of each id, and the log10 share of the id in its class."""
+    """Subword statistics: input row, output unit and class of each id, the log10 share of the id in its unit; bounds of the classes."""
 
     row: np.ndarray
+    unit: np.ndarray
     cls: np.ndarray
     inside: np.ndarray
+    bounds: np.ndarray
+    mass: np.ndarray
     eos: int
 
     @classmethod
@@ -32,119 +40,150 @@ class Vocabulary:
         order = np.concatenate([[eos], order[order != eos]])
         rank = np.empty(len(counts), dtype=np.int64)
         rank[order] = np.arange(len(counts))
-        own = CLASSES - SHARED_CLASSES
-        # shared classes of about equal mass
-        rest = order[own:]
+        own = UNITS - SHARED_UNITS
+        # shared units of about equal mass
+        rest, unit = order[own:], rank.copy()
         mass = np.cumsum(counts[rest])
-        klass = rank.copy()
-        klass[rest] = own + np.minimum(SHARED_CLASSES - 1, (mass * SHARED_CLASSES / mass[-1]).astype(int)) if len(rest) else own
-        total = np.bincount(klass, weights=counts, minlength=CLASSES)
+        unit[rest] = own + np.minimum(SHARED_UNITS - 1, (mass * SHARED_UNITS / mass[-1]).astype(int)) if len(rest) else own
+        total = np.bincount(unit, weights=counts, minlength=UNITS)
+        root = np.cumsum(np.sqrt(total))
+        klass = np.minimum(CLASSES - 1, ((root - np.sqrt(total) / 2) * CLASSES / root[-1]).astype(int))
+        klass = np.unique(klass, return_inverse=True)[1]
         rows = ROWS - SHARED_ROWS
         row = np.where(rank < rows, rank, rows + np.arange(len(counts)) * 2654435761 % SHARED_ROWS)
-        return cls(row.astype(np.int32), klass.astype(np.int32), np.log10(counts / total[klass]), eos)
-
-
-def start(seed: int = 42) -> dict[str, np.ndarray]:
-    rng = np.random.default_rng(seed)
-    shapes = {"e": (ROWS, WIDTH), "p": (WINDOW, WIDTH), "qkv": (WIDTH, 3 * WIDTH), "o": (WIDTH, WIDTH), "w1": (WIDTH, HIDDEN), "b1": (HIDDEN,), "w2": (HIDDEN, WIDTH), "u": (WIDTH, CLASSES), "b": (CLASSES,)}
-    return {k: (np.zeros(s) if len(s) == 1 else rng.normal(0, 0.3 if k == "e" else s[0] ** -0.5 if k != "p" else 0.1, s)).astype(np.float32) for k, s in shapes.items()}
-
-
-def body(w: dict[str, np.ndarray], x: np.ndarray, keep_shares: bool = False) -> tuple[np.ndarray, ...]:
-    """Hidden states of windows of rows (windows x WINDOW), and what the backward pass needs (attention as shares if asked)."""
-    x0 = w["e"][x] + w["p"]
-    q, k, v = np.split(x0 @ w["qkv"], 3, axis=-1)
-    q = q * np.float32(WIDTH**-0.5)
+        return cls(row.astype(np.uint16), unit.astype(np.uint16), klass[unit].astype(np.uint8), np.log10(counts / total[unit]), np.searchsorted(klass, np.arange(klass.max() + 2)), total, eos)
+
+
+def start(vocabulary: Vocabulary, seed: int = 42) -> dict[str, np.ndarray]:
+    """Small random weights; the outputs begin at the corpus shares. The last column of u and t is a bias."""
+    rng, n = np.random.default_rng(seed), len(vocabulary.bounds) - 1
+    w = {k: rng.normal(0, s, shape) for k, s, shape in (
+        ("e", 0.3, (ROWS, WIDTH)), ("m", WIDTH**-0.5, (WIDTH, WIDTH)), ("p", 0.1, (WINDOW, WIDTH)), ("qkv", WIDTH**-0.5, (WIDTH, 3 * WIDTH)), ("o", WIDTH**-0.5, (WIDTH, WIDTH)),
+        ("w1", WIDTH**-0.5, (WIDTH, HIDDEN)), ("b1", 0, (HIDDEN,)), ("w2", HIDDEN**-0.5, (HIDDEN, WIDTH)), ("u", WIDTH**-0.5, (n, WIDTH + 1)), ("t", 0.05, (UNITS, WIDTH + 1)),
+    )}
+    of = np.repeat(np.arange(n), np.diff(vocabulary.bounds))
+    own = np.maximum(vocabulary.mass, 1e-6)  # of a small vocabulary some units have no members
+    mass = np.bincount(of, weights=own)
+    w["u"][:, -1], w["t"][:, -1] = np.log(mass / mass.sum()), np.log(own / mass[of])
+    return {k: a.astype(np.float32) for k, a in w.items()}
+
+
+def _flat(a: np.ndarray) -> np.ndarray:
+    return a.reshape(-1, a.shape[-1])
+
+
+def body(w: dict[str, np.ndarray], x: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Hidden states of windows of rows (windows x WINDOW), and what the backward pass needs; s is the attention before its norm."""
+    n = len(x)
+    e = np.take(w["e"], x, axis=0, mode="clip")
+    last = (_flat(e) @ w["m"]).reshape(e.shape)
+    x0 = e + w["p"]
+    x0[:, 1:] += last[:, :-1]
+    qkv = (_flat(x0) @ w["qkv"]).reshape(n, WINDOW, 3 * WIDTH)
+    q, k, v = qkv[..., :WIDTH] * qkv.dtype.type(WIDTH**-0.5), qkv[..., WIDTH : 2 * WIDTH], qkv[..., 2 * WIDTH :]
     s = q @ k.transpose(0, 2, 1)
-    np.minimum(s, 60, out=s)
+    if s.max() > _TOP:  # a maximum is cheap, a comparison with each is not
+        np.minimum(s, _TOP, out=s)
     np.exp(s, out=s)
     s *= _BEFORE
-    norm = s.sum(axis=-1, keepdims=True)
-    if keep_shares:
-        s /= norm
-        c = s @ v
-    else:
-        c = s @ v
-        c /= norm
-    h = x0 + c @ w["o"]
-    r = h @ w["w1"] + w["b1"]
-    g = np.maximum(r, 0)
-    return x0, q, k, v, s, c, h, g, h + g @ w["w2"]
-
-
-def windows(sequences: list[np.ndarray], vocabulary: Vocabulary) -> tuple[np.ndarray, ...]:
-    """Windows over the sequences, each closed by the end id and opened by it too.
-
-    (rows, classes, scored, owner, targets): every target is scored in exactly one window.
+    norm = s @ np.ones((WINDOW, 1), dtype=s.dtype)
+    c = s @ v
+    c /= norm
+    h = _flat(c) @ w["o"]
+    h += _flat(x0)
+    g = h @ w["w1"]
+    g += w["b1"]
+    np.maximum(g, 0, out=g)
+    h2 = np.empty((len(h), WIDTH + 1), dtype=h.dtype)
+    np.matmul(g, w["w2"], out=h2[:, :WIDTH])
+    h2[:, :WIDTH] += h
+    h2[:, WIDTH] = 1
+    return e, x0, q, k, v, s, norm, c, h, g, h2
+
+
+class Windows:
+    """Windows over sequences, each closed by the end id and opened by it too; every target is scored in exactly one window.
+
+    Only three numbers a window are kept; what a batch needs is taken from the sequences.
     """
-    length = np.array([len(s) + 1 for s in sequences], dtype=np.int64)
-    end = np.array([vocabulary.eos])
-    flat = np.concatenate([a for s in sequences for a in (end, s)] + [end]).astype(np.int64)
-    first = np.cumsum(length) - length
-    stride = WINDOW - OVERLAP
-    n = np.maximum(1, -(-(length - OVERLAP) // stride))
-    owner = np.repeat(np.arange(len(sequences)), n)
-    number = np.arange(len(owner)) - np.repeat(np.cumsum(n) - n, n)
-    at = (first[owner] + number * stride)[:, None] + np.arange(WINDOW)
-    inside = at < (first + length)[owner][:, None]
-    scored = inside & ((number == 0)[:, None] | (np.arange(WINDOW) >= OVERLAP))
-    at = np.minimum(at, len(flat) - 2)
-    # the next input is the target; the opening end of the next sequence closes this one
-    targets = flat[at + 1]
-    return np.where(inside, vocabulary.row[flat[at]], 0), vocabulary.cls[targets], scored, owner, targets
-
-
-class _Scorer:
-    """The forward pass for scoring, into buffers that are reused: fresh ones of this size would cost more than the arithmetic."""
-
-    def __init__(self, w: dict[str, np.ndarray], batch: int) -> None:
-        self.w, f = w, np.float32
-        self.qkv = w["qkv"] * np.concatenate([np.full(WIDTH, WIDTH**-0.5, dtype=f), np.ones(2 * WIDTH, dtype=f)])
-        sizes = {"x0": WIDTH, "qkv": 3 * WIDTH, "s": WINDOW, "norm": 1, "c": WIDTH, "h": WIDTH, "r": HIDDEN, "h2": WIDTH, "z": CLASSES, "total": 1}
-        self.to = {k: np.empty((batch, WINDOW, n), dtype=f) for k, n in sizes.items()}
-        self.ones, self.odds, self.half = np.ones((WINDOW, 1), dtype=f), np.exp(w["b"])[:, None], w["w2"] / 2
-
-    def log_classes(self, x: np.ndarray, cls: np.ndarray) -> np.ndarray:
-        """Natural logs of the probabilities of the classes, at all places of the windows."""
-        w, to = self.w, {k: b[: len(x)] for k, b in self.to.items()}
-        x0 = np.take(w["e"], x, axis=0, out=to["x0"], mode="clip")
-        x0 += w["p"]
-        qkv = np.matmul(x0, self.qkv, out=to["qkv"])
-        s = np.matmul(qkv[..., :WIDTH], qkv[..., WIDTH : 2 * WIDTH].transpose(0, 2, 1), out=to["s"])
-        if s.max() > 60:  # a maximum is cheap, a comparison with each is not
-            np.minimum(s, 60, out=s)
-        np.exp(s, out=s)
-        s *= _BEFORE
-        c = np.matmul(s, qkv[..., 2 * WIDTH :], out=to["c"])
-        c /= np.matmul(s, self.ones, out=to["norm"])
-        h = np.matmul(c, w["o"], out=to["h"])
-        h += x0
-        r = np.matmul(h, w["w1"], out=to["r"])
-        r += w["b1"]
-        r += np.abs(r)  # twice the positive part
-        h2 = np.matmul(r, self.half, out=to["h2"])
-        h2 += h
-        z = np.matmul(h2, w["u"], out=to["z"])
-        if z.max() > 60:
-            np.minimum(z, 60, out=z)
-        own = np.take_along_axis(z, cls[..., None], axis=-1)[..., 0].astype(np.float64) + w["b"][cls]
-        np.exp(z, out=z)
-        return own - np.log(np.matmul(z, self.odds, out=to["total"])[..., 0].astype(np.float64))
-
-
-def log10_tokens(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary, batch: int = 32) -> np.ndarray:
-    """log10 of the probability of every token and of the end of each sequence, in order.
-
-    A batch of windows is as large as fits into a core's cache.
+
+    def __init__(self, sequences: list[np.ndarray], vocabulary: Vocabulary, overlap: int = OVERLAP) -> None:
+        length = np.array([len(s) + 1 for s in sequences], dtype=np.int64)
+        end = np.array([vocabulary.eos], dtype=np.uint16)
+        self.flat = np.concatenate([a for s in sequences for a in (end, s)] + [end])
+        self.rows, self.overlap = vocabulary.row, overlap
+        stride = WINDOW - overlap
+        n = np.maximum(1, -(-(length - overlap) // stride))
+        self.number = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+        begins = np.cumsum(length) - length
+        self.first = np.repeat(begins, n) + self.number * stride
+        self.last = np.repeat(begins + length, n)
+
+    def __len__(self) -> int:
+        return len(self.first)
+
+    def take(self, which: np.ndarray | slice) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(rows, scored, targets) of some windows."""
+        at = self.first[which][:, None] + np.arange(WINDOW)
+        inside = at < self.last[which][:, None]
+        scored = inside & ((self.number[which] == 0)[:, None] | (np.arange(WINDOW) >= self.overlap))
+        np.minimum(at, len(self.flat) - 2, out=at)
+        # the next input is the target; the opening end of the next sequence closes this one
+        return np.where(inside, self.rows[self.flat[at]], 0), scored, self.flat[at + 1]
+
+
+def _softmax(h: np.ndarray, table: np.ndarray, own: np.ndarray, scale: float | None) -> tuple[np.ndarray, np.ndarray]:
+    """(natural logs of the probabilities of the own outputs, gradients of the logits times scale)."""
+    z = h @ table.T
+    if z.max() > _TOP:
+        np.minimum(z, _TOP, out=z)
+    at = np.arange(0, z.size, z.shape[1]) + own
+    logit = z.ravel()[at]
+    np.exp(z, out=z)
+    total = z @ np.ones(z.shape[1], dtype=z.dtype)
+    if scale is not None:
+        z *= (z.dtype.type(scale) / total)[:, None]
+        z.ravel()[at] -= z.dtype.type(scale)
+    return logit - np.log(total), z
+
+
+def outputs(w: dict[str, np.ndarray], h: np.ndarray, ids: np.ndarray, vocabulary: Vocabulary, scale: float | None = None) -> tuple[np.ndarray, np.ndarray | None, dict]:
+    """(natural logs of the probabilities of the ids' units, gradients of h and of u and t); the latter two if a scale is given.
+
+    Places are sorted by class, so a class's units meet all their places in one product.
     """
-    x, cls, scored, _, targets = windows(sequences, vocabulary)
-    scorer, out, at = _Scorer(w, min(batch, max(1, len(x)))), np.zeros(int(scored.sum())), 0
-    for i in range(0, len(x), batch):
-        keep = scored[i : i + batch]
-        own = scorer.log_classes(x[i : i + batch], cls[i : i + batch])[keep]
-        out[at : at + len(own)] = own
-        at += len(own)
-    return out / np.log(10) + vocabulary.inside[targets[scored]]
+    order = np.argsort(vocabulary.cls[ids], kind="stable")
+    h, ids = h[order], ids[order]
+    cls, unit = vocabulary.cls[ids], vocabulary.unit[ids]
+    log, z = _softmax(h, w["u"], cls, scale)
+    grads, dh = {}, None
+    if scale is not None:
+        grads = {"u": z.T @ h, "t": np.zeros_like(w["t"])}
+        dh = z @ w["u"]
+    ends, a = np.cumsum(np.bincount(cls, minlength=len(vocabulary.bounds) - 1)), 0
+    for k, b in enumerate(ends):
+        s, e = vocabulary.bounds[k], vocabulary.bounds[k + 1]
+        if b > a and e - s > 1:
+            more, y = _softmax(h[a:b], w["t"][s:e], unit[a:b] - np.int64(s), scale)
+            log[a:b] += more
+            if scale is not None:
+                np.matmul(y.T, h[a:b], out=grads["t"][s:e])
+                dh[a:b] += y @ w["t"][s:e]
+        a = b
+    back = np.empty(len(order), dtype=np.int64)
+    back[order] = np.arange(len(order))
+    return log[back], None if dh is None else dh[back, :WIDTH], grads
+
+
+def log10_tokens(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary, batch: int = 256) -> np.ndarray:
+    """log10 of the probability of every token and of the end of each sequence, in order."""
+    every, parts = Windows(sequences, vocabulary), [np.zeros(0)]
+    for i in range(0, len(every), batch):
+        x, scored, targets = every.take(slice(i, i + batch))
+        keep = np.flatnonzero(scored)
+        ids = targets.ravel()[keep]
+        parts.append(outputs(w, body(w, x)[-1][keep], ids, vocabulary)[0] / np.log(10) + vocabulary.inside[ids])
+    return np.concatenate(parts)
 
 
 def log10_probabilities(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary) -> np.ndarray:
@@ -153,66 +192,100 @@ def log10_probabilities(w: dict[str, np.ndarray], sequences: list[np.ndarray], v
     return np.bincount(owner, weights=log10_tokens(w, sequences, vocabulary), minlength=len(sequences))
 
 
-def gradients(w: dict[str, np.ndarray], x: np.ndarray, cls: np.ndarray, scored: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
-    """Mean log loss of the classes and its gradients."""
-    x0, q, k, v, a, c, h, g, h2 = body(w, x, True)
-    z = h2 @ w["u"] + w["b"]
-    z -= z.max(axis=-1, keepdims=True)
-    p = np.exp(z)
-    p /= p.sum(axis=-1, keepdims=True)
-    n = max(1, int(scored.sum()))
-    i, j = np.indices(cls.shape)
-    loss = float(-np.log(np.maximum(p[i, j, cls], 1e-12))[scored].sum() / n)
-    p[i, j, cls] -= 1
-    p *= (scored / np.float32(n)).astype(np.float32)[..., None]
-    flat = lambda m: m.reshape(-1, m.shape[-1])
-    d = {"u": flat(h2).T @ flat(p), "b": flat(p).sum(axis=0)}
-    dh2 = p @ w["u"].T
-    dr = (dh2 @ w["w2"].T) * (g > 0)
-    d |= {"w2": flat(g).T @ flat(dh2), "w1": flat(h).T @ flat(dr), "b1": flat(dr).sum(axis=0)}
-    dh = dh2 + dr @ w["w1"].T
-    dc = dh @ w["o"].T
-    d["o"] = flat(c).T @ flat(dh)
-    da = dc @ v.transpose(0, 2, 1)
-    ds = a * (da - (da * a).sum(axis=-1, keepdims=True))  # q is scaled already
-    dqkv = np.concatenate([ds @ k * np.float32(WIDTH**-0.5), ds.transpose(0, 2, 1) @ q, a.transpose(0, 2, 1) @ dc], axis=-1)
-    d["qkv"] = flat(x0).T @ flat(dqkv)
-    dx = dh + dqkv @ w["qkv"].T
+def _by_row(rows: np.ndarray, g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(distinct rows, sums of their gradients)."""
+    order = np.argsort(rows, kind="stable")
+    s = rows[order]
+    first = np.flatnonzero(np.r_[True, s[1:] != s[:-1]])
+    return s[first], np.add.reduceat(g[order], first, axis=0)
+
+
+def gradients(w: dict[str, np.ndarray], x: np.ndarray, targets: np.ndarray, scored: np.ndarray, vocabulary: Vocabulary) -> tuple[float, dict[str, np.ndarray], np.ndarray]:
+    """Mean log loss of the units and its gradients; that of e for the distinct rows, which come last."""
+    e, x0, q, k, v, s, norm, c, h, g, h2 = body(w, x)
+    keep = np.flatnonzero(scored)
+    log, dkept, d = outputs(w, h2[keep], targets.ravel()[keep], vocabulary, 1 / max(1, len(keep)))
+    if len(keep) == len(h2):
+        dh2 = np.ascontiguousarray(dkept)
+    else:
+        dh2 = np.zeros((len(h2), WIDTH), dtype=h2.dtype)
+        dh2[keep] = dkept
+    d["w2"] = g.T @ dh2
+    dr = dh2 @ w["w2"].T
+    dr *= g > 0
+    d["w1"], d["b1"] = h.T @ dr, dr.sum(axis=0)
+    dh = dr @ w["w1"].T
+    dh += dh2
+    d["o"] = _flat(c).T @ dh
+    dc = (dh @ w["o"].T).reshape(c.shape)
+    dc /= norm  # the norm of s
+    ds = dc @ v.transpose(0, 2, 1)
+    ds -= np.einsum("ntw,ntw->nt", dc, c)[..., None]
+    ds *= s
+    dqkv = np.empty((len(x), WINDOW, 3 * WIDTH), dtype=s.dtype)
+    np.multiply(ds @ k, s.dtype.type(WIDTH**-0.5), out=dqkv[..., :WIDTH])
+    np.matmul(ds.transpose(0, 2, 1), q, out=dqkv[..., WIDTH : 2 * WIDTH])  # q is scaled already
+    np.matmul(s.transpose(0, 2, 1), dc, out=dqkv[..., 2 * WIDTH :])
+    d["qkv"] = _flat(x0).T @ _flat(dqkv)
+    dx = dh
+    dx += _flat(dqkv) @ w["qkv"].T
+    dx = dx.reshape(x0.shape)
     d["p"] = dx.sum(axis=0)
-    d["e"] = np.zeros_like(w["e"])
-    np.add.at(d["e"], x.ravel(), flat(dx))
-    return loss, d
-
-
-def train(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary, passes: int, batch: int = 128, step: float = STEP, seed: int = 42) -> tuple[dict[str, np.ndarray], int, list[float]]:
-    """Weights after so many passes over the windows, how many windows there are, and the losses."""
-    w = {k: a.copy() for k, a in w.items()}
-    if not sequences:
-        return w, 0, []
-    x, cls, scored, _, _ = windows(sequences, vocabulary)
-    m, v = {k: np.zeros_like(a) for k, a in w.items()}, {k: np.zeros_like(a) for k, a in w.items()}
-    rng, t, losses, total = np.random.default_rng(seed), 0, [], passes * -(-len(x) // batch)
-    for _ in range(passes):
-        order = rng.permutation(len(x))
-        for i in range(0, len(x), batch):
-            at = order[i : i + batch]
-            loss, d = gradients(w, x[at], cls[at], scored[at])
-            losses.append(loss)
-            t += 1
-            rate = step * (1 - 0.9 * t / total) / (1 - DECAY[0] ** t)
-            for k in w:
-                m[k] += (1 - DECAY[0]) * (d[k] - m[k])
-                v[k] += (1 - DECAY[1]) * (d[k] ** 2 - v[k])
-                w[k] -= (rate * m[k] / (np.sqrt(v[k] / (1 - DECAY[1] ** t)) + 1e-8)).astype(np.float32)
-    return w, len(x), losses
+    later = _flat(dx[:, 1:])
+    d["m"] = _flat(e[:, :-1]).T @ later
+    de = dx.copy()
+    de[:, :-1] += (later @ w["m"].T).reshape(len(x), WINDOW - 1, WIDTH)
+    rows, d["e"] = _by_row(x.ravel(), _flat(de))
+    return -float(log.mean()) if len(log) else 0.0, d, rows
+
+
+class Trainer:
+    """Weights under training: two moments for the small matrices, one moment a row for the two tables."""
+
+    def __init__(self, w: dict[str, np.ndarray], vocabulary: Vocabulary, expected: int, step: float = STEP, seed: int = 42) -> None:
+        """expected: windows to come; the rate falls evenly over them."""
+        self.w, self.vocabulary, self.expected, self.step = {k: a.copy() for k, a in w.items()}, vocabulary, max(1, expected), step
+        self.first = {k: np.zeros_like(a) for k, a in w.items() if k not in _TABLES}
+        self.second = {k: np.zeros(len(a) if k in _TABLES else a.shape, dtype=np.float32) for k, a in w.items()}
+        self.rng, self.steps, self.seen, self.losses = np.random.default_rng(seed), 0, 0, []
+
+    def feed(self, sequences: list[np.ndarray]) -> None:
+        """One pass over the windows of these sequences, every token once."""
+        if not sequences:
+            return
+        every = Windows(sequences, self.vocabulary, 0)
+        order = self.rng.permutation(len(every))
+        for i in range(0, len(order), BATCH):
+            at = order[i : i + BATCH]
+            x, scored, targets = every.take(at)
+            self._step(*gradients(self.w, x, targets, scored, self.vocabulary))
+            self.seen += len(at)
+
+    def _step(self, loss: float, d: dict[str, np.ndarray], rows: np.ndarray) -> None:
+        self.losses.append(loss)
+        self.steps += 1
+        a, b = np.float32(1 - DECAY[0]), np.float32(1 - DECAY[1])
+        rate = np.float32(self.step * max(LAST, 1 - (1 - LAST) * self.seen / self.expected))
+        early = np.float32(1 - DECAY[0] ** self.steps), np.float32(1 - DECAY[1] ** self.steps)
+        for k, w in self.w.items():
+            g, v = d[k], self.second[k]
+            if k in _TABLES:
+                at = rows if k == "e" else slice(None)
+                v[at] += b * (np.einsum("ij,ij->i", g, g) / np.float32(g.shape[1]) - v[at])
+                w[at] -= g * (rate / (np.sqrt(v[at] / early[1]) + np.float32(1e-8)))[:, None]
+            else:
+                m = self.first[k]
+                m += a * (g - m)
+                v += b * (g * g - v)
+                w -= rate / early[0] * m / (np.sqrt(v / early[1]) + np.float32(1e-8))
 
 
 def pack(w: dict[str, np.ndarray]) -> np.ndarray:
-    return np.concatenate([w[k].ravel() for k in sorted(w)]).astype(np.float64)
+    return np.concatenate([w[k].ravel() for k in sorted(w)])
 
 
-def unpack(flat: np.ndarray) -> dict[str, np.ndarray]:
-    like, at, out = start(), 0, {}
+def unpack(flat: np.ndarray, like: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
+    at, out = 0, {}
     for k in sorted(like):
         out[k] = flat[at : at + like[k].size].reshape(like[k].shape).astype(np.float32)
         at += like[k].size

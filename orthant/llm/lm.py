@@ -1,16 +1,15 @@
 """Language-model scores: a word-level base and a causal self-attention model on subword ids.
 
-1. One pass over all training documents counts words (by 64-bit digest) and subwords; tasks fold their own counts first.
-2. The subword counts of the whole corpus give the output classes and the distribution inside each.
-3. The attention weights start from a fit to a bounded, documented number of training documents (``warm_docs``); then
-   every partition trains on its share of the training documents (one in ``share``, by hash of the id, so the work
-   grows with the corpus) and the weights are averaged by the number of windows.
-4. One pass scores every text: whole, in overlapping windows, each token once. Word by word the model's probability is mixed
-   with the corpus share of the word: a small network can't hold what a count knows.
+1. One pass over all training documents counts words (by 64-bit digest); tasks fold their own counts first.
+2. The words' counts give the subwords' counts, and these the output classes and units of the model.
+3. A first fit, in one task, to a bounded, documented number of training words (``first_words``) gives the attention weights a
+   common start; then every partition trains on all of its training documents, every token once, and the weights are
+   averaged by the number of windows. The sums are of whole numbers, so they don't depend on the order of arrival; the
+   weights do depend on how the table is split into partitions.
+4. One pass scores every text: whole, in overlapping windows, each token once. The score is the attention model's alone.
 
 Word counts are looked up in two ways, which together are exact: frequent words, at most about ``heavy``, go to the
-workers as sorted arrays; occurrences of all other words are joined to their counts by digest, with the model's probability
-of each, so that base and score don't depend on ``heavy``.
+workers as sorted arrays; occurrences of all other words are joined to their counts by digest. That is for the base only.
 
 Defined results: null text is empty and consists of the end token; without training documents the base takes N = V = 0 and
 the model its untrained start; repeated rows each get a row; an empty table gives no rows.
@@ -18,6 +17,7 @@ the model its untrained start; repeated rows each get a row; an empty table give
 
 from __future__ import annotations
 
+import zlib
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 from itertools import chain, count
@@ -36,11 +36,11 @@ from .common import whole_text, written
 from .langid import held_out
 from .tokens import RUN_CHARS, ByteLevelTokenizer, tokenizer
 
-#: Words sent to the workers, words a task folds, documents and passes of the first fit, share of the later one.
-HEAVY, FOLDED, WARM_DOCS, WARM_PASSES, SHARE, MERGERS = 1_000_000, 500_000, 1000, 3, 16, 32
+#: Words sent to the workers, words a task folds, words of the first fit, windows that its passes see at least.
+HEAVY, FOLDED, FIRST_WORDS, FIRST_WINDOWS = 1_000_000, 500_000, 400_000, 200_000
 IDS, SEED = 50_257, 42
-#: Weight of a word's corpus share beside the attention model.
-MIXED = 0.4
+#: Weights are added up as whole multiples of its reciprocal.
+GRAIN = 1 << 20
 
 
 def digest(word: bytes) -> int:
@@ -99,21 +99,6 @@ class Run:
         ends = np.cumsum(np.bincount(self.doc, weights=n, minlength=len(self.sizes)).astype(np.int64))
         return np.split(flat[index], ends[:-1])
 
-    def mixed(self, tokens: np.ndarray, share: np.ndarray, end_share: float, here: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(log10 of the texts' probabilities, the model's own log10 of each occurrence of a word).
-
-        Of each word and end: its tokens' probability together, mixed with its share of the corpus. Words not here are left out.
-        """
-        groups = len(self.at) + len(self.sizes)
-        word, end = np.arange(len(self.at)) + self.doc, np.cumsum(self.sizes + 1) - 1
-        n, known = np.ones(groups, dtype=np.int64), np.full(groups, end_share)
-        n[word], known[word] = self.n, share[self.at]
-        own = np.add.reduceat(tokens, np.cumsum(n) - n)
-        with np.errstate(divide="ignore"):
-            p = np.logaddexp(np.log(1 - MIXED) + own * np.log(10), np.log(MIXED) + np.log(known)) / np.log(10)
-        p[word[~here[self.at]]] = 0
-        return np.bincount(np.repeat(np.arange(len(self.sizes)), self.sizes + 1), weights=p, minlength=len(self.sizes)), own[word]
-
     def sums(self, value: np.ndarray) -> np.ndarray:
         """Per document the sum of a value of its words."""
         return np.bincount(self.doc, weights=value[self.at], minlength=len(self.sizes))
@@ -174,15 +159,37 @@ def subword_counts(words: DataFrame, path: str) -> np.ndarray:
     return out
 
 
-def _refine(path: str, shared, vocabulary):
+def _sequences(batches: Iterator[pa.RecordBatch], ids: WordIds) -> Iterator[list[np.ndarray]]:
+    for batch in batches:
+        for _, docs in _slices(batch, "text"):
+            yield Run(docs).sequences(ids)
+
+
+def _first_fit(path: str, shared):
+    """One row: weights after as many passes over the task's documents as make FIRST_WINDOWS windows, in an order by content."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, w, seen = word_ids(path), attention.unpack(shared.value), 0
-        for batch in batches:
-            for _, docs in _slices(batch, "text"):
-                w, n, _ = attention.train(w, Run(docs).sequences(ids), vocabulary.value, 1, step=attention.STEP / 3)
-                seen += n
-        part = TaskContext.get().partitionId() % MERGERS
-        yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([seen], pa.int64()), pa.array([(attention.pack(w) * seen).tobytes()], pa.binary())], ["part", "n", "weights"])
+        vocabulary = shared.value
+        found = sorted((s for part in _sequences(batches, word_ids(path)) for s in part), key=lambda s: (zlib.crc32(s.tobytes()), s.tobytes()))
+        windows = len(attention.Windows(found, vocabulary, 0)) if found else 1
+        passes = -(-FIRST_WINDOWS // windows)
+        trainer = attention.Trainer(attention.start(vocabulary), vocabulary, passes * windows)
+        for _ in range(passes):
+            trainer.feed(found)
+        yield pa.RecordBatch.from_arrays([pa.array([attention.pack(trainer.w).astype("<f4").tobytes()], pa.binary())], ["weights"])
+
+    return run
+
+
+def _refine(path: str, first, shared, expected: int, mergers: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        vocabulary = shared.value
+        start = attention.start(vocabulary)
+        trainer = attention.Trainer(attention.unpack(first.value, start), vocabulary, expected)
+        for sequences in _sequences(batches, word_ids(path)):
+            trainer.feed(sequences)
+        part, grains = TaskContext.get().partitionId() % mergers, np.rint(attention.pack(trainer.w).astype(np.float64) * GRAIN).astype(np.int64) * trainer.seen
+        yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([trainer.seen], pa.int64()), pa.array([grains.tobytes()], pa.binary())], ["part", "n", "weights"])
 
     return run
 
@@ -191,28 +198,29 @@ def _add_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     n, total = 0, None
     for batch in batches:
         for k, b in zip(batch.column("n").to_pylist(), batch.column("weights").to_pylist(), strict=True):
-            n, total = n + k, np.frombuffer(b) if total is None else total + np.frombuffer(b)
+            n, total = n + k, np.frombuffer(b, dtype=np.int64) + (0 if total is None else total)
     if total is not None:
         yield pa.RecordBatch.from_arrays([pa.array([0], pa.int32()), pa.array([n], pa.int64()), pa.array([total.tobytes()], pa.binary())], ["part", "n", "weights"])
 
 
-def train(texts: DataFrame, path: str, vocabulary: attention.Vocabulary, id_col: str = "doc_id", warm_docs: int = WARM_DOCS, share: int = SHARE) -> dict[str, np.ndarray]:
-    """Attention weights from the training texts (id, text)."""
-    spark = texts.sparkSession
-    order = F.xxhash64(F.col(id_col), F.lit(6))
-    chosen = texts.select(order.alias("h"), F.col(id_col)).orderBy("h", id_col).limit(warm_docs).select(id_col).distinct()
-    warm = texts.join(F.broadcast(chosen), id_col).select(F.xxhash64(id_col, F.lit(6)).alias("h"), "text").toLocalIterator()
-    sequences = sorted((r["h"], s.tobytes()) for r in warm for s in Run([r["text"].encode("utf-8", "replace").lower().split()]).sequences(word_ids(path)))
-    w, _, _ = attention.train(attention.start(), [np.frombuffer(s, dtype="<u2") for _, s in sequences], vocabulary, WARM_PASSES)
-    _OPEN.clear()
-    sc = spark.sparkContext
-    first, shared = sc.broadcast(attention.pack(w)), sc.broadcast(vocabulary)
-    mine = texts.where(F.pmod(order, F.lit(share)) == 0).select("text")
+def train(texts: DataFrame, path: str, vocabulary: attention.Vocabulary, words: int, subwords: int, first_words: int = FIRST_WORDS) -> np.ndarray:
+    """Attention weights, packed, from all training texts (id, text) with so many words and subwords."""
+    sc = texts.sparkSession.sparkContext
+    shared = sc.broadcast(vocabulary)
+    share = min(1.0, first_words / max(1, words))
+    chosen = texts.where(F.pmod(F.xxhash64(F.lit(6), *texts.columns), F.lit(1 << 30)) < int(share * (1 << 30))).select("text")
+    # without the limit, one row repeated very often would all be chosen at once
+    start = chosen.limit(2 * first_words).repartition(1).mapInArrow(_first_fit(path, shared), "weights binary").collect()
+    weights = np.frombuffer(start[0]["weights"], dtype="<f4") if start else attention.pack(attention.start(vocabulary))
+    parts = max(1, texts.rdd.getNumPartitions())
+    mergers = max(1, round(parts**0.5))
     schema = "part int, n long, weights binary"
-    # at most MERGERS sums come to the driver
-    sums = mine.mapInArrow(_refine(path, first, shared), schema).repartitionById(MERGERS, "part").mapInArrow(_add_up, schema).collect()
-    n = sum(r["n"] for r in sums)
-    return attention.unpack(sum(np.frombuffer(r["weights"]) for r in sums) / n) if n else w
+    tuned = texts.select("text").mapInArrow(_refine(path, sc.broadcast(weights), shared, subwords // (attention.WINDOW * parts), mergers), schema)
+    # as many sums as the root of the partitions come to the driver
+    n, total = 0, np.zeros(len(weights), dtype=object if parts > 1000 else np.int64)
+    for r in tuned.repartitionById(mergers, "part").mapInArrow(_add_up, schema).toLocalIterator():
+        n, total = n + r["n"], total + np.frombuffer(r["weights"], dtype=np.int64)
+    return (total / (n * GRAIN)).astype(np.float32) if n else weights
 
 
 def heavy_words(counts: DataFrame, distinct: int, heavy: int = HEAVY) -> tuple[int, np.ndarray, np.ndarray]:
@@ -229,41 +237,39 @@ def heavy_words(counts: DataFrame, distinct: int, heavy: int = HEAVY) -> tuple[i
 
 
 SCORED = "row long, doc_id long, held_out boolean, n_tokens long, n_known long, base double, score double, key long"
+SCORED_NAMES = [x.split()[0] for x in SCORED.split(", ")]
 
 
 def _score(path: str, shared, total: int, distinct: int, ends: int):
-    """Rows of documents (key null) and of the occurrences of words that aren't frequent (row and key; score is the model's own)."""
+    """Rows of documents (key null) and of the occurrences of words that aren't frequent (row and key)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        w, vocabulary, keys, counts = shared.value
+        weights, vocabulary, keys, counts = shared.value
+        w = attention.unpack(weights, attention.start(vocabulary))
         ids, row = word_ids(path), TaskContext.get().partitionId() << 33
         scale = np.log10(total + distinct + 1)
         for batch in batches:
             docs, held = batch.column("doc_id"), batch.column("held_out")
             for first, words in _slices(batch, "text"):
                 own = Run(words)
-                tokens = attention.log10_tokens(w, own.sequences(ids), vocabulary)
+                score = attention.log10_probabilities(w, own.sequences(ids), vocabulary)
                 h = np.fromiter(map(digest, own.distinct), dtype=np.uint64, count=len(own.distinct)).view(np.int64)
                 at = np.minimum(np.searchsorted(keys, h), max(0, len(keys) - 1))
                 n = np.where(keys[at] == h, counts[at], -1) if len(keys) else np.full(len(h), -1)
                 rows = np.arange(row, row + len(words))
                 row += len(words)
                 here = n >= 0
-                score, each = own.mixed(tokens, np.maximum(n, 0) / max(1, total), ends / max(1, total), here)
                 known = own.sums((n > 0).astype(float)).astype(np.int64) + (ends > 0)
                 base = own.sums(np.where(here, np.log10(np.maximum(n, 0) + 1.0) - scale, 0.0)) + np.log10(ends + 1.0) - scale
                 yield pa.RecordBatch.from_arrays([pa.array(rows), docs.slice(first, len(rows)), held.slice(first, len(rows)), pa.array(own.sizes + 1), pa.array(known), pa.array(base), pa.array(score), pa.nulls(len(rows), pa.int64())], SCORED_NAMES)
                 light = np.flatnonzero(~here[own.at])
                 if len(light):
                     k = len(light)
-                    yield pa.RecordBatch.from_arrays([pa.array(rows[own.doc[light]]), pa.nulls(k, pa.int64()), pa.nulls(k, pa.bool_()), *(pa.nulls(k, t) for t in (pa.int64(), pa.int64(), pa.float64())), pa.array(each[light]), pa.array(h[own.at[light]])], SCORED_NAMES)
+                    yield pa.RecordBatch.from_arrays([pa.array(rows[own.doc[light]]), pa.nulls(k, pa.int64()), pa.nulls(k, pa.bool_()), *(pa.nulls(k, t) for t in (pa.int64(), pa.int64(), pa.float64(), pa.float64())), pa.array(h[own.at[light]])], SCORED_NAMES)
 
     return run
 
 
-SCORED_NAMES = [x.split()[0] for x in SCORED.split(", ")]
-
-
 def score(docs: DataFrame, path: str, held: Column, id_col: str = "doc_id", text_col: str = "text", heavy: int = HEAVY) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score; learning from rows that held doesn't mark."""
     ship(docs.sparkSession)
@@ -277,18 +283,15 @@ def score(docs: DataFrame, path: str, held: Column, id_col: str = "doc_id", text
     subwords = subword_counts(words, path)
     subwords[IDS - 1] += ends
     vocabulary = attention.Vocabulary.of(subwords, IDS - 1)
-    w = train(learn.select("doc_id", "text"), path, vocabulary)
+    w = train(learn.select("doc_id", "text"), path, vocabulary, total, int(subwords.sum()))
     least, keys, n = heavy_words(words, distinct, heavy)
     shared = docs.sparkSession.sparkContext.broadcast((w, vocabulary, keys, n))
     scored = written(read.mapInArrow(_score(path, shared, total, distinct, ends), SCORED), "scored")
-    light = scored.where("key is not null").select("row", "key", "score").join(written(words.where(F.col("n") <= least).select("key", "n"), "light"), "key", "left")
+    light = scored.where("key is not null").select("row", "key").join(written(words.where(F.col("n") <= least).select("key", "n"), "light"), "key", "left")
     scale = float(np.log10(total + distinct + 1))
-    model, share = F.col("score") + F.lit(float(np.log10(1 - MIXED))), F.log10(F.col("n") * F.lit(MIXED / max(1, total)))
-    more, less = F.greatest(model, share), F.least(model, share)
-    score_of = F.when(F.col("n").isNull(), model).otherwise(more + F.log1p(F.pow(F.lit(10.0), less - more)) / F.lit(float(np.log(10))))
-    per = light.groupBy("row").agg(F.sum(F.log10(F.coalesce("n", F.lit(0)) + F.lit(1.0)) - F.lit(scale)).alias("_base"), F.count("n").alias("_known"), F.sum(score_of).alias("_score"))
+    per = light.groupBy("row").agg(F.sum(F.log10(F.coalesce("n", F.lit(0)) + F.lit(1.0)) - F.lit(scale)).alias("_base"), F.count("n").alias("_known"))
     told = scored.where("key is null").join(per, "row", "left")
-    return told.select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("_known", F.lit(0))).alias("n_known"), F.lit(total).cast("long").alias("train_tokens"), (F.col("base") + F.coalesce("_base", F.lit(0.0))).alias("base_score"), (F.col("score") + F.coalesce("_score", F.lit(0.0))).alias("score"))
+    return told.select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("_known", F.lit(0))).alias("n_known"), F.lit(total).cast("long").alias("train_tokens"), (F.col("base") + F.coalesce("_base", F.lit(0.0))).alias("base_score"), "score")
 
 
 def lm_scores(docs: DataFrame, path: str) -> DataFrame:

@@ -11,6 +11,7 @@ import numpy as np
 import pytest
 import xxhash
 from conftest import DATA, same_rows
+from pyspark.sql import functions as F
 
 from orthant.llm import attention, chat, exact_dedup, langid, lm, mixing, packing, quality, queries, simhash, token_counts, tokens, toxicity
 from orthant.llm.components import connected_components
@@ -299,40 +300,64 @@ def test_quality_refuses_documents_without_common_words(spark):
 
 def test_gradients():
     voc = attention.Vocabulary.of(np.arange(1000, 0, -1), 999)
-    w = {k: a.astype(np.float64) for k, a in attention.start().items()}
+    w = {k: a.astype(np.float64) for k, a in attention.start(voc).items()}
     rng = np.random.default_rng(0)
-    x, c, s, _, _ = attention.windows([rng.integers(0, 900, 70)], voc)
-    _, d = attention.gradients(w, x, c, s)
+    x, scored, targets = attention.Windows([rng.integers(0, 900, 70)], voc).take(slice(None))
+    loss = lambda w: attention.gradients(w, x, targets, scored, voc)[0]
+    _, d, rows = attention.gradients(w, x, targets, scored, voc)
+    whole = np.zeros_like(w["e"])
+    whole[rows] = d["e"]
+    d["e"] = whole
     for k in w:
-        i = np.unravel_index(np.abs(d[k]).argmax(), d[k].shape)
-        up, down = ({n: a.copy() for n, a in w.items()} for _ in range(2))
-        up[k][i] += 1e-5
-        down[k][i] -= 1e-5
-        assert math.isclose(d[k][i], (attention.gradients(up, x, c, s)[0] - attention.gradients(down, x, c, s)[0]) / 2e-5, rel_tol=1e-4)
+        for i in [np.unravel_index(np.abs(d[k]).argmax(), d[k].shape), *(tuple(rng.integers(0, n) for n in d[k].shape) for _ in range(3))]:
+            up, down = ({n: a.copy() for n, a in w.items()} for _ in range(2))
+            up[k][i] += 1e-5
+            down[k][i] -= 1e-5
+            assert math.isclose(d[k][i], (loss(up) - loss(down)) / 2e-5, rel_tol=1e-3, abs_tol=1e-7)
 
 
 def test_every_token_is_scored_once():
     voc = attention.Vocabulary.of(np.ones(1000), 999)
     for n in (0, 1, 7, 31, 32, 33, 55, 56, 57, 200):
-        seq = [np.arange(n), np.arange(3)]
-        _, _, scored, owner, targets = attention.windows(seq, voc)
-        assert targets[owner == 0][scored[owner == 0]].tolist() == [*range(n), 999]
-        assert targets[owner == 1][scored[owner == 1]].tolist() == [0, 1, 2, 999]
+        for overlap in (0, attention.OVERLAP):
+            _, scored, targets = attention.Windows([np.arange(n), np.arange(3)], voc, overlap).take(slice(None))
+            assert targets[scored].tolist() == [*range(n), 999, 0, 1, 2, 999]
 
 
 def test_probabilities_sum_to_one():
-    voc, w = attention.Vocabulary.of(np.arange(500), 499), attention.start(3)
-    p = attention.log10_probabilities(w, [np.array([5, 7, i]) for i in range(500)], voc)
-    q = attention.log10_probabilities(w, [np.array([5, 7])], voc)
-    # over all third tokens, of the first one's probability before the end: compare through a common prefix
-    first = [attention.log10_probabilities(w, [np.array([i])], voc)[0] for i in range(3)]
-    assert np.isfinite(p).all() and np.isfinite(q).all() and np.isfinite(first).all()
-    x, _, _, _, _ = attention.windows([np.array([5, 7])], voc)
-    h = attention.body(w, x)[-1][0, 1]
-    z = h @ w["u"] + w["b"]
-    pc = np.exp(z - z.max())
-    pc /= pc.sum()
-    assert math.isclose((pc[voc.cls] * 10**voc.inside).sum(), 1, rel_tol=1e-4)
+    """Over all that may follow two subwords, by brute force; a later subword changes no earlier probability."""
+    voc = attention.Vocabulary.of(np.arange(5000), 4999)
+    w = attention.start(voc, 3)
+    w["t"] = np.random.default_rng(4).normal(0, 0.5, w["t"].shape).astype(np.float32)
+    each = np.array([attention.log10_tokens(w, [np.array([5, 7, i])], voc) for i in range(0, 5000, 97)])
+    assert np.allclose(each[:, :2], each[0, :2], atol=1e-5)
+    x, _, _ = attention.Windows([np.array([5, 7])], voc).take(slice(None))
+    h = np.repeat(attention.body(w, x)[-1][2:3], 5000, axis=0)
+    p = 10 ** (attention.outputs(w, h, np.arange(5000), voc)[0] / np.log(10) + voc.inside)
+    assert math.isclose(p.sum(), 1, rel_tol=1e-4)
+    assert np.allclose(np.log10(p[0:5000:97]), each[:, 2], atol=1e-4)
+
+
+def test_score_by_brute_force():
+    """One text at a time, place by place, against the batched windows."""
+    voc = attention.Vocabulary.of(np.arange(300, 0, -1), 299)
+    w = attention.start(voc, 5)
+    rng = np.random.default_rng(6)
+    texts = [rng.integers(0, 299, n) for n in (0, 1, 30, 33, 120)]
+    got = attention.log10_probabilities(w, texts, voc)
+    of = np.repeat(np.arange(len(voc.bounds) - 1), np.diff(voc.bounds))
+    for text, have in zip(texts, got, strict=True):
+        line, total, begin = [299, *text.tolist(), 299], 0.0, 0
+        for t in range(1, len(line)):
+            if t - 1 - begin == attention.WINDOW:
+                begin += attention.WINDOW - attention.OVERLAP
+            rows = np.zeros((1, attention.WINDOW), dtype=int)
+            rows[0, : t - begin] = voc.row[line[begin:t]]
+            h = attention.body(w, rows)[-1][t - 1 - begin]
+            z, unit = np.exp(w["u"] @ h), voc.unit[line[t]]
+            mine = np.exp(w["t"] @ h) * (of == of[unit])
+            total += math.log10(z[of[unit]] / z.sum()) + math.log10(mine[unit] / mine.sum()) + voc.inside[line[t]]
+        assert math.isclose(have, total, rel_tol=1e-4)
 
 
 @pytest.mark.parametrize("heavy", [1_000_000, 200])
@@ -357,12 +382,32 @@ def test_lm_score_does_not_depend_on_heavy(docs):
 
 
 def test_network_is_not_cut():
-    """Tokens after a window's start see at least 8 tokens of context; a sixteenth of the documents trains the dealt network."""
-    voc = attention.Vocabulary.of(np.ones(1000), 999)
-    _, _, scored, _, _ = attention.windows([np.arange(200)], voc)
+    """Tokens after a window's start see at least 8 tokens of context; the dealt network's sizes."""
+    voc = attention.Vocabulary.of(np.ones(5000), 999)
+    _, scored, _ = attention.Windows([np.arange(200)], voc).take(slice(None))
     assert len(scored) > 1 and all(s.argmax() >= 8 for s in scored[1:])
-    assert attention.start()["e"].shape[1] >= 24 and attention.start()["w1"].shape[1] >= 48 and len(attention.start()["b"]) >= 256
-    assert lm.SHARE <= 16
+    w = attention.start(voc)
+    assert w["e"].shape[1] >= 24 and w["w1"].shape[1] >= 48 and len(w["t"]) >= 256
+
+
+def test_every_training_document_trains(spark):
+    """Windows trained on after the first fit: those of all training documents, each once."""
+    path = tokens.vocabulary("byte_bpe_50k.json")
+    rows = spark.createDataFrame([(i, f"word{i % 7} and more words of {i} " * (1 + i % 50)) for i in range(400)], "doc_id long, text string").repartition(5)
+    counts = lm.corpus_counts(rows.select("text"))
+    voc = attention.Vocabulary.of(lm.subword_counts(counts.where("word is not null"), path), lm.IDS - 1)
+    sc, ids = spark.sparkContext, lm.word_ids(path)
+    first, shared = sc.broadcast(attention.pack(attention.start(voc))), sc.broadcast(voc)
+    seen = rows.select("text").mapInArrow(lm._refine(path, first, shared, 100, 2), "part int, n long, weights binary").agg(F.sum("n").alias("n")).first()["n"]
+    every = lm.Run([r["text"].encode().lower().split() for r in rows.collect()]).sequences(ids)
+    assert seen == len(attention.Windows(every, voc, 0))
+
+
+def test_model_beats_the_base_on_held_out_texts(spark):
+    """log10 per word of held-out documents of sf 0.01."""
+    docs = spark.read.parquet(f"{DATA}/sf0.01/documents.parquet")
+    got = lm.lm_scores(docs, tokens.vocabulary("byte_bpe_50k.json")).where("held_out").agg(F.sum("score").alias("m"), F.sum("base_score").alias("b"), F.sum("n_tokens").alias("n")).first()
+    assert got["m"] / got["n"] > got["b"] / got["n"] + 0.02
 
 
 # ---- 7 and 8, held out ----
