@@ -2,9 +2,10 @@
 
 Pieces of equal length are interchangeable, so the search runs on the histogram of lengths: at most ``capacity`` rows,
 whatever the corpus. At each step the longest remaining length opens a sequence; the undominated fillings of the rest
-are enumerated longest part first, those that a waste bound rules out are pruned, and the chosen filling is applied to
-as many sequences as its parts allow. Best-fit decreasing gives the first incumbent; a better complete solution
-replaces it, and the search ends when an incumbent meets the lower bound or the node budget is spent.
+are enumerated by rising waste, those that the waste bound rules out are pruned, and the chosen filling is applied to
+as many sequences as its parts allow, or to one. Best-fit decreasing gives the first incumbents; a better complete solution
+replaces the incumbent, and the search ends when it meets the lower bound or ``nodes`` fillings have been looked at, the
+only bound on it: with nodes to spare the number of sequences is the least possible.
 
 Documents then find their places without meeting: pieces are numbered within (length, salt), and a number maps to a
 sequence and an offset through the plan, whose size again follows the number of lengths only.
@@ -15,7 +16,7 @@ table gives no rows. Repeated rows are separate documents.
 
 from __future__ import annotations
 
-import sys
+from bisect import bisect_left, insort
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -31,8 +32,9 @@ from .common import whole_text, written
 from .tokens import ByteLevelTokenizer, crc, in_slices, tokenizer
 
 CAPACITY, EOS = 2048, 0
-#: Fillings looked at for one step, fillings tried at one node, nodes in all, rows numbered together.
-LOOKED, TRIED, NODES, RANKED = 4000, 3, 20_000, 4096
+#: Fillings that the search looks at in all, dominated ones included; parts of them for the incumbents, and how many of these;
+#: enumerations that stay open; pieces numbered together.
+NODES, FOR_INCUMBENTS, INCUMBENTS, OPEN, RANKED = 50_000, 0.5, 24, 64, 4096
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -49,59 +51,96 @@ def lower_bound(counts: dict[int, int], capacity: int) -> int:
     return best
 
 
-def fillings(counts: dict[int, int], lengths: list[int], room: int, looked: int = LOOKED) -> list[tuple[int, tuple[int, ...]]]:
-    """(waste, parts) of undominated fillings of room: no part that still fits is left out, longer parts come first.
+def best_fit_decreasing(counts: dict[int, int], capacity: int) -> list[tuple[tuple[int, ...], int]]:
+    """Incumbent: longest pieces first, each into the fullest open sequence that it fits into.
 
-    lengths: the remaining ones, longest first. Parts of one filling never exceed the counts. At most ``looked`` fillings.
+    Open sequences of one filling are handled together: a length visits the fillings by rising room, and a sequence that it
+    fits into takes as many of it as fit, being the fullest from the first one on.
+    """
+    open_: list[tuple[int, tuple[int, ...], int]] = []  # (room, parts, how many), by rising room
+    closed = []
+    for x in sorted(counts, reverse=True):
+        n, at = counts[x], bisect_left(open_, (x,))
+        moved: list[tuple[int, tuple[int, ...], int]] = []
+        while n and at < len(open_):
+            room, parts, times = open_.pop(at)
+            each = room // x
+            full = min(times, n // each)
+            more = n % each if full < times else 0
+            n -= full * each + more
+            moved += [(room - each * x, parts + (x,) * each, full)] * (full > 0) + [(room - more * x, parts + (x,) * more, 1)] * (more > 0)
+            if times > full + (more > 0):
+                moved.append((room, parts, times - full - (more > 0)))
+        if n:
+            each = capacity // x
+            full, more = divmod(n, each)
+            moved += [(capacity - each * x, (x,) * each, full)] * (full > 0) + [(capacity - more * x, (x,) * more, 1)] * (more > 0)
+        for entry in moved:
+            insort(open_, entry) if entry[0] else closed.append(entry)
+    return [(parts, times) for _, parts, times in (*closed, *open_)]
+
+
+def fillings(lengths: list[int], left: list[int], room: int, most_waste: int) -> Iterator[tuple[int, tuple[int, ...] | None]]:
+    """(waste, parts) of all undominated fillings of the room, by rising waste up to most_waste, longer parts first.
+
+    lengths: falling, of which left[i] pieces remain. A filling is dominated if a piece that stays out could take the place of
+    some of its parts, of at most its own length together, within the waste: the exchanged filling leaves no harder rest. For
+    a dominated one parts is None. Sums that the lengths from some one on can reach are bits of a number, so no branch of the
+    enumeration is a dead end.
     """
-    found: list[tuple[int, tuple[int, ...]]] = []
-    used: dict[int, int] = {}
-    smallest, budget = lengths[-1] if lengths else room + 1, looked
-    asc = lengths[::-1]
-    at_most = np.array(asc)
-
-    def go(room: int, top: int, parts: tuple[int, ...]) -> bool:
-        """top: parts are taken from asc[:top]. True when a filling without waste was found and the search may stop."""
-        nonlocal budget
-        k = min(top, int(np.searchsorted(at_most, room, side="right")))
-        any_fits = False
-        while k > 0 and budget > 0:
-            x = asc[k - 1]
-            if used.get(x, 0) < counts.get(x, 0):
-                any_fits = True
-                used[x] = used.get(x, 0) + 1
-                budget -= 1
-                stop = go(room - x, k, (*parts, x))
-                used[x] -= 1
-                if stop:
-                    return True
-            k -= 1
-        if not any_fits and (room < smallest or not any(x <= room and used.get(x, 0) < counts.get(x, 0) for x in asc[: int(np.searchsorted(at_most, room, side="right"))])):
-            found.append((room, parts))
-            return room == 0
+    at = [(x, min(n, room // x)) for x, n in zip(lengths, left, strict=True) if n and x <= room]
+    del left
+    every, have, reach = (1 << (room + 1)) - 1, dict(at), [1]
+    for x, many in reversed(at):
+        bits, k = reach[-1], 1
+        while many:
+            step = min(k, many)
+            bits |= bits << (step * x) & every
+            many, k = many - step, 2 * k
+        reach.append(bits)
+    reach.reverse()  # reach[j]: with the lengths at[j:]
+    use = sum(1 << x for x in have)
+    for waste in range(min(most_waste, room) + 1):
+        if not reach[0] >> (room - waste) & 1:
+            continue
+        stack: list[tuple[int, int, tuple[int, ...]]] = [(0, room - waste, ())]  # from which length on, sum to go, parts
+        while stack:
+            j, rest, parts = stack.pop()
+            if not rest:
+                yield waste, None if _dominated(parts, use, waste, every, have) else parts
+                continue
+            more = []
+            for k in range(j, len(at)):
+                if not reach[k] >> rest & 1:
+                    break  # shorter lengths reach less still
+                x, c = at[k]
+                more += [(k + 1, rest - n * x, parts + (x,) * n) for n in range(min(c, rest // x), 0, -1) if reach[k + 1] >> (rest - n * x) & 1]
+            stack += more[::-1]
+
+
+def _dominated(parts: tuple[int, ...], use: int, waste: int, every: int, have: dict[int, int]) -> bool:
+    """use: bits of the lengths there are; have: how many of the parts' lengths there are."""
+    single, several = 0, 1  # sums of one part; of none or of two and more
+    for x in parts:
+        several |= (several >> 1 << 1 | single) << x
+        single |= 1 << x
+    out = use
+    for x in set(parts):
+        if parts.count(x) == have[x]:
+            out &= ~(1 << x)
+    if not out:
         return False
 
-    go(room, len(asc), ())
-    return sorted(found, key=lambda f: (f[0], [-x for x in f[1]]))
+    def up_to(bits: int, width: int) -> int:
+        """Every bit and the width next ones above it."""
+        span = 0
+        while span < width:
+            step = min(span + 1, width - span)
+            bits, span = bits | bits << step, span + step
+        return bits
 
-
-def best_fit_decreasing(counts: dict[int, int], capacity: int) -> list[tuple[tuple[int, ...], int]]:
-    """Incumbent: fill each sequence greedily with the longest part that fits, applied as often as the counts allow."""
-    left, plan = dict(counts), []
-    while left:
-        parts, room, taken = [], capacity, {}
-        for x in sorted(left, reverse=True):
-            while x <= room and taken.get(x, 0) < left[x]:
-                parts.append(x)
-                taken[x] = taken.get(x, 0) + 1
-                room -= x
-        times = min(left[x] // n for x, n in taken.items())
-        plan.append((tuple(parts), times))
-        for x, n in taken.items():
-            left[x] -= n * times
-            if not left[x]:
-                del left[x]
-    return plan
+    longer = up_to(single << 1, waste - 1) if waste else 0
+    return bool((up_to(several, waste) & ~1 | longer) & out & every)
 
 
 @dataclass
@@ -112,55 +151,115 @@ class Plan:
     nodes: int
 
 
-def pack_histogram(counts: dict[int, int], capacity: int = CAPACITY, nodes: int = NODES) -> Plan:
-    """Patterns (lengths in a sequence, number of such sequences) that use every piece once."""
-    counts = {int(x): int(n) for x, n in counts.items() if n}
-    bound = lower_bound(counts, capacity)
-    best = best_fit_decreasing(counts, capacity)
-    best_n, seen = sum(t for _, t in best), 0
-    total = sum(x * n for x, n in counts.items())
-    # depth first; a frame holds what is left, the way here, its waste and the fillings not tried yet
-    stack: list[tuple[dict[int, int], tuple, int, int, list]] = []
-
-    def options(left: dict[int, int]) -> list:
-        lengths = sorted(left, reverse=True)
-        first = lengths[0]
-        own = dict(left)
-        own[first] -= 1
-        return [(w, (first, *parts)) for w, parts in fillings(own, [x for x in lengths if own[x]], capacity - first)[:TRIED]][::-1]
+Patterns = list[tuple[tuple[int, ...], int]]
+
 
-    if counts and best_n > bound:
-        stack.append((counts, (), 0, 0, options(counts)))
-    while stack and seen < nodes and best_n > bound:
-        left, way, n, waste, todo = stack[-1]
-        if not todo:
+def _search(counts: dict[int, int], capacity: int, best: Patterns | None, enough: int, nodes: int) -> tuple[Patterns | None, int]:
+    """(the best packing found, fillings looked at): better than best, or just the first one if there is none yet.
+
+    Depth first: the longest piece left opens a sequence, its undominated fillings are taken by rising waste, first for as
+    many sequences as the pieces allow, and on the way back for one, after which the next sequence chooses anew. So every
+    packing of undominated fillings lies ahead, and with nodes to spare the answer is the best one. A filling is pruned when the
+    waste so far leaves no room for one sequence less than the incumbent, and a rest that was met before with no more waste.
+    """
+    total, seen = sum(x * n for x, n in counts.items()), 0
+    any_one = best is None
+    best_n = sum(counts.values()) + 1 if any_one else sum(t for _, t in best)
+    lengths = sorted(counts, reverse=True)
+    place, left = {x: i for i, x in enumerate(lengths)}, [counts[x] for x in lengths]
+    way: Patterns = []
+    met: dict[int, int] = {}
+
+    def options(first: int, waste: int, after: tuple | None) -> Iterator[tuple[int, tuple[int, ...], int] | None]:
+        """(waste of one, parts, times), or None for a filling that is out; after: the filling before, if it began alike."""
+        own = left.copy()
+        own[first] -= 1
+        found = fillings(lengths, own, capacity - lengths[first], (best_n - 1) * capacity - total - waste)
+        del own
+        for w, rest in found:
+            if rest is None or after is not None and (w, [-y for y in rest]) < after:
+                yield None  # sequences that begin alike come in the order of their fillings
+                continue
+            parts = (lengths[first], *rest)
+            times = min(left[place[y]] // parts.count(y) for y in set(parts))
+            for t in (times, 1) if times > 1 else (1,):
+                yield w, parts, t
+
+    def move(parts: tuple[int, ...], times: int) -> None:
+        for y in parts:
+            left[place[y]] -= times
+
+    # a frame: choices to come, how many came, sequences and waste so far, and what makes the choices anew
+    stack: list[list] = []
+    if counts and best_n > enough:
+        stack.append([None, 0, 0, 0, (0, 0, None)])
+    while stack and seen < nodes and best_n > enough:
+        frame = stack[-1]
+        _, came, n, waste, made = frame
+        if frame[0] is None:
+            frame[0] = options(*made)
+            for _ in range(came):
+                next(frame[0], None)
+        step = next(frame[0], -1)
+        if step == -1:
             stack.pop()
+            if way:
+                parts, times = way.pop()
+                move(parts, -times)
             continue
-        w, parts = todo.pop()
-        taken: dict[int, int] = {}
-        for x in parts:
-            taken[x] = taken.get(x, 0) + 1
-        times = min(left[x] // k for x, k in taken.items())
-        seen += 1
+        seen, frame[1] = seen + 1, came + 1
+        if step is None:
+            continue
+        w, parts, times = step
         # a solution with one sequence less than the incumbent wastes at most this
-        if waste + w * times > (best_n - 1) * capacity - total:
-            times = 1
-            if waste + w > (best_n - 1) * capacity - total:
-                continue
-        rest = {x: k - taken.get(x, 0) * times for x, k in left.items() if k > taken.get(x, 0) * times}
-        way, n = (way, (parts, times)), n + times
-        if not rest:
-            if n < best_n:
-                best, best_n = [], n
-                while way:
-                    way, step = way
-                    best.append(step)
-                best.reverse()
+        now = waste + w * times
+        if now > (best_n - 1) * capacity - total:
             continue
-        if n + -(-sum(x * k for x, k in rest.items()) // capacity) >= best_n:
+        move(parts, times)
+        if not any(left):
+            if n + times < best_n:
+                best, best_n = [*way, (parts, times)], n + times
+                if any_one:
+                    break
+            move(parts, -times)
             continue
-        stack.append((rest, way, n, waste + w * times, options(rest)))
-    return Plan(best, best_n, bound, seen)
+        same = times == 1 and left[made[0]] > 0
+        if not same:
+            key = hash(tuple(left))
+            if met.get(key, now + 1) <= now:
+                move(parts, -times)
+                continue
+            met[key] = now
+        way.append((parts, times))
+        following = next(i for i in range(made[0], len(left)) if left[i])
+        stack.append([None, 0, n + times, now, (following, now, (w, [-y for y in parts[1:]]) if same else None)])
+        if len(stack) > OPEN:
+            stack[-OPEN - 1][0] = None  # made anew on the way back; memory follows OPEN enumerations
+    return best, seen
+
+
+def pack_histogram(counts: dict[int, int], capacity: int = CAPACITY, nodes: int = NODES) -> Plan:
+    """Patterns (lengths in a sequence, number of such sequences) that use every piece once.
+
+    The first incumbent is best fit of all pieces; where it misses the bound, others come of best fit for the pieces above a
+    length and the first descent of the search for the rest, for some lengths; the search goes on from the best of them.
+    """
+    counts = {int(x): int(n) for x, n in counts.items() if n}
+    size = lambda plan: sum(t for _, t in plan)
+    bound, best, seen = lower_bound(counts, capacity), best_fit_decreasing(counts, capacity), 0
+    lengths = sorted(counts)
+    for x in lengths[:: max(1, -(-len(lengths) // INCUMBENTS))] if size(best) > bound else ():
+        if seen >= nodes * FOR_INCUMBENTS or size(best) <= bound:
+            break
+        longer = best_fit_decreasing({y: n for y, n in counts.items() if y > x}, capacity)
+        rest, more = _search({y: n for y, n in counts.items() if y <= x}, capacity, None, 0, int(nodes * FOR_INCUMBENTS) - seen)
+        seen += more
+        if rest is not None and size(longer) + size(rest) < size(best):
+            best = longer + rest
+    best, more = _search(counts, capacity, best, bound, nodes - seen)
+    return Plan(best, size(best), bound, seen + more)
+
+
 
 
 def places(plan: Plan) -> tuple[np.ndarray, ...]:
@@ -231,6 +330,3 @@ def pack(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, eos: in
     numbered = ranked.join(before, ["length", "_salt"]).withColumn("_rank", (F.col("_rank") - 1 + F.col("_before")).cast("long"))
     names = cut.columns
     return numbered.select(*names, "_rank").mapInArrow(_place(table, names), schema + ", sequence_id long, offset long")
-
-
-sys.setrecursionlimit(max(sys.getrecursionlimit(), 4 * CAPACITY))

@@ -521,6 +521,65 @@ def test_packing_is_optimal_on_small_cases():
         assert plan.sequences == least_bins(items, capacity)
 
 
+def used_by(plan, capacity):
+    assert all(sum(parts) <= capacity and times > 0 for parts, times in plan)
+    return sum((Counter({x: times * parts.count(x) for x in set(parts)}) for parts, times in plan), Counter())
+
+
+def test_best_fit_decreasing_equals_piece_by_piece():
+    rng = np.random.default_rng(8)
+    for _ in range(200):
+        capacity = int(rng.integers(10, 60))
+        items = rng.integers(1, capacity + 1, rng.integers(1, 60)).tolist()
+        rooms = []
+        for x in sorted(items, reverse=True):
+            fits = [r for r in rooms if r >= x]
+            if fits:
+                rooms.remove(min(fits))
+            rooms.append((min(fits) if fits else capacity) - x)
+        plan = packing.best_fit_decreasing(Counter(items), capacity)
+        assert used_by(plan, capacity) == Counter(items) and sum(t for _, t in plan) == len(rooms)
+
+
+def test_packing_is_optimal_around_a_third_of_the_capacity():
+    rng, better = np.random.default_rng(9), 0
+    for _ in range(60):
+        items = sorted(rng.integers(22, 42, rng.integers(12, 18)).tolist(), reverse=True)
+        plan = packing.pack_histogram(Counter(items), 100)
+        assert used_by(plan.patterns, 100) == Counter(items) and plan.sequences == least_bins(items, 100)
+        better += plan.sequences < sum(t for _, t in packing.best_fit_decreasing(Counter(items), 100))
+    assert better
+
+
+def test_fillings_are_all_undominated_ones():
+    """Against all subsets: a filling is out if one piece that stays out could take the place of several or of a shorter one."""
+    from itertools import combinations
+
+    rng = np.random.default_rng(10)
+    for _ in range(60):
+        room, items = 40, sorted(rng.integers(3, 30, 7).tolist(), reverse=True)
+        lengths = sorted(set(items), reverse=True)
+        want = set()
+        for k in range(len(items) + 1):
+            for own in combinations(range(len(items)), k):
+                waste = room - sum(items[i] for i in own)
+                if waste < 0:
+                    continue
+                parts, out = [items[i] for i in own], Counter(items) - Counter(items[i] for i in own)
+                swaps = [t for j in range(len(parts) + 1) for t in combinations(parts, j)]
+                if not any(sum(t) <= y <= sum(t) + waste and (len(t) != 1 or t[0] < y) for t in swaps for y in out if y <= room):
+                    want.add((waste, tuple(parts)))
+        got = [f for f in packing.fillings(lengths, [items.count(x) for x in lengths], room, room) if f[1] is not None]
+        assert set(got) == want and len(got) == len(want) and [w for w, _ in got] == sorted(w for w, _ in got)
+
+
+def test_search_beats_best_fit_on_hard_lengths():
+    items = Counter(np.random.default_rng(1).integers(500, 1101, 3000).tolist())
+    plan = packing.pack_histogram(items)
+    assert used_by(plan.patterns, packing.CAPACITY) == items
+    assert plan.sequences <= 0.97 * sum(t for _, t in packing.best_fit_decreasing(items, packing.CAPACITY)) and plan.sequences < 1266
+
+
 # ---- 10 chat ----
 
 TURNS = [
