@@ -1,11 +1,14 @@
 """Chat formatting with a grammar round trip, in DataFrame functions only.
 
 A turn is rendered as ``[INST] role``, a line feed, the text and ``</s>``. A deterministic parser reads a rendering back:
-it splits at ``</s>``, takes the header up to the first line feed, and the rest as the text. Every turn is first rendered as
-it is and parsed again; if what comes back differs from the source, or the source holds a control string, its role and
-text are escaped, which the header says by ``[INST]\\ `` in place of ``[INST] ``. In escaped text a backslash, ``<``, ``[``
-and line feeds of a role are two characters that begin with a backslash, so no control string is left and unescaping
-gives the source. The joined conversation is parsed once more, and the results are read from that.
+it splits at ``</s>``, takes the header up to the first line feed, and the rest as the text. A conversation is rendered, with
+those turns escaped that hold a control string, and parsed as a whole; the recovered turns are compared with the source,
+and while they differ, the turns that came back otherwise are escaped too (the first one only, if the number of turns
+differs), and it is rendered and parsed again. Escaping is
+said by ``[INST]\\ `` in place of ``[INST] ``. In escaped text a backslash, ``<``, ``[`` and line feeds of a role are two
+characters that begin with a backslash, so no control string is left and unescaping gives the source: the first turn that
+differs was not escaped before, so every round escapes one more at least, and there is an end. The results are read from the
+last parse.
 
 Defined results: null text or role is empty; a null conversation is a conversation; turns are ordered by (turn, role,
 text), nulls first, so repeated turns stay; an empty table leaves the added rows only. A conversation is one string, as
@@ -17,6 +20,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import let
+
 #: Fixed strings of the template.
 OPEN, CLOSE, PLAIN, ESCAPED = "[INST]", "</s>", "[INST] ", "[INST]\\ "
 CONTROL = ("[INST]", "[/INST]", "<s>", "</s>")
@@ -53,25 +58,48 @@ def parse(rendered: Column) -> Column:
     return F.transform(F.slice(parts, 1, F.greatest(F.size(parts) - 1, F.lit(0))), parse_turn)
 
 
-def render_turns(turns: DataFrame, role: str, text: str) -> Column:
-    """The rendering of a turn whose round trip gives the source."""
-    r, t = F.col(role), F.col(text)
+def render_turn(turn: Column, escaped: Column) -> Column:
+    r, t = turn["role"], turn["text"]
     plain = F.concat(F.lit(PLAIN), r, F.lit("\n"), t, F.lit(CLOSE))
-    back = parse(plain)
-    same = (F.size(back) == 1) & (F.get(back, F.lit(0))["role"] == r) & (F.get(back, F.lit(0))["text"] == t)
-    conflict = F.lit(False)
+    return F.when(escaped, F.concat(F.lit(ESCAPED), _escape(r, _ROLE_PAIRS), F.lit("\n"), _escape(t, _PAIRS), F.lit(CLOSE))).otherwise(plain)
+
+
+def conflicts(turn: Column) -> Column:
+    """Whether a turn holds a control string."""
+    found = F.lit(False)
     for s in CONTROL:
-        conflict = conflict | F.contains(t, F.lit(s)) | F.contains(r, F.lit(s))
-    safe = F.concat(F.lit(ESCAPED), _escape(r, _ROLE_PAIRS), F.lit("\n"), _escape(t, _PAIRS), F.lit(CLOSE))
-    return F.when(same & ~conflict, plain).otherwise(safe)
+        found = found | F.contains(turn["text"], F.lit(s)) | F.contains(turn["role"], F.lit(s))
+    return found
+
+
+def attempt(source: Column, escaped: Column) -> Column:
+    """One round: which turns are escaped, the rendering, what the parser makes of it, whether that is the source."""
+    rendered = F.array_join(F.zip_with(source, escaped, render_turn), "")
+    read = lambda f: F.struct(escaped.alias("escaped"), f.alias("formatted"), parse(f).alias("turns"))
+    return let(let(rendered, read), lambda x: F.struct(x["escaped"], x["formatted"], x["turns"], (x["turns"] == source).alias("same")))
+
+
+def until_identical(source: Column) -> Column:
+    """The first round whose parse gives the source."""
+    first = attempt(source, F.transform(source, conflicts))
+
+    def again(state: Column, _: Column) -> Column:
+        off = F.transform(source, lambda turn, i: ~F.get(state["turns"], i).eqNullSafe(turn))
+        # where the number of turns differs, what comes after the first difference may only have moved
+        alone = let(F.array_position(off, F.lit(True)), lambda p: F.transform(off, lambda x, i: i + 1 == p))
+        more = F.zip_with(state["escaped"], F.when(F.size(state["turns"]) == F.size(source), off).otherwise(alone), lambda a, b: a | b)
+        return F.when(state["same"], state).otherwise(let(more, lambda escaped: attempt(source, escaped)))
+
+    return F.reduce(F.sequence(F.lit(1), F.size(source)), first, again)
 
 
 def format_chats(conversations: DataFrame) -> DataFrame:
-    """One row per conversation: conv_id, formatted, and the turns and texts under the loss mask as the output gives them."""
-    turns = conversations.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("_role"), F.coalesce("text", F.lit("")).alias("_text"))
-    turns = turns.select("conv_id", F.struct("turn", "_role", "_text", render_turns(turns, "_role", "_text").alias("r")).alias("t"))
-    whole = turns.groupBy("conv_id").agg(F.sort_array(F.collect_list("t")).alias("_t")).select("conv_id", F.array_join(F.col("_t.r"), "").alias("formatted"))
-    return whole.select("conv_id", "formatted", parse(F.col("formatted")).alias("turns"))
+    """One row per conversation: conv_id, formatted, turns as the output gives them, same: whether they are the source."""
+    turns = conversations.select("conv_id", F.struct("turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text")).alias("t"))
+    whole = turns.groupBy("conv_id").agg(F.sort_array(F.collect_list("t")).alias("_t"))
+    source = F.transform("_t", lambda t: F.struct(t["role"].alias("role"), t["text"].alias("text")))
+    told = whole.select("conv_id", let(source, until_identical).alias("_r"))
+    return told.select("conv_id", "_r.formatted", "_r.turns", "_r.same")
 
 
 def digests(chats: DataFrame) -> DataFrame:

@@ -3,8 +3,8 @@
 Features are hashed n-grams of one to three characters of the lower-cased text, weighted by term and inverse document
 frequency and scaled to unit length. Weights are fitted by follow-the-regularised-leader with elastic-net penalties, so
 most stay exactly zero; a temperature, fitted on a part of the rows that the weights never saw, calibrates the scores.
-The classifier is fitted on a bounded sample of the labelled rows (``sample_rows``, spread over the table by a hash of the
-id, each whole); scoring reads every row and whole text.
+The classifier is fitted on a bounded sample of the distinct labelled rows (``sample_rows``, spread over the table by a hash
+of the row, each whole); scoring reads every row and whole text.
 
 Defined results: ``und`` with score 0 where the text is null, has no letter, or nothing could be learned; equal scores go to
 the language that sorts first; rows with a null label are not learned from; an empty table gives no rows.
@@ -12,23 +12,28 @@ the language that sorts first; rows with a null label are not learned from; an e
 
 from __future__ import annotations
 
-import re
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from orthant.functions.shipping import ship
 
+from .common import distinct_sample
+
 BUCKETS_LOG2, ORDERS = 15, (1, 2, 3)
 #: Most labelled rows that the fit takes, and the part of them kept for the temperature.
 SAMPLE_ROWS, HELD_FOR_TEMPERATURE = 3000, 0.2
 ALPHA, BETA, L1, L2, EPOCHS = 2.0, 1.0, 0.02, 0.5, 3
 UNKNOWN = "und"
-_LETTER = re.compile(r"[^\W\d_]")
+#: A letter, for learning and for prediction alike; signs that are numbers, such as ½, ① and ², are none.
+LETTER = r"\p{L}"
+_LETTER = regex.compile(LETTER)
 _MIX = (np.uint32(2654435761), np.uint32(2246822519), np.uint32(3266489917))
 #: Characters hashed together, so that memory follows one stretch of a long text.
 STRETCH = 1 << 18
@@ -138,19 +143,21 @@ def _sparse_grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
             yield pa.RecordBatch.from_arrays([pa.array([lang]), pa.array([at.astype("<u4").tobytes()]), pa.array([c[at].astype("<u4").tobytes()])], ["lang", "at", "n"])
 
 
+def _fit_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row: the model of all rows of the task, fitted in an order by content, so that it doesn't follow the partitions."""
+    found = [r for batch in batches for r in zip(*(batch.column(c).to_pylist() for c in ("lang", "at", "n")), strict=True)]
+    found.sort(key=lambda r: (hash_of(r[1], r[2]), r[0]))
+    model = fit([(np.frombuffer(at, dtype="<u4"), np.frombuffer(n, dtype="<u4")) for _, at, n in found], [lang for lang, _, _ in found])
+    yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(model)], pa.binary())], ["model"])
+
+
 def train(docs: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample_rows: int = SAMPLE_ROWS) -> LanguageModel:
-    """Fit on at most sample_rows of the rows that learn marks and that have a label and a letter."""
+    """Fit on at most sample_rows of the distinct rows that learn marks and that have a label and a letter; in one task, not on the driver."""
     ship(docs.sparkSession)
-    fit_rows = docs.where(learn & F.col(lang_col).isNotNull() & F.rlike(text_col, F.lit(r"\p{L}")))
-    order = F.xxhash64(F.col(id_col), F.lit(8))
-    chosen = fit_rows.select(order.alias("h"), F.col(id_col).alias("i")).orderBy("h", "i").limit(sample_rows)
-    # the bounded list of ids goes to the texts, not the texts through a sort
-    texts = fit_rows.join(F.broadcast(chosen.select(F.col("i").alias(id_col)).distinct()), id_col).select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
-    found = texts.select("lang", "text").mapInArrow(_sparse_grams, "lang string, at binary, n binary").collect()
-    # order of the fit: by content, so that it doesn't follow the partitions
-    found = sorted(found, key=lambda r: (hash_of(r["at"], r["n"]), r["lang"]))
-    rows = [(np.frombuffer(r["at"], dtype="<u4"), np.frombuffer(r["n"], dtype="<u4")) for r in found]
-    return fit(rows, [r["lang"] for r in found])
+    able = docs.where(learn & F.col(lang_col).isNotNull() & F.rlike(text_col, F.lit(LETTER)))
+    texts = distinct_sample(able.select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text")), sample_rows, docs.count(), 8)
+    found = texts.select("lang", "text").mapInArrow(_sparse_grams, "lang string, at binary, n binary").repartition(1).mapInArrow(_fit_rows, "model binary").collect()
+    return pickle.loads(found[0]["model"]) if found else fit([], [])
 
 
 def hash_of(*parts: bytes) -> int:

@@ -6,24 +6,24 @@ documents of a language that pass the base rules. A document is refused when eve
 the threshold and the document is long enough for its histogram to mean something; base rules refuse by themselves.
 
 Defined results: null text has no words, so it fails the base rules; without any reference (no row with a language that
-passes) only the base rules count; repeated rows each get a row; an empty table gives no rows.
+passes) only the base rules count; a table must have the column of languages (``lang_col``), null where unknown; repeated rows
+each get a row; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from .common import whole_text, written
+from .common import let, whole_text, written
 
 MIN_WORDS, REPEAT_PERCENT = 50, 50
 #: Verdict: least characters and words for a comparison, greatest distances to the nearest language. A text without a common
 #: word is only about 0.34 from references with a fifth of them.
 GUARD_CHARS, GUARD_WORDS, CHAR_DISTANCE, WORD_DISTANCE = 400, 80, 0.31, 0.30
-#: Most languages whose references are broadcast; rarer ones are left out, which can only happen beyond so many.
-LANGUAGES = 256
+#: Languages whose references are broadcast together; more of them come in several blocks.
+BLOCK = 2048
 #: Windows found twice are looked up one by one up to so many; beyond, windows are sorted.
 FEW = 24
 
@@ -38,11 +38,6 @@ COMMON = (
 )
 
 
-def let(value: Column, body: Callable[[Column], Column]) -> Column:
-    """body of a value that is computed once, however often body names it."""
-    return F.get(F.transform(F.array(value), body), F.lit(0))
-
-
 def words_of(text: Column) -> Column:
     """Words of a text: its trimmed form split at runs of the six spaces."""
     trimmed = F.btrim(text, F.lit(" \t\n\x0b\x0c\r"))
@@ -131,21 +126,26 @@ def features(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
 
 
 def references(figures: DataFrame) -> DataFrame:
-    """One row: arrays of the languages' class shares and common-word shares, from all documents that pass the base rules."""
+    """One row per language: class shares and common-word shares of all its documents that pass the base rules; language_no from 0."""
     totals = [F.sum(F.col("_classes")[i]).alias(f"k{i}") for i in range(len(CLASSES) + 1)] + [F.sum(F.col("_common")[i]).alias(f"c{i}") for i in range(len(COMMON) + 1)]
-    per = figures.where("_lang is not null and not base_failed").groupBy("_lang").agg(F.count(F.lit(1)).alias("n"), *totals)
-    per = per.orderBy(F.col("n").desc(), "_lang").limit(LANGUAGES)
+    per = figures.where("_lang is not null and not base_failed").groupBy("_lang").agg(*totals)
     array = lambda k, n: shares(F.array(*(F.col(f"{k}{i}") for i in range(n))))
-    per = per.select(array("k", len(CLASSES) + 1).alias("k"), array("c", len(COMMON) + 1).alias("c"))
-    return per.agg(F.collect_list("k").alias("_kinds"), F.collect_list("c").alias("_words"))
+    number = (F.row_number().over(Window.orderBy("_lang")) - 1).alias("language_no")
+    return per.select(number, array("k", len(CLASSES) + 1).alias("k"), array("c", len(COMMON) + 1).alias("c"))
 
 
 def judge(docs: DataFrame, **columns: str) -> DataFrame:
     """One row per document: base figures, base_failed, the distances to the nearest language, kept."""
     figures = written(features(docs, **columns), "figures")
+    refs = written(references(figures), "references")
     nearest = lambda counts, refs: let(shares(counts), lambda p: F.array_min(F.transform(refs, lambda q: js_distance(p, q))))
-    told = figures.join(F.broadcast(references(figures)), how="cross")  # one row
-    told = told.withColumn("char_distance", nearest(F.col("_classes"), F.col("_kinds"))).withColumn("word_distance", nearest(F.col("_common"), F.col("_words")))
+    told = figures.withColumns({"char_distance": F.lit(None).cast("double"), "word_distance": F.lit(None).cast("double")})
+    for b in range(-(-refs.count() // BLOCK)):
+        block = refs.where(F.floor(F.col("language_no") / BLOCK) == b).agg(F.collect_list("k").alias("_kinds"), F.collect_list("c").alias("_words"))
+        told = told.join(F.broadcast(block), how="cross")  # one row
+        told = told.withColumns({"char_distance": F.least("char_distance", nearest(F.col("_classes"), F.col("_kinds"))), "word_distance": F.least("word_distance", nearest(F.col("_common"), F.col("_words")))}).drop("_kinds", "_words")
+        if b % 8 == 7:
+            told = written(told, f"distances{b}")
     odd = ((F.col("_chars") >= GUARD_CHARS) & (F.col("char_distance") > CHAR_DISTANCE)) | ((F.col("n_words") >= GUARD_WORDS) & (F.col("word_distance") > WORD_DISTANCE))
     verdict = ~F.col("base_failed") & ~F.coalesce(odd, F.lit(False))
     return told.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", verdict.alias("kept"), "char_distance", "word_distance")

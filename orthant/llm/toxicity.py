@@ -2,12 +2,15 @@
 
 Many voters look at a document: lexicon voters, each firing on one word or word beginning that the labelled sample
 associates with toxicity, and pattern voters (shouting, exclamation marks, symbols, repetition, short texts, no lexicon hit
-at all); the given label is one voter more. A generative label model estimates by expectation maximisation how often each
-voter fires on either class, measures the voters' correlations within the classes, and discounts a voter by those it moves
-with, so the beginnings of one word don't count as independent evidence. A sparse linear classifier is trained on the
-posterior labels and scores every text, labelled or not.
+at all); the given label is one voter more. A generative label model over a hidden class holds, for every voter, how
+often it fires on either class, given what the voter does that it depends on most: the dependencies are a forest of greatest
+mutual information within the classes, as far as it is significant, so the beginnings of one word don't count as independent
+evidence. Rates, dependencies and the prior are all estimated by expectation maximisation, which starts at the given labels;
+their voter too has an estimated reliability. A sparse linear classifier is trained on the posterior labels, over words
+and beginnings that lean to either side, and scores every text, labelled or not.
 
-The fit takes a bounded sample of the labelled rows (``sample_rows``, chosen by a hash of the id, each text whole).
+The fit takes a bounded sample of the distinct labelled rows (``sample_rows``, chosen by a hash of the row, each text whole),
+in one task.
 
 Defined results: a null text is empty and scores like any text without words; without labelled rows every score is 0;
 null labels aren't learned from; repeated rows each get a row; an empty table gives no rows.
@@ -15,6 +18,7 @@ null labels aren't learned from; repeated rows each get a row; an empty table gi
 
 from __future__ import annotations
 
+import pickle
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -27,7 +31,7 @@ from pyspark.sql import functions as F
 
 from orthant.functions.shipping import ship
 
-from .common import whole_text
+from .common import distinct_sample, whole_text
 from .langid import held_out
 
 #: Most labelled rows of the fit, lexicon voters, and words that a worker remembers.
@@ -35,9 +39,13 @@ SAMPLE_ROWS, LEXICON, MEMO_WORDS = 12_000, 320, 300_000
 BEGINNINGS, LEAST_DOCS = (4, 5, 6), 4
 #: Least share of toxic documents among those that a lexicon voter fires on.
 LEAST_SHARE = 0.6
+#: Least association of a feature with clean documents.
+CLEAN_SIDE = 4.0
 #: Lexicon voters wanted on a toxic document.
 COVER = 4
-EM_ROUNDS, ANNOTATOR_ERROR = 25, 0.03
+#: Rounds, between rounds that look for dependencies anew, doubt in the given labels at the start, pseudo-rows of a rate,
+#: least G statistic of a dependency.
+EM_ROUNDS, EVERY, DOUBT, PSEUDO, SIGNIFICANT = 20, 5, 0.03, 0.1, 15.0
 STEPS, RATE, L1, L2 = 400, 0.5, 1e-4, 1e-6
 _SPACE_OUT = bytes(c if c >= 128 or chr(c).isalnum() else 32 for c in range(256))
 _UPPER, _SYMBOLS = bytes(range(65, 91)), b"#*$%&|<>"
@@ -75,36 +83,67 @@ def association(x_toxic: np.ndarray, x_clean: np.ndarray, toxic: int, clean: int
 
 @dataclass
 class LabelModel:
-    prior: float
-    fires: np.ndarray  # voters x (clean, toxic)
-    weight: np.ndarray  # discount of each voter for its correlations
+    """Voters fire or not, given the hidden class (clean, toxic) and whether the voter fires that they depend on."""
 
-    def posterior(self, votes: np.ndarray, labels: np.ndarray) -> np.ndarray:
-        """votes: documents x voters, 1 where a voter fires; labels: the annotator's votes, of a known reliability."""
-        on, off = np.log(self.fires), np.log1p(-self.fires)
-        ratio = votes @ ((on[:, 1] - on[:, 0]) * self.weight) + (1 - votes) @ ((off[:, 1] - off[:, 0]) * self.weight)
-        ratio = ratio + np.where(labels == 1, 1.0, -1.0) * np.log((1 - ANNOTATOR_ERROR) / ANNOTATOR_ERROR)
-        return 1 / (1 + np.exp(-np.clip(ratio + np.log(self.prior / (1 - self.prior)), -50, 50)))
+    prior: float
+    parent: np.ndarray  # -1: depends on the class only
+    fires: np.ndarray  # voters x class x (parent silent, parent fires)
+
+    def posterior(self, votes: np.ndarray) -> np.ndarray:
+        """votes: documents x voters, 1 where a voter fires."""
+        above = np.where(self.parent >= 0, votes[:, self.parent], 0.0)
+        score = np.log([1 - self.prior, self.prior])
+        each = []
+        for k in (0, 1):
+            on, off = np.log(self.fires[:, k]), np.log1p(-self.fires[:, k])
+            quiet = votes * (on[:, 0] - off[:, 0]) + off[:, 0]
+            loud = votes * (on[:, 1] - off[:, 1]) + off[:, 1]
+            each.append(score[k] + (quiet + above * (loud - quiet)).sum(axis=1))
+        return 1 / (1 + np.exp(-np.clip(each[1] - each[0], -50, 50)))
+
+
+def dependencies(votes: np.ndarray, p: np.ndarray) -> np.ndarray:
+    """Parents of the voters: a forest of the significant pairs with the greatest mutual information within the classes."""
+    n, m = votes.shape
+    information = np.zeros((m, m))
+    for w in (1 - p, p):
+        total = w.sum() + 1e-9
+        both = votes.T @ (votes * w[:, None]) / total
+        one = np.diag(both).copy()
+        for joint, a, b in ((both, one[:, None], one[None, :]), (one[:, None] - both, one[:, None], 1 - one[None, :]), (one[None, :] - both, 1 - one[:, None], one[None, :]), (1 - one[:, None] - one[None, :] + both, 1 - one[:, None], 1 - one[None, :])):
+            joint = np.maximum(joint, 0)
+            with np.errstate(divide="ignore", invalid="ignore"):
+                information += total / n * np.where(joint > 0, joint * np.log(joint / (a * b)), 0.0)
+    information = np.where(2 * n * information > SIGNIFICANT, information, 0.0)
+    np.fill_diagonal(information, 0)
+    parent, best, via = np.full(m, -1), np.full(m, -1.0), np.full(m, -1)
+    waiting = np.ones(m, dtype=bool)
+    for _ in range(m):  # the next voter is the one most dependent on those taken
+        k = int(np.flatnonzero(waiting)[best[waiting].argmax()])
+        waiting[k] = False
+        parent[k] = via[k] if best[k] > 0 else -1
+        more = waiting & (information[k] > best)
+        best[more], via[more] = information[k][more], k
+    return parent
 
 
 def fit_label_model(votes: np.ndarray, labels: np.ndarray) -> LabelModel:
-    """The annotator anchors the classes; all other voters' rates and correlations are estimated."""
-    p, weight, model = np.where(labels == 1, 1 - ANNOTATOR_ERROR, ANNOTATOR_ERROR), np.ones(votes.shape[1]), None
+    """All rates and dependencies, with the given labels as the last voter; the classes are named after where it starts."""
+    votes = np.column_stack([votes, labels == 1]).astype(np.float64)
+    p, model, parent = np.where(labels == 1, 1 - DOUBT, DOUBT), None, None
     for i in range(EM_ROUNDS):
-        toxic, clean = p.sum() + 1e-9, (1 - p).sum() + 1e-9
-        fires = np.stack([((1 - p) @ votes + 0.05) / (clean + 0.1), (p @ votes + 0.05) / (toxic + 0.1)], axis=1)
-        fires = np.clip(fires, 1e-5, 1 - 1e-5)
-        if i % 5 == 0:  # correlations within the classes
-            r = np.zeros((votes.shape[1],) * 2)
-            for k, q in ((0, 1 - p), (1, p)):
-                centred = votes - fires[:, k]
-                cov = (centred * q[:, None]).T @ centred / q.sum()
-                sd = np.sqrt(np.maximum(np.diag(cov), 1e-9))
-                r += cov / sd[:, None] / sd[None, :] * (q.sum() / len(q))
-            np.fill_diagonal(r, 0)
-            weight = 1 / (1 + np.maximum(r, 0).sum(axis=1))
-        model = LabelModel(float(np.clip(toxic / len(p), 1e-3, 1 - 1e-3)), fires, weight)
-        p = model.posterior(votes, labels)
+        if i % EVERY == 0:
+            parent = np.append(dependencies(votes[:, :-1], p), -1)  # the label's errors are its own
+        above = np.where(parent >= 0, votes[:, parent], 0.0)
+        fires = np.empty((votes.shape[1], 2, 2))
+        for k, w in ((0, 1 - p), (1, p)):
+            alone = (w @ votes + PSEUDO / 2) / (w.sum() + PSEUDO)
+            for s, side in ((0, 1 - above), (1, above)):
+                weight = side * w[:, None]
+                # where the parent hardly ever does that, the rate without it
+                fires[:, k, s] = ((weight * votes).sum(axis=0) + PSEUDO * alone) / (weight.sum(axis=0) + PSEUDO)
+        model = LabelModel(float(np.clip(p.mean(), 1e-3, 1 - 1e-3)), parent, np.clip(fires, 1e-5, 1 - 1e-5))
+        p = model.posterior(votes)
     return model
 
 
@@ -168,9 +207,9 @@ def fit(keys: list[np.ndarray], extra: np.ndarray, labels: np.ndarray) -> Toxici
     votes[doc[hit], column[at[hit]]] = 1
     votes[:, len(chosen) : len(chosen) + len(PATTERNS)] = extra
     votes[:, -1] = votes[:, : len(chosen)].sum(axis=1) == 0
-    soft = fit_label_model(votes, labels).posterior(votes, labels)
-    # linear classifier on the posterior labels, over features seen often enough and leaning to the toxic side
-    use = np.flatnonzero(often & (z > 3) & (share > LEAST_SHARE))
+    soft = fit_label_model(votes, labels).posterior(np.column_stack([votes, labels == 1]).astype(np.float64))
+    # linear classifier on the posterior labels, over features seen often enough and leaning to a side
+    use = np.flatnonzero(often & ((z > 3) & (share > LEAST_SHARE) | (z < -CLEAN_SIDE)))
     index = np.full(len(every), -1)
     index[use] = np.arange(len(use))
     kept = index[at] >= 0
@@ -200,18 +239,25 @@ def _sample_features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBat
             yield pa.RecordBatch.from_arrays([pa.array([label], pa.int32()), pa.array([keys.tobytes()], pa.binary()), pa.array([patterns(text, tokens, len(distinct)).tobytes()], pa.binary())], ["label", "keys", "extra"])
 
 
+def _fit_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row: the model of all rows of the task, fitted in an order by content."""
+    found = [r for batch in batches for r in zip(*(batch.column(c).to_pylist() for c in ("label", "keys", "extra")), strict=True)]
+    found.sort(key=lambda r: (zlib.crc32(r[1]), r[1], r[0]))
+    extra = np.array([np.frombuffer(x) for _, _, x in found]).reshape(-1, len(PATTERNS))
+    model = fit([np.frombuffer(k, dtype=np.uint64) for _, k, _ in found], extra, np.array([y for y, _, _ in found]))
+    yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(model)], pa.binary())], ["model"])
+
+
 def train(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample_rows: int = SAMPLE_ROWS) -> ToxicityModel:
-    """Fit on at most sample_rows labelled rows that learn (over the id) marks."""
+    """Fit on at most sample_rows of the distinct labelled rows that learn (over the id) marks; in one task, not on the driver."""
     ship(docs.sparkSession)
-    order = F.xxhash64(F.col(id_col), F.lit(7))
-    chosen = labels.where(learn & F.col(label_col).isNotNull()).groupBy(id_col).agg(F.max(label_col).cast("int").alias("_label"))
-    chosen = chosen.withColumn("_h", order).orderBy("_h", id_col).limit(sample_rows).drop("_h")
-    texts = docs.select(id_col, whole_text(text_col).alias("_text")).join(F.broadcast(chosen), id_col).select("_label", "_text")
-    found = texts.mapInArrow(_sample_features, "label int, keys binary, extra binary").collect()
-    found = sorted(found, key=lambda r: (zlib.crc32(r["keys"]), bytes(r["keys"]), r["label"]))
-    keys = [np.frombuffer(r["keys"], dtype=np.uint64) for r in found]
-    extra = np.array([np.frombuffer(r["extra"]) for r in found]).reshape(-1, len(PATTERNS))
-    return fit(keys, extra, np.array([r["label"] for r in found]))
+    own = labels.where(learn & F.col(label_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("label"))
+    # labels first, so that only texts of chosen ids are gathered; then rows, so that an id of very many rows doesn't count more
+    chosen = distinct_sample(own, sample_rows, labels.count(), 7).groupBy("id").agg(F.max("label").alias("label"))
+    met = docs.select(F.col(id_col).alias("id"), whole_text(text_col).alias("text")).join(F.broadcast(chosen), "id")
+    texts = distinct_sample(met, sample_rows, met.select("id").count(), 7)
+    found = texts.select("label", "text").mapInArrow(_sample_features, "label int, keys binary, extra binary").repartition(1).mapInArrow(_fit_rows, "model binary").collect()
+    return pickle.loads(found[0]["model"]) if found else fit([], np.zeros((0, len(PATTERNS))), np.zeros(0))
 
 
 def _score(shared):

@@ -216,6 +216,17 @@ def test_token_counts_and_their_cache(spark, docs, texts, tmp_path):
     all_stored = spark.read.parquet(cache).count()
     assert sorted(map(tuple, token_counts.count_tokens(docs, path, cache).collect())) == want
     assert spark.read.parquet(cache).count() == all_stored == len({t or "" for _, t, *_ in texts})
+    files = len(spark.read.parquet(cache).inputFiles())
+    assert sorted(map(tuple, token_counts.counts_cold_and_warm(docs, path).collect())) == want
+    token_counts.count_tokens(docs, path, cache)
+    assert len(spark.read.parquet(cache).inputFiles()) == files  # a warm run encodes and appends nothing
+
+
+def test_token_digests_are_remembered_in_bounds(monkeypatch):
+    monkeypatch.setattr(token_counts, "SEEN", 3)
+    seen = set()
+    assert token_counts._new([b"a", b"b", b"a"], seen) == [0, 1] and token_counts._new([b"c", b"d", b"a"], seen) == [0, 1]
+    assert not seen and token_counts._new([b"a"], seen) == [0]
 
 
 # ---- 4 exact copies ----
@@ -295,6 +306,51 @@ def test_quality_refuses_documents_without_common_words(spark):
     assert len(tried) > 10 and not any(r["kept"] for r in tried)
 
 
+def test_verdicts_by_brute_force(docs, texts, monkeypatch):
+    """References, distances and kept, in plain Python; thresholds at which both distances decide here."""
+    monkeypatch.setattr(quality, "CHAR_DISTANCE", 0.05)
+    monkeypatch.setattr(quality, "WORD_DISTANCE", 0.15)
+    classes = [re.compile(c) for c in quality.CLASSES]
+
+    def counts(t):
+        t = t or ""
+        k = [len(c.findall(t)) for c in classes]
+        w = [x.lower().rstrip(".,;:!?") for x in WORD.findall(t)]
+        c = [w.count(x) for x in quality.COMMON]
+        return [*k, len(t) - sum(k)], [*c, len(w) - sum(c)]
+
+    def distance(a, b):
+        p, q = ([x / max(1, sum(v)) for x in v] for v in (a, b))
+        return math.sqrt(max(0.0, sum(x * math.log2(2 * x / (x + y)) / 2 for v, u in ((p, q), (q, p)) for x, y in zip(v, u) if x)))
+
+    own, refs = {}, {}
+    for n, (i, t, lang, *_) in enumerate(texts):
+        own[n] = (i, *counts(t), plain_quality(t))
+        if lang is not None and not own[n][3][5]:
+            have = refs.setdefault(lang, ([0] * len(own[n][1]), [0] * len(own[n][2])))
+            refs[lang] = tuple([a + b for a, b in zip(x, y)] for x, y in zip(have, own[n][1:3]))
+    want = []
+    for n, (_, t, *_) in enumerate(texts):
+        i, k, w, base = own[n]
+        far = [min(distance(v, r[j]) for r in refs.values()) for j, v in enumerate((k, w))]
+        odd = (len(t or "") >= quality.GUARD_CHARS and far[0] > 0.05) or (base[0] >= quality.GUARD_WORDS and far[1] > 0.15)
+        want.append((i, not base[5] and not odd, round(far[0], 6), round(far[1], 6)))
+    got = [(r["doc_id"], r["kept"], round(r["char_distance"], 6), round(r["word_distance"], 6)) for r in quality.judge(docs).collect()]
+    assert sorted(got) == sorted(want) and len({k for _, k, *_ in want}) == 2
+
+
+def test_three_hundred_languages(spark, monkeypatch):
+    """Each language's documents pass by their own reference, in one block or in several."""
+    rng = np.random.default_rng(3)
+    words = [f"w{i}" for i in range(200)]
+    rows = [(i, " ".join(rng.choice(words, 90)) + f" {'$' * (i % 300)}", f"l{i % 300}") for i in range(600)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    one = sorted(tuple(r) for r in quality.judge(df).collect())
+    monkeypatch.setattr(quality, "BLOCK", 70)
+    assert sorted(tuple(r) for r in quality.judge(df).collect()) == one
+    assert max(r[-2] for r in one) < 0.1
+
+
 # ---- 6 language model ----
 
 
@@ -424,15 +480,72 @@ def test_toxicity_held_out(spark):
     assert all(r["held_out"] == (zlib.crc32(str(i).encode()) % 5 == 0) for i, r in got.items())
 
 
-def test_label_model_discounts_correlated_voters():
+def test_label_model_estimates_rates_and_dependencies():
+    """Three copies of one voter hang together and count once; the given label's reliability is estimated, not set."""
     rng = np.random.default_rng(4)
-    y = rng.random(4000) < 0.3
-    noisy = lambda p, q: np.where(y, rng.random(4000) < p, rng.random(4000) < q).astype(float)
-    a, b = noisy(0.7, 0.1), noisy(0.6, 0.2)
-    votes = np.stack([a, a, a, b], axis=1)
-    model = toxicity.fit_label_model(votes, np.where(rng.random(4000) < 0.05, ~y, y).astype(int))
-    assert model.weight[0] < 0.5 < model.weight[3]
-    assert abs(model.fires[3, 1] - 0.6) < 0.1 and abs(model.fires[3, 0] - 0.2) < 0.1
+    y = rng.random(6000) < 0.3
+    noisy = lambda p, q: np.where(y, rng.random(6000) < p, rng.random(6000) < q).astype(float)
+    a, b, c = noisy(0.7, 0.1), noisy(0.6, 0.2), noisy(0.65, 0.1)
+    votes, given = np.stack([a, a, a, b, c], axis=1), np.where(rng.random(6000) < 0.1, ~y, y).astype(int)
+    model = toxicity.fit_label_model(votes, given)
+    assert model.parent[:3].tolist().count(-1) == 1 and {*model.parent[:3].tolist()} <= {-1, 0, 1, 2} and model.parent[5] == -1
+    p = model.posterior(np.column_stack([votes, given == 1]).astype(float))
+    assert ((p > 0.5) == y).mean() > (given == y).mean() and abs(model.prior - 0.3) < 0.05
+    assert abs(model.fires[5, 1, 0] - 0.9) < 0.09 and abs(model.fires[5, 0, 0] - 0.1) < 0.09
+    once = toxicity.fit_label_model(votes[:, 2:], given)
+    full = lambda v: np.column_stack([v, given == 1]).astype(float)
+    assert np.allclose(model.posterior(full(votes)), once.posterior(full(votes[:, 2:])), atol=0.02)
+
+
+def test_dependencies_by_brute_force():
+    """Greatest spanning tree over the significant pairs: its total is that of the best tree among all."""
+    from itertools import product
+
+    rng = np.random.default_rng(5)
+    x = rng.integers(0, 2, (400, 4)).astype(float)
+    x[:, 1] = np.where(rng.random(400) < 0.8, x[:, 0], x[:, 1])
+    x[:, 3] = np.where(rng.random(400) < 0.7, x[:, 1], x[:, 3])
+    p = np.full(400, 0.5)
+
+    def information(i, j):
+        total = 0.0
+        for u, v in product((0, 1), repeat=2):
+            both, one, two = ((x[:, i] == u) & (x[:, j] == v)).mean(), (x[:, i] == u).mean(), (x[:, j] == v).mean()
+            total += both * math.log(both / one / two) if both else 0
+        return total if 2 * 400 * total > toxicity.SIGNIFICANT else 0.0
+
+    got = sum(information(i, int(k)) for i, k in enumerate(toxicity.dependencies(x, p)) if k >= 0)
+    best = max(sum(information(i, j) for i, j in tree) for tree in product(*([(i, j) for j in range(4) if j != i] for i in range(1, 4))) if all(len({0} | {a for a, _ in tree}) == 4 for _ in (0,)) and _is_tree(tree))
+    assert math.isclose(got, best, rel_tol=1e-9)
+
+
+def _is_tree(edges):
+    reached = {0}
+    for _ in edges:
+        reached |= {a for a, b in edges if b in reached}
+    return len(reached) == 4
+
+
+def test_one_id_on_very_many_rows(spark):
+    """Samples hold rows, not ids: ten thousand rows of one id, alike or not, neither enlarge nor take over the sample."""
+    some = [(i, f"les mots français de {i} " * 5 if i % 2 else f"some English words about {i} " * 5, "fr" if i % 2 else "en") for i in range(300)]
+    alike = [(7, "les mots français de tous les jours", "fr")] * 5000 + [(8, f"some English words number {i}", "en") for i in range(5000)]
+    rows = spark.createDataFrame(some + alike, "doc_id long, text string, lang string")
+    from orthant.llm.common import distinct_sample
+
+    assert distinct_sample(rows, 200, 10_300, 8).count() == 200
+    assert distinct_sample(rows, 20_000, 10_300, 8).count() == 300 + 1 + 5000
+    model = langid.train(rows, F.lit(True), sample_rows=500)
+    assert model.predict("les mots de tous")[0] == "fr" and model.predict("some words about")[0] == "en"
+    labels = spark.createDataFrame([(i, int(i % 2)) for i in range(300)], "doc_id long, toxic int")
+    found = toxicity.train(rows, labels, F.lit(True), sample_rows=500)
+    assert found.score("les mots français".encode()) > 0.5 > found.score(b"some English words about")
+
+
+def test_letters(spark):
+    rows = [(i, t, "en" if i % 2 else "fr") for i, t in enumerate(["½ 12", "①", "²", "Ⅷ", "१२", "ª", "a½", "é", "日本", "_", "12"])]
+    got = {r["doc_id"]: r["lang_pred"] for r in langid.identify(spark.createDataFrame(rows, "doc_id long, text string, lang string"), langid.train(spark.createDataFrame([(100, "one text", "en"), (101, "un texte", "fr")], "doc_id long, text string, lang string"), F.lit(True)), F.lit(False)).collect()}
+    assert {i for i, x in got.items() if x == "und"} == {0, 1, 2, 3, 4, 9, 10}
 
 
 def test_language_held_out(spark):
@@ -604,6 +717,17 @@ def test_chat_round_trip(spark):
         assert (d[c]["loss_chars"], d[c]["loss_sha256"]) == (len(loss), hashlib.sha256(loss.encode()).hexdigest())
 
 
+def test_chat_escapes_until_identical(spark, monkeypatch):
+    """Without the look for control strings the round trip alone finds what to escape, in as many rounds as it takes."""
+    monkeypatch.setattr(chat, "CONTROL", ())
+    hard = [(9, i, r, t) for i, (r, t) in enumerate([("u", "a</s>b"), ("u", "[INST] u\nx"), ("v\nw", "</s>[INST] u\nx</s>"), ("u", "plain"), ("\\ u", "</s>"), ("u", "")])]
+    rows = [*hard, (10, 0, "u", "plain"), (11, 0, "\\ u", "x")]
+    got = {r["conv_id"]: r for r in chat.format_chats(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()}
+    for c in (9, 10, 11):
+        assert got[c]["same"] and [(x["role"], x["text"]) for x in got[c]["turns"]] == [(r, t) for k, _, r, t in rows if k == c]
+    assert got[9]["formatted"].count(chat.ESCAPED) < len(hard) and chat.ESCAPED not in got[10]["formatted"]
+
+
 # ---- empty tables ----
 
 
