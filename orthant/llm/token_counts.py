@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from orthant.functions.shipping import ship
 
-from .common import fresh_path, whole_text, written
+from .common import fresh_path, shuffle_partitions, whole_text, written
 from .tokens import in_slices, tokenizer
 
 CACHE_SCHEMA = "digest binary, tokenizer string, n_tokens long"
@@ -33,8 +33,8 @@ def tokenizer_version(path: str) -> str:
         return hashlib.sha256(f.read()).hexdigest()[:16]
 
 
-#: Digests that a task remembers, and missing digests that are broadcast.
-SEEN, BROADCAST_DIGESTS = 500_000, 500_000
+#: Digests that a task remembers, missing digests that are broadcast, bytes of text that a task encodes, about.
+SEEN, BROADCAST_DIGESTS, PART_BYTES = 500_000, 500_000, 64 << 20
 
 
 def _new(digests: list[bytes], seen: set[bytes]) -> list[int]:
@@ -97,8 +97,9 @@ def count_tokens(docs: DataFrame, tokenizer_path: str, cache_path: str | None =
     keyed = written(docs.select(F.col(id_col).alias("_id"), F.octet_length(text).cast("long").alias("n_bytes"), digest), "digests")
     misses = _misses(docs.select(digest, text.alias("text")), keyed, cached_counts(spark, cache_path, version))
     if misses is not None:
-        # copies fold in their task; the exchange is cut by size, so a task doesn't grow with the corpus
-        firsts = misses.mapInArrow(_first_copies, misses.schema).hint("rebalance", F.col("digest"))
+        # copies fold in their task; partitions follow the bytes, so a task doesn't grow with the corpus
+        size = keyed.agg(F.sum("n_bytes").alias("n")).first()["n"] or 0
+        firsts = misses.mapInArrow(_first_copies, misses.schema).repartition(max(shuffle_partitions(spark), -(-size // PART_BYTES)), "digest")
         firsts.mapInArrow(_encode(tokenizer_path, version), CACHE_SCHEMA).write.mode("append").parquet(cache_path)
     # a writer that ran at the same time, or another task, may have stored a digest too
     counts = written(cached_counts(spark, cache_path, version).groupBy("digest").agg(F.max("n_tokens").alias("n_tokens")), "counts")
