@@ -5,12 +5,15 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orthant import kernel as K
+from orthant.functions.shipping import ship
 from orthant.operators.knn import Knn, merge_topk, remote_requests, search_cells
-from orthant.operators.layout import SpatialLayout, with_boxes
+from orthant.operators.layout import SpatialLayout, pack_cells
 from orthant.plans.global_tree import build_global_tree
 from orthant.points import PointSet
 from orthant.sources.tables import written
@@ -36,29 +39,35 @@ class Phases:
 
 
 def build_phases(points: PointSet, cells: int, policy: K.SplitPolicy = K.SplitPolicy(), bucket_size: int = 32) -> tuple[SpatialLayout, Phases]:
-    """Global tree, redistribution, local trees with packing."""
+    """Global tree, redistribution, local trees, packing: the exchange alone, then trees that are only counted, then the whole."""
     p, spark = Phases(), points.df.sparkSession
     tree = p.run("global_tree", lambda: build_global_tree(points, cells, policy))
-    n = max(1, min(tree.cells, 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    n = max(1, min(tree.cells, int(spark.conf.get("spark.sql.shuffle.partitions"))))
     routed = p.run("redistribution", lambda: tree.routed(points.positions()).repartition(n, "cell"))
-    layout = with_boxes(routed, tree, policy, bucket_size)
-    p.run("local_trees", layout.buckets)
+    p.run("local_trees", lambda: local_shapes(routed, tree.dims, bucket_size, policy))
+    layout = p.run("packing", lambda: pack_cells(routed, tree, policy, bucket_size))
+    p.seconds["packing"] = max(0.0, p.seconds["packing"] - p.seconds["local_trees"])  # it built the trees once more
     return layout, p
 
 
 def query_phases(layout: SpatialLayout, queries: DataFrame, k: int = 5, prune: str = "mbr") -> tuple[DataFrame, Phases]:
-    """Owner lookup, local search, finding remote cells, remote search, merge."""
+    """Owner lookup, sending queries, local search, finding remote cells, sending requests, remote search, merge.
+
+    The two sending phases are the exchanges alone: the share of communication.
+    """
     p, coords = Phases(), [f"c{i}" for i in range(layout.dims)]
     asked = p.run("owner_lookup", lambda: layout.tree.routed(queries.select("qid", *coords)).withColumn("r2", F.lit(float("inf"))))
-    owner = p.run("local_knn", lambda: search_cells(layout, asked, k, 0))
+    sent = p.run("send_queries", lambda: asked.repartition(layout.parts, "cell"))
+    owner = p.run("local_knn", lambda: search_cells(layout, sent, k, 0))
 
     def requests() -> DataFrame:
         radius = owner.where("pid is not null").groupBy("qid").agg(F.count(F.lit(1)).alias("n"), F.max("d2").alias("m"))
         bound = asked.withColumnRenamed("cell", "owner").join(radius, "qid", "left").withColumn("r2", F.when(F.col("n") >= k, F.col("m")).otherwise(F.col("r2")))
         return remote_requests(layout, bound, prune)
 
-    sent = p.run("identify_remote", requests)
-    remote = p.run("remote_knn", lambda: search_cells(layout, sent, k, 1))
+    requested = p.run("identify_remote", requests)
+    moved = p.run("send_requests", lambda: requested.repartition(layout.parts, "cell"))
+    remote = p.run("remote_knn", lambda: search_cells(layout, moved, k, 1))
     answer = p.run("merge", lambda: merge_topk(owner.unionByName(remote), k))
     return answer, p
 
@@ -73,6 +82,32 @@ def query_work(search: Knn) -> DataFrame:
 
 
 def tree_shape(layout: SpatialLayout) -> DataFrame:
-    """One row: cells, depth with the local trees, buckets, balance of the cells."""
-    b = layout.buckets().agg(F.max("depth").alias("local_depth"), F.count(F.lit(1)).alias("buckets"), F.max("n").alias("largest_bucket"))
-    return b.select(F.lit(layout.cells).alias("cells"), F.lit(layout.tree.depth).alias("global_depth"), "local_depth", (F.lit(layout.tree.depth) + F.col("local_depth")).alias("depth"), "buckets", "largest_bucket", F.lit(round(layout.balance(), 6)).alias("balance"))
+    """One row: cells, depth with the local trees, buckets, balance of the cells; facts that the build left."""
+    f, g = layout.facts, layout.tree.depth
+    row = (layout.cells, g, f["tree_depth"], g + f["tree_depth"], f["buckets"], f["largest"], round(layout.balance(), 6))
+    return layout.packed.sparkSession.createDataFrame([row], "cells int, global_depth int, local_depth int, depth int, buckets long, largest_bucket int, balance double")
+
+
+def median_error(layout: SpatialLayout) -> float:
+    """Mean distance of the global splits' shares from those wanted."""
+    n, tree = np.zeros(len(layout.tree.left)), layout.tree
+    for i, leaf in enumerate(tree.leaves()):
+        n[leaf] = layout.n[i]
+    off = []
+    for node in range(len(tree.left) - 1, -1, -1):
+        if tree.left[node] >= 0:
+            n[node] = n[tree.left[node]] + n[tree.right[node]]
+            if n[node]:
+                off.append(abs(n[tree.left[node]] / n[node] - tree.want[tree.left[node]] / tree.want[node]))
+    return float(np.mean(off)) if off else 0.0
+
+
+def local_shapes(routed: DataFrame, dims: int, bucket_size: int = 32, policy: K.SplitPolicy = K.SplitPolicy()) -> DataFrame:
+    """(cell, buckets, depth) of trees that are built and not kept."""
+    ship(routed.sparkSession)
+
+    def run(part: pa.Table) -> pa.Table:
+        tree = K.build(np.stack([part.column(f"c{i}").to_numpy() for i in range(dims)], axis=1), part.column("pid").to_numpy(), bucket_size, policy)
+        return pa.table({"cell": pa.array([part.column("cell")[0].as_py()], pa.int32()), "buckets": pa.array([len(tree.leaves)], pa.int32()), "depth": pa.array([int(tree.depth.max())], pa.int32())})
+
+    return routed.groupBy("cell").applyInArrow(run, "cell int, buckets int, depth int")

@@ -1,13 +1,15 @@
 """Exact k nearest neighbours of a query set, distributed.
 
 Queries go to the cell that owns their place; its answer bounds the radius; only cells whose box comes within that radius are
-asked again, with the radius as their bound; the best k of all lists win. Both searches are cogroups of a cell's points
-with its queries, so a cell is read where it lies; what moves are queries, requests and at most k rows per request.
+asked again, with the radius as their bound; the best k of all lists win. Both searches join the packed cells, read where they
+lie, with the queries sent to them, packed likewise; what is exchanged are queries, requests and at most k rows per request.
+The owner's pass finds the remote cells too, while it has the radius at hand.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 import pyarrow as pa
@@ -17,71 +19,93 @@ from pyspark.sql.window import Window
 
 from orthant import kernel as K
 from orthant.functions.shipping import ship
-from orthant.operators.layout import SpatialLayout
+from orthant.operators.layout import SpatialLayout, array_at, tree_at
 from orthant.points import PointSet
 from orthant.sources.tables import written
 
-FOUND = "qid long, pid long, d2 double, cell int, hop int, visited long, compared long"
-#: Points shipped to every worker at most, in bytes; queries of a cell that are searched together.
-BROADCAST_BYTES, BATCH_ROWS = 256 << 20, 65_536
+#: Rows of a search: hop 0 and 1 are candidates of the owner and of remote cells; hop -1 asks cell for a query's place (at) and r2.
+FOUND = "qid long, pid long, d2 double, cell int, hop int, visited long, compared long, r2 double, at array<double>"
+_NAMES = [x.split()[0] for x in FOUND.split(", ")]
+ASK = -1
+#: Points, or boxes of cells, shipped to every worker at most, in bytes; queries of a cell that are searched together.
+BROADCAST_BYTES, BATCH_ROWS = 256 << 20, 131_072
 
 
 def _matrix(part: pa.Table | pa.RecordBatch, dims: int) -> np.ndarray:
     return np.stack([part.column(f"c{i}").to_numpy(zero_copy_only=False) for i in range(dims)], axis=1) if part.num_rows else np.zeros((0, dims))
 
 
-def _answers(found: K.Found, qid: np.ndarray, cell: np.ndarray | int, hop: int) -> dict:
+def _answers(found: K.Found, qid: np.ndarray, cell: int, hop: int) -> pa.RecordBatch:
     row, rank = np.nonzero(found.ids != K.NO_ID)
     # a query without any answer keeps a row, for its counters
     none = np.flatnonzero((found.ids == K.NO_ID).all(axis=1))
     row, rank = np.concatenate([row, none]), np.concatenate([rank, np.zeros(len(none), dtype=np.int64)])
-    lacks = found.ids[row, rank] == K.NO_ID
-    return {
-        "qid": pa.array(qid[row]), "pid": pa.array(found.ids[row, rank], mask=lacks), "d2": pa.array(found.d2[row, rank], mask=lacks),
-        "cell": pa.array(np.broadcast_to(cell, qid.shape)[row].astype(np.int32)), "hop": pa.array(np.full(len(row), hop, dtype=np.int32)),
-        "visited": pa.array(found.visited[row]), "compared": pa.array(found.compared[row]),
-    }
-
-
-def _search_cell(dims: int, k: int, policy: K.SplitPolicy, bucket_size: int, exclude_self: bool, hop: int, order: str):
-    def run(points: pa.Table, queries: pa.Table) -> pa.Table:
-        if not queries.num_rows:
-            return pa.table({n: pa.array([], t) for n, t in zip(("qid", "pid", "d2", "cell", "hop", "visited", "compared"), (pa.int64(), pa.int64(), pa.float64(), pa.int32(), pa.int32(), pa.int64(), pa.int64()), strict=True)})
-        q, qid = _matrix(queries, dims), queries.column("qid").to_numpy()
-        tree = K.build(_matrix(points, dims), points.column("pid").to_numpy(), bucket_size if bucket_size else max(1, points.num_rows), policy)
-        found = K.search(tree, q, k, queries.column("r2").to_numpy(), qid if exclude_self else None, order)
-        return pa.table(_answers(found, qid, queries.column("cell")[0].as_py(), hop))
+    lacks, n = found.ids[row, rank] == K.NO_ID, len(row)
+    columns = [
+        pa.array(qid[row]), pa.array(found.ids[row, rank], mask=lacks), pa.array(found.d2[row, rank], mask=lacks), pa.array(np.full(n, cell, dtype=np.int32)), pa.array(np.full(n, hop, dtype=np.int32)),
+        pa.array(found.visited[row]), pa.array(found.compared[row]), pa.nulls(n, pa.float64()), pa.nulls(n, pa.list_(pa.float64())),
+    ]
+    return pa.RecordBatch.from_arrays(columns, _NAMES)
+
+
+def _asks(qid: np.ndarray, q: np.ndarray, r2: np.ndarray, cell: np.ndarray) -> pa.RecordBatch:
+    n, dims = q.shape
+    at = pa.ListArray.from_arrays(pa.array(np.arange(0, (n + 1) * dims, dims, dtype=np.int32)[: n + 1]), pa.array(q.ravel()))
+    columns = [pa.array(qid), pa.nulls(n, pa.int64()), pa.nulls(n, pa.float64()), pa.array(cell.astype(np.int32)), pa.array(np.full(n, ASK, dtype=np.int32)), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64()), pa.array(r2), at]
+    return pa.RecordBatch.from_arrays(columns, _NAMES)
+
+
+def _search_rows(dims: int, k: int, exclude_self: bool, hop: int, order: str, shared):
+    """Rows of packed cells joined with packed queries; with shared boxes, also the asks of the queries' remote cells."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in range(batch.num_rows):
+                asked = batch.column("_asked").slice(row, 1).flatten()
+                column = lambda name: asked.field(name).to_numpy(zero_copy_only=False)  # noqa: B023, E731
+                qid, r2, cell = column("qid"), column("r2"), batch.column("cell")[row].as_py()
+                q = np.stack([column(f"c{i}") for i in range(dims)], axis=1)
+                found = K.search(tree_at(batch, row, dims), q, k, r2, qid if exclude_self else None, order)
+                yield _answers(found, qid, cell, hop)
+                if shared is not None and batch.column("piece")[row].as_py() == 0:
+                    r2 = np.minimum(r2, found.d2[:, -1])  # k answers bound the radius, fewer are padded by infinity
+                    at, far = shared.value.within(q, r2)
+                    at, far = at[far != cell], far[far != cell]
+                    yield _asks(qid[at], q[at], r2[at], far)
 
     return run
 
 
-def search_cells(layout: SpatialLayout, queries: DataFrame, k: int, hop: int, exclude_self: bool = False, order: str = "near_first", batch_rows: int | None = None) -> DataFrame:
-    """Rows of FOUND for queries (qid, coordinates, r2, cell).
+def packed_queries(layout: SpatialLayout, queries: DataFrame, n: int, batch_rows: int | None = None) -> DataFrame:
+    """(cell, batch, _asked): the queries (qid, coordinates, r2, cell) of a cell as one value, or as several of about batch_rows.
 
-    The queries of a cell are dealt into batches of about batch_rows, and its points are read once for each: a hot cell is many
-    groups. Without batch_rows that happens only where some cell has more than BATCH_ROWS queries, which one count tells.
+    Only more than batch_rows queries can fill a cell beyond it; then one count by cell tells which cells are dealt.
     """
-    coords = [f"c{i}" for i in range(layout.dims)]
-    points, queries = layout.points.select("pid", *coords, "cell"), queries.select(*(F.col(c).alias(c) for c in ("qid", *coords, "r2", "cell")))  # own columns, whatever they come from
-    keys = ["cell"]
-    if batch_rows is None and (queries.groupBy("cell").count().agg(F.max("count").alias("n")).first()["n"] or 0) > BATCH_ROWS:
-        batch_rows = BATCH_ROWS
-    if batch_rows:
-        need = queries.groupBy("cell").agg(F.ceil(F.count(F.lit(1)) / batch_rows).cast("int").alias("batches"))  # a row for each cell
-        queries = queries.join(F.broadcast(need), "cell").withColumn("batch", F.pmod(F.xxhash64("qid"), F.col("batches")).cast("int")).drop("batches")
-        points = points.join(F.broadcast(need), "cell").withColumn("batch", F.explode(F.sequence(F.lit(0), F.col("batches") - 1))).drop("batches")
-        keys = ["cell", "batch"]
-    run = _search_cell(layout.dims, k, layout.policy, layout.bucket_size, exclude_self, hop, order)
-    if not batch_rows and not layout.placed:
-        n = max(1, min(layout.cells, 4 * int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
-        points, queries = points.repartition(n, "cell"), queries.repartition(n, "cell")
-    return points.groupBy(*keys).cogroup(queries.groupBy(*keys)).applyInArrow(run, FOUND)
+    coords, most = [f"c{i}" for i in range(layout.dims)], batch_rows or BATCH_ROWS
+    own = queries.select(*(F.col(c).alias(c) for c in ("qid", *coords, "r2", "cell"))).withColumn("_batch", F.lit(0))
+    if n > most:
+        need = own.groupBy("cell").count().where(F.col("count") > most).select("cell", F.ceil(F.col("count") / most).cast("int").alias("_batches"))
+        own = own.join(F.broadcast(need), "cell", "left").withColumn("_batch", F.coalesce(F.pmod(F.xxhash64("qid"), "_batches"), F.lit(0)).cast("int")).drop("_batches")
+    return own.repartition(layout.parts, "cell").groupBy("cell", "_batch").agg(F.collect_list(F.struct("qid", *coords, "r2")).alias("_asked"))
+
+
+def search_cells(layout: SpatialLayout, queries: DataFrame, k: int, hop: int, exclude_self: bool = False, order: str = "near_first", batch_rows: int | None = None, n: int | None = None, boxes: Boxes | None = None) -> DataFrame:
+    """Rows of FOUND for n queries (qid, coordinates, r2, cell), from the stored trees. The packed cells aren't exchanged."""
+    spark = layout.packed.sparkSession
+    ship(spark)
+    asked = packed_queries(layout, queries, queries.count() if n is None else n, batch_rows)
+    names = ["pid", *(f"c{i}" for i in range(layout.dims)), *(c for c in layout.packed.columns if c.startswith("node_"))]
+    met = layout.packed.select("cell", "piece", *names).join(asked.hint("shuffle_hash"), "cell").drop("_batch")
+    shared = None if boxes is None else spark.sparkContext.broadcast(boxes)
+    return met.mapInArrow(_search_rows(layout.dims, k, exclude_self, hop, order, shared), FOUND)
 
 
 class Boxes:
-    """Boxes of the cells under the nodes of the tree, for finding those within a radius."""
+    """Boxes of the cells under the nodes of the tree, for finding those within a radius; as large as the tree, which is checked."""
 
     def __init__(self, layout: SpatialLayout, prune: str) -> None:
+        if layout.cells * layout.dims * 32 > BROADCAST_BYTES:
+            raise ValueError(f"{layout.cells} boxes of {layout.dims} dimensions are too many to ship; build larger cells")
         lo, hi = layout.tree.regions() if prune == "region" else (layout.lo, layout.hi)
         if prune == "none":
             lo, hi = np.full_like(layout.lo, -np.inf), np.full_like(layout.hi, np.inf)
@@ -103,30 +127,33 @@ class Boxes:
             leaf = self.left[node] < 0
             out.append((at[leaf], self.cell[node[leaf]]))
             at, node = np.repeat(at[~leaf], 2), np.stack([self.left[node[~leaf]], self.right[node[~leaf]]], axis=1).ravel()
-        return np.concatenate([a for a, _ in out]), np.concatenate([c for _, c in out])
+        return np.concatenate([np.zeros(0, dtype=np.int64), *(a for a, _ in out)]), np.concatenate([np.zeros(0, dtype=np.int64), *(c for _, c in out)])
 
 
 def _requests(shared, dims: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         boxes = shared.value
         for batch in batches:
-            owner, r2 = batch.column("owner").to_numpy(), batch.column("r2").to_numpy(zero_copy_only=False)
-            at, cell = boxes.within(_matrix(batch, dims), r2)
+            owner, r2, q = batch.column("owner").to_numpy(), batch.column("r2").to_numpy(zero_copy_only=False), _matrix(batch, dims)
+            at, cell = boxes.within(q, r2)
             far = cell != owner[at]
-            at, cell = at[far], cell[far].astype(np.int32)
-            sent = batch.take(pa.array(at))
-            yield pa.RecordBatch.from_arrays([*(sent.column(c) for c in ("qid", *(f"c{i}" for i in range(dims)), "r2")), pa.array(cell)], ["qid", *(f"c{i}" for i in range(dims)), "r2", "cell"])
+            at, cell = at[far], cell[far]
+            yield _asks(batch.column("qid").to_numpy()[at], q[at], r2[at], cell)
 
     return run
 
 
+def as_queries(asks: DataFrame, dims: int) -> DataFrame:
+    """(qid, coordinates, r2, cell) of rows that ask."""
+    return asks.select("qid", *(F.get("at", F.lit(i)).alias(f"c{i}") for i in range(dims)), "r2", "cell")
+
+
 def remote_requests(layout: SpatialLayout, queries: DataFrame, prune: str = "mbr") -> DataFrame:
     """(qid, coordinates, r2, cell) for every cell within r2 of a query (qid, coordinates, r2, owner), but not its owner."""
     ship(queries.sparkSession)
     shared = queries.sparkSession.sparkContext.broadcast(Boxes(layout, prune))
-    columns = ", ".join(f"c{i} double" for i in range(layout.dims))
     read = queries.select("qid", *(f"c{i}" for i in range(layout.dims)), "r2", "owner")
-    return read.mapInArrow(_requests(shared, layout.dims), f"qid long, {columns}, r2 double, cell int")
+    return as_queries(read.mapInArrow(_requests(shared, layout.dims), FOUND), layout.dims)
 
 
 def merge_topk(found: DataFrame, k: int) -> DataFrame:
@@ -136,7 +163,10 @@ def merge_topk(found: DataFrame, k: int) -> DataFrame:
 
 
 class Knn:
-    """The passes of one search, for those who want more than the answer."""
+    """The passes of one search, for those who want more than the answer.
+
+    Building it runs the owners' pass and stores what that found: candidates, and the requests to remote cells.
+    """
 
     def __init__(self, layout: SpatialLayout, queries: DataFrame, k: int = 5, max_radius: float | None = None, prune: str = "mbr", exclude_self: bool = False, order: str = "near_first", batch_rows: int | None = None) -> None:
         if k < 1:
@@ -144,26 +174,38 @@ class Knn:
         self.layout, self.k = layout, k
         coords = [f"c{i}" for i in range(layout.dims)]
         r2 = F.lit(float("inf") if max_radius is None else float(max_radius) ** 2)
-        asked = layout.tree.routed(queries.select("qid", *coords)).withColumn("r2", r2)
-        ship(queries.sparkSession)
-        self.owner = written(search_cells(layout, asked, k, 0, exclude_self, order, batch_rows), "owner")
-        # the radius of a query: its k-th place, if it has one
-        radius = self.owner.where("pid is not null").groupBy("qid").agg(F.count(F.lit(1)).alias("n"), F.max("d2").alias("m"))
-        bound = asked.withColumnRenamed("cell", "owner").join(radius, "qid", "left")
-        self.bounded = bound.withColumn("r2", F.when(F.col("n") >= k, F.col("m")).otherwise(F.col("r2"))).drop("n", "m")
-        self.requests = remote_requests(layout, self.bounded, prune)
+        own = queries.select("qid", *coords)
+        self.asked = layout.tree.routed(own).withColumn("r2", r2)
+        boxes, empty = Boxes(layout, prune), layout.n == 0
+        first = search_cells(layout, self.asked, k, 0, exclude_self, order, batch_rows, boxes=boxes)
+        if empty.any() and layout.n.sum():  # queries whose own cell has no points ask all cells in reach at once
+            shared = queries.sparkSession.sparkContext.broadcast(boxes)
+            alone = self.asked.where(F.col("cell").isin(np.flatnonzero(empty).tolist())).withColumnRenamed("cell", "owner")
+            first = first.unionByName(alone.select("qid", *coords, "r2", "owner").mapInArrow(_requests(shared, layout.dims), FOUND))
+        stored = written(first, "owner")
+        self.owner = stored.where(F.col("hop") != ASK)
+        self.requests = as_queries(stored.where(F.col("hop") == ASK), layout.dims)
         self.remote = search_cells(layout, self.requests, k, 1, exclude_self, order, batch_rows)
-        self.found = self.owner.unionByName(self.remote)
+        self.found = self.owner.unionByName(self.remote).drop("r2", "at")
+
+    @property
+    def bounded(self) -> DataFrame:
+        """(qid, coordinates, owner, r2): the queries with the radius that their owner gave them."""
+        radius = self.owner.where("pid is not null").groupBy("qid").agg(F.count(F.lit(1)).alias("n"), F.max("d2").alias("m"))
+        bound = self.asked.withColumnRenamed("cell", "owner").join(radius, "qid", "left")
+        return bound.withColumn("r2", F.when(F.col("n") >= self.k, F.col("m")).otherwise(F.col("r2"))).drop("n", "m")
 
     def neighbors(self) -> DataFrame:
         return merge_topk(self.found, self.k).select("qid", "rank", "pid", "d2", "dist")
 
     def stats(self) -> DataFrame:
         """Per query: cells contacted, remote cells, nodes visited, points compared, remote rows in the answer."""
-        per_cell = self.found.groupBy("qid", "cell").agg(F.max("visited").alias("v"), F.max("compared").alias("c"), F.max("hop").alias("hop"))
+        found = written(self.found, "found")  # looked at twice
+        per_cell = found.groupBy("qid", "cell").agg(F.max("visited").alias("v"), F.max("compared").alias("c"), F.max("hop").alias("hop"))
         told = per_cell.groupBy("qid").agg(F.count(F.lit(1)).cast("int").alias("cells_contacted"), F.sum("hop").cast("int").alias("remote_cells"), F.sum("v").alias("nodes_visited"), F.sum("c").alias("points_compared"))
-        won = merge_topk(self.found, self.k).groupBy("qid").agg(F.sum("hop").cast("int").alias("remote_in_answer"))
-        return told.join(won, "qid", "left").fillna(0, ["remote_in_answer"])
+        won = merge_topk(found, self.k).groupBy("qid").agg(F.sum("hop").cast("int").alias("remote_in_answer"))
+        counts = ["cells_contacted", "remote_cells", "nodes_visited", "points_compared", "remote_in_answer"]
+        return self.asked.select("qid").join(told, "qid", "left").join(won, "qid", "left").fillna(0, counts)
 
 
 def knn(layout: SpatialLayout, queries: DataFrame, k: int = 5, **options) -> DataFrame:
@@ -171,16 +213,38 @@ def knn(layout: SpatialLayout, queries: DataFrame, k: int = 5, **options) -> Dat
     return Knn(layout, queries, k, **options).neighbors()
 
 
-def knn_all_nodes(layout: SpatialLayout, queries: DataFrame, k: int = 5, max_radius: float | None = None, exclude_self: bool = False) -> DataFrame:
-    """Every query in every part, k rows from each: the strategy without a global tree."""
-    ship(queries.sparkSession)
+def knn_pipelined(layout: SpatialLayout, queries: DataFrame, k: int = 5, batches: int = 4, ahead: int = 2, **options) -> DataFrame:
+    """The same answer in batches of queries of which so many are under way at a time: one batch's owners' pass runs while the
+    remote pass of the batch before it waits for its last tasks, and each batch's requests are shorter lived."""
+
+    def one(i: int) -> DataFrame:
+        part = queries.where(F.pmod(F.xxhash64("qid"), F.lit(batches)) == i)
+        return written(Knn(layout, part, k, **options).neighbors(), f"answers{i}")
+
+    with ThreadPoolExecutor(ahead) as pool:
+        parts = list(pool.map(one, range(batches)))
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+def found_in_all(layout: SpatialLayout, queries: DataFrame, k: int = 5, max_radius: float | None = None, exclude_self: bool = False) -> DataFrame:
+    """Candidates of every query from every cell: k rows from each."""
     coords = [f"c{i}" for i in range(layout.dims)]
     asked = queries.select("qid", *coords).withColumn("r2", F.lit(float("inf") if max_radius is None else max_radius**2))
     asked = asked.withColumn("cell", F.explode(F.sequence(F.lit(0), F.lit(layout.cells - 1)).cast("array<int>")))
-    return merge_topk(search_cells(layout, asked, k, 0, exclude_self), k).select("qid", "rank", "pid", "d2", "dist")
+    return search_cells(layout, asked, k, 0, exclude_self).drop("r2", "at")
+
+
+def knn_all_nodes(layout: SpatialLayout, queries: DataFrame, k: int = 5, max_radius: float | None = None, exclude_self: bool = False) -> DataFrame:
+    """Every query in every part, k rows from each: the strategy without a global tree."""
+    return merge_topk(found_in_all(layout, queries, k, max_radius, exclude_self), k).select("qid", "rank", "pid", "d2", "dist")
+
 
+def local_brute(shared, dims: int, k: int, r2: float, exclude_self: bool):
+    """k pairs of each shared query (ids, places) from the points of a task."""
 
-def _local_brute(shared, dims: int, k: int, r2: float, exclude_self: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         qid, q = shared.value
         d2, ids = np.full((len(q), k), np.inf), np.full((len(q), k), K.NO_ID)
@@ -207,7 +271,7 @@ def knn_brute(points: PointSet, queries: DataFrame, k: int = 5, max_radius: floa
         own = asked if blocks == 1 else asked.where(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == b)
         rows = own.toPandas()  # at most about a block
         shared = spark.sparkContext.broadcast((rows["qid"].to_numpy(), rows[coords].to_numpy(dtype=float)))
-        part = every.mapInArrow(_local_brute(shared, points.dims, k, r2, exclude_self), "qid long, pid long, d2 double")
+        part = every.mapInArrow(local_brute(shared, points.dims, k, r2, exclude_self), "qid long, pid long, d2 double")
         found = part if found is None else found.unionByName(part)
     return merge_topk(found, k).select("qid", "rank", "pid", "d2", "dist")
 
@@ -247,11 +311,18 @@ def squared_distance(dims: int, a: str = "p", b: str = "q"):
     return total
 
 
+#: Cells that every query may meet in the purely relational search.
+RELATIONAL_CELLS = 1024
+
+
 def knn_relational(layout: SpatialLayout, queries: DataFrame, k: int = 5) -> DataFrame:
     """The same answer from joins and windows alone: an upper bound from the boxes' far corners, then boxes, then points.
 
-    The k nearest can't be farther than the box, by rising far distance, at which the boxes seen hold k points.
+    The k nearest can't be farther than the box, by rising far distance, at which the boxes seen hold k points. Queries meet
+    all boxes, so it is for layouts of few cells (RELATIONAL_CELLS); the tree search is for more.
     """
+    if layout.cells > RELATIONAL_CELLS:
+        raise ValueError(f"{layout.cells} cells: every query would meet each of them; use the tree search")
     spark, dims = queries.sparkSession, layout.dims
     boxes = layout.cells_df(spark).where("n > 0").select(F.col("cell_id").alias("cell"), "n", *(F.get("mbr_lo", F.lit(i)).alias(f"l{i}") for i in range(dims)), *(F.get("mbr_hi", F.lit(i)).alias(f"h{i}") for i in range(dims)))
     near = far = None
@@ -260,7 +331,7 @@ def knn_relational(layout: SpatialLayout, queries: DataFrame, k: int = 5) -> Dat
         a, b = F.greatest(lo - q, F.lit(0.0), q - hi), F.greatest(F.abs(q - lo), F.abs(q - hi))
         near, far = a * a if near is None else near + a * a, b * b if far is None else far + b * b
     asked = queries.select("qid", *(f"c{i}" for i in range(dims)))
-    pairs = asked.join(F.broadcast(boxes)).select("qid", "cell", "n", near.alias("near"), far.alias("far"), *(f"c{i}" for i in range(dims)))  # cells: a few rows per core
+    pairs = asked.join(F.broadcast(boxes)).select("qid", "cell", "n", near.alias("near"), far.alias("far"), *(f"c{i}" for i in range(dims)))
     seen = Window.partitionBy("qid").orderBy("far", "cell")
     ranked = pairs.withColumn("_reach", F.when(F.sum("n").over(seen) >= k, F.col("far")))
     limit = F.min("_reach").over(Window.partitionBy("qid"))

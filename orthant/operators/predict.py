@@ -52,14 +52,21 @@ def class_recall(predictions: DataFrame, truth: DataFrame, label: str = "label")
     return met.groupBy("truth").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg((F.col("predicted") == F.col("truth")).cast("double")), 6).alias("recall"))
 
 
-def knn_density(neighbors: DataFrame, k: int, dims: int) -> DataFrame:
-    """(qid, d2_k, density): k over the volume of the ball that reaches the k-th neighbour; infinite in a spot of k points."""
+def knn_density(neighbors: DataFrame, k: int, dims: int, dense_above: float | None = None) -> DataFrame:
+    """(qid, d2_k, density): k over the volume of the ball that reaches the k-th neighbour; infinite in a spot of k points.
+
+    dense_above: also dense, whether the density exceeds it.
+    """
     ball = math.pi ** (dims / 2) / math.gamma(dims / 2 + 1)
     volume = F.lit(ball) * F.pow("d2", F.lit(dims / 2))
-    return neighbors.where(F.col("rank") == k).select("qid", F.col("d2").alias("d2_k"), F.when(F.col("d2") > 0, F.lit(float(k)) / volume).otherwise(F.lit(float("inf"))).alias("density"))
+    told = neighbors.where(F.col("rank") == k).select("qid", F.col("d2").alias("d2_k"), F.when(F.col("d2") > 0, F.lit(float(k)) / volume).otherwise(F.lit(float("inf"))).alias("density"))
+    return told if dense_above is None else told.withColumn("dense", F.col("density") > F.lit(float(dense_above)))
 
 
 def recall(found: DataFrame, exact: DataFrame) -> DataFrame:
-    """Share of the exact neighbours that were found, and the worst ratio of k-th distances."""
-    a, b = found.select("qid", "pid", F.lit(1).alias("hit")), exact.select("qid", "pid")
-    return b.join(a, ["qid", "pid"], "left").agg(F.count(F.lit(1)).alias("n"), F.sum(F.coalesce("hit", F.lit(0))).alias("found")).select("n", "found", F.round(F.col("found") / F.col("n"), 6).alias("recall"))
+    """Share of the exact neighbours that were found, and the worst ratio of k-th distances (1 where both are 0)."""
+    hits = exact.select("qid", "pid").join(found.select("qid", "pid", F.lit(1).alias("hit")), ["qid", "pid"], "left").agg(F.count(F.lit(1)).alias("n"), F.sum(F.coalesce("hit", F.lit(0))).alias("found"))
+    far = lambda df, c: df.groupBy("qid").agg(F.max("dist").alias(c))
+    ratio = F.when(F.col("b") == F.col("a"), F.lit(1.0)).otherwise(F.col("b") / F.col("a"))
+    worst = far(exact, "a").join(far(found, "b"), "qid", "left").agg(F.round(F.max(F.coalesce(ratio, F.lit(float("inf")))), 6).alias("worst_ratio"))
+    return hits.crossJoin(worst).select("n", "found", F.round(F.col("found") / F.col("n"), 6).alias("recall"), "worst_ratio")  # one row each

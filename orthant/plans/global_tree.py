@@ -19,9 +19,9 @@ from orthant import kernel as K
 from orthant.functions.shipping import ship
 from orthant.points import PointSet, hash32
 
-#: Most sampled points on the driver, and most cells that are routed by a nested CASE.
-SAMPLE_CAP, CASE_CELLS = 65_536, 64
-#: Cells that mode 'groups' makes by full histograms before it goes on inside them.
+#: Most cells that are routed by a nested CASE.
+CASE_CELLS = 64
+#: Cells that are made by full histograms, from samples on the driver; more of them grow inside these, on the executors.
 GROUPS = 1024
 
 
@@ -154,10 +154,13 @@ def _histograms(shared, dims: int):
         for batch in batches:
             x = np.stack([batch.column(i).to_numpy(zero_copy_only=False) for i in range(dims)], axis=1)
             node = descend(arrays, x)
-            for n, (dim, edges) in open_nodes.items():
-                mine = node == n
-                if mine.any():
-                    counts[n] += K.histogram(x[mine, dim], edges, two_level)
+            by = np.argsort(node, kind="stable")  # each open node's rows in a run
+            first = np.flatnonzero(np.r_[True, node[by][1:] != node[by][:-1]]) if len(by) else by
+            for s, e in zip(first, np.r_[first[1:], len(by)], strict=True):
+                n = int(node[by[s]])
+                if n in open_nodes:
+                    dim, edges = open_nodes[n]
+                    counts[n] += K.histogram(x[by[s:e], dim], edges, two_level)
         for n, c in counts.items():
             at = np.flatnonzero(c)
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), n)), pa.array(at), pa.array(c[at])], ["node", "bin", "n"])
@@ -214,23 +217,62 @@ def grow_from_sample(x: np.ndarray, cells: int, policy: K.SplitPolicy) -> Global
 def build_global_tree(points: PointSet, cells: int, policy: K.SplitPolicy = K.SplitPolicy(), mode: str = "level", seed: int = 0) -> GlobalTree:
     """Halve the space until there are so many cells (any number; fewer where points coincide).
 
-    mode 'level': every value comes from a histogram of all points between sampled edges, or from whatever the policy says;
-    mode 'sample': dimensions and values come from the sample alone, for few passes over very many points;
-    mode 'groups': as 'level' for the first cells, and inside each of those, on the executors, from a sample of its own.
+    mode 'level': every value comes from a histogram of all points between sampled edges, or from whatever the policy says; of
+    more than GROUPS cells that holds for the first GROUPS, and inside each of those the tree grows on the executors, from a
+    sample of its own, so that every cell has its sample_per_part points in a sample however many cells there are;
+    mode 'sample': dimensions and values come from a sample alone, for few passes over very many points; then all points are
+    counted once, and only cells that the sample made too large are split again.
     """
-    if mode == "groups" and cells > GROUPS:
-        return _in_groups(points, cells, policy, seed)
     ship(points.df.sparkSession)
+    if cells > GROUPS:
+        return _in_groups(points, cells, policy, seed)
     tree = GlobalTree(points.dims)
     tree.add(0, max(1, cells))
     if cells <= 1:
         return tree
-    drawn = sample(points, min(SAMPLE_CAP, policy.sample_per_part * cells), seed)
+    drawn = sample(points, policy.sample_per_part * cells, seed)
     if not len(drawn):
         return tree
     if mode == "sample":
-        return grow_from_sample(drawn, cells, policy)
-    members = {0: drawn}
+        return repaired(points, grow_from_sample(drawn, cells, policy), cells, policy)
+    return _grow(points, tree, {0: drawn}, policy)
+
+
+#: A cell of a tree from a sample is split again beyond so many times its due.
+OVERWEIGHT = 2.0
+
+
+def repaired(points: PointSet, tree: GlobalTree, cells: int, policy: K.SplitPolicy) -> GlobalTree:
+    """The tree after one count of all points; cells beyond OVERWEIGHT times the mean are split further."""
+    total = points.df.count()
+    return split_heavy(points, tree, policy, max(1, int(OVERWEIGHT * total / cells)))
+
+
+def split_heavy(points: PointSet, tree: GlobalTree, policy: K.SplitPolicy, limit: int, seed: int = 0) -> GlobalTree:
+    """The tree with cells of more than limit points grown on by passes over all points, as far as planes can split them."""
+    counts = {r["cell"]: r["count"] for r in tree.routed(points.positions()).groupBy("cell").count().where(F.col("count") > limit).collect()}
+    if not counts:
+        return tree
+    leaves, want = tree.leaves(), {}
+    for c, n in counts.items():
+        want[leaves[c]] = -(-n // limit)
+    # samples of the heavy cells only, each of the size that its parts are due
+    size = max(want.values()) * policy.sample_per_part
+    inside = tree.routed(points.positions()).where(F.col("cell").isin(list(counts))).withColumn("_h", hash32(F.col("pid") + seed))
+    drawn = inside.withColumn("_r", F.row_number().over(Window.partitionBy("cell").orderBy("_h", "pid"))).where(F.col("_r") <= size)
+    rows = drawn.orderBy("cell", "_r").select("cell", *points.coords).toPandas()
+    members = {}
+    for c, part in rows.groupby("cell"):
+        tree.want[leaves[c]] = want[leaves[c]]
+        members[leaves[c]] = part[points.coords].to_numpy(dtype=float).reshape(-1, points.dims)
+    for n in range(len(tree.want) - 1, -1, -1):
+        if tree.left[n] >= 0:
+            tree.want[n] = tree.want[tree.left[n]] + tree.want[tree.right[n]]
+    return _grow(points, tree, members, policy)
+
+
+def _grow(points: PointSet, tree: GlobalTree, members: dict[int, np.ndarray], policy: K.SplitPolicy) -> GlobalTree:
+    """Split open nodes, given a sample of each, level by level: one pass over all points decides all values of a level."""
     while members:
         ready: dict[int, tuple[int, float]] = {}
         edges_of: dict[int, tuple[int, np.ndarray]] = {}
@@ -339,12 +381,14 @@ def _by_histogram(points: PointSet, tree: GlobalTree, edges_of: dict, policy: K.
     shared = spark.sparkContext.broadcast((tree.arrays(), edges_of, policy.two_level))
     counted = points.positions().drop("pid").mapInArrow(_histograms(shared, points.dims), "node long, bin long, n long")
     rows = counted.groupBy("node", "bin").agg(F.sum("n").alias("n")).collect()  # open nodes times their sampled edges
+    of: dict[int, list] = {n: [] for n in edges_of}
+    for r in rows:
+        of[r["node"]].append(r)
     out = {}
     for n, (dim, edges) in edges_of.items():
         counts = np.zeros(len(edges) + 1, dtype=np.int64)
-        for r in rows:
-            if r["node"] == n:
-                counts[r["bin"]] = r["n"]
+        for r in of[n]:
+            counts[r["bin"]] = r["n"]
         found = K.edge_nearest(edges, counts, -(-tree.want[n] // 2) / tree.want[n])
         if found:
             out[n] = (dim, found[0])

@@ -469,7 +469,7 @@ def stream_knn_replay(s, d):
 def _rebuilt(s: SparkSession, d: str, every: int) -> streams.RebuildingIndex:
     path = fresh_path(s, "arriving")
     P.events3(s, d).positions().withColumn("part", F.pmod("pid", F.lit(7))).write.partitionBy("part").parquet(path)
-    index = streams.RebuildingIndex(3, 8, streams.RebuildPolicy(every))
+    index = streams.RebuildingIndex(s, 3, 8, fresh_path(s, "index"), streams.RebuildPolicy(every))
     for i in range(7):  # one batch for each folder, as a stream would bring them
         index.add(s.read.parquet(f"{path}/part={i}"), i)
     return index

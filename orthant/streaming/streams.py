@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
@@ -13,11 +15,10 @@ from pyspark.sql.streaming.stateful_processor import StatefulProcessor, Stateful
 
 from orthant import kernel as K
 from orthant.functions.shipping import ship
-from orthant.operators.knn import Knn, knn_brute, merge_topk
+from orthant.operators.knn import BROADCAST_BYTES, Knn, knn_brute, local_brute, merge_topk
 from orthant.operators.layout import SpatialLayout, place
 from orthant.plans.global_tree import GlobalTree, build_global_tree
 from orthant.points import PointSet
-from orthant.sources.tables import written
 
 
 def stream_route(queries: DataFrame, tree: GlobalTree) -> DataFrame:
@@ -46,23 +47,50 @@ class RebuildingIndex:
     """All points seen so far under a tree of an earlier state, and the points since then beside it.
 
     Answers stay exact between rebuilds: the tree's answer and that of the exhaustive search over the delta are merged.
-    A version is complete in the shared folder before the pointer moves to it, and a batch number is taken once.
+    Everything is in the store: a batch's points, then a line of the log that says so; a version's cells, then its line, with
+    the batches it holds. So an index opened again at the same path goes on where the log ends: a batch number is taken
+    once, whatever was restarted, and what was written without its line is written again.
     """
 
-    def __init__(self, dims: int, cells: int, policy: RebuildPolicy = RebuildPolicy(), split: K.SplitPolicy = K.SplitPolicy()) -> None:
-        self.dims, self.cells, self.policy, self.split = dims, cells, policy, split
+    LOG = "kind string, number int, version int, batches string, points long, balance double"
+
+    def __init__(self, spark: SparkSession, dims: int, cells: int, path: str, policy: RebuildPolicy = RebuildPolicy(), split: K.SplitPolicy = K.SplitPolicy()) -> None:
+        self.spark, self.dims, self.cells, self.path, self.policy, self.split = spark, dims, cells, path, policy, split
         self.layout: SpatialLayout | None = None
-        self.delta: list[DataFrame] = []
-        self.done: set[int] = set()
-        self.versions: list[tuple[int, int, int, float]] = []  # version, batch, points, balance
+        lines = self._lines()
+        self.versions = [(r["version"], r["number"], r["points"], r["balance"]) for r in sorted((r for r in lines if r["kind"] == "version"), key=lambda r: r["version"])]
+        held = [r for r in lines if r["kind"] == "version" and r["version"] == len(self.versions)]
+        self.done = {r["number"] for r in lines if r["kind"] == "batch"}
+        self.inside = set(json.loads(held[0]["batches"])) if held else set()
+        if held:
+            self.layout = SpatialLayout.load(spark, f"{path}/tree", len(self.versions))
+
+    def _lines(self) -> list:
+        try:
+            return self.spark.read.schema(self.LOG).parquet(f"{self.path}/log").collect()  # a line for each batch and version
+        except AnalysisException as e:
+            if "PATH_NOT_FOUND" not in str(e):
+                raise
+            return []
+
+    def _log(self, *line) -> None:
+        self.spark.createDataFrame([line], self.LOG).coalesce(1).write.mode("append").parquet(f"{self.path}/log")
+
+    @property
+    def delta(self) -> list[int]:
+        """Batches that came after the tree."""
+        return sorted(self.done - self.inside)
 
     def add(self, batch: DataFrame, number: int) -> None:
         if number in self.done:
             return
-        self.delta.append(written(batch.select("pid", *(f"c{i}" for i in range(self.dims))), f"delta{number}"))
-        if self.layout is None or len(self.delta) >= self.policy.every or self.layout.balance() > self.policy.max_imbalance:
-            self.rebuild(number)
+        batch.select("pid", *(f"c{i}" for i in range(self.dims))).write.mode("overwrite").parquet(f"{self.path}/delta/{number}")
+        self._log("batch", number, None, None, None, None)
         self.done.add(number)
+        # a tree that a rebuild left uneven, as of points in one spot, isn't rebuilt for that again before it has grown by half
+        uneven = self.layout is not None and self.layout.balance() > self.policy.max_imbalance and 2 * self.delta_df().count() >= int(self.layout.n.sum())
+        if self.layout is None or len(self.delta) >= self.policy.every or uneven:
+            self.rebuild(number)
 
     def rebuild(self, number: int) -> None:
         every = self.delta_df()
@@ -70,15 +98,16 @@ class RebuildingIndex:
             every = self.layout.points.drop("cell").unionByName(every)
         points = PointSet(every, self.dims)
         version = len(self.versions) + 1
-        self.layout = place(points, build_global_tree(points, self.cells, self.split), self.split, version=version)
-        self.delta = []
-        self.versions.append((version, number, int(self.layout.n.sum()), self.layout.balance()))
+        layout = place(points, build_global_tree(points, self.cells, self.split), self.split, version=version)
+        layout.save(f"{self.path}/tree")
+        line = (version, number, int(layout.n.sum()), layout.balance())
+        self._log("version", number, version, json.dumps(sorted(self.done)), *line[2:])
+        self.layout, self.inside = layout, set(self.done)
+        self.versions.append(line)
 
     def delta_df(self) -> DataFrame:
-        every = self.delta[0]
-        for d in self.delta[1:]:
-            every = every.unionByName(d)
-        return every
+        columns = ", ".join(f"c{i} double" for i in range(self.dims))
+        return self.spark.read.schema(f"pid long, {columns}").parquet(*(f"{self.path}/delta/{n}" for n in self.delta))
 
     def knn(self, queries: DataFrame, k: int) -> DataFrame:
         found = Knn(self.layout, queries, k).neighbors().select("qid", "pid", "d2")
@@ -130,17 +159,20 @@ def best_pairs(k: int) -> StatefulProcessor:
 
 
 def continuous_knn(points: DataFrame, queries: DataFrame, dims: int, k: int) -> DataFrame:
-    """The running answer of a few standing queries as points arrive: an update of every query that a batch touches.
+    """The running answer of standing queries as points arrive: an update of every query that a batch touches.
 
-    Points meet the broadcast queries; state holds k pairs for each query.
+    The queries go to every worker, which is for a checked number of them; a worker passes on k pairs a query of its points,
+    and state holds k pairs for each query.
     """
-    ship(points.sparkSession)
-    total = None
-    for i in range(dims):
-        gap = F.col(f"c{i}") - F.col(f"q{i}")
-        total = gap * gap if total is None else total + gap * gap
-    asked = queries.select("qid", *(F.col(f"c{i}").alias(f"q{i}") for i in range(dims)))
-    pairs = points.join(F.broadcast(asked)).select("qid", "pid", total.alias("d2"))
+    spark = points.sparkSession
+    ship(spark)
+    coords = [f"c{i}" for i in range(dims)]
+    n = queries.count()
+    if n * 8 * (dims + 1) > BROADCAST_BYTES:
+        raise ValueError(f"{n} standing queries are too many to ship")
+    rows = queries.select("qid", *coords).toPandas()
+    shared = spark.sparkContext.broadcast((rows["qid"].to_numpy(), rows[coords].to_numpy(dtype=float).reshape(-1, dims)))
+    pairs = points.select("pid", *coords).mapInArrow(local_brute(shared, dims, k, float("inf"), False), "qid long, pid long, d2 double")
     return pairs.groupBy("qid").transformWithStateInPandas(best_pairs(k), "qid long, rank int, pid long, d2 double", "Update", "none")
 
 

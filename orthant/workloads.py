@@ -37,7 +37,7 @@ POINTS_SQL = {
     "cust2": "SELECT c_custkey AS pid, c_acctbal AS c0, CAST(c_nationkey AS DOUBLE) AS c1, c_mktsegment AS label FROM customer",
     "part1": "SELECT p_partkey AS pid, CAST(p_partkey % 1000 AS DOUBLE) AS c0, p_retailprice AS target FROM part",
     "supp1": "SELECT s_suppkey AS pid, s_acctbal AS c0 FROM supplier",
-    "doctext10": r"""SELECT doc_id AS pid, least(n, 20000.0::DOUBLE) / 4000.0::DOUBLE AS c0, nw / n / 0.05::DOUBLE AS c1, fr / n / 0.05::DOUBLE AS c2, de / n / 0.04::DOUBLE AS c3,
+    "doctext10": r"""SELECT doc_id AS pid, n / (n + 2000.0::DOUBLE) / 0.2::DOUBLE AS c0, nw / n / 0.05::DOUBLE AS c1, fr / n / 0.05::DOUBLE AS c2, de / n / 0.04::DOUBLE AS c3,
         es / n / 0.03::DOUBLE AS c4, dg / n / 0.02::DOUBLE AS c5, pu / n / 0.05::DOUBLE AS c6, up / n / 0.1::DOUBLE AS c7,
         CAST(dw AS DOUBLE) / CAST(nw AS DOUBLE) / 0.2::DOUBLE AS c8, CAST(dl AS DOUBLE) / CAST(nl AS DOUBLE) / 0.2::DOUBLE AS c9, lang AS label
         FROM (SELECT doc_id, lang, CAST(greatest(length(text), 1) AS DOUBLE) AS n, len(string_split(text, ' ')) AS nw, len(string_split(text, chr(10))) AS nl,

@@ -8,6 +8,7 @@ from orthant import kernel as K
 from orthant import measures
 from orthant import points as P
 from orthant.operators import knn as knn_module
+from orthant.operators import layout as layout_module
 from orthant.operators import predict
 from orthant.operators.knn import Knn, knn, knn_all_nodes, knn_brute, knn_relational, knn_replicated, radius_search
 from orthant.operators.layout import SpatialLayout, build_layout, collapse_colocated, independent_layout, pack
@@ -15,6 +16,8 @@ from orthant.plans import global_tree
 from orthant.plans.global_tree import GlobalTree, build_global_tree, descend
 from orthant.plans.planner import choose, knn_join
 from orthant.points import PointSet
+from orthant.sources.tables import written
+from orthant.streaming import streams
 
 POLICIES = {"hist": K.SplitPolicy(), "vfm": K.SplitPolicy.vfm(), "brm": K.SplitPolicy.brm(), "exact": K.SplitPolicy("variance_full", "exact"), "sketch": K.SplitPolicy("cycle", "sketch")}
 
@@ -166,20 +169,111 @@ def test_storage(spark, cloud, asked, want, tmp_path):
     layout = build_layout(cloud, 6)
     layout.save(str(tmp_path / "at"))
     back = SpatialLayout.load(spark, str(tmp_path / "at"))
-    assert back.tree == layout.tree and rows(knn(back, asked, 5)) == want
+    assert back.tree == layout.tree and back.facts == layout.facts and rows(knn(back, asked, 5)) == want
     assert GlobalTree.from_df(layout.tree.to_df(spark), 3) == layout.tree
-    packed = pack(layout)
-    assert packed.count() == cloud.df.count()
-
-
-def test_stored_points_are_not_exchanged(spark, cloud, asked, want):
-    layout = build_layout(cloud, 6).save_as_table("orthant_test_points")
-    search = Knn(layout, asked, 5)
-    plan = search.remote._jdf.queryExecution().executedPlan().toString()
-    side = plan[plan.index("FlatMapCoGroups") :]
-    scan = side[: side.index("orthant_test_points")]
-    assert "Exchange" not in scan.replace("ReusedExchange", "") and rows(search.neighbors()) == want
-    spark.sql("DROP TABLE orthant_test_points")
+
+
+def test_packed_points_lie_bucket_by_bucket(cloud):
+    layout = build_layout(cloud, 6)
+    own = sorted(tuple(r) for r in layout.points.select("pid", "c0", "c1", "c2").collect())
+    assert own == sorted(tuple(r) for r in cloud.df.select("pid", "c0", "c1", "c2").collect())
+    boxes = {(r["cell"], r["bucket"]): r for r in layout.buckets().collect()}
+    by = {}
+    for r in pack(layout).collect():
+        by.setdefault((r["cell"], r["bucket"]), []).append((r["c0"], r["c1"], r["c2"]))
+    assert set(by) == set(boxes)
+    for key, x in by.items():
+        x = np.array(x)
+        assert len(x) == boxes[key]["n"] and x.min(axis=0).tolist() == boxes[key]["mbr_lo"] and x.max(axis=0).tolist() == boxes[key]["mbr_hi"]
+    assert layout.facts["buckets"] == len(boxes) and layout.facts["largest"] == max(r["n"] for r in boxes.values())
+
+
+def points_side(df):
+    """The plan below the join on the side of the packed cells."""
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    side = plan[plan.index("ShuffledHashJoin") :]
+    return side[: side.index("FileScan")]
+
+
+def test_points_are_not_exchanged(spark, cloud, asked, want, tmp_path):
+    """In neither pass, as built and as loaded; no tree is built in a search."""
+    layout = build_layout(cloud, 16)
+    layout.save(str(tmp_path / "at"))
+    for own in (layout, SpatialLayout.load(spark, str(tmp_path / "at"))):
+        search = Knn(own, asked, 5)
+        for df in (search.remote, knn_module.search_cells(own, search.asked, 5, 0)):
+            assert "Exchange" not in points_side(df) and "Sort" not in points_side(df)
+        assert rows(search.neighbors()) == want
+
+
+def test_no_tree_is_built_in_a_search(cloud, asked, want, monkeypatch):
+    layout = build_layout(cloud, 4)
+    monkeypatch.setattr(knn_module.K, "build", None)  # of this process; workers run the search's own code, which doesn't name it
+    import inspect
+
+    assert "build(" not in inspect.getsource(knn_module._search_rows) and rows(knn(layout, asked, 5)) == want
+
+
+def test_batches_under_way_together(cloud, asked, want):
+    assert rows(knn_module.knn_pipelined(build_layout(cloud, 6), asked, 5, batches=3)) == want
+
+
+def test_a_cell_too_large_for_a_task(spark, asked, monkeypatch):
+    """It is split by further passes over all points; what stands in one spot is dealt into pieces of the same cell."""
+    rng = np.random.default_rng(2)
+    x = [(i, 1.0, 1.0, 1.0) for i in range(3000)] + [(5000 + i, *map(float, rng.normal(size=3))) for i in range(900)]
+    ps = PointSet(spark.createDataFrame(x, "pid long, c0 double, c1 double, c2 double"), 3)
+    monkeypatch.setattr(layout_module, "PIECE_POINTS", 200)
+    layout = build_layout(ps, 2)
+    pieces = {r["cell"]: r["count"] for r in layout.packed.groupBy("cell").count().collect()}
+    assert layout.cells > 4 and layout.n.sum() == 3900
+    assert max(pieces.values()) >= 15 and all(pieces[c] >= layout.n[c] / 400 for c in pieces) and layout.packed.agg(F.max("n")).first()[0] < 400
+    q = ps.sample_queries(50, 3)
+    assert rows(knn(layout, q, 5)) == rows(knn_brute(ps, q, 5))
+    assert rows(knn(layout, q, 5, exclude_self=True)) == rows(knn_brute(ps, q, 5, exclude_self=True))
+
+
+def test_five_thousand_cells_asked_and_got(spark):
+    ps = PointSet(spark.range(60_000).select(F.col("id").alias("pid"), *(F.pmod(F.xxhash64("id", F.lit(i)), F.lit(1 << 30)).cast("double").alias(f"c{i}") for i in range(2))), 2)
+    tree = build_global_tree(PointSet(written(ps.df, "points"), 2), 5000, K.SplitPolicy(sample_per_part=8))
+    assert tree.cells == 5000
+    assert build_global_tree(ps, 600, K.SplitPolicy(sample_per_part=8)).cells == 600
+
+
+def test_overweight_cells_of_a_sampled_tree_are_repaired(spark):
+    ps = PointSet(written(spark.range(20_000).select(F.col("id").alias("pid"), F.pow(F.pmod(F.xxhash64("id"), F.lit(100_000)) / 100_000, 8).alias("c0")), "points"), 1)
+    poor = K.SplitPolicy(sample_per_part=2)
+    raw = global_tree.grow_from_sample(global_tree.sample(ps, 2 * 32), 32, poor)
+    counts = lambda tree: max(r["count"] for r in tree.routed(ps.df).groupBy("cell").count().collect())
+    fixed = build_global_tree(ps, 32, poor, "sample")
+    assert counts(raw) > 2 * 20_000 / 32 >= counts(fixed) / 1.5 and fixed.cells > raw.cells
+
+
+def test_an_index_goes_on_after_a_restart(spark, cloud, asked, want, tmp_path):
+    """An index opened again at its path knows batches, delta and tree; a batch that comes again is not taken twice."""
+    path, policy = str(tmp_path / "index"), streams.RebuildPolicy(3)
+    part = lambda i: cloud.df.where(F.pmod("pid", F.lit(5)) == i)
+    index = streams.RebuildingIndex(spark, 3, 4, path, policy)
+    for i in range(3):
+        index.add(part(i), i)
+    # a batch whose line was not written when the process ended
+    part(3).where("pid < 50").select("pid", "c0", "c1", "c2").write.parquet(f"{path}/delta/3")
+    again = streams.RebuildingIndex(spark, 3, 4, path, policy)
+    assert again.done == {0, 1, 2} and again.versions == index.versions and again.delta == index.delta == [1, 2]
+    for i in (1, 2, 3, 4):
+        again.add(part(i), i)
+    assert [v[:3] for v in again.versions] == [(1, 0, part(0).count()), (2, 3, sum(part(i).count() for i in range(4)))]
+    last = streams.RebuildingIndex(spark, 3, 4, path, policy)
+    assert rows(again.knn(asked, 5)) == rows(last.knn(asked, 5)) == want
+
+
+def test_recall_and_distance_ratio(cloud, asked):
+    exact = knn_brute(cloud, asked, 5)
+    worse = exact.where("not (qid = 10000 and rank = 1)").unionByName(exact.where("qid = 10000 and rank = 5").selectExpr("qid", "rank", "pid + 100000 AS pid", "4 * d2 AS d2", "2 * dist AS dist"))
+    r = predict.recall(worse, exact).first()
+    assert r["n"] - r["found"] == 1 and r["worst_ratio"] == 2.0 and predict.recall(exact, exact).first()["worst_ratio"] == 1.0
+    dense = predict.knn_density(exact, 5, 3, 1.0)
+    assert dense.where("dense <> (density > 1.0)").count() == 0 and {r["dense"] for r in dense.collect()} == {True, False}
 
 
 def test_plans(cloud, asked):
