@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
@@ -30,6 +31,14 @@ SQL_FUNCTIONS = {
 def register_functions(spark: SparkSession) -> None:
     for name, (args, body) in SQL_FUNCTIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({args}) RETURNS DOUBLE RETURN {body}")
+    ship(spark)
+
+    @F.pandas_udf("array<bigint>")
+    def edges_histogram(v: pd.Series, edges: pd.Series) -> list:
+        """Counts of a group's values between the edges of its first row."""
+        return K.histogram(v.to_numpy(dtype=float), np.asarray(edges.iloc[0], dtype=float)).tolist()
+
+    spark.udf.register("edges_histogram", edges_histogram)
 
 
 def register_layout(spark: SparkSession, layout: SpatialLayout) -> None:

@@ -26,6 +26,7 @@ class SplitPolicy:
     local_sample: int = 1024
     two_level: bool = True
     min_balance: float = 0.3
+    stride: int = 32
 
     def __post_init__(self) -> None:
         if self.dim_rule not in DIM_RULES or self.value_rule not in VALUE_RULES:
@@ -62,10 +63,10 @@ def bin_two_level(values: np.ndarray, edges: np.ndarray, stride: int = 32) -> np
     return out
 
 
-def histogram(values: np.ndarray, edges: np.ndarray, two_level: bool = True) -> np.ndarray:
+def histogram(values: np.ndarray, edges: np.ndarray, two_level: bool = True, stride: int = 32) -> np.ndarray:
     """Counts of values in the len(edges) + 1 bins that the edges bound."""
-    find = bin_two_level if two_level and len(edges) > 64 else bin_binary
-    return np.bincount(find(values, edges), minlength=len(edges) + 1)
+    at = bin_two_level(values, edges, stride) if two_level and len(edges) > 2 * stride else bin_binary(values, edges)
+    return np.bincount(at, minlength=len(edges) + 1)
 
 
 def edge_nearest(edges: np.ndarray, counts: np.ndarray, share: float = 0.5) -> tuple[float, float] | None:
@@ -109,7 +110,7 @@ def split_value(v: np.ndarray, policy: SplitPolicy) -> float | None:
         counts = np.concatenate([[0], n])
     else:
         edges = np.unique(v[: policy.local_sample])
-        counts = histogram(v, edges, policy.two_level)
+        counts = histogram(v, edges, policy.two_level, policy.stride)
     found = edge_nearest(edges, counts)
     return found and found[0]
 

@@ -168,27 +168,30 @@ def _buckets(dims: int):
     return run
 
 
-def build_layout(points: PointSet, cells: int, policy: K.SplitPolicy = K.SplitPolicy(), bucket_size: int = 32, mode: str = "level", seed: int = 0) -> SpatialLayout:
-    """Tree, routing, one exchange of the points into packed cells, and the boxes of the cells as facts of what was written."""
-    return place(points, build_global_tree(points, cells, policy, mode, seed), policy, bucket_size, refine=True)
+def build_layout(points: PointSet, cells: int, policy: K.SplitPolicy = K.SplitPolicy(), bucket_size: int = 32, mode: str = "level", seed: int = 0, piece_points: int = PIECE_POINTS) -> SpatialLayout:
+    """Tree, routing, one exchange of the points into packed cells, and the boxes of the cells as facts of what was written.
+
+    Cells of more than piece_points points are split further before the exchange, or dealt into pieces.
+    """
+    return place(points, build_global_tree(points, cells, policy, mode, seed), policy, bucket_size, refine=True, piece_points=piece_points)
 
 
-def place(points: PointSet, tree: GlobalTree, policy: K.SplitPolicy = K.SplitPolicy(), bucket_size: int = 32, version: int = 0, refine: bool = False) -> SpatialLayout:
+def place(points: PointSet, tree: GlobalTree, policy: K.SplitPolicy = K.SplitPolicy(), bucket_size: int = 32, version: int = 0, refine: bool = False, piece_points: int = PIECE_POINTS) -> SpatialLayout:
     """refine: cells too large for a task are split further before the exchange."""
     total = points.df.count()
     counts: dict[int, int] = {}
-    if total > PIECE_POINTS:  # or else no cell can be too large
+    if total > piece_points:  # or else no cell can be too large
         if refine:
-            tree = split_heavy(points, tree, policy, PIECE_POINTS)
-        counts = {r["cell"]: r["count"] for r in tree.routed(points.positions()).groupBy("cell").count().where(F.col("count") > PIECE_POINTS).collect()}  # at most total / PIECE_POINTS rows
+            tree = split_heavy(points, tree, policy, piece_points)
+        counts = {r["cell"]: -(-r["count"] // piece_points) for r in tree.routed(points.positions()).groupBy("cell").count().where(F.col("count") > piece_points).collect()}  # at most total / piece_points rows
     return pack_cells(tree.routed(points.positions()), tree, policy, bucket_size, version, counts)
 
 
 def in_pieces(routed: DataFrame, large: dict[int, int]) -> DataFrame:
-    """routed with piece: ids of cells with more than PIECE_POINTS points are dealt by their hash."""
+    """routed with piece: ids of large cells are dealt by their hash into so many pieces."""
     if not large:
         return routed.withColumn("piece", F.lit(0))
-    need = routed.sparkSession.createDataFrame([(c, -(-n // PIECE_POINTS)) for c, n in large.items()], "cell int, _pieces int")
+    need = routed.sparkSession.createDataFrame(list(large.items()), "cell int, _pieces int")
     return routed.join(F.broadcast(need), "cell", "left").withColumn("piece", F.coalesce(F.pmod(F.xxhash64("pid"), "_pieces"), F.lit(0)).cast("int")).drop("_pieces")
 
 

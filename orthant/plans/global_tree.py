@@ -149,7 +149,7 @@ def _histograms(shared, dims: int):
     """(node, bin, n) of the rows' values in their open node's edges, folded in the task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        arrays, open_nodes, two_level = shared.value
+        arrays, open_nodes, two_level, stride = shared.value
         counts = {n: np.zeros(len(edges) + 1, dtype=np.int64) for n, (_, edges) in open_nodes.items()}
         for batch in batches:
             x = np.stack([batch.column(i).to_numpy(zero_copy_only=False) for i in range(dims)], axis=1)
@@ -160,7 +160,7 @@ def _histograms(shared, dims: int):
                 n = int(node[by[s]])
                 if n in open_nodes:
                     dim, edges = open_nodes[n]
-                    counts[n] += K.histogram(x[by[s:e], dim], edges, two_level)
+                    counts[n] += K.histogram(x[by[s:e], dim], edges, two_level, stride)
         for n, c in counts.items():
             at = np.flatnonzero(c)
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), n)), pa.array(at), pa.array(c[at])], ["node", "bin", "n"])
@@ -378,7 +378,7 @@ def _full_stats(points: PointSet, tree: GlobalTree, members: dict, policy: K.Spl
 
 def _by_histogram(points: PointSet, tree: GlobalTree, edges_of: dict, policy: K.SplitPolicy) -> dict[int, tuple[int, float]]:
     spark = points.df.sparkSession
-    shared = spark.sparkContext.broadcast((tree.arrays(), edges_of, policy.two_level))
+    shared = spark.sparkContext.broadcast((tree.arrays(), edges_of, policy.two_level, policy.stride))
     counted = points.positions().drop("pid").mapInArrow(_histograms(shared, points.dims), "node long, bin long, n long")
     rows = counted.groupBy("node", "bin").agg(F.sum("n").alias("n")).collect()  # open nodes times their sampled edges
     of: dict[int, list] = {n: [] for n in edges_of}

@@ -11,14 +11,16 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from orthant import points as P
+from orthant import tree_sql
 from orthant.functions import surface
-from orthant.operators.knn import Knn, knn_brute
+from orthant.operators.knn import Knn
 from orthant.operators.layout import build_layout
 from orthant.points import PointSet, hash32
 from orthant.sources import formats
 from orthant.sources.tables import fresh_path, table, written
 from orthant.streaming import streams
 
+_EVENTS3 = """SELECT event_id AS pid, date_diff('microsecond', TIMESTAMP '2024-01-01', ts) / 86400e6 AS c0, value AS c1, CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS DOUBLE) AS c2 FROM events"""
 QUERIES: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {}
 
 
@@ -186,9 +188,21 @@ def op_distinct_spots(s, d):
     return P.grid3(s, d).df.groupBy("c0", "c1", "c2").agg(one().alias("copies")).groupBy("copies").agg(one().alias("spots"))
 
 
-@query()
+@query("SELECT count(DISTINCT (l_quantity, round(l_discount * 100), round(l_tax * 100))) AS spots, true AS near FROM lineitem")
 def op_approx_distinct(s, d):
-    return P.grid3(s, d).df.agg(F.approx_count_distinct(F.struct("c0", "c1", "c2"), 0.02).alias("spots"))
+    """The sketch's count beside the exact one: within five of its standard errors."""
+    spot = F.struct("c0", "c1", "c2")
+    found = P.grid3(s, d).df.agg(F.approx_count_distinct(spot, 0.02).alias("sketch"), F.count_distinct("c0", "c1", "c2").alias("spots"))
+    return found.select("spots", (F.abs(F.col("sketch") - F.col("spots")) <= 0.1 * F.col("spots")).alias("near"))
+
+
+@query("SELECT event_type, CAST(CASE WHEN value < 20 THEN 0 WHEN value < 40 THEN 1 WHEN value < 60 THEN 2 ELSE 3 END AS INT) AS bin, count(*) AS n FROM events GROUP BY ALL")
+def op_edges_histogram(s, d):
+    """Counts between given edges, by the grouped aggregate of the SQL surface."""
+    surface.register_functions(s)
+    table(s, d, "events").createOrReplaceTempView("orthant_events")
+    got = s.sql("SELECT event_type, edges_histogram(value, array(20D, 40D, 60D)) AS n FROM orthant_events GROUP BY event_type")
+    return got.select("event_type", F.posexplode("n").alias("bin", "n")).where("n > 0")
 
 
 @query("SELECT event_type, strftime(ts, '%Y-%m-%d') AS day, count(*) AS n FROM events GROUP BY ROLLUP (event_type, strftime(ts, '%Y-%m-%d'))")
@@ -321,24 +335,27 @@ def op_sql_functions(s, d):
     return s.sql("SELECT event_id, l2sq(array(value), array(50D)) AS d2, box_min_l2sq(array(value), array(10D), array(20D)) AS box FROM orthant_events")
 
 
-@query()
+@query(
+    f"WITH {tree_sql.tree(_EVENTS3, 3, 8)}, q AS (SELECT pid AS qid, cell AS owner, * EXCLUDE (pid, cell) FROM leaf WHERE pid % 20 = 0) SELECT qid, owner, b.cell FROM q JOIN box b ON "
+    + " + ".join(f"greatest(b.l{i} - c{i}, 0.0::DOUBLE, c{i} - b.h{i}) * greatest(b.l{i} - c{i}, 0.0::DOUBLE, c{i} - b.h{i})" for i in range(3)) + " <= 100"
+)
 def op_udtf_cells(s, d):
     ps = P.events3(s, d)
     layout = build_layout(ps, 8)
     surface.register_layout(s, layout)
-    ps.sample_queries(100, 3).select("qid", F.array("c0", "c1", "c2").alias("coords")).createOrReplaceTempView("orthant_asked")
+    ps.sample_queries(20, 0).select("qid", F.array("c0", "c1", "c2").alias("coords")).createOrReplaceTempView("orthant_asked")
     return s.sql("SELECT qid, cell_of(coords) AS owner, w.cell FROM orthant_asked, LATERAL tree_cells_within(coords, 100D) w")
 
 
 @query(
     "WITH p AS (SELECT event_id AS id, event_type AS t, value AS v FROM events) SELECT q.id AS qid, CAST(row_number() OVER (PARTITION BY q.id ORDER BY (p.v - q.v) * (p.v - q.v), p.id) AS INT) AS rank, p.id AS pid,"
-    " (p.v - q.v) * (p.v - q.v) AS d2 FROM p JOIN p q ON p.t = q.t WHERE q.id % 50 = 3 QUALIFY rank <= 3"
+    " (p.v - q.v) * (p.v - q.v) AS d2 FROM p JOIN p q ON p.t = q.t WHERE q.id % 20 = 0 QUALIFY rank <= 3"
 )
 def op_udtf_local_knn(s, d):
     """Nearest values inside each event type, by a table function over partitions."""
     surface.register_local_search(s, 1, 3)
     e = table(s, d, "events").select("event_type", F.col("event_id").alias("id"), F.col("value").alias("c0"))
-    e.withColumn("kind", F.lit(0)).unionByName(e.where("id % 50 = 3").withColumn("kind", F.lit(1))).createOrReplaceTempView("orthant_rows")
+    e.withColumn("kind", F.lit(0)).unionByName(e.where("id % 20 = 0").withColumn("kind", F.lit(1))).createOrReplaceTempView("orthant_rows")
     return s.sql("SELECT * FROM knn_local(TABLE(orthant_rows) PARTITION BY event_type)")
 
 
@@ -426,7 +443,7 @@ def stream_session_counts(s, d):
     return got.groupBy("user_id").agg(one().alias("n"))
 
 
-@query()
+@query("SELECT strftime(ts, '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events WHERE CAST(ts AS DATE) < (SELECT max(CAST(ts AS DATE)) FROM events) GROUP BY ALL")
 def stream_late_rows(s, d):
     """Append mode, all days, a day at a time, and the first day once more at the end: what the watermark lets through."""
     path, extra = _by_day(s, d), fresh_path(s, "late")
@@ -435,7 +452,8 @@ def stream_late_rows(s, d):
     for i, day in enumerate([*order, order[0]]):
         days.where(F.col("day") == day).drop("day").coalesce(1).write.mode("append").parquet(f"{extra}/part={i}")
     stream = s.readStream.schema(_EVENT + ", part int").option("maxFilesPerTrigger", 1).option("latestFirst", False).parquet(extra)
-    return streams.run_to_memory(streams.windowed_counts(stream, ["event_type"], F.window("time", "1 day")), _named("late"), "append")
+    got = streams.run_to_memory(streams.windowed_counts(stream, ["event_type"], F.window("time", "1 day")), _named("late"), "append")
+    return got.select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "n")
 
 
 @query("SELECT event_id AS pid FROM events")
@@ -447,20 +465,20 @@ def stream_distinct_requests(s, d):
 
 
 def _knn_sql(where: str, k: int, columns: str, points: str = "TRUE") -> str:
-    own = """SELECT event_id AS pid, date_diff('microsecond', TIMESTAMP '2024-01-01', ts) / 86400e6 AS c0, value AS c1, CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS DOUBLE) AS c2 FROM events"""
+    own = _EVENTS3
     return (
         f"WITH a AS ({own}), d AS (SELECT q.pid AS qid, p.pid, (p.c0 - q.c0) * (p.c0 - q.c0) + (p.c1 - q.c1) * (p.c1 - q.c1) + (p.c2 - q.c2) * (p.c2 - q.c2) AS d2 FROM a p, a q WHERE q.{where} AND p.{points}),"
         f" r AS (SELECT *, CAST(row_number() OVER (PARTITION BY qid ORDER BY d2, pid) AS INT) AS rank FROM d) SELECT {columns} FROM r WHERE rank <= {k}"
     ).replace("p.TRUE", "TRUE")
 
 
-@query(_knn_sql("pid % 100 = 3", 5, "qid, rank, pid, d2"))
+@query(_knn_sql("pid % 20 = 0", 5, "qid, rank, pid, d2"))
 def stream_knn_replay(s, d):
     """Queries that arrive as a stream give the batch answer."""
     ps = P.events3(s, d)
     layout = build_layout(ps, 8)
     out, asked = fresh_path(s, "answers"), fresh_path(s, "asked")
-    ps.sample_queries(100, 3).repartition(3).write.parquet(asked)
+    ps.sample_queries(20, 0).repartition(3).write.parquet(asked)
     q = s.readStream.schema("qid long, c0 double, c1 double, c2 double").option("maxFilesPerTrigger", 1).parquet(asked)
     streams.stream_knn(q, layout, 5, out, fresh_path(s, "checkpoint")).awaitTermination()
     return s.read.schema("qid long, rank int, pid long, d2 double, dist double, batch int").parquet(out).select("qid", "rank", "pid", "d2")
@@ -475,17 +493,17 @@ def _rebuilt(s: SparkSession, d: str, every: int) -> streams.RebuildingIndex:
     return index
 
 
-@query(_knn_sql("pid % 100 = 3", 5, "qid, rank, pid, d2"))
+@query(_knn_sql("pid % 20 = 0", 5, "qid, rank, pid, d2"))
 def stream_rebuild_knn(s, d):
     """Between rebuilds: the tree's answer and the delta's."""
     index = _rebuilt(s, d, 3)
-    return index.knn(P.events3(s, d).sample_queries(100, 3), 5).select("qid", "rank", "pid", "d2")
+    return index.knn(P.events3(s, d).sample_queries(20, 0), 5).select("qid", "rank", "pid", "d2")
 
 
-@query()
+@query("SELECT CAST(row_number() OVER (ORDER BY b) AS INT) AS version, CAST(b AS INT) AS batch, (SELECT count(*) FROM events WHERE event_id % 7 <= b) AS points FROM (VALUES (0), (3), (6)) AS v(b)")
 def stream_rebuild_versions(s, d):
     index = _rebuilt(s, d, 3)
-    return s.createDataFrame(index.versions, "version int, batch int, points long, balance double")
+    return s.createDataFrame([v[:3] for v in index.versions], "version int, batch int, points long")
 
 
 @query(_knn_sql("pid < 3", 4, "qid, rank, pid, d2"))
@@ -510,26 +528,27 @@ def stream_cell_counts(s, d):
     return got.groupBy(F.to_timestamp_ntz(F.date_format("start", "yyyy-MM-dd HH:mm:ss")).alias("day")).agg(F.sum("n").alias("n"))
 
 
-@query(_knn_sql("pid % 100 = 3", 5, "qid, rank, pid, d2"))
+@query(_knn_sql("pid % 20 = 0", 5, "qid, rank, pid, d2"))
 def layout_reload_knn(s, d):
     """Saved, loaded, searched."""
     from orthant.operators.layout import SpatialLayout
 
     ps, path = P.events3(s, d), fresh_path(s, "stored")
     build_layout(ps, 8).save(path)
-    return Knn(SpatialLayout.load(s, path), ps.sample_queries(100, 3), 5).neighbors().select("qid", "rank", "pid", "d2")
+    return Knn(SpatialLayout.load(s, path), ps.sample_queries(20, 0), 5).neighbors().select("qid", "rank", "pid", "d2")
 
 
-@query(_knn_sql("pid % 100 = 3", 5, "qid, rank, pid, d2"))
+@query(_knn_sql("pid % 20 = 0", 5, "qid, rank, pid, d2"))
 def sql_knn_view(s, d):
     ps = P.events3(s, d)
-    ps.sample_queries(100, 3).createOrReplaceTempView("orthant_queries")
+    ps.sample_queries(20, 0).createOrReplaceTempView("orthant_queries")
     surface.knn_view(s, build_layout(ps, 8), "orthant_queries", 5, "orthant_answers")
     return s.sql("SELECT qid, rank, pid, d2 FROM orthant_answers")
 
 
-@query(_knn_sql("pid % 100 = 3", 5, "qid, rank, pid, d2", "pid % 2 = 0"))
+@query(_knn_sql("pid % 20 = 0", 5, "qid, rank, pid, d2").replace("value AS c1", "value + 1 AS c1"))
 def knn_time_step(s, d):
-    """A later state of the points under a tree of its own."""
-    ps = PointSet(written(P.events3(s, d).positions().where("pid % 2 = 0"), "step"), 3)
-    return knn_brute(ps, P.events3(s, d).sample_queries(100, 3), 5).select("qid", "rank", "pid", "d2")
+    """A later state of all points, moved along one axis, under a tree of its own."""
+    moved = P.events3(s, d).positions().withColumn("c1", F.col("c1") + 1)
+    ps = PointSet(written(moved, "step"), 3)
+    return Knn(build_layout(ps, 8), ps.sample_queries(20, 0), 5).neighbors().select("qid", "rank", "pid", "d2")

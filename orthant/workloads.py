@@ -8,10 +8,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orthant import kernel as K
-from orthant import experiments, measures, relops
+from orthant import experiments, measures, relops, tree_sql
 from orthant import points as P
 from orthant.operators import predict
-from orthant.operators.knn import Knn, knn, knn_all_nodes, knn_brute, knn_relational, knn_replicated, radius_search
+from orthant.operators.knn import Knn, found_in_all, knn, knn_all_nodes, knn_brute, knn_pipelined, knn_relational, knn_replicated, radius_search
 from orthant.operators.layout import build_layout, collapse_colocated, independent_layout
 from orthant.plans.global_tree import build_global_tree, sample
 from orthant.plans.planner import knn_join
@@ -66,6 +66,11 @@ def knn_sql(name: str, queries: str, k: int, columns: str = "qid, rank, pid, d2,
     return pairs_sql(name, queries, **kw) + f", r AS (SELECT *, CAST(row_number() OVER (PARTITION BY qid ORDER BY d2, pid) AS INT) AS rank FROM d), n AS (SELECT * FROM r WHERE rank <= {k}) SELECT {columns} FROM n"
 
 
+def knn_top_sql(name: str, queries: str, k: int) -> str:
+    """The same for very many pairs: only k of each query are ever kept."""
+    return pairs_sql(name, queries) + f", m AS (SELECT qid, unnest(min({{'d2': d2, 'pid': pid}}, {k})) AS x FROM d GROUP BY qid) SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY x) AS INT) AS rank, x.pid AS pid, x.d2 AS d2, sqrt(x.d2) AS dist FROM m"
+
+
 def add(name: str, query: Query, sql: str | None = None) -> None:
     _QUERIES[name] = query
     if sql is not None:
@@ -77,11 +82,12 @@ def tenth(ps: PointSet) -> DataFrame:
 
 
 def some_lines(ps: PointSet) -> DataFrame:
-    return ps.df.where(F.pmod("okey", F.lit(200)) == 7).select(F.col("pid").alias("qid"), *ps.coords)
+    return ps.df.where(F.pmod("okey", F.lit(20)) == 0).select(F.col("pid").alias("qid"), *ps.coords)
 
 
-TENTH, LINES = "pid % 10 = 3", "okey % 200 = 7"
+TENTH, LINES = "pid % 10 = 3", "okey % 20 = 0"
 CELLS = 16
+EVENTS_TREE = tree_sql.tree(POINTS_SQL["events3"], 3, CELLS)
 
 
 def _with_place(found: DataFrame, queries: DataFrame, dims: int) -> DataFrame:
@@ -138,8 +144,8 @@ def _strategies() -> None:
             ps = SETS[name][0](s, d)
             return _with_place(knn(build_layout(ps, CELLS), some_lines(ps), 5), some_lines(ps), 3)
 
-        columns = "rank, d2, c0, c1, c2"
-        sql = pairs_sql(name, LINES) + f", r AS (SELECT *, CAST(row_number() OVER (PARTITION BY qid ORDER BY d2, pid) AS INT) AS rank FROM d) SELECT {columns} FROM r JOIN q USING (qid) WHERE rank <= 5"
+        # ids differ between the engines, so distances alone are compared
+        sql = pairs_sql(name, LINES) + ", m AS (SELECT qid, unnest(min(d2, 5)) AS d2 FROM d GROUP BY qid), r AS (SELECT *, CAST(row_number() OVER (PARTITION BY qid ORDER BY d2) AS INT) AS rank FROM m) SELECT rank, d2, c0, c1, c2 FROM r JOIN q USING (qid)"
         add(f"knn_{name}_tree", lines, sql)
 
     def collapsed(s: SparkSession, d: str) -> DataFrame:
@@ -149,15 +155,21 @@ def _strategies() -> None:
 
     add("knn_grid3_collapsed", collapsed, _SQL["knn_grid3_tree"])
 
-    def jittered(s: SparkSession, d: str) -> DataFrame:
-        ps = P.emb(10)(s, d)
+    def jittered(s: SparkSession, d: str, dims: int) -> DataFrame:
+        """Five queries a point."""
+        ps = P.emb(dims)(s, d)
         steps = F.explode(F.sequence(F.lit(0), F.lit(4))).alias("j")
         q = ps.positions().select("*", steps)
         q = q.select((F.col("pid") * 5 + F.col("j")).alias("qid"), *((F.col(c) + F.col("j") * F.lit(0.015625)).alias(c) for c in ps.coords))
         return knn_replicated(ps, q, 10)
 
-    shifted = "SELECT pid * 5 + j AS qid, " + ", ".join(f"c{i} + j * CAST(0.015625 AS DOUBLE) AS c{i}" for i in range(10)) + " FROM a, (SELECT unnest(range(5)) AS j)"
-    add("knn_jittered_external", jittered, knn_sql("emb10", "", 10, asked=shifted))
+    for dims, name in ((10, "knn_jittered_external"), (15, "knn_jittered_external_15d")):
+        shifted = "SELECT pid * 5 + j AS qid, " + ", ".join(f"c{i} + j * CAST(0.015625 AS DOUBLE) AS c{i}" for i in range(dims)) + " FROM a, (SELECT unnest(range(5)) AS j)"
+        add(name, lambda s, d, dims=dims: jittered(s, d, dims), knn_sql(f"emb{dims}", "", 10, asked=shifted))
+    for name in ("events3", "orders3"):
+        add(f"knn_{name}_selfjoin", lambda s, d, name=name: knn(build_layout(SETS[name][0](s, d), CELLS), SETS[name][0](s, d).queries(), 5), knn_top_sql(name, "TRUE", 5))
+    add("knn_events3_pipelined", on(lambda p, q: knn_pipelined(build_layout(p, CELLS), q, 5)), knn_sql("events3", TENTH, 5))
+    add("knn_events3_in_pieces", on(lambda p, q: knn(build_layout(p, 2, piece_points=400), q, 5)), knn_sql("events3", TENTH, 5))
 
 
 # ---- building ----------------------------------------------------------------------------------------------------------
@@ -199,7 +211,15 @@ def _building() -> None:
     add("median_exact", median("exact"), base + " SELECT quantile_disc(v, 0.5) AS split FROM a")
     add("median_midrange", median("midrange"), base + " SELECT min(v) + (max(v) - min(v)) / 2 AS split FROM a")
     add("median_first100", lambda s, d: median("first100")(s, d).select(F.round("split", 6).alias("split")), f"WITH a AS (SELECT pid, c1 AS v FROM ({POINTS_SQL['events3']})), s AS (SELECT * FROM a ORDER BY (pid % 2147483648 * 2654435761) % 4294967296, pid LIMIT 100) SELECT round(avg(v), 6) AS split FROM s")
-    add("median_sketch", median("sketch"))
+
+    def sketched(s: SparkSession, d: str) -> DataFrame:
+        """Whether the sketch's value lies as near to the middle rank as its accuracy promises."""
+        ps = P.events3(s, d)
+        tree = build_global_tree(PointSet.from_columns(ps.df, "pid", ["c1"]), 2, K.SplitPolicy("variance", "sketch"))
+        below, upto = (F.sum(c.cast("long")) for c in (F.col("c1") < tree.split[0], F.col("c1") <= tree.split[0]))
+        return ps.df.agg(F.count(F.lit(1)).alias("n"), ((below / F.count(F.lit(1)) <= 0.5 + 2e-4) & (upto / F.count(F.lit(1)) >= 0.5 - 2e-4)).alias("near"))
+
+    add("median_sketch", sketched, "SELECT count(*) AS n, true AS near FROM events")
 
     def bins(s: SparkSession, d: str) -> DataFrame:
         """Counts between sampled edges, in generated code: the edges are literals."""
@@ -228,10 +248,20 @@ def _building() -> None:
 
     add("bin_lookup_equivalence", lookups, "SELECT count(*) AS n, CAST(0 AS BIGINT) AS different FROM events")
     for cells in (2, 4, 8):
-        add(f"cell_counts_level{cells.bit_length() - 1}", lambda s, d, c=cells: build_layout(P.orders3(s, d), c).points.groupBy("cell").agg(F.count(F.lit(1)).alias("n")))
-    add("cell_boxes", lambda s, d: build_layout(P.events3(s, d), CELLS).cells_df(s))
-    add("tree_nodes", lambda s, d: build_global_tree(P.events3(s, d), CELLS).to_df(s))
-    add("bucket_sizes", lambda s, d: build_layout(P.events3(s, d), CELLS).buckets())
+        add(f"cell_counts_level{cells.bit_length() - 1}", lambda s, d, c=cells: build_layout(P.orders3(s, d), c).points.groupBy("cell").agg(F.count(F.lit(1)).alias("n")), f"WITH {tree_sql.tree(POINTS_SQL['orders3'], 3, cells)} SELECT cell, n FROM box")
+
+    def boxes(s: SparkSession, d: str) -> DataFrame:
+        sides = [F.get(f"mbr_{side}o" if side == "l" else "mbr_hi", F.lit(i)).alias(f"{side}{i}") for i in range(3) for side in "lh"]
+        return build_layout(P.events3(s, d), CELLS).cells_df(s).select(F.col("cell_id").alias("cell"), "n", *sides)
+
+    add("cell_boxes", boxes, f"WITH {EVENTS_TREE} SELECT * FROM box")
+    add("tree_nodes", lambda s, d: build_global_tree(P.events3(s, d), CELLS).to_df(s), f"WITH {EVENTS_TREE} {tree_sql.nodes(CELLS)}")
+
+    def sizes(s: SparkSession, d: str) -> DataFrame:
+        """Points in the buckets of each cell, and whether all buckets keep to the rule."""
+        return build_layout(P.events3(s, d), CELLS).buckets().groupBy("cell").agg(F.sum("n").alias("n"), (F.max("n") <= 32).alias("fits"))
+
+    add("bucket_sizes", sizes, f"WITH {EVENTS_TREE} SELECT cell, n, true AS fits FROM box")
 
     def owners(s: SparkSession, d: str) -> DataFrame:
         """Queries that the three ways of routing send to different cells: none."""
@@ -261,17 +291,19 @@ def _work() -> None:
         ps = SETS[name][0](s, d)
         return Knn(build_layout(ps, CELLS), tenth(ps), 5)
 
-    add("remote_cells_per_query", lambda s, d: search(s, d).stats().select("qid", "cells_contacted", "remote_cells", "remote_in_answer"))
-    add("remote_share", lambda s, d: measures.query_work(search(s, d)).select("queries", "remote_share", "remote_cells", "remote_in_answer"))
+    found_sql = f"WITH {EVENTS_TREE}, {tree_sql.search(3, TENTH, 5)} "
+    add("remote_cells_per_query", lambda s, d: search(s, d).stats().select("qid", "cells_contacted", "remote_cells", "remote_in_answer"), found_sql + "SELECT * FROM told JOIN won USING (qid)")
+    share_sql = "SELECT count(*) AS queries, round(avg(CASE WHEN remote_cells > 0 THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END), 6) AS remote_share, round(avg(remote_cells), 6) AS remote_cells, round(avg(remote_in_answer), 6) AS remote_in_answer FROM told JOIN won USING (qid)"
+    add("remote_share", lambda s, d: measures.query_work(search(s, d)).select("queries", "remote_share", "remote_cells", "remote_in_answer"), found_sql + share_sql)
     add("traversals", lambda s, d: search(s, d).stats().select("qid", "nodes_visited"))
     add("points_compared", lambda s, d: search(s, d).stats().select("qid", "points_compared"))
     add("work_doctext10", lambda s, d: measures.query_work(search(s, d, "doctext10")))
-    add("transferred_rows", lambda s, d: search(s, d).found.groupBy("hop").agg(F.count("pid").alias("rows")))
+    add("transferred_rows", lambda s, d: search(s, d).found.groupBy("hop").agg(F.count("pid").alias("rows")), found_sql + "SELECT CAST(0 AS INT) AS hop, count(*) AS rows FROM own UNION ALL SELECT 1, count(*) FROM far")
 
     def transferred_all(s: SparkSession, d: str) -> DataFrame:
-        """Rows that the strategy without a global tree ships: parts times k for each query."""
+        """Rows that the strategy without a global tree ships, counted: parts times k for each query."""
         ps = P.events3(s, d)
-        return tenth(ps).agg((F.count(F.lit(1)) * 4 * 5).alias("rows"))
+        return found_in_all(independent_layout(ps, 4), tenth(ps), 5).agg(F.count("pid").alias("rows"))
 
     add("transferred_rows_all_nodes", transferred_all, "SELECT count(*) * 20 AS rows FROM events WHERE event_id % 10 = 3")
     add("kth_distance_stats", lambda s, d: search(s, d).neighbors().where("rank = 5").agg(F.count(F.lit(1)).alias("n"), F.min("d2").alias("least"), F.max("d2").alias("largest")), knn_sql("events3", TENTH, 5, "count(*) AS n, min(d2) AS least, max(d2) AS largest") + " WHERE rank = 5")
@@ -280,7 +312,7 @@ def _work() -> None:
         ps = P.events3(s, d)
         return predict.recall(knn(build_layout(ps, CELLS), tenth(ps), 5), knn_brute(ps, tenth(ps), 5))
 
-    add("recall_vs_brute", recall, "SELECT count(*) * 5 AS n, count(*) * 5 AS found, CAST(1.0 AS DOUBLE) AS recall FROM events WHERE event_id % 10 = 3")
+    add("recall_vs_brute", recall, "SELECT count(*) * 5 AS n, count(*) * 5 AS found, CAST(1.0 AS DOUBLE) AS recall, CAST(1.0 AS DOUBLE) AS worst_ratio FROM events WHERE event_id % 10 = 3")
 
     def phases(s: SparkSession, d: str) -> DataFrame:
         ps = P.orders3(s, d)
@@ -369,7 +401,13 @@ def _prediction() -> None:
         found = knn(build_layout(ps, CELLS), tenth(ps), 5, exclude_self=True)
         return predict.classify(found, ps.df, weights="inverse").select("qid", "predicted")
 
-    add("weighted_vote", weighted)
+    add("weighted_vote", weighted, knn_sql("events3", TENTH, 5, where="p.pid <> q.qid").rsplit(" SELECT ", 1)[0] + _VOTE.replace("count(*) AS votes", "sum(1 / (d2 + CAST(1e-9 AS DOUBLE))) AS votes") + " SELECT qid, predicted FROM w")
+
+    def weighted_mean(s: SparkSession, d: str) -> DataFrame:
+        ps = P.part1(s, d)
+        return predict.regress(knn(build_layout(ps, 8), tenth(ps), 5, exclude_self=True), ps.df, weights="inverse").select("qid", F.round("predicted", 3).alias("predicted"))
+
+    add("weighted_mean", weighted_mean, knn_sql("part1", TENTH, 5, "qid, round(sum(target / (d2 + CAST(1e-9 AS DOUBLE))) / sum(1 / (d2 + CAST(1e-9 AS DOUBLE))), 3) AS predicted", where="p.pid <> q.qid").replace("FROM n", "FROM n JOIN p USING (pid) GROUP BY qid"))
 
     def price(s: SparkSession, d: str) -> DataFrame:
         ps = P.part1(s, d)
@@ -384,12 +422,20 @@ def _prediction() -> None:
 
     add("density_top10", dense, knn_sql("events3", TENTH, 5, "qid, d2 AS d2_k", where="p.pid <> q.qid") + " WHERE rank = 5 ORDER BY d2, qid LIMIT 10")
 
+    def flags(s: SparkSession, d: str) -> DataFrame:
+        """Spots denser than one point in ten units of volume."""
+        ps = P.events3(s, d)
+        return predict.knn_density(knn(build_layout(ps, CELLS), tenth(ps), 5, exclude_self=True), 5, 3, 0.1).groupBy("dense").agg(F.count(F.lit(1)).alias("n"))
+
+    volume = "CAST(4.1887902047863905 AS DOUBLE) * pow(d2, CAST(1.5 AS DOUBLE))"
+    add("density_flags", flags, "SELECT dense, count(*) AS n FROM (" + knn_sql("events3", TENTH, 5, f"d2 = 0 OR CAST(5 AS DOUBLE) / ({volume}) > CAST(0.1 AS DOUBLE) AS dense", where="p.pid <> q.qid") + " WHERE rank = 5) GROUP BY dense")
+
 
 # ---- experiments -------------------------------------------------------------------------------------------------------
 
 
 def _experiments() -> None:
-    for setting, values in (("bucket_size", (8, 32, 128)), ("sample_per_part", (32, 256)), ("cells", (1, 4, 16)), ("k", (1, 5, 20)), ("prune", ("mbr", "region", "none")), ("two_level", (True, False)), ("dim_rule", ("variance", "variance_full", "range", "cycle")), ("value_rule", ("hist", "exact", "first100", "midrange", "sketch"))):
+    for setting, values in (("bucket_size", (8, 32, 128)), ("sample_per_part", (32, 256)), ("cells", (1, 4, 16)), ("k", (1, 5, 20)), ("prune", ("mbr", "region", "none")), ("two_level", (True, False)), ("stride", (8, 32, 128)), ("local_sample", (64, 256, 1024)), ("dim_rule", ("variance", "variance_full", "range", "cycle")), ("value_rule", ("hist", "exact", "first100", "midrange", "sketch"))):
         add(f"exp_{setting}", lambda s, d, x=setting, v=values: experiments.sweep(s, P.events3(s, d), x, v))
     three = ("events3", "orders3", "doctext10")
     add("exp_policies", lambda s, d: experiments.policies(s, {n: SETS[n][0](s, d) for n in three}))

@@ -8,7 +8,6 @@ from orthant import kernel as K
 from orthant import measures
 from orthant import points as P
 from orthant.operators import knn as knn_module
-from orthant.operators import layout as layout_module
 from orthant.operators import predict
 from orthant.operators.knn import Knn, knn, knn_all_nodes, knn_brute, knn_relational, knn_replicated, radius_search
 from orthant.operators.layout import SpatialLayout, build_layout, collapse_colocated, independent_layout, pack
@@ -218,13 +217,12 @@ def test_batches_under_way_together(cloud, asked, want):
     assert rows(knn_module.knn_pipelined(build_layout(cloud, 6), asked, 5, batches=3)) == want
 
 
-def test_a_cell_too_large_for_a_task(spark, asked, monkeypatch):
+def test_a_cell_too_large_for_a_task(spark):
     """It is split by further passes over all points; what stands in one spot is dealt into pieces of the same cell."""
     rng = np.random.default_rng(2)
     x = [(i, 1.0, 1.0, 1.0) for i in range(3000)] + [(5000 + i, *map(float, rng.normal(size=3))) for i in range(900)]
     ps = PointSet(spark.createDataFrame(x, "pid long, c0 double, c1 double, c2 double"), 3)
-    monkeypatch.setattr(layout_module, "PIECE_POINTS", 200)
-    layout = build_layout(ps, 2)
+    layout = build_layout(ps, 2, piece_points=200)
     pieces = {r["cell"]: r["count"] for r in layout.packed.groupBy("cell").count().collect()}
     assert layout.cells > 4 and layout.n.sum() == 3900
     assert max(pieces.values()) >= 15 and all(pieces[c] >= layout.n[c] / 400 for c in pieces) and layout.packed.agg(F.max("n")).first()[0] < 400
