@@ -4,7 +4,7 @@ Pieces of equal length are interchangeable, so the search runs on the histogram
 whatever the corpus. At each step the longest remaining length opens a sequence; the undominated fillings of the rest
 are enumerated by rising waste, those that the waste bound rules out are pruned, and the chosen filling is applied to
 as many sequences as its parts allow, or to one. Best-fit decreasing gives the first incumbents; a better complete solution
-replaces the incumbent, and the search ends when it meets the lower bound or ``nodes`` fillings have been looked at, the
+replaces the incumbent, and the search ends when it meets the lower bound or ``nodes`` units of work are done, the
 only bound on it: with nodes to spare the number of sequences is the least possible.
 
 Documents then find their places without meeting: pieces are numbered within (length, salt), and a number maps to a
@@ -32,9 +32,9 @@ from .common import whole_text, written
 from .tokens import ByteLevelTokenizer, crc, in_slices, tokenizer
 
 CAPACITY, EOS = 2048, 0
-#: Fillings that the search looks at in all, dominated ones included; parts of them for the incumbents, and how many of these;
-#: enumerations that stay open; pieces numbered together.
-NODES, FOR_INCUMBENTS, INCUMBENTS, OPEN, RANKED = 50_000, 0.5, 24, 64, 4096
+#: Work of the search in all: a filling that it looks at, dominated ones included, is one, and so are LENGTHS lengths of an
+#: enumeration that begins; the part for the incumbents, and how many of these; enumerations that stay open; pieces numbered together.
+NODES, LENGTHS, FOR_INCUMBENTS, INCUMBENTS, OPEN, RANKED = 60_000, 50, 0.5, 24, 64, 4096
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -80,19 +80,27 @@ def best_fit_decreasing(counts: dict[int, int], capacity: int) -> list[tuple[tup
     return [(parts, times) for _, parts, times in (*closed, *open_)]
 
 
-def fillings(lengths: list[int], left: list[int], room: int, most_waste: int) -> Iterator[tuple[int, tuple[int, ...] | None]]:
+def fillings(lengths: list[int], left: list[int], room: int, most_waste: int, work: list[int] | None = None) -> Iterator[tuple[int, tuple[int, ...] | None]]:
     """(waste, parts) of all undominated fillings of the room, by rising waste up to most_waste, longer parts first.
 
     lengths: falling, of which left[i] pieces remain. A filling is dominated if a piece that stays out could take the place of
     some of its parts, of at most its own length together, within the waste: the exchanged filling leaves no harder rest. For
     a dominated one parts is None. Sums that the lengths from some one on can reach are bits of a number, so no branch of the
-    enumeration is a dead end.
+    enumeration is a dead end. work: gets the cost of finding them.
     """
     at = [(x, min(n, room // x)) for x, n in zip(lengths, left, strict=True) if n and x <= room]
     del left
+    alone = bool(at) and at[0][0] == room and most_waste >= 0
+    if alone:  # one piece fills the room: nothing comes before it, and nothing dominates it
+        yield 0, (room,)
+    if work is not None:
+        work[0] += len(at) // LENGTHS
     every, have, reach = (1 << (room + 1)) - 1, dict(at), [1]
-    for x, many in reversed(at):
-        bits, k = reach[-1], 1
+    for i in range(len(at) - 1, -1, -1):
+        (x, many), bits, k = at[i], reach[-1], 1
+        if bits == every:  # every sum is reached already
+            reach += [every] * (i + 1)
+            break
         while many:
             step = min(k, many)
             bits |= bits << (step * x) & every
@@ -103,19 +111,24 @@ def fillings(lengths: list[int], left: list[int], room: int, most_waste: int) ->
     for waste in range(min(most_waste, room) + 1):
         if not reach[0] >> (room - waste) & 1:
             continue
-        stack: list[tuple[int, int, tuple[int, ...]]] = [(0, room - waste, ())]  # from which length on, sum to go, parts
+        # a branch: the next length to try, how many of it (0: as many as fit), sum to go, parts so far
+        stack: list[tuple[int, int, int, tuple[int, ...]]] = [(0, 0, room - waste, ())]
         while stack:
-            j, rest, parts = stack.pop()
+            k, n, rest, parts = stack.pop()
             if not rest:
-                yield waste, None if _dominated(parts, use, waste, every, have) else parts
+                if not alone or parts != (room,):
+                    yield waste, None if _dominated(parts, use, waste, every, have) else parts
                 continue
-            more = []
-            for k in range(j, len(at)):
-                if not reach[k] >> rest & 1:
-                    break  # shorter lengths reach less still
+            while k < len(at) and reach[k] >> rest & 1:  # shorter lengths reach less still
                 x, c = at[k]
-                more += [(k + 1, rest - n * x, parts + (x,) * n) for n in range(min(c, rest // x), 0, -1) if reach[k + 1] >> (rest - n * x) & 1]
-            stack += more[::-1]
+                n = n or min(c, rest // x)
+                while n and not reach[k + 1] >> (rest - n * x) & 1:
+                    n -= 1
+                if n:
+                    stack.append((k, n - 1, rest, parts) if n > 1 else (k + 1, 0, rest, parts))
+                    stack.append((k + 1, 0, rest - n * x, parts + (x,) * n))
+                    break
+                k += 1
 
 
 def _dominated(parts: tuple[int, ...], use: int, waste: int, every: int, have: dict[int, int]) -> bool:
@@ -155,7 +168,7 @@ Patterns = list[tuple[tuple[int, ...], int]]
 
 
 def _search(counts: dict[int, int], capacity: int, best: Patterns | None, enough: int, nodes: int) -> tuple[Patterns | None, int]:
-    """(the best packing found, fillings looked at): better than best, or just the first one if there is none yet.
+    """(the best packing found, work done): better than best, or just the first one if there is none yet.
 
     Depth first: the longest piece left opens a sequence, its undominated fillings are taken by rising waste, first for as
     many sequences as the pieces allow, and on the way back for one, after which the next sequence chooses anew. So every
@@ -169,12 +182,13 @@ def _search(counts: dict[int, int], capacity: int, best: Patterns | None, enough
     place, left = {x: i for i, x in enumerate(lengths)}, [counts[x] for x in lengths]
     way: Patterns = []
     met: dict[int, int] = {}
+    work = [0]  # of enumerations
 
     def options(first: int, waste: int, after: tuple | None) -> Iterator[tuple[int, tuple[int, ...], int] | None]:
         """(waste of one, parts, times), or None for a filling that is out; after: the filling before, if it began alike."""
         own = left.copy()
         own[first] -= 1
-        found = fillings(lengths, own, capacity - lengths[first], (best_n - 1) * capacity - total - waste)
+        found = fillings(lengths, own, capacity - lengths[first], (best_n - 1) * capacity - total - waste, work)
         del own
         for w, rest in found:
             if rest is None or after is not None and (w, [-y for y in rest]) < after:
@@ -193,7 +207,7 @@ def _search(counts: dict[int, int], capacity: int, best: Patterns | None, enough
     stack: list[list] = []
     if counts and best_n > enough:
         stack.append([None, 0, 0, 0, (0, 0, None)])
-    while stack and seen < nodes and best_n > enough:
+    while stack and seen + work[0] < nodes and best_n > enough:
         frame = stack[-1]
         _, came, n, waste, made = frame
         if frame[0] is None:
@@ -235,7 +249,7 @@ def _search(counts: dict[int, int], capacity: int, best: Patterns | None, enough
         stack.append([None, 0, n + times, now, (following, now, (w, [-y for y in parts[1:]]) if same else None)])
         if len(stack) > OPEN:
             stack[-OPEN - 1][0] = None  # made anew on the way back; memory follows OPEN enumerations
-    return best, seen
+    return best, seen + work[0]
 
 
 def pack_histogram(counts: dict[int, int], capacity: int = CAPACITY, nodes: int = NODES) -> Plan:
