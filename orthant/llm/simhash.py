@@ -4,7 +4,8 @@ Two 64-bit fingerprints within 3 bits meet at a middle: one flips at most two bi
 who does what. At an odd distance exactly one of the two has an even number of set bits; it emits itself and its flips
 of two bits, and the odd one emits its flips of one bit. At distance 2 both emit their flips of one bit. Of three
 differing bits two lie in the same half of the word, so flips of two bits are needed inside a half only. That is
-1 + 64 + 992 variants of an even and 64 of an odd fingerprint.
+1 + 64 + 992 variants of an even and 64 of an odd fingerprint: not every fingerprint emits the whole ball of half the radius
+and more, but of any two within the radius both emit a common variant.
 
 Variants are shuffled packed: a record holds those of a run of fingerprints that fall into one slice of the hashed
 variant space, as fingerprint and mask number. A slice sorts its variants; in a bucket every member links to one member
@@ -35,8 +36,8 @@ from .common import shuffle_partitions, whole_text, written
 from .components import connected_components
 
 BITS, RADIUS, WIDTH, SEED = 64, 3, 3, 42
-#: Fingerprints expanded together, and variants that a slice holds on average.
-RUN, SLICE_ROWS = 1024, 1_500_000
+#: Fingerprints expanded together, and variants that a slice holds on average: some hundred MB while they are sorted.
+RUN, SLICE_ROWS = 1024, 4_000_000
 
 _ONE = [1 << i for i in range(BITS)]
 _TWO = [1 << i | 1 << j for half in (range(32), range(32, 64)) for i, j in combinations(half, 2)]
@@ -74,7 +75,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def _slice_of(v: np.ndarray, slices: int) -> np.ndarray:
-    return ((v * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)) % np.uint64(slices)
+    return ((v * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(32)) % np.uint64(slices)
 
 
 def _emit(slices: int):
@@ -184,11 +185,13 @@ def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     rows with the same id and fingerprint one stays.
     """
     ship(docs.sparkSession)
-    named = _named(written(fingerprints(docs, id_col, text_col), "fingerprints")).withColumnRenamed("fp", "_fp")
     # all columns travel as one, so their names can't clash with ours
     rows = docs.select(F.struct("*").alias("_all"), F.col(id_col).cast("long").alias("_id"), whole_text(text_col).alias("_text"))
     schema = T.StructType([rows.schema["_all"], rows.schema["_id"], T.StructField("_fp", T.LongType())])
-    left = rows.mapInArrow(_with_fingerprint, schema).join(named, "_fp").where(F.col("_id").eqNullSafe(F.col("component_id")))
+    # fingerprints are made once and lie beside their rows
+    marked = written(rows.mapInArrow(_with_fingerprint, schema), "marked")
+    named = _named(marked.select(F.col("_id").alias("doc_id"), F.col("_fp").alias("fp"))).withColumnRenamed("fp", "_fp")
+    left = marked.join(named, "_fp").where(F.col("_id").eqNullSafe(F.col("component_id")))
     ranked = left.withColumn("_rank", F.row_number().over(Window.partitionBy("_fp").orderBy("_id")))
     return ranked.where("_rank = 1").select("_all.*")
 
