@@ -193,19 +193,27 @@ def build(points: np.ndarray, ids: np.ndarray, bucket_size: int = 32, policy: Sp
 # ---- distances -----------------------------------------------------------------------------------------------------
 
 
-def squared(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Squared distances along the last axis, summed from left to right."""
-    total = (a[..., 0] - b[..., 0]) ** 2
-    for k in range(1, a.shape[-1]):
-        total = total + (a[..., k] - b[..., k]) ** 2
+#: How the distance grows by a dimension's gap: squared Euclidean, Manhattan, maximum.
+METRICS = {"l2": lambda total, gap: total + gap * gap, "l1": lambda total, gap: total + np.abs(gap), "linf": lambda total, gap: np.maximum(total, np.abs(gap))}
+
+
+def distance(a: np.ndarray, b: np.ndarray, metric: str = "l2") -> np.ndarray:
+    """Distances along the last axis (squared for l2), summed from left to right."""
+    grow, total = METRICS[metric], 0.0
+    for k in range(a.shape[-1]):
+        total = grow(total, a[..., k] - b[..., k])
     return total
 
 
-def box_distance(q: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
-    """Squared distance of points to boxes."""
-    total = 0.0
+def squared(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    return distance(a, b)
+
+
+def box_distance(q: np.ndarray, lo: np.ndarray, hi: np.ndarray, metric: str = "l2") -> np.ndarray:
+    """Distance of points to boxes, as distance measures it."""
+    grow, total = METRICS[metric], 0.0
     for k in range(q.shape[-1]):
-        total = total + np.maximum(np.maximum(lo[..., k] - q[..., k], q[..., k] - hi[..., k]), 0.0) ** 2
+        total = grow(total, np.maximum(np.maximum(lo[..., k] - q[..., k], q[..., k] - hi[..., k]), 0.0))
     return total
 
 
@@ -228,20 +236,20 @@ def top_k(d2: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarr
     return np.take_along_axis(d2, order, 1), np.take_along_axis(ids, order, 1)
 
 
-def search(tree: Tree, q: np.ndarray, k: int, r2: np.ndarray | float = np.inf, own: np.ndarray | None = None, order: str = "near_first", chunk: int = 2048) -> Found:
-    """The k nearest of every query within the squared radius r2, bound by bound, for many queries at a time.
+def search(tree: Tree, q: np.ndarray, k: int, r2: np.ndarray | float = np.inf, own: np.ndarray | None = None, order: str = "near_first", chunk: int = 2048, metric: str = "l2") -> Found:
+    """The k nearest of every query within the radius r2 (squared for l2), bound by bound, for many queries at a time.
 
     Each query first looks into the bucket it falls in, which gives a radius; then it descends to all boxes within the radius,
     and takes them by rising bound while the bound is within its shrinking radius. own: ids that queries may not find.
     """
     r2 = np.broadcast_to(np.asarray(r2, dtype=float), (len(q),))
-    parts = [_search(tree, q[i : i + chunk], k, r2[i : i + chunk].copy(), None if own is None else own[i : i + chunk], order) for i in range(0, len(q), chunk)]
+    parts = [_search(tree, q[i : i + chunk], k, r2[i : i + chunk].copy(), None if own is None else own[i : i + chunk], order, metric) for i in range(0, len(q), chunk)]
     if not parts:
         return Found(np.zeros((0, k)), np.zeros((0, k), dtype=np.int64), np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64))
     return Found(*(np.concatenate([getattr(p, f) for p in parts]) for f in ("d2", "ids", "visited", "compared")))
 
 
-def _search(tree: Tree, q: np.ndarray, k: int, r2: np.ndarray, own: np.ndarray | None, order: str) -> Found:
+def _search(tree: Tree, q: np.ndarray, k: int, r2: np.ndarray, own: np.ndarray | None, order: str, metric: str) -> Found:
     m = len(q)
     out = Found(np.full((m, k), np.inf), np.full((m, k), NO_ID), np.zeros(m, dtype=np.int64), np.zeros(m, dtype=np.int64))
     if not len(tree.points):
@@ -257,7 +265,7 @@ def _search(tree: Tree, q: np.ndarray, k: int, r2: np.ndarray, own: np.ndarray |
             column = np.arange(int(look[f].max()))
             inside = column < look[f][:, None]
             pos = np.where(inside, tree.start[f][:, None] + column, 0)
-            d2 = squared(tree.points[pos], q[a][:, None, :])
+            d2 = distance(tree.points[pos], q[a][:, None, :], metric)
             found = tree.ids[pos]
             inside = inside & (d2 <= r2[a][:, None])
             if own is not None:
@@ -279,7 +287,7 @@ def _search(tree: Tree, q: np.ndarray, k: int, r2: np.ndarray, own: np.ndarray |
         scan(np.arange(m), home)
     at, node, leaves = np.arange(m), np.zeros(m, dtype=np.int64), []
     while len(at):
-        bound = box_distance(q[at], tree.lo[node], tree.hi[node])
+        bound = box_distance(q[at], tree.lo[node], tree.hi[node], metric)
         keep = bound <= r2[at]
         at, node, bound = at[keep], node[keep], bound[keep]
         np.add.at(out.visited, at, 1)
@@ -339,14 +347,14 @@ def search_one(tree: Tree, q: np.ndarray, k: int, r2: float = np.inf, regions: b
     return sorted((-a, -b) for a, b in heap), visited, compared
 
 
-def brute(points: np.ndarray, ids: np.ndarray, q: np.ndarray, k: int, r2: np.ndarray | float = np.inf, own: np.ndarray | None = None, block: int = 4096) -> tuple[np.ndarray, np.ndarray]:
+def brute(points: np.ndarray, ids: np.ndarray, q: np.ndarray, k: int, r2: np.ndarray | float = np.inf, own: np.ndarray | None = None, block: int = 4096, metric: str = "l2") -> tuple[np.ndarray, np.ndarray]:
     """(d2, ids) of the k nearest by comparing all pairs, block by block."""
     d2, found = np.full((len(q), k), np.inf), np.full((len(q), k), NO_ID)
     r2 = np.broadcast_to(np.asarray(r2, dtype=float), (len(q),))
     for i in range(0, len(points), block):
         x, own_ids = points[i : i + block], ids[i : i + block]
         for j in range(0, len(q), 256):
-            d = squared(x[None, :, :], q[j : j + 256, None, :])
+            d = distance(x[None, :, :], q[j : j + 256, None, :], metric)
             bad = d > r2[j : j + 256, None]
             if own is not None:
                 bad |= own_ids[None, :] == own[j : j + 256, None]

@@ -55,7 +55,7 @@ def _asks(qid: np.ndarray, q: np.ndarray, r2: np.ndarray, cell: np.ndarray) -> p
     return pa.RecordBatch.from_arrays(columns, _NAMES)
 
 
-def _search_rows(dims: int, k: int, exclude_self: bool, hop: int, order: str, shared):
+def _search_rows(dims: int, k: int, exclude_self: bool, hop: int, order: str, shared, metric: str):
     """Rows of packed cells joined with packed queries; with shared boxes, also the asks of the queries' remote cells."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -65,7 +65,7 @@ def _search_rows(dims: int, k: int, exclude_self: bool, hop: int, order: str, sh
                 column = lambda name: asked.field(name).to_numpy(zero_copy_only=False)  # noqa: B023, E731
                 qid, r2, cell = column("qid"), column("r2"), batch.column("cell")[row].as_py()
                 q = np.stack([column(f"c{i}") for i in range(dims)], axis=1)
-                found = K.search(tree_at(batch, row, dims), q, k, r2, qid if exclude_self else None, order)
+                found = K.search(tree_at(batch, row, dims), q, k, r2, qid if exclude_self else None, order, metric=metric)
                 yield _answers(found, qid, cell, hop)
                 if shared is not None and batch.column("piece")[row].as_py() == 0:
                     r2 = np.minimum(r2, found.d2[:, -1])  # k answers bound the radius, fewer are padded by infinity
@@ -89,7 +89,7 @@ def packed_queries(layout: SpatialLayout, queries: DataFrame, n: int, batch_rows
     return own.repartition(layout.parts, "cell").groupBy("cell", "_batch").agg(F.collect_list(F.struct("qid", *coords, "r2")).alias("_asked"))
 
 
-def search_cells(layout: SpatialLayout, queries: DataFrame, k: int, hop: int, exclude_self: bool = False, order: str = "near_first", batch_rows: int | None = None, n: int | None = None, boxes: Boxes | None = None) -> DataFrame:
+def search_cells(layout: SpatialLayout, queries: DataFrame, k: int, hop: int, exclude_self: bool = False, order: str = "near_first", batch_rows: int | None = None, n: int | None = None, boxes: Boxes | None = None, metric: str = "l2") -> DataFrame:
     """Rows of FOUND for n queries (qid, coordinates, r2, cell), from the stored trees. The packed cells aren't exchanged."""
     spark = layout.packed.sparkSession
     ship(spark)
@@ -97,13 +97,14 @@ def search_cells(layout: SpatialLayout, queries: DataFrame, k: int, hop: int, ex
     names = ["pid", *(f"c{i}" for i in range(layout.dims)), *(c for c in layout.packed.columns if c.startswith("node_"))]
     met = layout.packed.select("cell", "piece", *names).join(asked.hint("shuffle_hash"), "cell").drop("_batch")
     shared = None if boxes is None else spark.sparkContext.broadcast(boxes)
-    return met.mapInArrow(_search_rows(layout.dims, k, exclude_self, hop, order, shared), FOUND)
+    return met.mapInArrow(_search_rows(layout.dims, k, exclude_self, hop, order, shared, metric), FOUND)
 
 
 class Boxes:
     """Boxes of the cells under the nodes of the tree, for finding those within a radius; as large as the tree, which is checked."""
 
-    def __init__(self, layout: SpatialLayout, prune: str) -> None:
+    def __init__(self, layout: SpatialLayout, prune: str, metric: str = "l2") -> None:
+        self.metric = metric
         if layout.cells * layout.dims * 32 > BROADCAST_BYTES:
             raise ValueError(f"{layout.cells} boxes of {layout.dims} dimensions are too many to ship; build larger cells")
         lo, hi = layout.tree.regions() if prune == "region" else (layout.lo, layout.hi)
@@ -122,7 +123,7 @@ class Boxes:
         """(query, cell) of all boxes within the radius, found by descending the tree."""
         at, node, out = np.arange(len(q)), np.zeros(len(q), dtype=np.int64), []
         while len(at):
-            keep = K.box_distance(q[at], self.lo[node], self.hi[node]) <= r2[at]
+            keep = K.box_distance(q[at], self.lo[node], self.hi[node], self.metric) <= r2[at]
             at, node = at[keep], node[keep]
             leaf = self.left[node] < 0
             out.append((at[leaf], self.cell[node[leaf]]))
@@ -156,10 +157,14 @@ def remote_requests(layout: SpatialLayout, queries: DataFrame, prune: str = "mbr
     return as_queries(read.mapInArrow(_requests(shared, layout.dims), FOUND), layout.dims)
 
 
-def merge_topk(found: DataFrame, k: int) -> DataFrame:
+def radius_bound(radius: float, metric: str = "l2") -> float:
+    return float(radius) ** 2 if metric == "l2" else float(radius)
+
+
+def merge_topk(found: DataFrame, k: int, metric: str = "l2") -> DataFrame:
     """neighbors(qid, rank, pid, d2, dist) from candidate rows (qid, pid, d2); only k rows per task and query are exchanged."""
     best = found.where("pid is not null").withColumn("rank", F.row_number().over(Window.partitionBy("qid").orderBy("d2", "pid"))).where(F.col("rank") <= k)
-    return best.withColumn("dist", F.sqrt("d2"))
+    return best.withColumn("dist", F.sqrt("d2") if metric == "l2" else F.col("d2"))
 
 
 class Knn:
@@ -168,16 +173,16 @@ class Knn:
     Building it runs the owners' pass and stores what that found: candidates, and the requests to remote cells.
     """
 
-    def __init__(self, layout: SpatialLayout, queries: DataFrame, k: int = 5, max_radius: float | None = None, prune: str = "mbr", exclude_self: bool = False, order: str = "near_first", batch_rows: int | None = None) -> None:
+    def __init__(self, layout: SpatialLayout, queries: DataFrame, k: int = 5, max_radius: float | None = None, prune: str = "mbr", exclude_self: bool = False, order: str = "near_first", batch_rows: int | None = None, metric: str = "l2") -> None:
         if k < 1:
             raise ValueError("k must be at least 1")
-        self.layout, self.k = layout, k
+        self.layout, self.k, self.metric = layout, k, metric
         coords = [f"c{i}" for i in range(layout.dims)]
-        r2 = F.lit(float("inf") if max_radius is None else float(max_radius) ** 2)
+        r2 = F.lit(float("inf") if max_radius is None else radius_bound(max_radius, metric))
         own = queries.select("qid", *coords)
         self.asked = layout.tree.routed(own).withColumn("r2", r2)
-        boxes, empty = Boxes(layout, prune), layout.n == 0
-        first = search_cells(layout, self.asked, k, 0, exclude_self, order, batch_rows, boxes=boxes)
+        boxes, empty = Boxes(layout, prune, metric), layout.n == 0
+        first = search_cells(layout, self.asked, k, 0, exclude_self, order, batch_rows, boxes=boxes, metric=metric)
         if empty.any() and layout.n.sum():  # queries whose own cell has no points ask all cells in reach at once
             shared = queries.sparkSession.sparkContext.broadcast(boxes)
             alone = self.asked.where(F.col("cell").isin(np.flatnonzero(empty).tolist())).withColumnRenamed("cell", "owner")
@@ -185,7 +190,7 @@ class Knn:
         stored = written(first, "owner")
         self.owner = stored.where(F.col("hop") != ASK)
         self.requests = as_queries(stored.where(F.col("hop") == ASK), layout.dims)
-        self.remote = search_cells(layout, self.requests, k, 1, exclude_self, order, batch_rows)
+        self.remote = search_cells(layout, self.requests, k, 1, exclude_self, order, batch_rows, metric=metric)
         self.found = self.owner.unionByName(self.remote).drop("r2", "at")
 
     @property
@@ -196,7 +201,7 @@ class Knn:
         return bound.withColumn("r2", F.when(F.col("n") >= self.k, F.col("m")).otherwise(F.col("r2"))).drop("n", "m")
 
     def neighbors(self) -> DataFrame:
-        return merge_topk(self.found, self.k).select("qid", "rank", "pid", "d2", "dist")
+        return merge_topk(self.found, self.k, self.metric).select("qid", "rank", "pid", "d2", "dist")
 
     def stats(self) -> DataFrame:
         """Per query: cells contacted, remote cells, nodes visited, points compared, remote rows in the answer."""
@@ -209,7 +214,10 @@ class Knn:
 
 
 def knn(layout: SpatialLayout, queries: DataFrame, k: int = 5, **options) -> DataFrame:
-    """neighbors(qid, rank, pid, d2, dist), exact: ordered by distance, then id."""
+    """neighbors(qid, rank, pid, d2, dist), exact: ordered by distance, then id.
+
+    metric: l2, l1 or linf; for the latter two d2 is the distance itself. Boxes bound all three, so the tree serves any.
+    """
     return Knn(layout, queries, k, **options).neighbors()
 
 
@@ -242,14 +250,14 @@ def knn_all_nodes(layout: SpatialLayout, queries: DataFrame, k: int = 5, max_rad
     return merge_topk(found_in_all(layout, queries, k, max_radius, exclude_self), k).select("qid", "rank", "pid", "d2", "dist")
 
 
-def local_brute(shared, dims: int, k: int, r2: float, exclude_self: bool):
+def local_brute(shared, dims: int, k: int, r2: float, exclude_self: bool, metric: str = "l2"):
     """k pairs of each shared query (ids, places) from the points of a task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         qid, q = shared.value
         d2, ids = np.full((len(q), k), np.inf), np.full((len(q), k), K.NO_ID)
         for batch in batches:
-            new = K.brute(_matrix(batch, dims), batch.column("pid").to_numpy(), q, k, r2, qid if exclude_self else None)
+            new = K.brute(_matrix(batch, dims), batch.column("pid").to_numpy(), q, k, r2, qid if exclude_self else None, metric=metric)
             d2, ids = K.top_k(np.concatenate([d2, new[0]], axis=1), np.concatenate([ids, new[1]], axis=1), k)
         row, rank = np.nonzero(ids != K.NO_ID)
         yield pa.RecordBatch.from_arrays([pa.array(qid[row]), pa.array(ids[row, rank]), pa.array(d2[row, rank])], ["qid", "pid", "d2"])
@@ -257,12 +265,12 @@ def local_brute(shared, dims: int, k: int, r2: float, exclude_self: bool):
     return run
 
 
-def knn_brute(points: PointSet, queries: DataFrame, k: int = 5, max_radius: float | None = None, exclude_self: bool = False, block: int = 100_000) -> DataFrame:
+def knn_brute(points: PointSet, queries: DataFrame, k: int = 5, max_radius: float | None = None, exclude_self: bool = False, block: int = 100_000, metric: str = "l2") -> DataFrame:
     """Exhaustive search: blocks of queries meet every partition of the points, k rows per query and task come back."""
     spark = points.df.sparkSession
     ship(spark)
     coords = points.coords
-    every, r2 = points.positions().repartition(int(spark.conf.get("spark.sql.shuffle.partitions"))), float("inf") if max_radius is None else max_radius**2
+    every, r2 = points.positions().repartition(int(spark.conf.get("spark.sql.shuffle.partitions"))), float("inf") if max_radius is None else radius_bound(max_radius, metric)
     asked = queries.select("qid", *coords)
     n = asked.count()
     blocks = max(1, -(-n // block))
@@ -271,9 +279,9 @@ def knn_brute(points: PointSet, queries: DataFrame, k: int = 5, max_radius: floa
         own = asked if blocks == 1 else asked.where(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == b)
         rows = own.toPandas()  # at most about a block
         shared = spark.sparkContext.broadcast((rows["qid"].to_numpy(), rows[coords].to_numpy(dtype=float)))
-        part = every.mapInArrow(local_brute(shared, points.dims, k, r2, exclude_self), "qid long, pid long, d2 double")
+        part = every.mapInArrow(local_brute(shared, points.dims, k, r2, exclude_self, metric), "qid long, pid long, d2 double")
         found = part if found is None else found.unionByName(part)
-    return merge_topk(found, k).select("qid", "rank", "pid", "d2", "dist")
+    return merge_topk(found, k, metric).select("qid", "rank", "pid", "d2", "dist")
 
 
 def _replicated(shared, dims: int, k: int, r2: float, exclude_self: bool, policy: K.SplitPolicy, bucket_size: int):

@@ -130,6 +130,8 @@ def _strategies() -> None:
     add("knn_emb15_k10", on(lambda p, q: knn_replicated(p, q, 10), "emb15"), knn_sql("emb15", TENTH, 10))
     add("knn_emb64_brute", on(ways["brute"], "emb64"), knn_sql("emb64", TENTH, 5))
     add("knn_doctext10_tree", on(ways["tree"], "doctext10"), knn_sql("doctext10", TENTH, 5))
+    for metric, far in (("l1", " + ".join(f"abs(p.c{i} - q.c{i})" for i in range(3))), ("linf", "greatest(" + ", ".join(f"abs(p.c{i} - q.c{i})" for i in range(3)) + ")")):
+        add(f"knn_events3_{metric}", on(lambda p, q, metric=metric: knn(build_layout(p, CELLS), q, 5, metric=metric)), knn_sql("events3", TENTH, 5, "qid, rank, pid, d2, d2 AS dist").replace(distance_sql(3), far))
     add("knn_cust2_k3_p5", on(lambda p, q: knn(build_layout(p, 5), q, 3), "cust2"), knn_sql("cust2", TENTH, 3))
     add("knn_supp1_k200_exceeds_n", lambda s, d: knn(build_layout(P.supp1(s, d), 3), P.supp1(s, d).queries(), 200), knn_sql("supp1", "TRUE", 200))
     add("knn_customer_selfjoin", lambda s, d: knn(build_layout(P.cust2(s, d), CELLS), P.cust2(s, d).queries(), 5), knn_sql("cust2", "TRUE", 5))

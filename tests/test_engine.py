@@ -69,6 +69,13 @@ def test_other_strategies(cloud, asked, want):
         assert rows(knn(layout, asked, 5, prune=prune)) == want
 
 
+@pytest.mark.parametrize("metric", ["l1", "linf"])
+def test_other_metrics(cloud, asked, metric):
+    exact = rows(knn_brute(cloud, asked, 5, metric=metric))
+    assert rows(knn(build_layout(cloud, 6), asked, 5, metric=metric)) == exact
+    assert rows(knn(build_layout(cloud, 6), asked, 4, max_radius=0.7, metric=metric)) == rows(knn_brute(cloud, asked, 4, max_radius=0.7, metric=metric))
+
+
 def test_blocks_of_queries(cloud, asked, want):
     assert rows(knn_brute(cloud, asked, 5, block=10)) == want
 
