@@ -115,7 +115,7 @@ def _strategies() -> None:
         "replicate": lambda p, q: knn_replicated(p, q, 5),
         "vfm": lambda p, q: knn(build_layout(p, CELLS, K.SplitPolicy.vfm()), q, 5),
         "brm": lambda p, q: knn(build_layout(p, CELLS, K.SplitPolicy.brm()), q, 5),
-        "binary_bins": lambda p, q: knn(build_layout(p, CELLS, K.SplitPolicy(two_level=False)), q, 5),
+        "two_level_bins": lambda p, q: knn(build_layout(p, CELLS, K.SplitPolicy(two_level=True)), q, 5),
         "region_prune": lambda p, q: knn(build_layout(p, CELLS), q, 5, prune="region"),
         "no_prune": lambda p, q: knn(build_layout(p, 4), q, 5, prune="none"),
         "local_scan": lambda p, q: knn(build_layout(p, CELLS, bucket_size=0), q, 5),

@@ -106,3 +106,20 @@ def test_prefix_and_translation():
     ids = np.arange(len(x))
     a, b = K.search(K.build(x, ids), x[:50], 6), K.search(K.build(x + 8, ids), x[:50] + 8, 5)
     assert (a.ids[:, :5] == b.ids).all() and (a.d2[:, :5] == b.d2).all()
+
+
+def test_median_edge_equals_the_histogram_rule():
+    for _ in range(300):
+        v = RNG.integers(0, RNG.integers(1, 12), RNG.integers(1, 30)).astype(float)
+        below = {e: 2 * (v < e).sum() for e in np.unique(v)[1:]}
+        want = min(below, key=lambda e: (abs(below[e] - len(v)), e)) if below else None
+        assert K.median_edge(np.sort(v)) == want
+
+
+def test_metrics_by_brute_force():
+    x, q = RNG.normal(size=(500, 3)), RNG.normal(size=(20, 3))
+    ids = RNG.permutation(500).astype(np.int64)
+    plain = {"l1": np.abs(x[None] - q[:, None]).sum(axis=2), "linf": np.abs(x[None] - q[:, None]).max(axis=2)}
+    for metric, d in plain.items():
+        found = K.search(K.build(x, ids, 16), q, 4, metric=metric)
+        assert np.allclose(found.d2, np.sort(d, axis=1)[:, :4]) and (found.ids == K.brute(x, ids, q, 4, metric=metric)[1]).all()
