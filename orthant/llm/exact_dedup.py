@@ -18,8 +18,9 @@ from pyspark.sql.window import Window
 
 from .common import whole_text, written
 
-#: Bound of the broadcast side and of the sketch; digests above a share of 1 / (3/4 * SKETCH_ITEMS) can't be missed.
-MAX_HEAVY, SKETCH_ITEMS, MIN_HEAVY_ROWS = 256, 4096, 64
+#: Bound of the broadcast side and of the sketch; digests above a share of 1 / (3/4 * SKETCH_ITEMS) can't be missed, and there
+#: are no more than MAX_HEAVY of those, so no group of the shuffled rest is larger.
+MAX_HEAVY, SKETCH_ITEMS, MIN_HEAVY_ROWS = 3072, 4096, 64
 
 
 def heavy_digests(keyed: DataFrame, max_heavy: int = MAX_HEAVY, sketch_items: int = SKETCH_ITEMS, min_rows: int = MIN_HEAVY_ROWS) -> DataFrame:

@@ -107,7 +107,8 @@ def settle(pi: list[float], sizes: list[float], want: float) -> list[float]:
 def source_targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = CAP) -> DataFrame:
     """(source, source_size, n_docs, source_no, target) from (source, size): shares by weight, none above cap times its size.
 
-    One row per source; filling up by weight stops at the level that spends the total, found in the order of saturation.
+    One row per source, and one task for all of them: filling up by weight needs their order. It stops at the level that spends
+    the total, found in the order of saturation.
     """
     per = sizes.groupBy("source").agg(F.sum("size").cast("long").alias("source_size"), F.count(F.lit(1)).alias("n_docs"))
     order = Window.orderBy(F.col("source").asc_nulls_last())
@@ -161,7 +162,7 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = CAP,
         need = state.groupBy("source_no").agg(F.ceil(F.count(F.lit(1)) / chunk).alias("_chunks"))
         need = written(need, f"chunks{at}")
         side = F.broadcast(need) if need.count() <= BROADCAST_SOURCES else need
-        dealt = state.join(side, "source_no").withColumn("_h", F.xxhash64("doc_id", F.lit(SEED + at)))
+        dealt = state.join(side, "source_no").withColumn("_h", F.xxhash64("doc_id", "_row", F.lit(SEED + at)))  # rows, not ids: a null or repeated id doesn't gather
         dealt = dealt.withColumn("_chunk", F.pmod("_h", F.col("_chunks"))).withColumn("_land", F.col("_chunks") == 1).drop("_chunks").select(*schema.names, "_h", "_chunk", "_land")
         parts = [dealt.where(F.col("_land") == land).groupBy("source_no", "_chunk").applyInPandas(_decide(land), schema) for land in (False, True)]
         after = written(parts[0].unionByName(parts[1]), f"round{at}")

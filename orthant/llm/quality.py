@@ -149,3 +149,46 @@ def judge(docs: DataFrame, **columns: str) -> DataFrame:
     odd = ((F.col("_chars") >= GUARD_CHARS) & (F.col("char_distance") > CHAR_DISTANCE)) | ((F.col("n_words") >= GUARD_WORDS) & (F.col("word_distance") > WORD_DISTANCE))
     verdict = ~F.col("base_failed") & ~F.coalesce(odd, F.lit(False))
     return told.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", verdict.alias("kept"), "char_distance", "word_distance")
+
+
+def told(docs: DataFrame) -> DataFrame:
+    """judge with the distances to six places, as SQL gives them too."""
+    return judge(docs).withColumns({c: F.round(c, 6) for c in ("char_distance", "word_distance")})
+
+
+def _listed(words: tuple[str, ...]) -> str:
+    return "[" + ", ".join(f"'{w}'" for w in words) + "]"
+
+
+_COUNTS = ", ".join("length(t) - length(regexp_replace(t, '{}', '', 'g'))".format(c.replace("'", "''")) for c in CLASSES)
+_SHARES = "list_transform({0}, lambda x: CASE WHEN list_sum({0}) > 0 THEN x / list_sum({0}) ELSE 0.0::DOUBLE END)"
+_DISTANCE = (
+    "sqrt(greatest(0.0::DOUBLE, list_sum(list_transform(list_zip({0}, {1}), lambda z: ((CASE WHEN z[1] > 0 THEN z[1] * log2(2 * z[1] / (z[1] + z[2])) ELSE 0 END)"
+    " + (CASE WHEN z[2] > 0 THEN z[2] * log2(2 * z[2] / (z[1] + z[2])) ELSE 0 END)) / 2))))"
+)
+OP5_SQL = rf"""
+WITH d AS MATERIALIZED (SELECT row_number() OVER () AS r, doc_id, lang, coalesce(text, '') AS t FROM documents),
+w AS MATERIALIZED (SELECT r, unnest(l) AS w, generate_subscripts(l, 1) AS i FROM (SELECT r, regexp_extract_all(t, '[^ 	-]+') AS l FROM d)),
+v AS (SELECT r, i, w, lead(w) OVER p AS w1, lead(w, 2) OVER p AS w2 FROM w WINDOW p AS (PARTITION BY r ORDER BY i)),
+twice AS (SELECT r, i FROM v WHERE w2 IS NOT NULL QUALIFY count(*) OVER (PARTITION BY r, w, w1, w2) > 1),
+n_rep AS (SELECT r, count(DISTINCT i + k) AS n_repeat_words FROM twice, (SELECT unnest([0, 1, 2]) AS k) GROUP BY r),
+lines AS (SELECT r, count(*) - count(DISTINCT x) AS n_dup_lines FROM (SELECT r, unnest(string_split(t, chr(10))) AS x FROM d) WHERE regexp_matches(x, '[^ 	-]') GROUP BY r),
+per AS (SELECT r, count(*) AS n_words, sum(length(w)) AS word_chars FROM w GROUP BY r),
+c AS (SELECT r, rtrim(lower(w), '.,;:!?') AS w, count(*) AS n FROM w GROUP BY ALL HAVING list_contains({_listed(COMMON)}, rtrim(lower(w), '.,;:!?'))),
+cm AS (SELECT r, map(list(w), list(n)) AS m, sum(n) AS n FROM (SELECT r, w, sum(n) AS n FROM c GROUP BY ALL) GROUP BY r),
+k AS (SELECT r, [{_COUNTS}] AS k, length(t) AS chars FROM d),
+f AS MATERIALIZED (
+  SELECT d.r, doc_id, lang, k.chars, coalesce(per.n_words, 0) AS n_words, CAST(coalesce(word_chars, 0) AS BIGINT) AS word_chars, k.k[6] AS n_symbols, coalesce(n_dup_lines, 0) AS n_dup_lines,
+         coalesce(n_repeat_words, 0) AS n_repeat_words, list_append(k.k, k.chars - list_sum(k.k)) AS kinds,
+         list_append(list_transform({_listed(COMMON)}, lambda x: coalesce(cm.m[x], 0)), coalesce(per.n_words, 0) - coalesce(cm.n, 0)) AS words
+  FROM d JOIN k USING (r) LEFT JOIN per USING (r) LEFT JOIN lines USING (r) LEFT JOIN n_rep USING (r) LEFT JOIN cm USING (r)),
+b AS MATERIALIZED (SELECT *, n_words < {MIN_WORDS} OR 100 * n_repeat_words > {REPEAT_PERCENT} * n_words AS base_failed FROM f),
+q AS MATERIALIZED (SELECT lang, {", ".join(f"sum(kinds[{i + 1}])" for i in range(len(CLASSES) + 1)).join(("[", "]"))} AS kinds, {", ".join(f"sum(words[{i + 1}])" for i in range(len(COMMON) + 1)).join(("[", "]"))} AS words FROM b WHERE lang IS NOT NULL AND NOT base_failed GROUP BY lang),
+p AS MATERIALIZED (SELECT r, {_SHARES.format("kinds")} AS kinds, {_SHARES.format("words")} AS words FROM b),
+s AS MATERIALIZED (SELECT {_SHARES.format("kinds")} AS kinds, {_SHARES.format("words")} AS words FROM q),
+near AS (SELECT r, min({_DISTANCE.format("p.kinds", "s.kinds")}) AS cd, min({_DISTANCE.format("p.words", "s.words")}) AS wd FROM p, s GROUP BY r)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
+       NOT base_failed AND NOT coalesce((chars >= {GUARD_CHARS} AND cd > {CHAR_DISTANCE}) OR (n_words >= {GUARD_WORDS} AND wd > {WORD_DISTANCE}), false) AS kept,
+       round(cd, 6) AS char_distance, round(wd, 6) AS word_distance
+FROM b LEFT JOIN near USING (r)
+"""

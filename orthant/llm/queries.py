@@ -28,7 +28,7 @@ def op4_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality.judge(table(spark, sf_dir, "documents"))
+    return quality.told(table(spark, sf_dir, "documents"))
 
 
 def op6_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -56,4 +56,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_exact_dedup": exact_dedup.OP4_SQL, "op10_chat_format": chat.OP10_SQL}
+    return {"op4_exact_dedup": exact_dedup.OP4_SQL, "op5_quality_rules": quality.OP5_SQL, "op10_chat_format": chat.OP10_SQL}

@@ -112,6 +112,23 @@ def test_mix_by_brute_force(docs, texts):
         assert abs(taken[s] - target[s]) <= max(size[s], default=0)
 
 
+def test_mix_comes_near_its_targets(spark):
+    """Sources of fifty documents: within a few words, or a thousandth."""
+    docs = spark.read.parquet(f"{DATA}/sf0.01/documents.parquet")
+    met = mixing.mix(docs).join(docs.select("doc_id", "source"), "doc_id").groupBy("source").agg(F.first("target").alias("t"), F.sum("taken").alias("k"), F.count("*").alias("n")).collect()
+    assert len(met) == 20 and all(r["n"] == 50 and abs(r["k"] - r["t"]) <= 3 + 0.001 * r["t"] for r in met)
+
+
+def test_mix_of_null_and_equal_ids_and_texts(spark):
+    """Rows without an id, or all with one, or with equal texts, are dealt into chunks like any others."""
+    rows = [(None if i % 3 == 0 else 7 if i % 3 == 1 else i, f"a few words of {i} " * (1 + i % 9), "s") for i in range(3000)] + [(10_000 + i, "one and the same text", "t") for i in range(500)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    taken = mixing.mix(df, chunk=200).groupBy("source_size").agg(F.first("target").alias("t"), F.sum("taken").alias("k"), F.count("*").alias("n")).collect()
+    assert sorted(r["n"] for r in taken) == [500, 3000] and all(abs(r["k"] - r["t"]) <= 20 for r in taken)
+    hashed = df.withColumn("_row", F.xxhash64(*df.columns)).where("doc_id is null").select(F.xxhash64("doc_id", "_row", F.lit(42)).alias("h")).distinct().count()
+    assert hashed == 1000  # one each, not one for all
+
+
 def test_mix_reruns_agree(docs):
     a = sorted(map(tuple, mixing.mix(docs).collect()), key=str)
     assert a == sorted(map(tuple, mixing.mix(docs.repartition(7)).collect()), key=str)

@@ -5,6 +5,8 @@ from conftest import DATA
 
 import corpus_pipeline
 from orthant.llm import simhash
+from orthant.llm.common import written
+from pyspark.sql import functions as F
 
 SF = f"{DATA}/sf0.001"
 
@@ -44,3 +46,31 @@ def test_stages(spark):
 def test_run(spark):
     assert corpus_pipeline.run(spark, SF).count() > 0
     assert [n for n, _ in corpus_pipeline.STAGES] == ["language", "exact_dedup", "near_dedup", "mix", "pack"]
+
+
+def chain(spark, docs):
+    """What every stage leaves, each written and read again as the driver does."""
+    out = []
+    for name, stage in corpus_pipeline.STAGES:
+        docs = written(stage(spark, docs, SF), name)
+        out.append(docs)
+    return out
+
+
+def test_chain_on_an_empty_table(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").where("false")
+    left = chain(spark, docs)
+    assert [d.count() for d in left] == [0] * 5 and all(d.columns == docs.columns for d in left[:4])
+
+
+def test_chain_on_repeated_rows_and_nulls(spark):
+    """Every row twice, rows of nulls, and columns named like the stages' own: copies go once, nulls in the first stage."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").limit(60)
+    twice = docs.unionByName(docs).unionByName(spark.createDataFrame([(None, None, None, None, None), (None, "some words in English, and more of them", "en", None, 1)], docs.schema))
+    for c in ("_all", "_hex", "_fp", "_row", "_id", "_times", "label", "key"):
+        twice = twice.withColumn(c, F.lit(c))
+    left = chain(spark, twice)
+    assert all(d.columns == twice.columns for d in left[:4])
+    distinct = docs.select("text").distinct().count()
+    assert left[0].count() == 121 and left[1].count() == distinct + 1 and left[1].where("doc_id is null").count() == 1
+    assert left[2].count() <= left[1].count() and left[4].where("doc_id is null").count() == left[3].where("doc_id is null").count()
