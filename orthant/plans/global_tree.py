@@ -21,6 +21,8 @@ from orthant.points import PointSet, hash32
 
 #: Most cells that are routed by a nested CASE.
 CASE_CELLS = 64
+#: Histograms of all tasks together that come to the driver as they are; larger ones are added up on the way.
+DIRECT_BYTES = 32 << 20
 #: Cells that are made by full histograms, from samples on the driver; more of them grow inside these, on the executors.
 GROUPS = 1024
 
@@ -377,19 +379,19 @@ def _full_stats(points: PointSet, tree: GlobalTree, members: dict, policy: K.Spl
 
 
 def _by_histogram(points: PointSet, tree: GlobalTree, edges_of: dict, policy: K.SplitPolicy) -> dict[int, tuple[int, float]]:
-    spark = points.df.sparkSession
+    spark, read = points.df.sparkSession, points.positions().drop("pid")
     shared = spark.sparkContext.broadcast((tree.arrays(), edges_of, policy.two_level, policy.stride))
-    counted = points.positions().drop("pid").mapInArrow(_histograms(shared, points.dims), "node long, bin long, n long")
-    rows = counted.groupBy("node", "bin").agg(F.sum("n").alias("n")).collect()  # open nodes times their sampled edges
-    of: dict[int, list] = {n: [] for n in edges_of}
-    for r in rows:
-        of[r["node"]].append(r)
+    counted = read.mapInArrow(_histograms(shared, points.dims), "node long, bin long, n long")
+    if read.rdd.getNumPartitions() * 24 * sum(len(edges) + 1 for _, edges in edges_of.values()) > DIRECT_BYTES:
+        counted = counted.groupBy("node", "bin").agg(F.sum("n").alias("n"))
+    rows = counted.toArrow()  # open nodes times their sampled edges
+    node, bins, n = (rows.column(c).to_numpy() for c in ("node", "bin", "n"))
+    by = np.argsort(node, kind="stable")
     out = {}
-    for n, (dim, edges) in edges_of.items():
-        counts = np.zeros(len(edges) + 1, dtype=np.int64)
-        for r in of[n]:
-            counts[r["bin"]] = r["n"]
-        found = K.edge_nearest(edges, counts, -(-tree.want[n] // 2) / tree.want[n])
+    for k, (dim, edges) in edges_of.items():
+        mine = by[np.searchsorted(node, k, side="left", sorter=by) : np.searchsorted(node, k, side="right", sorter=by)]
+        counts = np.bincount(bins[mine], weights=n[mine], minlength=len(edges) + 1)
+        found = K.edge_nearest(edges, counts, -(-tree.want[k] // 2) / tree.want[k])
         if found:
-            out[n] = (dim, found[0])
+            out[k] = (dim, found[0])
     return out
