@@ -1,4 +1,4 @@
-"""The experiments as functions that give tables of measures; ``python -m orthant.experiments strong`` sweeps the cores.
+"""The experiments as functions that give tables of measures; ``python -m orthant.experiments strong`` sweeps the cores, ``weak`` the scale factors.
 
 Seconds depend on the machine; work counts, depths and balances don't.
 """
@@ -109,28 +109,40 @@ def breakdown(spark: SparkSession, sets: dict[str, PointSet], cells: int = 16) -
     return out
 
 
-def strong_scaling(sf_dir: str, cores: Iterable[int] = (1, 2, 4, 8), points: str = "line3", cells: int = 32) -> list[dict]:
-    """The same work on ever more cores, each in a process of its own."""
-    rows = []
-    for n in cores:
-        out = subprocess.run([sys.executable, "-m", "orthant.experiments", "one", sf_dir, str(n), points, str(cells)], capture_output=True, text=True, check=True, cwd=os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
-        rows.append(json.loads(out.stdout.strip().splitlines()[-1]))
-    return rows
+def _in_process(*args: object) -> dict:
+    """One measurement in a process of its own."""
+    out = subprocess.run([sys.executable, "-m", "orthant.experiments", "one", *map(str, args)], capture_output=True, text=True, check=True, cwd=os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
+    return json.loads(out.stdout.strip().splitlines()[-1])
+
+
+def strong_scaling(sf_dir: str, cores: Iterable[int] = (1, 2, 4, 8), points: Iterable[str] = ("events3", "orders3", "line3"), cells: int = 32) -> list[dict]:
+    """The same work on ever more cores: a task a core, as threads of one machine here, over executors on a cluster."""
+    return [_in_process(sf_dir, n, p, cells) for p in points for n in cores]
+
+
+def weak_scaling_over_scale_factors(top: str, steps: Iterable[tuple[str, int]] = (("sf0.001", 1), ("sf0.01", 2), ("sf0.1", 8)), points: str = "line3", cells_a_core: int = 4) -> list[dict]:
+    """Points and cores grow together, as far as the scale factors allow: cells in proportion to the cores."""
+    return [{"scale": name} | _in_process(f"{top}/{name}", n, points, cells_a_core * n) for name, n in steps]
 
 
 def _one(sf_dir: str, cores: int, points: str, cells: int) -> None:
     spark = SparkSession.builder.master(f"local[{cores}]").config("spark.sql.shuffle.partitions", str(2 * cores)).config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.driver.memory", "6g").config("spark.sql.session.timeZone", "UTC").getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
-    ps, q = _held(getattr(P, points)(spark, sf_dir), 20)
-    measured(ps, q, "warm-up", cores, 2)
-    r = measured(ps, q, "strong", cores, cells)
-    print(json.dumps({"cores": cores, "points": points, "build_s": round(r[2], 3), "query_s": round(r[3], 3)}))
+    ps = getattr(P, points)(spark, sf_dir)
+    ps = PointSet(written(ps.positions().repartition(16), "points"), ps.dims)
+    q = written(ps.sample_queries(10, 3), "queries")
+    for i in range(3):  # the first ones compile
+        r = measured(ps, q, "strong", cores, cells)
+    print(json.dumps({"cores": cores, "points": points, "n": ps.df.count(), "cells": cells, "build_s": round(r[2], 3), "query_s": round(r[3], 3)}))
     spark.stop()
 
 
 if __name__ == "__main__":
     if sys.argv[1] == "one":
         _one(sys.argv[2], int(sys.argv[3]), sys.argv[4], int(sys.argv[5]))
+    elif sys.argv[1] == "weak":
+        for row in weak_scaling_over_scale_factors(sys.argv[2] if len(sys.argv) > 2 else "/root/testdata"):
+            print(json.dumps(row))
     else:
         for row in strong_scaling(sys.argv[2] if len(sys.argv) > 2 else "/root/testdata/sf0.1"):
             print(json.dumps(row))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import struct
 import uuid
 from collections.abc import Callable
 
@@ -382,11 +383,14 @@ def op_column_arrays_source(s, d):
         raise ValueError(f"plain array files need a mounted folder, not {top}")
     local = urlparse(top).path
     os.makedirs(local, exist_ok=True)
-    rows = table(s, d, "orders").select("o_totalprice", F.col("o_custkey").cast("double").alias("o_custkey")).toPandas()
-    paths = {}
-    for c in rows.columns:
-        paths[c] = f"{local}/{c}-{uuid.uuid4().hex}.f8"
-        rows[c].to_numpy(dtype="<f8").tofile(paths[c])
+    rows = table(s, d, "orders").select("o_totalprice", F.col("o_custkey").cast("double").alias("o_custkey"))
+    paths = {c: f"{local}/{c}-{uuid.uuid4().hex}.f8" for c in rows.columns}
+    files = [open(p, "wb") for p in paths.values()]
+    for r in rows.toLocalIterator():  # a partition at a time; each file gets its property in the order of the rows
+        for f, x in zip(files, r, strict=True):
+            f.write(struct.pack("<d", x))
+    for f in files:
+        f.close()
     back = formats.column_arrays(s, paths, 4096)
     return back.agg(one().alias("n"), F.sum(F.col("o_totalprice").cast("decimal(18,2)")).cast("double").alias("price"), F.sum("o_custkey").alias("customers"))
 

@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import uuid
+import warnings
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -15,11 +17,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder shared by all nodes that the session names; one of our own only where it names none."""
+    """The folder shared by all nodes that the session names (spark.checkpoint.dir).
+
+    A session of one machine that names none gets a temporary one, with a warning; one of several machines is refused.
+    """
     sc = spark.sparkContext
     found = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not found:
+        if not re.match(r"local(\[|$)", sc.master):
+            raise ValueError(f"spark.checkpoint.dir must name a folder that all nodes of {sc.master} share")
         found = tempfile.mkdtemp(prefix="orthant-")
+        warnings.warn(f"spark.checkpoint.dir is not set: intermediate data go to {found}, which only this machine sees", stacklevel=2)
         atexit.register(shutil.rmtree, found, ignore_errors=True)
         sc.setCheckpointDir(found)
     return found.rstrip("/")

@@ -272,6 +272,25 @@ def test_an_index_goes_on_after_a_restart(spark, cloud, asked, want, tmp_path):
     assert rows(again.knn(asked, 5)) == rows(last.knn(asked, 5)) == want
 
 
+def test_a_cluster_must_name_its_shared_folder():
+    from orthant.sources import tables
+
+    class Unset:
+        def get(self, *_):
+            return None
+
+    class Context:
+        master = "spark://host:7077"
+        getConf = staticmethod(Unset)
+        getCheckpointDir = staticmethod(lambda: None)
+
+    class Session:
+        conf, sparkContext = Unset(), Context()
+
+    with pytest.raises(ValueError, match="spark.checkpoint.dir"):
+        tables.shared_dir(Session())
+
+
 def test_recall_and_distance_ratio(cloud, asked):
     exact = knn_brute(cloud, asked, 5)
     worse = exact.where("not (qid = 10000 and rank = 1)").unionByName(exact.where("qid = 10000 and rank = 5").selectExpr("qid", "rank", "pid + 100000 AS pid", "4 * d2 AS d2", "2 * dist AS dist"))
