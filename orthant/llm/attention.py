@@ -17,7 +17,9 @@ WINDOW, OVERLAP, WIDTH, HIDDEN, CLASSES, UNITS, SHARED_UNITS, ROWS, SHARED_ROWS
 #: Windows of a training step, the rate at the start and its part at the end, memories of the two moments.
 BATCH, STEP, LAST, DECAY = 128, 0.03, 0.1, (0.9, 0.99)
 _BEFORE = np.tril(np.ones((WINDOW, WINDOW), dtype=np.float32))
-_TOP = 60.0
+#: Attention logits lie within this, logits of outputs at most _DEEP below the greatest of their row: no exponential vanishes or
+#: comes near the numbers that are slow.
+_TOP, _DEEP = 30.0, 60.0
 _TABLES = ("e", "t")
 
 
@@ -73,7 +75,7 @@ def _flat(a: np.ndarray) -> np.ndarray:
 
 
 def body(w: dict[str, np.ndarray], x: np.ndarray) -> tuple[np.ndarray, ...]:
-    """Hidden states of windows of rows (windows x WINDOW), and what the backward pass needs; s is the attention before its norm."""
+    """Hidden states of windows of rows (windows x WINDOW), and what the backward pass needs."""
     n = len(x)
     e = np.take(w["e"], x, axis=0, mode="clip")
     last = (_flat(e) @ w["m"]).reshape(e.shape)
@@ -82,13 +84,12 @@ def body(w: dict[str, np.ndarray], x: np.ndarray) -> tuple[np.ndarray, ...]:
     qkv = (_flat(x0) @ w["qkv"]).reshape(n, WINDOW, 3 * WIDTH)
     q, k, v = qkv[..., :WIDTH] * qkv.dtype.type(WIDTH**-0.5), qkv[..., WIDTH : 2 * WIDTH], qkv[..., 2 * WIDTH :]
     s = q @ k.transpose(0, 2, 1)
-    if s.max() > _TOP:  # a maximum is cheap, a comparison with each is not
-        np.minimum(s, _TOP, out=s)
+    if s.max() > _TOP or s.min() < -_TOP:  # a look at the extremes is cheap, a comparison with each is not
+        np.clip(s, -_TOP, _TOP, out=s)
     np.exp(s, out=s)
     s *= _BEFORE
-    norm = s @ np.ones((WINDOW, 1), dtype=s.dtype)
+    s /= s @ np.ones((WINDOW, 1), dtype=s.dtype)
     c = s @ v
-    c /= norm
     h = _flat(c) @ w["o"]
     h += _flat(x0)
     g = h @ w["w1"]
@@ -98,7 +99,7 @@ def body(w: dict[str, np.ndarray], x: np.ndarray) -> tuple[np.ndarray, ...]:
     np.matmul(g, w["w2"], out=h2[:, :WIDTH])
     h2[:, :WIDTH] += h
     h2[:, WIDTH] = 1
-    return e, x0, q, k, v, s, norm, c, h, g, h2
+    return e, x0, q, k, v, s, c, h, g, h2
 
 
 class Windows:
@@ -133,16 +134,20 @@ class Windows:
 
 
 def _softmax(h: np.ndarray, table: np.ndarray, own: np.ndarray, scale: float | None) -> tuple[np.ndarray, np.ndarray]:
-    """(natural logs of the probabilities of the own outputs, gradients of the logits times scale)."""
-    z = h @ table.T
-    if z.max() > _TOP:
-        np.minimum(z, _TOP, out=z)
-    at = np.arange(0, z.size, z.shape[1]) + own
+    """(natural logs of the probabilities of the own outputs, gradients of the logits times scale, outputs x places).
+
+    Places lie along the rows, so that the reductions over the few outputs run over whole vectors.
+    """
+    z = table @ h.T
+    z -= z.max(axis=0)
+    if z.size and z.min() < -_DEEP:
+        np.maximum(z, -_DEEP, out=z)
+    at = own * z.shape[1] + np.arange(z.shape[1])
     logit = z.ravel()[at]
     np.exp(z, out=z)
-    total = z @ np.ones(z.shape[1], dtype=z.dtype)
+    total = z.sum(axis=0)
     if scale is not None:
-        z *= (z.dtype.type(scale) / total)[:, None]
+        z *= z.dtype.type(scale) / total
         z.ravel()[at] -= z.dtype.type(scale)
     return logit - np.log(total), z
 
@@ -154,21 +159,21 @@ def outputs(w: dict[str, np.ndarray], h: np.ndarray, ids: np.ndarray, vocabulary
     """
     order = np.argsort(vocabulary.cls[ids], kind="stable")
     h, ids = h[order], ids[order]
-    cls, unit = vocabulary.cls[ids], vocabulary.unit[ids]
-    log, z = _softmax(h, w["u"], cls, scale)
+    cls, unit = vocabulary.cls[ids], vocabulary.unit[ids].astype(np.int64)
+    log, z = _softmax(h, w["u"], cls.astype(np.int64), scale)
     grads, dh = {}, None
     if scale is not None:
-        grads = {"u": z.T @ h, "t": np.zeros_like(w["t"])}
-        dh = z @ w["u"]
+        grads = {"u": z @ h, "t": np.zeros_like(w["t"])}
+        dh = z.T @ w["u"]
     ends, a = np.cumsum(np.bincount(cls, minlength=len(vocabulary.bounds) - 1)), 0
     for k, b in enumerate(ends):
         s, e = vocabulary.bounds[k], vocabulary.bounds[k + 1]
         if b > a and e - s > 1:
-            more, y = _softmax(h[a:b], w["t"][s:e], unit[a:b] - np.int64(s), scale)
+            more, y = _softmax(h[a:b], w["t"][s:e], unit[a:b] - s, scale)
             log[a:b] += more
             if scale is not None:
-                np.matmul(y.T, h[a:b], out=grads["t"][s:e])
-                dh[a:b] += y @ w["t"][s:e]
+                np.matmul(y, h[a:b], out=grads["t"][s:e])
+                dh[a:b] += y.T @ w["t"][s:e]
         a = b
     back = np.empty(len(order), dtype=np.int64)
     back[order] = np.arange(len(order))
@@ -202,7 +207,7 @@ def _by_row(rows: np.ndarray, g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def gradients(w: dict[str, np.ndarray], x: np.ndarray, targets: np.ndarray, scored: np.ndarray, vocabulary: Vocabulary) -> tuple[float, dict[str, np.ndarray], np.ndarray]:
     """Mean log loss of the units and its gradients; that of e for the distinct rows, which come last."""
-    e, x0, q, k, v, s, norm, c, h, g, h2 = body(w, x)
+    e, x0, q, k, v, s, c, h, g, h2 = body(w, x)
     keep = np.flatnonzero(scored)
     log, dkept, d = outputs(w, h2[keep], targets.ravel()[keep], vocabulary, 1 / max(1, len(keep)))
     if len(keep) == len(h2):
@@ -218,7 +223,6 @@ def gradients(w: dict[str, np.ndarray], x: np.ndarray, targets: np.ndarray, scor
     dh += dh2
     d["o"] = _flat(c).T @ dh
     dc = (dh @ w["o"].T).reshape(c.shape)
-    dc /= norm  # the norm of s
     ds = dc @ v.transpose(0, 2, 1)
     ds -= np.einsum("ntw,ntw->nt", dc, c)[..., None]
     ds *= s
