@@ -342,7 +342,7 @@ def test_late_rows_of_all_days(spark, sf):
     """Every day but the open last ones, each once: the replayed first day is late and adds nothing."""
     from orthant import relops
 
-    got = sorted((r["start"].strftime("%Y-%m-%d"), r["event_type"], r["n"]) for r in relops.stream_late_rows(spark, sf).collect())
+    got = sorted((r["day"], r["event_type"], r["n"]) for r in relops.stream_late_rows(spark, sf).collect())
     days = spark.read.parquet(f"{sf}/events.parquet").groupBy(F.date_format("ts", "yyyy-MM-dd").alias("day"), "event_type").count().collect()
     last = max(r["day"] for r in days)
     assert got == sorted((r["day"], r["event_type"], r["count"]) for r in days if r["day"] < last) and len({d for d, _, _ in got}) > 4
