@@ -180,7 +180,7 @@ def outputs(w: dict[str, np.ndarray], h: np.ndarray, ids: np.ndarray, vocabulary
     return log[back], None if dh is None else dh[back, :WIDTH], grads
 
 
-def log10_tokens(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary, batch: int = 256) -> np.ndarray:
+def log10_tokens(w: dict[str, np.ndarray], sequences: list[np.ndarray], vocabulary: Vocabulary, batch: int = BATCH) -> np.ndarray:
     """log10 of the probability of every token and of the end of each sequence, in order."""
     every, parts = Windows(sequences, vocabulary), [np.zeros(0)]
     for i in range(0, len(every), batch):
