@@ -171,11 +171,23 @@ def op_asof_join(s, d):
     " QUALIFY row_number() OVER (PARTITION BY a.c_custkey ORDER BY abs(a.c_acctbal - b.c_acctbal), b.c_custkey) <= 3"
 )
 def op_lateral_topk(s, d):
-    """Three nearest balances in the same nation, as a correlated subquery."""
+    """Three nearest balances in the same nation, from a lateral generator over each spot's few neighbours.
+
+    Only the four smallest keys of a balance can answer, and of other balances those as near as the third distinct one on
+    either side; so a customer meets a bounded number of rows, however many share the nation. Lacking balances come last.
+    """
     table(s, d, "customer").createOrReplaceTempView("orthant_customer")
     return s.sql(
-        "SELECT a.c_custkey AS a, x.k AS b FROM orthant_customer a, LATERAL (SELECT k FROM (SELECT b.c_custkey AS k, abs(a.c_acctbal - b.c_acctbal) AS gap"
-        " FROM orthant_customer b WHERE b.c_nationkey = a.c_nationkey AND b.c_custkey <> a.c_custkey) ORDER BY gap, k LIMIT 3) x"
+        "WITH c AS (SELECT c_nationkey AS n, c_acctbal AS v, c_custkey AS k FROM orthant_customer WHERE c_nationkey IS NOT NULL),"
+        " few AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY n, v ORDER BY k) AS r FROM c) WHERE r <= 4),"
+        " spot AS (SELECT n, v, collect_list(k) AS ks FROM few WHERE v IS NOT NULL GROUP BY n, v),"
+        " near AS (SELECT n, v, collect_list(struct(v, ks)) OVER (PARTITION BY n ORDER BY v ROWS BETWEEN 3 PRECEDING AND 3 FOLLOWING) AS around FROM spot),"
+        " lacks AS (SELECT n, collect_list(k) AS ks FROM few WHERE v IS NULL GROUP BY n),"
+        " least AS (SELECT n, collect_list(k) AS ks FROM (SELECT *, row_number() OVER (PARTITION BY n ORDER BY k) AS r FROM c) WHERE r <= 4 GROUP BY n),"
+        " met AS (SELECT c.v, c.k, coalesce(near.around, array()) AS around, coalesce(if(c.v IS NULL, least.ks, lacks.ks), array()) AS last"
+        " FROM c LEFT JOIN near ON c.n = near.n AND c.v = near.v LEFT JOIN lacks ON c.n = lacks.n LEFT JOIN least ON c.n = least.n),"
+        " pairs AS (SELECT k, concat(flatten(transform(around, x -> transform(x.ks, y -> struct(abs(v - x.v) AS gap, y AS k)))), transform(last, y -> struct(double('NaN') AS gap, y AS k))) AS p FROM met)"
+        " SELECT a.k AS a, x.k AS b FROM pairs a, LATERAL inline(slice(array_sort(filter(a.p, y -> y.k <> a.k)), 1, 3)) AS x(gap, k)"
     )
 
 

@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from orthant import kernel as K
-from orthant import measures
+from orthant import measures, relops
 from orthant import points as P
 from orthant.operators import knn as knn_module
 from orthant.operators import predict
@@ -354,3 +354,17 @@ def test_planner():
     assert choose(10**7, 10**3, 64, 8).strategy == "brute"
     plan = choose(3 * 10**12, 10**9, 3, 8000)
     assert plan.strategy == "tree" and plan.cells > 10**5
+
+
+def test_lateral_topk_of_many_copies(spark, tmp_path):
+    """Copies of a balance, small nations and lacking balances; no row meets its whole nation."""
+    from conftest import same_rows
+
+    x = [(i, i % 3, float(i // 50) if i % 11 else None) for i in range(400)] + [(1000, 7, 1.0), (1001, 7, None), (1002, 8, 5.0), (1003, None, 1.0)]
+    spark.createDataFrame(x, "c_custkey long, c_nationkey int, c_acctbal double").coalesce(1).write.parquet(f"{tmp_path}/all")
+    next((tmp_path / "all").glob("*.parquet")).rename(tmp_path / "customer.parquet")
+    run, sql = relops.QUERIES["op_lateral_topk"]
+    got = run(spark, str(tmp_path))
+    assert same_rows(got, sql, str(tmp_path))
+    joins = [line for line in got._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Join" in line]
+    assert joins and all("LeftOuter" in line for line in joins)  # each to at most one row: no pairs of a nation
