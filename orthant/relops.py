@@ -433,19 +433,15 @@ def _stream(s: SparkSession, d: str) -> DataFrame:
     return s.readStream.schema(_EVENT + ", day date").parquet(_by_day(s, d))
 
 
-def _named(name: str) -> str:
-    return f"orthant_{name}_{uuid.uuid4().hex[:8]}"
-
-
 @query("SELECT date_trunc('day', ts) AS day, event_type, count(*) AS n FROM events GROUP BY 1, 2")
 def stream_tumbling_counts(s, d):
-    got = streams.run_to_memory(streams.windowed_counts(_stream(s, d), ["event_type"], F.window("time", "1 day")), _named("tumbling"))
+    got = streams.run_to_store(streams.windowed_counts(_stream(s, d), ["event_type"], F.window("time", "1 day")))
     return got.select(F.to_timestamp_ntz(F.date_format("start", "yyyy-MM-dd HH:mm:ss")).alias("day"), "event_type", "n")
 
 
 @query("SELECT time_bucket(INTERVAL 6 HOUR, ts) - to_hours(6 * i) AS start, count(*) AS n FROM events, (SELECT unnest(range(4)) AS i) GROUP BY 1")
 def stream_sliding_counts(s, d):
-    got = streams.run_to_memory(streams.windowed_counts(_stream(s, d), [], F.window("time", "1 day", "6 hours")), _named("sliding"))
+    got = streams.run_to_store(streams.windowed_counts(_stream(s, d), [], F.window("time", "1 day", "6 hours")))
     return got.select(F.to_timestamp_ntz(F.date_format("start", "yyyy-MM-dd HH:mm:ss")).alias("start"), "n")
 
 
@@ -455,7 +451,7 @@ def stream_sliding_counts(s, d):
 )
 def stream_session_counts(s, d):
     """Sessions of each user, closed by a gap of 30 minutes."""
-    got = streams.run_to_memory(streams.windowed_counts(_stream(s, d), ["user_id"], F.session_window("time", "30 minutes")), _named("session"))
+    got = streams.run_to_store(streams.windowed_counts(_stream(s, d), ["user_id"], F.session_window("time", "30 minutes")))
     return got.groupBy("user_id").agg(one().alias("n"))
 
 
@@ -468,7 +464,7 @@ def stream_late_rows(s, d):
     for i, day in enumerate([*order, order[0]]):
         days.where(F.col("day") == day).drop("day").coalesce(1).write.mode("append").parquet(f"{extra}/part={i}")
     stream = s.readStream.schema(_EVENT + ", part int").option("maxFilesPerTrigger", 1).option("latestFirst", False).parquet(extra)
-    got = streams.run_to_memory(streams.windowed_counts(stream, ["event_type"], F.window("time", "1 day")), _named("late"), "append")
+    got = streams.run_to_store(streams.windowed_counts(stream, ["event_type"], F.window("time", "1 day")), "append")
     return got.select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "n")
 
 
@@ -476,7 +472,7 @@ def stream_late_rows(s, d):
 def stream_distinct_requests(s, d):
     """Every request sent twice, answered once."""
     st = _stream(s, d).withColumn("twice", F.explode(F.array(F.lit(0), F.lit(1)))).withColumnRenamed("pid", "qid")
-    got = streams.run_to_memory(streams.distinct_requests(st, "60 days").select("qid"), _named("distinct"), "append")
+    got = streams.run_to_store(streams.distinct_requests(st, "60 days").select("qid"), "append")
     return got.select(F.col("qid").alias("pid"))
 
 
@@ -540,7 +536,7 @@ def stream_continuous_knn(s, d):
 def stream_cell_counts(s, d):
     """Counts by cell and day add up to the day's."""
     tree = build_layout(P.events3(s, d), 8).tree
-    got = streams.run_to_memory(streams.windowed_cell_counts(_stream(s, d), tree, "1 day"), _named("cells"))
+    got = streams.run_to_store(streams.windowed_cell_counts(_stream(s, d), tree, "1 day"))
     return got.groupBy(F.to_timestamp_ntz(F.date_format("start", "yyyy-MM-dd HH:mm:ss")).alias("day")).agg(F.sum("n").alias("n"))
 
 

@@ -19,6 +19,7 @@ from orthant.operators.knn import BROADCAST_BYTES, Knn, knn_brute, local_brute,
 from orthant.operators.layout import SpatialLayout, place
 from orthant.plans.global_tree import GlobalTree, build_global_tree
 from orthant.points import PointSet
+from orthant.sources.tables import fresh_path
 
 
 def stream_route(queries: DataFrame, tree: GlobalTree) -> DataFrame:
@@ -176,8 +177,30 @@ def continuous_knn(points: DataFrame, queries: DataFrame, dims: int, k: int) ->
     return pairs.groupBy("qid").transformWithStateInPandas(best_pairs(k), "qid long, rank int, pid long, d2 double", "Update", "none")
 
 
-def run_to_memory(df: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Run a stream over what is there and give its result table."""
+#: State of streams lies in RocksDB, on the executors' disks, and not as objects in their heaps.
+STATE_STORE = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+
+
+def run_to_store(df: DataFrame, mode: str = "complete") -> DataFrame:
+    """Run a stream over what is there and give its result table, which goes to the shared folder and not to the driver.
+
+    A batch has a folder of its own, so one that runs again replaces its rows; in complete mode the last batch is the result.
+    """
     spark: SparkSession = df.sparkSession
-    df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name)
+    out, last = fresh_path(spark, "result"), [-1]
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/{number}")
+        last[0] = max(last[0], number)
+
+    before = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", STATE_STORE)
+    try:
+        query = df.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", fresh_path(spark, "checkpoint")).trigger(availableNow=True).start()
+    finally:
+        spark.conf.set("spark.sql.streaming.stateStore.providerClass", before)
+    query.awaitTermination()
+    if last[0] < 0:
+        return spark.createDataFrame([], df.schema)
+    numbers = [last[0]] if mode == "complete" else range(last[0] + 1)
+    return spark.read.schema(df.schema).parquet(*(f"{out}/{n}" for n in numbers))

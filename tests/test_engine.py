@@ -368,3 +368,15 @@ def test_lateral_topk_of_many_copies(spark, tmp_path):
     assert same_rows(got, sql, str(tmp_path))
     joins = [line for line in got._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Join" in line]
     assert joins and all("LeftOuter" in line for line in joins)  # each to at most one row: no pairs of a nation
+
+
+def test_streams_leave_results_in_the_store(spark, sf):
+    """No sink in the driver's memory: a stream's result is read from the shared folder."""
+    for name in ("stream_distinct_requests",):
+        got = relops.QUERIES[name][0](spark, sf)
+        assert got.inputFiles() and all("/result/" in f for f in got.inputFiles())
+
+
+def test_a_stream_without_rows(spark, tmp_path):
+    spark.createDataFrame([], "k long").write.parquet(str(tmp_path / "none"))
+    assert streams.run_to_store(spark.readStream.schema("k long").parquet(str(tmp_path / "none")), "append").count() == 0
