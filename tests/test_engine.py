@@ -372,7 +372,7 @@ def test_lateral_topk_of_many_copies(spark, tmp_path):
 
 def test_streams_leave_results_in_the_store(spark, sf):
     """No sink in the driver's memory: a stream's result is read from the shared folder."""
-    for name in ("stream_distinct_requests",):
+    for name in ("stream_distinct_requests", "stream_session_counts"):
         got = relops.QUERIES[name][0](spark, sf)
         assert got.inputFiles() and all("/result/" in f for f in got.inputFiles())
 
