@@ -244,32 +244,67 @@ def top_k(d2: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarr
     return np.take_along_axis(d2, order, 1), np.take_along_axis(ids, order, 1)
 
 
+#: Pairs of a query and a point that a step of a search holds at most.
+SCAN = 1 << 19
+#: Queries that show whether boxes prune; the share of a tree's points beyond which all of them are compared, block by block.
+PROBE, DENSE = 64, 0.1
+#: Smaller trees are searched by their boxes anyway.
+DENSE_POINTS = 16_384
+
+
 def search(tree: Tree, q: np.ndarray, k: int, r2: np.ndarray | float = np.inf, own: np.ndarray | None = None, order: str = "near_first", chunk: int = 2048, metric: str = "l2") -> Found:
     """The k nearest of every query within the radius r2 (squared for l2), bound by bound, for many queries at a time.
 
     Each query first looks into the bucket it falls in, which gives a radius; then it descends to all boxes within the radius,
     and takes them by rising bound while the bound is within its shrinking radius. own: ids that queries may not find.
+    Where the queries so far had to compare more than DENSE of the points, as in one bucket, in many dimensions, or without a
+    radius and the farthest box first, the rest compares all of them.
     """
     r2 = np.broadcast_to(np.asarray(r2, dtype=float), (len(q),))
-    parts = [_search(tree, q[i : i + chunk], k, r2[i : i + chunk].copy(), None if own is None else own[i : i + chunk], order, metric) for i in range(0, len(q), chunk)]
+    look = _looked(tree, k, own is not None)
+    every = np.flatnonzero(tree.left < 0)
+    total, parts, at = int(look[every].sum()), [], 0
+    dense = len(every) == 1 or order != "near_first" and bool(np.isinf(r2).all())
+    while at < len(q):
+        to = min(len(q), at + (min(chunk, PROBE) if not at and not dense else chunk))
+        args = tree, q[at:to], k, r2[at:to].copy(), None if own is None else own[at:to]
+        parts.append(_dense(*args, look, metric) if dense and total else _search(*args, look, order, metric))
+        dense = dense or total >= DENSE_POINTS and parts[-1].compared.mean() > DENSE * total
+        at = to
     if not parts:
         return Found(np.zeros((0, k)), np.zeros((0, k), dtype=np.int64), np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64))
     return Found(*(np.concatenate([getattr(p, f) for p in parts]) for f in ("d2", "ids", "visited", "compared")))
 
 
-def _search(tree: Tree, q: np.ndarray, k: int, r2: np.ndarray, own: np.ndarray | None, order: str, metric: str) -> Found:
+def _looked(tree: Tree, k: int, own: bool) -> np.ndarray:
+    """Points of each node that a search compares: of points in one spot only those with the smallest ids can answer."""
+    spot, size = (tree.lo == tree.hi).all(axis=1), tree.end - tree.start
+    return np.where(spot, np.minimum(size, k + own), size)
+
+
+def _dense(tree: Tree, q: np.ndarray, k: int, r2: np.ndarray, own: np.ndarray | None, look: np.ndarray, metric: str) -> Found:
+    """All buckets looked through, whatever their boxes: as good as any order of them where the radius reaches them all."""
+    leaf = np.flatnonzero(tree.left < 0)
+    if (look[leaf] == (tree.end - tree.start)[leaf]).all():
+        x, ids = tree.points, tree.ids
+    else:
+        first = np.repeat(tree.start[leaf] - np.concatenate([[0], np.cumsum(look[leaf])[:-1]]), look[leaf])
+        pos = first + np.arange(len(first))
+        x, ids = tree.points[pos], tree.ids[pos]
+    d2, found = brute(x, ids, q, k, r2, own, metric=metric)
+    return Found(d2, found, np.full(len(q), len(tree.left), dtype=np.int64), np.full(len(q), len(x), dtype=np.int64))
+
+
+def _search(tree: Tree, q: np.ndarray, k: int, r2: np.ndarray, own: np.ndarray | None, look: np.ndarray, order: str, metric: str) -> Found:
     m = len(q)
     out = Found(np.full((m, k), np.inf), np.full((m, k), NO_ID), np.zeros(m, dtype=np.int64), np.zeros(m, dtype=np.int64))
     if not len(tree.points):
         return out
-    spot = (tree.lo == tree.hi).all(axis=1)
-    size = tree.end - tree.start
-    # of points in one spot only those with the smallest ids can answer
-    look = np.where(spot, np.minimum(size, k + (own is not None)), size)
 
     def scan(at: np.ndarray, leaf: np.ndarray) -> None:
-        for i in range(0, len(at), 1 << 13):
-            a, f = at[i : i + (1 << 13)], leaf[i : i + (1 << 13)]
+        step = max(1, min(1 << 13, SCAN // max(1, int(look[leaf].max(initial=1)))))
+        for i in range(0, len(at), step):
+            a, f = at[i : i + step], leaf[i : i + step]
             column = np.arange(int(look[f].max()))
             inside = column < look[f][:, None]
             pos = np.where(inside, tree.start[f][:, None] + column, 0)
@@ -356,23 +391,84 @@ def search_one(tree: Tree, q: np.ndarray, k: int, r2: float = np.inf, regions: b
 
 
 def brute(points: np.ndarray, ids: np.ndarray, q: np.ndarray, k: int, r2: np.ndarray | float = np.inf, own: np.ndarray | None = None, block: int = 4096, metric: str = "l2") -> tuple[np.ndarray, np.ndarray]:
-    """(d2, ids) of the k nearest by comparing all pairs, block by block."""
+    """(d2, ids) of the k nearest by comparing all pairs, block by block.
+
+    For l2 a matrix product gives the distances but for a bounded rounding error; pairs that these can't rule out are measured
+    as distance does, so answers and ties are the same as by measuring all.
+    """
     d2, found = np.full((len(q), k), np.inf), np.full((len(q), k), NO_ID)
     r2 = np.broadcast_to(np.asarray(r2, dtype=float), (len(q),))
+    product = metric == "l2" and len(points) and max(np.abs(points).max(), np.abs(q).max(initial=0.0)) < 1e150
     for i in range(0, len(points), block):
         x, own_ids = points[i : i + block], ids[i : i + block]
-        for j in range(0, len(q), 256):
-            d = distance(x[None, :, :], q[j : j + 256, None, :], metric)
-            bad = d > r2[j : j + 256, None]
-            if own is not None:
-                bad |= own_ids[None, :] == own[j : j + 256, None]
-            d = np.where(bad, np.inf, d)
-            at = np.broadcast_to(own_ids, d.shape)
-            if d.shape[1] > 4 * k:  # all that tie with the k-th stay
-                edge = np.partition(d, k - 1, axis=1)[:, k - 1 : k]
-                width = int((d <= edge).sum(axis=1).max())
-                pick = np.argsort(np.where(d <= edge, 0, 1), axis=1, kind="stable")[:, :width]
-                d, at = np.take_along_axis(d, pick, 1), np.take_along_axis(at, pick, 1)
-            at = np.where(np.isinf(d), NO_ID, at)
-            d2[j : j + 256], found[j : j + 256] = top_k(np.concatenate([d2[j : j + 256], d], axis=1), np.concatenate([found[j : j + 256], at], axis=1), k)
+        one = _block_product(x, own_ids) if product else _block_measured(x, own_ids, metric)
+        for j in range(0, len(q), 64):
+            at = slice(j, j + 64)
+            bound = np.minimum(r2[at], d2[at, -1])
+            row, col, far = one(q[at], k, bound, None if own is None else own[at])
+            if not len(row):
+                continue
+            row = np.concatenate([np.repeat(np.arange(len(bound)), k), row])
+            far, of = np.concatenate([d2[at].ravel(), far]), np.concatenate([found[at].ravel(), own_ids[col]])
+            by = np.lexsort((of, far, row))
+            by = by.reshape(len(bound), -1) if len(by) == len(bound) * k else by[np.searchsorted(row[by], np.arange(len(bound)))[:, None] + np.arange(k)]
+            d2[at], found[at] = far[by], of[by]
     return d2, found
+
+
+def _set(within: np.ndarray) -> np.ndarray:
+    """Places of the few true values, looked for by words of eight."""
+    flat = within.ravel()
+    if len(flat) % 8:
+        return np.flatnonzero(flat)
+    word = np.flatnonzero(flat.view(np.uint64))
+    at = (word[:, None] * 8 + np.arange(8)).ravel()
+    return at[flat[at]]
+
+
+def _block_product(x: np.ndarray, ids: np.ndarray):
+    """(query, point, d2) of a query block's pairs within the bound, and at least of the k nearest of them."""
+    centre = x.mean(axis=0)
+    b = x - centre
+    b2 = (b * b).sum(axis=1)
+    right, reach = np.ascontiguousarray(np.concatenate([b, b2[:, None]], axis=1).T), np.sqrt(b2.max())
+    # more than the rounding of the centred places, of the product and of the distance itself
+    unit = 8 * (x.shape[1] + 8) * np.finfo(float).eps
+
+    def one(q: np.ndarray, k: int, bound: np.ndarray, own: np.ndarray | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        a = q - centre
+        a2 = (a * a).sum(axis=1)
+        near = np.concatenate([-2.0 * a, np.ones((len(a), 1))], axis=1) @ right
+        slack = unit * (np.sqrt(a2) + reach) ** 2 + 1e-290
+        if own is not None:
+            near[ids[None, :] == own[:, None]] = np.inf
+        limit = bound - a2 + slack
+        within = near <= limit[:, None]
+        if len(ids) > k and np.count_nonzero(within) > 4 * k * len(q):
+            limit = np.minimum(limit, np.partition(near, k - 1, axis=1)[:, k - 1] + 2 * slack)
+            within = near <= limit[:, None]
+        row, col = np.divmod(_set(within), len(ids))
+        far = squared(x[col], q[row])
+        ok = (far <= bound[row]) & np.isfinite(far)
+        if own is not None:
+            ok &= ids[col] != own[row]
+        return row[ok], col[ok], far[ok]
+
+    return one
+
+
+def _block_measured(x: np.ndarray, ids: np.ndarray, metric: str):
+    """The same, every pair measured."""
+
+    def one(q: np.ndarray, k: int, bound: np.ndarray, own: np.ndarray | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        far = distance(x[None, :, :], q[:, None, :], metric)
+        if own is not None:
+            far = np.where(ids[None, :] == own[:, None], np.nan, far)
+        limit = bound
+        if len(ids) > k:  # all that tie with the k-th stay
+            kth = np.partition(far, k - 1, axis=1)[:, k - 1]
+            limit = np.where(np.isnan(kth), bound, np.minimum(bound, kth))
+        row, col = np.nonzero((far <= limit[:, None]) & np.isfinite(far))
+        return row, col, far[row, col]
+
+    return one

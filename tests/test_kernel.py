@@ -123,3 +123,37 @@ def test_metrics_by_brute_force():
     for metric, d in plain.items():
         found = K.search(K.build(x, ids, 16), q, 4, metric=metric)
         assert np.allclose(found.d2, np.sort(d, axis=1)[:, :4]) and (found.ids == K.brute(x, ids, q, 4, metric=metric)[1]).all()
+
+
+@pytest.mark.parametrize("dims", [1, 3, 15])
+@pytest.mark.parametrize("shift", [0.0, 1e7])
+def test_exhaustive_search_measures_what_rounding_leaves_open(dims, shift):
+    """Far from the origin, among copies and ties: the same ids and distances as by measuring every pair."""
+    rng = np.random.default_rng(dims)
+    x = np.concatenate([rng.normal(size=(3000, dims)), np.full((300, dims), 0.25), rng.integers(0, 2, (3000, dims))]) + shift
+    ids = rng.permutation(len(x)).astype(np.int64)
+    q = np.concatenate([x[::37], rng.normal(size=(20, dims)) + shift])
+    own = np.concatenate([ids[::37], np.full(20, -1)])
+    for r2, mine in ((np.inf, None), (1.5, None), (np.inf, own)):
+        d2, found = K.brute(x, ids, q, 7, r2, mine)
+        every = K.distance(x[None, :, :], q[:, None, :])
+        every = np.where((every > r2) | ((ids[None, :] == mine[:, None]) if mine is not None else False), np.inf, every)
+        want = K.top_k(every, np.where(np.isinf(every), K.NO_ID, ids[None, :]), 7)
+        assert (d2 == want[0]).all() and (found == want[1]).all()
+
+
+def test_one_bucket_and_farthest_first_take_bounded_memory():
+    """A step's arrays don't grow with the bucket, nor with queries times boxes."""
+    import tracemalloc
+
+    rng = np.random.default_rng(3)
+    x, ids = rng.normal(size=(60_000, 3)), np.arange(60_000)
+    q = x[:2048] + 0.01
+    want = K.brute(x, ids, q, 5)
+    for bucket, order in ((60_000, "near_first"), (32, "far_first")):
+        tree = K.build(x, ids, bucket)
+        tracemalloc.start()
+        found = K.search(tree, q, 5, order=order)
+        assert tracemalloc.get_traced_memory()[1] < 64 << 20
+        tracemalloc.stop()
+        assert (found.d2 == want[0]).all() and (found.ids == want[1]).all()
