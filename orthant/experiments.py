@@ -13,14 +13,17 @@ import time
 from collections.abc import Iterable
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orthant import kernel as K
 from orthant import measures
 from orthant import points as P
+from orthant.functions.shipping import ship
 from orthant.operators.knn import Knn
 from orthant.operators.layout import build_layout
+from orthant.plans.global_tree import sample
 from orthant.points import PointSet
 from orthant.sources.tables import written
 
@@ -79,15 +82,22 @@ def weak_scaling(spark: SparkSession, steps: list[tuple[str, PointSet]], cells_f
     return spark.createDataFrame(rows, ROW)
 
 
-def bin_lookups(spark: SparkSession, n: int = 1_000_000, edges: int = 1024, repeats: int = 5) -> DataFrame:
-    """Seconds of both lookups on one machine, and whether they agree."""
-    rng = np.random.default_rng(1)
-    v, e = rng.exponential(size=n), np.sort(rng.exponential(size=edges))
-    rows = []
-    for name, f in (("binary", K.bin_binary), ("two_level", K.bin_two_level)):
-        best = min(_seconds(lambda: f(v, e)) for _ in range(repeats))
-        rows.append((name, best, bool((f(v, e) == K.bin_binary(v, e)).all())))
-    return spark.createDataFrame(rows, "lookup string, seconds double, agrees boolean")
+def bin_lookups(spark: SparkSession, ps: PointSet, edges: int = 1024, repeats: int = 5) -> DataFrame:
+    """Seconds of both lookups of all values of the second coordinate in its sampled edges, added up over the tasks, and whether they agree."""
+    ship(spark)
+    e = np.unique(sample(ps, edges)[:, 1])
+
+    def timed(batches):
+        took, off = {"binary": 0.0, "two_level": 0.0}, 0
+        for batch in batches:
+            v = batch.column("c1").to_numpy()
+            for name, f in (("binary", K.bin_binary), ("two_level", K.bin_two_level)):
+                took[name] += min(_seconds(lambda: f(v, e)) for _ in range(repeats))  # noqa: B023
+            off += int((K.bin_two_level(v, e) != K.bin_binary(v, e)).sum())
+        yield pa.RecordBatch.from_arrays([pa.array(list(took)), pa.array(list(took.values())), pa.array([0, off])], ["lookup", "seconds", "off"])
+
+    told = ps.positions().select("c1").mapInArrow(timed, "lookup string, seconds double, off long")
+    return told.groupBy("lookup").agg(F.sum("seconds").alias("seconds"), (F.sum("off") == 0).alias("agrees"))
 
 
 def _seconds(f) -> float:

@@ -442,7 +442,7 @@ def _experiments() -> None:
     three = ("events3", "orders3", "doctext10")
     add("exp_policies", lambda s, d: experiments.policies(s, {n: SETS[n][0](s, d) for n in three}))
     add("exp_breakdown", lambda s, d: experiments.breakdown(s, {n: SETS[n][0](s, d) for n in ("orders3", "grid3")}))
-    add("exp_bin_lookups", lambda s, d: experiments.bin_lookups(s))
+    add("exp_bin_lookups", lambda s, d: experiments.bin_lookups(s, P.events3(s, d)))
 
     def weak(s: SparkSession, d: str) -> DataFrame:
         """Parts of the events in proportion to the cells: a tenth, half, all."""

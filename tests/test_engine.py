@@ -380,3 +380,10 @@ def test_streams_leave_results_in_the_store(spark, sf):
 def test_a_stream_without_rows(spark, tmp_path):
     spark.createDataFrame([], "k long").write.parquet(str(tmp_path / "none"))
     assert streams.run_to_store(spark.readStream.schema("k long").parquet(str(tmp_path / "none")), "append").count() == 0
+
+
+def test_bin_lookups_of_a_table(spark, sf):
+    from orthant import workloads
+
+    got = workloads.queries()["exp_bin_lookups"](spark, sf)
+    assert got.inputFiles() and {r["lookup"]: r["agrees"] for r in got.collect()} == {"binary": True, "two_level": True}
