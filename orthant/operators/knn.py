@@ -55,7 +55,7 @@ def _asks(qid: np.ndarray, q: np.ndarray, r2: np.ndarray, cell: np.ndarray) -> p
     return pa.RecordBatch.from_arrays(columns, _NAMES)
 
 
-def _search_rows(dims: int, k: int, exclude_self: bool, hop: int, order: str, shared, metric: str):
+def _search_rows(dims: int, k: int, exclude_self: bool, hop: int, order: str, shared, metric: str, chunk: int):
     """Rows of packed cells joined with packed queries; with shared boxes, also the asks of the queries' remote cells."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -65,7 +65,7 @@ def _search_rows(dims: int, k: int, exclude_self: bool, hop: int, order: str, sh
                 column = lambda name: asked.field(name).to_numpy(zero_copy_only=False)  # noqa: B023, E731
                 qid, r2, cell = column("qid"), column("r2"), batch.column("cell")[row].as_py()
                 q = np.stack([column(f"c{i}") for i in range(dims)], axis=1)
-                found = K.search(tree_at(batch, row, dims), q, k, r2, qid if exclude_self else None, order, metric=metric)
+                found = K.search(tree_at(batch, row, dims), q, k, r2, qid if exclude_self else None, order, chunk, metric)
                 yield _answers(found, qid, cell, hop)
                 if shared is not None and batch.column("piece")[row].as_py() == 0:
                     r2 = np.minimum(r2, found.d2[:, -1])  # k answers bound the radius, fewer are padded by infinity
@@ -77,11 +77,11 @@ def _search_rows(dims: int, k: int, exclude_self: bool, hop: int, order: str, sh
 
 
 def packed_queries(layout: SpatialLayout, queries: DataFrame, n: int, batch_rows: int | None = None) -> DataFrame:
-    """(cell, batch, _asked): the queries (qid, coordinates, r2, cell) of a cell as one value, or as several of about batch_rows.
+    """(cell, batch, _asked): the queries (qid, coordinates, r2, cell) of a cell as one value, or as several of about BATCH_ROWS.
 
     Only more than batch_rows queries can fill a cell beyond it; then one count by cell tells which cells are dealt.
     """
-    coords, most = [f"c{i}" for i in range(layout.dims)], batch_rows or BATCH_ROWS
+    coords, most = [f"c{i}" for i in range(layout.dims)], max(batch_rows or 0, BATCH_ROWS)
     own = queries.select(*(F.col(c).alias(c) for c in ("qid", *coords, "r2", "cell"))).withColumn("_batch", F.lit(0))
     if n > most:
         need = own.groupBy("cell").count().where(F.col("count") > most).select("cell", F.ceil(F.col("count") / most).cast("int").alias("_batches"))
@@ -97,7 +97,7 @@ def search_cells(layout: SpatialLayout, queries: DataFrame, k: int, hop: int, ex
     names = ["pid", *(f"c{i}" for i in range(layout.dims)), *(c for c in layout.packed.columns if c.startswith("node_"))]
     met = layout.packed.select("cell", "piece", *names).join(asked.hint("shuffle_hash"), "cell").drop("_batch")
     shared = None if boxes is None else spark.sparkContext.broadcast(boxes)
-    return met.mapInArrow(_search_rows(layout.dims, k, exclude_self, hop, order, shared, metric), FOUND)
+    return met.mapInArrow(_search_rows(layout.dims, k, exclude_self, hop, order, shared, metric, min(batch_rows or 2048, 2048)), FOUND)
 
 
 class Boxes:

@@ -387,3 +387,17 @@ def test_bin_lookups_of_a_table(spark, sf):
 
     got = workloads.queries()["exp_bin_lookups"](spark, sf)
     assert got.inputFiles() and {r["lookup"]: r["agrees"] for r in got.collect()} == {"binary": True, "two_level": True}
+
+
+def test_small_batches_meet_a_packed_cell_once(cloud, asked, want):
+    layout = build_layout(cloud, 2)
+    search = Knn(layout, asked, 5, batch_rows=3)
+    assert knn_module.packed_queries(layout, search.asked, asked.count(), 3).count() <= 2
+    assert rows(search.neighbors()) == want
+
+
+def test_small_batches_meet_a_packed_cell_once(cloud, asked, want):
+    layout = build_layout(cloud, 2)
+    search = Knn(layout, asked, 5, batch_rows=3)
+    assert knn_module.packed_queries(layout, search.asked, asked.count(), 3).count() <= 2
+    assert rows(search.neighbors()) == want
