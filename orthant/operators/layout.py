@@ -14,7 +14,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -64,6 +64,7 @@ class SpatialLayout:
     version: int = 0
     parts: int = 1  # buckets of the stored rows
     path: str = ""
+    whole: list[int] | None = None  # of each cell the one that was asked for, where those too large for a task were split further
 
     @property
     def dims(self) -> int:
@@ -84,6 +85,10 @@ class SpatialLayout:
         rows = [(i, lo[i].tolist(), hi[i].tolist(), self.lo[i].tolist(), self.hi[i].tolist(), int(self.n[i])) for i in range(self.cells)]
         return spark.createDataFrame(rows, "cell_id int, lo array<double>, hi array<double>, mbr_lo array<double>, mbr_hi array<double>, n long")
 
+    def asked_cell(self) -> Column:
+        """Of a row's cell the one that was asked for."""
+        return F.col("cell") if self.whole is None else F.get(F.lit(self.whole), F.col("cell"))
+
     def balance(self) -> float:
         """Points of the largest cell over the mean."""
         return float(self.n.max() / self.n.mean()) if self.n.sum() else 1.0
@@ -180,11 +185,15 @@ def place(points: PointSet, tree: GlobalTree, policy: K.SplitPolicy = K.SplitPol
     """refine: cells too large for a task are split further before the exchange."""
     total = points.df.count()
     counts: dict[int, int] = {}
+    asked = tree.leaves()
     if total > piece_points:  # or else no cell can be too large
         if refine:
             tree = split_heavy(points, tree, policy, piece_points)
         counts = {r["cell"]: -(-r["count"] // piece_points) for r in tree.routed(points.positions()).groupBy("cell").count().where(F.col("count") > piece_points).collect()}  # at most total / piece_points rows
-    return pack_cells(tree.routed(points.positions()), tree, policy, bucket_size, version, counts)
+    layout = pack_cells(tree.routed(points.positions()), tree, policy, bucket_size, version, counts)
+    if layout.cells > len(asked):
+        layout.whole = tree.within(asked)
+    return layout
 
 
 def in_pieces(routed: DataFrame, large: dict[int, int]) -> DataFrame:

@@ -77,6 +77,16 @@ class GlobalTree:
             out[n] = i
         return out
 
+    def within(self, nodes: list[int]) -> list[int]:
+        """Of each cell the place in the list of the node that it lies under."""
+        under = np.full(len(self.dim), -1)
+        under[nodes] = np.arange(len(nodes))
+        for n in range(len(self.dim)):  # parents come before their children
+            for child in (self.left[n], self.right[n]):
+                if child >= 0 and under[child] < 0:
+                    under[child] = under[n]
+        return under[self.leaves()].tolist()
+
     def regions(self) -> tuple[np.ndarray, np.ndarray]:
         """Half-open boxes of all cells; open at the outside."""
         lo, hi = np.full((len(self.dim), self.dims), -np.inf), np.full((len(self.dim), self.dims), np.inf)
@@ -251,8 +261,24 @@ def repaired(points: PointSet, tree: GlobalTree, cells: int, policy: K.SplitPoli
 
 
 def split_heavy(points: PointSet, tree: GlobalTree, policy: K.SplitPolicy, limit: int, seed: int = 0) -> GlobalTree:
-    """The tree with cells of more than limit points grown on by passes over all points, as far as planes can split them."""
-    counts = {r["cell"]: r["count"] for r in tree.routed(points.positions()).groupBy("cell").count().where(F.col("count") > limit).collect()}
+    """The tree with cells of more than limit points grown on by passes over all points, as far as planes can split them.
+
+    What is to become more than GROUPS cells becomes about so many by passes; their insides grow on the executors.
+    """
+    counts = _heavy(points, tree, limit)
+    if sum(-(-n // limit) for n in counts.values()) > GROUPS:
+        coarse = max(limit, -(-sum(counts.values()) // GROUPS))
+        tree = _split_by_passes(points, tree, policy, {c: n for c, n in counts.items() if n > coarse}, coarse, seed)
+        return _grafted(points, tree, {c: -(-n // limit) for c, n in _heavy(points, tree, limit).items()}, policy, seed)
+    return _split_by_passes(points, tree, policy, counts, limit, seed)
+
+
+def _heavy(points: PointSet, tree: GlobalTree, limit: int) -> dict[int, int]:
+    """Points of the cells of more than limit."""
+    return {r["cell"]: r["count"] for r in tree.routed(points.positions()).groupBy("cell").count().where(F.col("count") > limit).collect()}
+
+
+def _split_by_passes(points: PointSet, tree: GlobalTree, policy: K.SplitPolicy, counts: dict[int, int], limit: int, seed: int) -> GlobalTree:
     if not counts:
         return tree
     leaves, want = tree.leaves(), {}
@@ -331,23 +357,32 @@ def _in_groups(points: PointSet, cells: int, policy: K.SplitPolicy, seed: int) -
     leaves = tree.leaves()
     each, more = divmod(cells, len(leaves))
     want = {i: each + (i < more) for i in range(len(leaves))}
-    size = policy.sample_per_part * (each + 1)
+    for n in range(len(tree.want)):
+        tree.want[n] = 0
+    return _grafted(points, tree, want, policy, seed)
+
+
+def _grafted(points: PointSet, tree: GlobalTree, want: dict[int, int], policy: K.SplitPolicy, seed: int) -> GlobalTree:
+    """The tree with so many cells inside each of these cells, as trees from samples made on the executors have them."""
+    if not want:
+        return tree
+    leaves, size = tree.leaves(), policy.sample_per_part * max(want.values())
     routed = tree.routed(points.positions()).withColumn("_h", hash32(F.col("pid") + seed))
+    if len(want) < len(leaves):
+        routed = routed.where(F.col("cell").isin(list(want)))
     drawn = routed.withColumn("_r", F.row_number().over(Window.partitionBy("cell").orderBy("_h", "pid"))).where(F.col("_r") <= size).drop("_r")
     rows = drawn.groupBy("cell").applyInArrow(_subtree(want, points.dims, policy), _NODES).toArrow().to_pylist()  # two rows for each cell
     by: dict[int, list] = {}
     for r in rows:
         by.setdefault(r["cell"], []).append(r)
-    for n in range(len(tree.want)):
-        tree.want[n] = 0
-    for i, leaf in enumerate(leaves):
-        at = {0: leaf}
-        tree.want[leaf] = want[i]
+    for i, n in want.items():
+        at = {0: leaves[i]}
+        tree.want[leaves[i]] = n
         for r in sorted(by.get(i, []), key=lambda r: r["node"]):
             if r["left"] >= 0:
                 at[r["left"]], at[r["right"]] = tree.cut(at[r["node"]], r["dim"], r["split"])
     for n in range(len(tree.want) - 1, -1, -1):
-        if tree.want[n] == 0 and tree.left[n] >= 0:
+        if tree.left[n] >= 0:
             tree.want[n] = tree.want[tree.left[n]] + tree.want[tree.right[n]]
     return tree
 

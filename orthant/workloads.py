@@ -249,8 +249,12 @@ def _building() -> None:
         return ps.df.mapInArrow(both, "off long").agg(F.count(F.lit(1)).alias("n"), F.sum("off").alias("different"))
 
     add("bin_lookup_equivalence", lookups, "SELECT count(*) AS n, CAST(0 AS BIGINT) AS different FROM events")
+    def counts(s: SparkSession, d: str, cells: int) -> DataFrame:
+        layout = build_layout(P.orders3(s, d), cells)
+        return layout.points.groupBy(layout.asked_cell().alias("cell")).agg(F.count(F.lit(1)).alias("n"))
+
     for cells in (2, 4, 8):
-        add(f"cell_counts_level{cells.bit_length() - 1}", lambda s, d, c=cells: build_layout(P.orders3(s, d), c).points.groupBy("cell").agg(F.count(F.lit(1)).alias("n")), f"WITH {tree_sql.tree(POINTS_SQL['orders3'], 3, cells)} SELECT cell, n FROM box")
+        add(f"cell_counts_level{cells.bit_length() - 1}", lambda s, d, c=cells: counts(s, d, c), f"WITH {tree_sql.tree(POINTS_SQL['orders3'], 3, cells)} SELECT cell, n FROM box")
 
     def boxes(s: SparkSession, d: str) -> DataFrame:
         sides = [F.get(f"mbr_{side}o" if side == "l" else "mbr_hi", F.lit(i)).alias(f"{side}{i}") for i in range(3) for side in "lh"]

@@ -401,3 +401,20 @@ def test_small_batches_meet_a_packed_cell_once(cloud, asked, want):
     search = Knn(layout, asked, 5, batch_rows=3)
     assert knn_module.packed_queries(layout, search.asked, asked.count(), 3).count() <= 2
     assert rows(search.neighbors()) == want
+
+
+def test_cells_asked_for_are_counted_after_further_splits(cloud):
+    """Cells too large for a task are split, but the count is by the cells asked for."""
+    count = lambda layout: {r["c"]: r["count"] for r in layout.points.groupBy(layout.asked_cell().alias("c")).count().collect()}
+    split = build_layout(cloud, 2, piece_points=100)
+    assert split.cells > 4 and count(split) == count(build_layout(cloud, 2))
+
+
+def test_many_pieces_grow_on_the_executors(cloud, asked, want, monkeypatch):
+    """Samples that the driver holds don't grow with the pieces."""
+    monkeypatch.setattr(global_tree, "GROUPS", 4)
+    held, grow = [], global_tree._grow
+    monkeypatch.setattr(global_tree, "_grow", lambda p, t, members, policy: held.append(sum(map(len, members.values()))) or grow(p, t, members, policy))
+    layout = build_layout(cloud, 2, K.SplitPolicy(sample_per_part=8), piece_points=20)
+    assert max(held) <= 4 * 8 * 2 and layout.cells > 20 and layout.n.sum() == 660
+    assert rows(knn(layout, asked, 5)) == want
