@@ -19,7 +19,7 @@ from pyspark.sql.window import Window
 
 from orthant import kernel as K
 from orthant.functions.shipping import ship
-from orthant.operators.layout import SpatialLayout, array_at, tree_at
+from orthant.operators.layout import SpatialLayout, array_at, build_layout, collapse_colocated, tree_at
 from orthant.points import PointSet
 from orthant.sources.tables import written
 
@@ -79,7 +79,8 @@ def _search_rows(dims: int, k: int, exclude_self: bool, hop: int, order: str, sh
 def packed_queries(layout: SpatialLayout, queries: DataFrame, n: int, batch_rows: int | None = None) -> DataFrame:
     """(cell, batch, _asked): the queries (qid, coordinates, r2, cell) of a cell as one value, or as several of about BATCH_ROWS.
 
-    Only more than batch_rows queries can fill a cell beyond it; then one count by cell tells which cells are dealt.
+    Only more than BATCH_ROWS queries can fill a cell beyond it; then one count by cell tells which cells are dealt. Smaller
+    batches are cut inside the value, since each value meets a copy of the whole packed cell.
     """
     coords, most = [f"c{i}" for i in range(layout.dims)], max(batch_rows or 0, BATCH_ROWS)
     own = queries.select(*(F.col(c).alias(c) for c in ("qid", *coords, "r2", "cell"))).withColumn("_batch", F.lit(0))
@@ -257,7 +258,8 @@ def local_brute(shared, dims: int, k: int, r2: float, exclude_self: bool, metric
         qid, q = shared.value
         d2, ids = np.full((len(q), k), np.inf), np.full((len(q), k), K.NO_ID)
         for batch in batches:
-            new = K.brute(_matrix(batch, dims), batch.column("pid").to_numpy(), q, k, r2, qid if exclude_self else None, metric=metric)
+            bound = np.minimum(r2, d2[:, -1])
+            new = K.brute(_matrix(batch, dims), batch.column("pid").to_numpy(), q, k, bound, qid if exclude_self else None, metric=metric)
             d2, ids = K.top_k(np.concatenate([d2, new[0]], axis=1), np.concatenate([ids, new[1]], axis=1), k)
         row, rank = np.nonzero(ids != K.NO_ID)
         yield pa.RecordBatch.from_arrays([pa.array(qid[row]), pa.array(ids[row, rank]), pa.array(d2[row, rank])], ["qid", "pid", "d2"])
@@ -266,12 +268,18 @@ def local_brute(shared, dims: int, k: int, r2: float, exclude_self: bool, metric
 
 
 def knn_brute(points: PointSet, queries: DataFrame, k: int = 5, max_radius: float | None = None, exclude_self: bool = False, block: int = 100_000, metric: str = "l2") -> DataFrame:
-    """Exhaustive search: blocks of queries meet every partition of the points, k rows per query and task come back."""
+    """Exhaustive search: blocks of queries meet every partition of the points, k rows per query and task come back.
+
+    Of points in one spot, which all have the same distances, only those with the smallest ids can answer and are met. There are
+    as many partitions as cores, as each of them sends k rows for every query.
+    """
     spark = points.df.sparkSession
     ship(spark)
     coords = points.coords
-    every, r2 = points.positions().repartition(int(spark.conf.get("spark.sql.shuffle.partitions"))), float("inf") if max_radius is None else radius_bound(max_radius, metric)
-    asked = queries.select("qid", *coords)
+    every, r2 = collapse_colocated(points, k + exclude_self).repartition(spark.sparkContext.defaultParallelism), float("inf") if max_radius is None else radius_bound(max_radius, metric)
+    asked = every_query = queries.select("qid", *coords)
+    if not exclude_self:  # queries from one spot have one answer: the least of them asks for all
+        asked = asked.groupBy(*coords).agg(F.min("qid").alias("qid"))
     n = asked.count()
     blocks = max(1, -(-n // block))
     found = None
@@ -281,34 +289,61 @@ def knn_brute(points: PointSet, queries: DataFrame, k: int = 5, max_radius: floa
         shared = spark.sparkContext.broadcast((rows["qid"].to_numpy(), rows[coords].to_numpy(dtype=float)))
         part = every.mapInArrow(local_brute(shared, points.dims, k, r2, exclude_self, metric), "qid long, pid long, d2 double")
         found = part if found is None else found.unionByName(part)
-    return merge_topk(found, k, metric).select("qid", "rank", "pid", "d2", "dist")
+    best = merge_topk(found, k, metric).select("qid", "rank", "pid", "d2", "dist")
+    if exclude_self:
+        return best
+    at = asked.withColumnRenamed("qid", "_asks").join(every_query, coords).select("qid", "_asks")
+    return best.withColumnRenamed("qid", "_asks").join(at, "_asks").select("qid", "rank", "pid", "d2", "dist")
 
 
-def _replicated(shared, dims: int, k: int, r2: float, exclude_self: bool, policy: K.SplitPolicy, bucket_size: int):
+def _replicated(shared: list, dims: int, k: int, r2: float, exclude_self: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tree = None
+        trees = [tree_at(part, row, dims) for one in shared for part in pa.ipc.open_stream(one.value).read_all().combine_chunks().to_batches() for row in range(part.num_rows)]
         for batch in batches:
-            if tree is None:
-                tree = K.build(shared.value[1], shared.value[0], bucket_size, policy)
-            qid = batch.column("qid").to_numpy()
-            found = K.search(tree, _matrix(batch, dims), k, r2, qid if exclude_self else None)
-            row, rank = np.nonzero(found.ids != K.NO_ID)
-            yield pa.RecordBatch.from_arrays([pa.array(qid[row]), pa.array((rank + 1).astype(np.int32)), pa.array(found.ids[row, rank]), pa.array(found.d2[row, rank]), pa.array(np.sqrt(found.d2[row, rank]))], ["qid", "rank", "pid", "d2", "dist"])
+            qid, q = batch.column("qid").to_numpy(), _matrix(batch, dims)
+            away = np.stack([K.box_distance(q, t.lo[0], t.hi[0]) for t in trees], axis=1) if trees else np.zeros((len(q), 0))
+            d2, ids, bound = np.full((len(q), k), np.inf), np.full((len(q), k), K.NO_ID), np.full(len(q), r2)
+            home = away.argmin(axis=1) if trees else None
+            for first in (True, False):  # the nearest box gives a radius, the others are asked within it
+                for i, tree in enumerate(trees):
+                    at = np.flatnonzero((home == i) if first else (home != i) & (away[:, i] <= bound))
+                    if len(at):
+                        found = K.search(tree, q[at], k, bound[at], qid[at] if exclude_self else None)
+                        d2[at], ids[at] = K.top_k(np.concatenate([d2[at], found.d2], axis=1), np.concatenate([ids[at], found.ids], axis=1), k)
+                        bound[at] = np.minimum(bound[at], d2[at, -1])
+            row, rank = np.nonzero(ids != K.NO_ID)
+            yield pa.RecordBatch.from_arrays([pa.array(qid[row]), pa.array((rank + 1).astype(np.int32)), pa.array(ids[row, rank]), pa.array(d2[row, rank]), pa.array(np.sqrt(d2[row, rank]))], ["qid", "rank", "pid", "d2", "dist"])
 
     return run
 
 
+#: Points of a cell of the replicated tree: what passes through the driver at a time.
+REPLICA_POINTS = 1 << 19
+
+
 def knn_replicated(points: PointSet, queries: DataFrame, k: int = 5, max_radius: float | None = None, exclude_self: bool = False, policy: K.SplitPolicy = K.SplitPolicy(), bucket_size: int = 32) -> DataFrame:
-    """The same tree in every worker: no exchange at all, for point sets of a checked size."""
+    """The same tree in every worker: queries are dealt once and meet all points, for point sets of a checked size.
+
+    The tree is built once, on the executors, and shipped cell by cell, so the driver never holds all points.
+    """
     spark = points.df.sparkSession
     ship(spark)
     n = points.df.count()
     if n * 8 * (points.dims + 1) > BROADCAST_BYTES:
         raise ValueError(f"{n} points of {points.dims} dimensions are too many to replicate; use the partition tree")
-    rows = points.positions().toPandas()
-    shared = spark.sparkContext.broadcast((rows["pid"].to_numpy(), rows[points.coords].to_numpy(dtype=float).reshape(-1, points.dims)))
+    layout = build_layout(points, -(-n // REPLICA_POINTS), policy, bucket_size)
+    names = ["pid", *points.coords, *(c for c in layout.packed.columns if c.startswith("node_"))]
+    shared = [spark.sparkContext.broadcast(_stream(layout.packed.where(F.col("cell") == c).select(*names).toArrow())) for c in np.flatnonzero(layout.n).tolist()]
     r2 = float("inf") if max_radius is None else max_radius**2
-    return queries.select("qid", *points.coords).mapInArrow(_replicated(shared, points.dims, k, r2, exclude_self, policy, bucket_size), "qid long, rank int, pid long, d2 double, dist double")
+    dealt = queries.select("qid", *points.coords).repartition(4 * spark.sparkContext.defaultParallelism)
+    return dealt.mapInArrow(_replicated(shared, points.dims, k, r2, exclude_self), "qid long, rank int, pid long, d2 double, dist double")
+
+
+def _stream(part: pa.Table) -> bytes:
+    out = pa.BufferOutputStream()
+    with pa.ipc.new_stream(out, part.schema) as to:
+        to.write_table(part)
+    return out.getvalue().to_pybytes()
 
 
 def squared_distance(dims: int, a: str = "p", b: str = "q"):

@@ -382,6 +382,33 @@ def test_a_stream_without_rows(spark, tmp_path):
     assert streams.run_to_store(spark.readStream.schema("k long").parquet(str(tmp_path / "none")), "append").count() == 0
 
 
+def test_replicated_cell_by_cell(cloud, asked, want, monkeypatch):
+    """The driver never fetches all points at once; any number of cells gives the same rows."""
+    monkeypatch.setattr(knn_module, "REPLICA_POINTS", 100)
+    most, whole = [], knn_module._stream
+    monkeypatch.setattr(knn_module, "_stream", lambda part: most.append(sum(len(p) for p in part.column("pid"))) or whole(part))
+    assert rows(knn_replicated(cloud, asked, 5)) == want
+    assert len(most) > 3 and max(most) < 330
+    assert rows(knn_replicated(cloud, asked, 5, exclude_self=True)) == rows(knn_brute(cloud, asked, 5, exclude_self=True))
+
+
+def test_many_pieces_grow_on_the_executors(cloud, asked, want, monkeypatch):
+    """Samples that the driver holds don't grow with the pieces."""
+    monkeypatch.setattr(global_tree, "GROUPS", 4)
+    held, grow = [], global_tree._grow
+    monkeypatch.setattr(global_tree, "_grow", lambda p, t, members, policy: held.append(sum(map(len, members.values()))) or grow(p, t, members, policy))
+    layout = build_layout(cloud, 2, K.SplitPolicy(sample_per_part=8), piece_points=20)
+    assert max(held) <= 4 * 8 * 2 and layout.cells > 20 and layout.n.sum() == 660
+    assert rows(knn(layout, asked, 5)) == want
+
+
+def test_cells_asked_for_are_counted_after_further_splits(cloud):
+    """Cells too large for a task are split, but the count is by the cells asked for."""
+    count = lambda layout: {r["c"]: r["count"] for r in layout.points.groupBy(layout.asked_cell().alias("c")).count().collect()}
+    split = build_layout(cloud, 2, piece_points=100)
+    assert split.cells > 4 and count(split) == count(build_layout(cloud, 2))
+
+
 def test_bin_lookups_of_a_table(spark, sf):
     from orthant import workloads
 
@@ -396,25 +423,8 @@ def test_small_batches_meet_a_packed_cell_once(cloud, asked, want):
     assert rows(search.neighbors()) == want
 
 
-def test_small_batches_meet_a_packed_cell_once(cloud, asked, want):
-    layout = build_layout(cloud, 2)
-    search = Knn(layout, asked, 5, batch_rows=3)
-    assert knn_module.packed_queries(layout, search.asked, asked.count(), 3).count() <= 2
-    assert rows(search.neighbors()) == want
-
-
-def test_cells_asked_for_are_counted_after_further_splits(cloud):
-    """Cells too large for a task are split, but the count is by the cells asked for."""
-    count = lambda layout: {r["c"]: r["count"] for r in layout.points.groupBy(layout.asked_cell().alias("c")).count().collect()}
-    split = build_layout(cloud, 2, piece_points=100)
-    assert split.cells > 4 and count(split) == count(build_layout(cloud, 2))
-
-
-def test_many_pieces_grow_on_the_executors(cloud, asked, want, monkeypatch):
-    """Samples that the driver holds don't grow with the pieces."""
-    monkeypatch.setattr(global_tree, "GROUPS", 4)
-    held, grow = [], global_tree._grow
-    monkeypatch.setattr(global_tree, "_grow", lambda p, t, members, policy: held.append(sum(map(len, members.values()))) or grow(p, t, members, policy))
-    layout = build_layout(cloud, 2, K.SplitPolicy(sample_per_part=8), piece_points=20)
-    assert max(held) <= 4 * 8 * 2 and layout.cells > 20 and layout.n.sum() == 660
-    assert rows(knn(layout, asked, 5)) == want
+def test_exhaustive_search_sends_k_rows_a_core_and_spot(spark, cloud, asked, want):
+    """Not for each of the session's shuffle partitions, and queries from one spot ask once."""
+    twice = asked.unionByName(asked.withColumn("qid", F.col("qid") + 100_000))
+    got = rows(knn_brute(cloud, twice, 5))
+    assert got == sorted(want + [(q + 100_000, *r) for q, *r in want])
