@@ -13,7 +13,7 @@ from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -354,33 +354,87 @@ def squared_distance(dims: int, a: str = "p", b: str = "q"):
     return total
 
 
-#: Cells that every query may meet in the purely relational search.
-RELATIONAL_CELLS = 1024
+def _distance_to(dims: int, p: Column) -> Column:
+    """The same of a point (a struct) to the row's place."""
+    total = None
+    for i in range(dims):
+        gap = p[f"c{i}"] - F.col(f"c{i}")
+        total = gap * gap if total is None else total + gap * gap
+    return total
+
+
+#: Cells that every query may meet in the purely relational search; levels of a cell's tree it looks at, and levels apart they are at least.
+RELATIONAL_CELLS, LOOKS, APART = 1024, 6, 4
+_NODE_KEY = ["cell", "piece", "unit"]
+
+
+def _box_distance(dims: int, b: Column, far: bool = False) -> Column:
+    """Squared distance of the row's place to the nearest or farthest corner of a box (a struct); sums run as in squared_distance."""
+    total = None
+    for i in range(dims):
+        q, lo, hi = F.col(f"c{i}"), b[f"l{i}"], b[f"h{i}"]
+        gap = F.greatest(F.abs(q - lo), F.abs(q - hi)) if far else F.greatest(lo - q, F.lit(0.0), q - hi)
+        total = gap * gap if total is None else total + gap * gap
+    return total
+
+
+def _units(layout: SpatialLayout, k: int, depths: list[int]) -> DataFrame:
+    """(cell, piece, unit, n, box, points, up0 ..): the buckets with their points, of a spot only the k smallest ids.
+
+    unit is where the bucket begins in its piece, up{j} where the node above it at that depth does: of the nodes there, and of
+    the buckets that are less deep, the last one that begins no later.
+    """
+    coords = [f"c{i}" for i in range(layout.dims)]
+    nodes = layout.packed.select("cell", "piece", F.inline(F.arrays_zip(*(F.col(f"node_{c}").alias(c) for c in ("left", "start", "depth")))))
+    order, leaf = Window.partitionBy("cell", "piece").orderBy("start"), F.col("left") < 0
+    up = [F.max(F.when((F.col("depth") == d) | (leaf & (F.col("depth") < d)), F.col("start"))).over(order).alias(f"up{j}") for j, d in enumerate(depths)]
+    above = nodes.select("cell", "piece", "left", F.col("start").alias("unit"), *up).where(leaf).drop("left")
+    spans = F.sort_array(F.filter(F.transform(F.arrays_zip("node_start", "node_end", "node_left"), lambda x: F.when(x["node_left"] < 0, F.struct(x["node_start"].alias("s"), x["node_end"].alias("e")))), lambda x: x.isNotNull()))
+    unit = F.flatten(F.transform(spans, lambda x: F.array_repeat(x["s"], x["e"] - x["s"])))
+    rows = layout.packed.select("cell", "piece", F.inline(F.arrays_zip("pid", *coords, unit.alias("unit"))))
+    few = rows.withColumn("_r", F.row_number().over(Window.partitionBy(*coords).orderBy("pid"))).where(F.col("_r") <= k)
+    box = [f(c).alias(f"{n}{i}") for i, c in enumerate(coords) for n, f in (("l", F.min), ("h", F.max))]
+    return few.groupBy(*_NODE_KEY).agg(F.count(F.lit(1)).alias("n"), *box, F.collect_list(F.struct("pid", *coords)).alias("points")).join(above, _NODE_KEY)
 
 
 def knn_relational(layout: SpatialLayout, queries: DataFrame, k: int = 5) -> DataFrame:
-    """The same answer from joins and windows alone: an upper bound from the boxes' far corners, then boxes, then points.
+    """The same answer from joins and windows alone, down the boxes of the cells' trees, some levels at a time.
 
-    The k nearest can't be farther than the box, by rising far distance, at which the boxes seen hold k points. Queries meet
-    all boxes, so it is for layouts of few cells (RELATIONAL_CELLS); the tree search is for more.
+    Each query goes down to one near bucket, whose k-th distance bounds its radius, then to all boxes within that; only points
+    within the radius are ranked. A join meets a box once for each query and brings the boxes under it. Queries meet all cells,
+    so it is for layouts of few cells (RELATIONAL_CELLS); the tree search is for more.
     """
     if layout.cells > RELATIONAL_CELLS:
         raise ValueError(f"{layout.cells} cells: every query would meet each of them; use the tree search")
-    spark, dims = queries.sparkSession, layout.dims
-    boxes = layout.cells_df(spark).where("n > 0").select(F.col("cell_id").alias("cell"), "n", *(F.get("mbr_lo", F.lit(i)).alias(f"l{i}") for i in range(dims)), *(F.get("mbr_hi", F.lit(i)).alias(f"h{i}") for i in range(dims)))
-    near = far = None
-    for i in range(dims):
-        q, lo, hi = F.col(f"c{i}"), F.col(f"l{i}"), F.col(f"h{i}")
-        a, b = F.greatest(lo - q, F.lit(0.0), q - hi), F.greatest(F.abs(q - lo), F.abs(q - hi))
-        near, far = a * a if near is None else near + a * a, b * b if far is None else far + b * b
-    asked = queries.select("qid", *(f"c{i}" for i in range(dims)))
-    pairs = asked.join(F.broadcast(boxes)).select("qid", "cell", "n", near.alias("near"), far.alias("far"), *(f"c{i}" for i in range(dims)))
-    seen = Window.partitionBy("qid").orderBy("far", "cell")
-    ranked = pairs.withColumn("_reach", F.when(F.sum("n").over(seen) >= k, F.col("far")))
-    limit = F.min("_reach").over(Window.partitionBy("qid"))
-    chosen = ranked.withColumn("_limit", limit).where(F.col("_limit").isNull() | (F.col("near") <= F.col("_limit")))
-    met = layout.points.alias("p").join(chosen.alias("q"), F.col("p.cell") == F.col("q.cell")).select(F.col("q.qid").alias("qid"), F.col("p.pid").alias("pid"), squared_distance(dims).alias("d2"))
-    return merge_topk(met, k).select("qid", "rank", "pid", "d2", "dist")
+    dims, coords = layout.dims, [f"c{i}" for i in range(layout.dims)]
+    sides, deep = [f"{n}{i}" for i in range(dims) for n in "lh"], layout.facts["tree_depth"]
+    depths = list(range(0, deep, max(APART, -(-deep // LOOKS))))
+    units = written(_units(layout, k, depths), "units")
+    boxes, under = units.drop("points"), [units.select(*_NODE_KEY, "points")]
+    for j in reversed(range(len(depths))):
+        hull = [(F.min if c[0] == "l" else F.max)(c).alias(c) for c in sides]
+        kids = boxes.withColumn("_kid", F.struct(*_NODE_KEY, "n", *sides)).withColumn("unit", F.col(f"up{j}"))
+        made = written(kids.groupBy(*_NODE_KEY).agg(F.sum("n").alias("n"), *hull, *(F.min(f"up{i}").alias(f"up{i}") for i in range(j)), F.collect_list("_kid").alias("kids")), "boxes")
+        boxes = made.drop("kids")
+        under.append(made.select(*_NODE_KEY, "kids"))
+    top = F.broadcast(boxes.agg(F.collect_list(F.struct(*_NODE_KEY, "n", *sides)).alias("kids")))
+
+    asked = queries.select("qid", *coords).repartition(4 * queries.sparkSession.sparkContext.defaultParallelism)
+    at = asked.withColumn("r2", F.lit(float("inf"))).crossJoin(top)
+    for beneath in reversed(under):  # to the nearest box of those with k points, whose far corner bounds the radius too
+        met = F.transform("kids", lambda b: F.struct((b["n"] < k).alias("lacks"), _box_distance(dims, b).alias("near"), b.alias("b")))
+        b = F.col("_m.b")
+        seen = at.select("qid", *coords, "r2", F.array_min(met).alias("_m")).withColumn("r2", F.when(F.col("_m.lacks"), F.col("r2")).otherwise(F.least("r2", _box_distance(dims, b, True))))
+        at = seen.select("qid", *coords, "r2", *(b[c].alias(c) for c in _NODE_KEY)).join(beneath, _NODE_KEY)
+    away = F.sort_array(F.transform("points", lambda p: _distance_to(dims, p)))
+    bounded = written(at.select("qid", *coords, F.least("r2", F.get(away, F.lit(k - 1))).alias("r2")), "bounded")
+
+    reach = bounded.crossJoin(top)
+    for beneath in reversed(under):
+        near = reach.select("qid", *coords, "r2", F.explode("kids").alias("b")).where(_box_distance(dims, F.col("b")) <= F.col("r2"))
+        reach = near.select("qid", *coords, "r2", *(F.col("b")[c].alias(c) for c in _NODE_KEY)).join(beneath, _NODE_KEY)
+    met = reach.select("qid", *coords, "r2", F.explode("points").alias("p")).select("qid", F.col("p.pid").alias("pid"), "r2", _distance_to(dims, F.col("p")).alias("d2"))
+    return merge_topk(met.where(F.col("d2") <= F.col("r2")).drop("r2"), k).select("qid", "rank", "pid", "d2", "dist")
 
 
 def radius_search(points: PointSet, queries: DataFrame, radius: float) -> DataFrame:

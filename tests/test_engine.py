@@ -428,3 +428,19 @@ def test_exhaustive_search_sends_k_rows_a_core_and_spot(spark, cloud, asked, wan
     twice = asked.unionByName(asked.withColumn("qid", F.col("qid") + 100_000))
     got = rows(knn_brute(cloud, twice, 5))
     assert got == sorted(want + [(q + 100_000, *r) for q, *r in want])
+
+
+def test_relational_search_ranks_few_points(spark, cloud, asked, want, monkeypatch):
+    """Boxes below the cells bound what a query meets: not all points of its cells, nor all copies in one spot."""
+    met, merge = [], knn_module.merge_topk
+    monkeypatch.setattr(knn_module, "merge_topk", lambda found, *a: met.append(found.count()) or merge(found, *a))
+    assert rows(knn_relational(build_layout(cloud, 2), asked, 5)) == want
+    x = np.random.default_rng(3).normal(size=(6000, 3))
+    x[:2000] = 0.5
+    many = PointSet(spark.createDataFrame([(i, *map(float, p)) for i, p in enumerate(x)], "pid long, c0 double, c1 double, c2 double").persist(), 3)
+    own = many.sample_queries(20, 3)
+    for k in (5, 40):
+        assert rows(knn_relational(build_layout(many, 2), own, k)) == rows(knn(build_layout(many, 2), own, k))
+    assert met[1] < 10 * 5 * own.count()
+    assert rows(knn_relational(build_layout(many.where("pid < 3"), 2), own, 5)) == rows(knn_brute(many.where("pid < 3"), own, 5))
+    assert knn_relational(build_layout(many.where("pid < 0"), 1), own, 5).count() == 0
