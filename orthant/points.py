@@ -90,10 +90,10 @@ class PointSet:
 # ---- the workloads' point sets ---------------------------------------------------------------------------------------
 
 
-def events3(spark: SparkSession, sf_dir: str) -> PointSet:
+def events3(spark: SparkSession, sf_dir: str, **payload: str | Column) -> PointSet:
     days = F.timestamp_diff("MICROSECOND", F.lit("2024-01-01").cast("timestamp_ntz"), F.col("ts")) / F.lit(86400e6)
     k = F.regexp_extract("props", r'"k": *([0-9]+)', 1).cast("double")
-    return PointSet.from_columns(table(spark, sf_dir, "events"), "event_id", [days, "value", k], label="event_type")
+    return PointSet.from_columns(table(spark, sf_dir, "events"), "event_id", [days, "value", k], label="event_type", **payload)
 
 
 def orders3(spark: SparkSession, sf_dir: str) -> PointSet:

@@ -419,10 +419,8 @@ def op_explode_pack_coords(s, d):
 def _by_day(s: SparkSession, d: str) -> str:
     """Events as one file for each day, in the order of the days, so that no file is late."""
     path = fresh_path(s, "days")
-    e = table(s, d, "events").withColumn("time", streams.event_time()).withColumn("day", F.to_date("ts"))
-    ps = P.events3(s, d).df
-    e = e.join(ps.select(F.col("pid").alias("event_id"), "c0", "c1", "c2"), "event_id").withColumn("pid", F.col("event_id"))
-    e.select("pid", "c0", "c1", "c2", "time", "event_type", "user_id", "day").repartitionByRange(8, "day").sortWithinPartitions("day").write.partitionBy("day").parquet(path)
+    e = P.events3(s, d, time=streams.event_time(), event_type="event_type", user_id="user_id", day=F.to_date("ts")).df.drop("label")
+    e.repartitionByRange(8, "day").sortWithinPartitions("day").write.partitionBy("day").parquet(path)
     return path
 
 

@@ -444,3 +444,16 @@ def test_relational_search_ranks_few_points(spark, cloud, asked, want, monkeypat
     assert met[1] < 10 * 5 * own.count()
     assert rows(knn_relational(build_layout(many.where("pid < 3"), 2), own, 5)) == rows(knn_brute(many.where("pid < 3"), own, 5))
     assert knn_relational(build_layout(many.where("pid < 0"), 1), own, 5).count() == 0
+
+
+def test_streams_take_each_event_once(spark, sf, tmp_path):
+    """Events that share an id, or have none, are rows like any other: the days are made without a join."""
+    from conftest import same_rows
+
+    e = spark.read.parquet(f"{sf}/events.parquet").where("event_id < 40")
+    odd = e.withColumn("event_id", F.when(F.col("event_id") % 3 > 0, F.col("event_id") % 7))
+    odd.coalesce(1).write.parquet(str(tmp_path / "all"))
+    next((tmp_path / "all").glob("*.parquet")).rename(tmp_path / "events.parquet")
+    for name in ("stream_session_counts", "stream_tumbling_counts"):
+        run, sql = relops.QUERIES[name]
+        assert same_rows(run(spark, str(tmp_path)), sql, str(tmp_path))
