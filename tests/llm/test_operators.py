@@ -476,6 +476,37 @@ def test_every_training_document_trains(spark):
     assert seen == len(attention.Windows(every, voc, 0))
 
 
+def test_a_word_is_encoded_once_over_runs(monkeypatch):
+    """Forgotten words are encoded again; the ids are the same."""
+    ids = lm.word_ids(tokens.vocabulary("byte_bpe_50k.json"))
+    runs = [[[b"one", b"two", b"one"], [], [b"drei"]], [[b"two", "z\u00fcgig".encode(), b"drei"]], [[b"one"]]]
+    want, asked = [[s.tolist() for s in lm.Run(r).sequences(ids)] for r in runs], []
+    of = lm.WordIds.of
+    monkeypatch.setattr(lm.WordIds, "of", lambda self, words: asked.extend(words) or of(self, words))
+    for most, n in ((100, 4), (2, 7)):
+        monkeypatch.setattr(lm, "KNOWN", most)
+        known = lm.Known(ids)
+        assert [[s.tolist() for s in lm.Run(r, known).sequences(ids)] for r in runs] == want and len(asked) == n
+        asked.clear()
+
+
+def test_no_hidden_states_of_repeated_places(monkeypatch):
+    """Those that are made equal the whole window's, and every token's log is that of one window at a time."""
+    voc = attention.Vocabulary.of(np.arange(300, 0, -1), 299)
+    w, rng = attention.start(voc, 5), np.random.default_rng(7)
+    x, _, _ = attention.Windows([rng.integers(0, 299, 400)], voc).take(slice(None))
+    whole = attention.body(w, x)[-1].reshape(len(x), attention.WINDOW, -1)
+    assert np.allclose(attention.body(w, x, 8)[-1].reshape(len(x), attention.WINDOW - 8, -1), whole[:, 8:], atol=1e-5)
+    texts, made, body = [rng.integers(0, 299, n) for n in (0, 1, 31, 32, 100, 400)], [], attention.body
+    monkeypatch.setattr(attention, "body", lambda *a: made.append(b := body(*a)) or b)
+    got = attention.log10_tokens(w, texts, voc, 3)
+    every = attention.Windows(texts, voc)
+    assert sum(len(b[-1]) for b in made) == len(every) * attention.WINDOW - (every.number > 0).sum() * attention.OVERLAP
+    x, scored, targets = every.take(slice(None))
+    want = attention.outputs(w, body(w, x)[-1][scored.ravel()], targets[scored], voc)[0] / np.log(10) + voc.inside[targets[scored]]
+    assert len(got) == sum(len(s) + 1 for s in texts) and np.allclose(got, want, atol=1e-5)
+
+
 def test_model_beats_the_base_on_held_out_texts(spark):
     """log10 per word of held-out documents of sf 0.01."""
     docs = spark.read.parquet(f"{DATA}/sf0.01/documents.parquet")
