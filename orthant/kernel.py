@@ -390,30 +390,134 @@ def search_one(tree: Tree, q: np.ndarray, k: int, r2: float = np.inf, regions: b
     return sorted((-a, -b) for a, b in heap), visited, compared
 
 
-def brute(points: np.ndarray, ids: np.ndarray, q: np.ndarray, k: int, r2: np.ndarray | float = np.inf, own: np.ndarray | None = None, block: int = 4096, metric: str = "l2") -> tuple[np.ndarray, np.ndarray]:
-    """(d2, ids) of the k nearest by comparing all pairs, block by block.
+#: Points that all queries meet at a time, at most and at first; queries of a tile, whose pairs stay in a core's cache.
+BLOCK, FIRST, TILE = 3400, 256, 64
 
-    For l2 a matrix product gives the distances but for a bounded rounding error; pairs that these can't rule out are measured
-    as distance does, so answers and ties are the same as by measuring all.
+
+class Nearest:
+    """The k nearest of many queries among all points that they meet, by comparing all pairs, block by block.
+
+    For l2 a matrix product in single precision gives the distances but for a bounded rounding error. Pairs that these can't rule
+    out are measured as distance does, so answers and ties are the same as by measuring all; where they are many, a product in
+    double precision comes first. Measured pairs wait until the points that were met are twice as many, or k a query wait.
     """
-    d2, found = np.full((len(q), k), np.inf), np.full((len(q), k), NO_ID)
-    r2 = np.broadcast_to(np.asarray(r2, dtype=float), (len(q),))
-    product = metric == "l2" and len(points) and max(np.abs(points).max(), np.abs(q).max(initial=0.0)) < 1e150
-    for i in range(0, len(points), block):
-        x, own_ids = points[i : i + block], ids[i : i + block]
-        one = _block_product(x, own_ids) if product else _block_measured(x, own_ids, metric)
-        for j in range(0, len(q), 64):
-            at = slice(j, j + 64)
-            bound = np.minimum(r2[at], d2[at, -1])
-            row, col, far = one(q[at], k, bound, None if own is None else own[at])
-            if not len(row):
+
+    def __init__(self, q: np.ndarray, k: int, r2: np.ndarray | float = np.inf, own: np.ndarray | None = None, metric: str = "l2") -> None:
+        self.q, self.k, self.own, self.metric = q, k, own, metric
+        self.r2 = np.broadcast_to(np.asarray(r2, dtype=float), (len(q),))
+        self.d2, self.ids = np.full((len(q), k), np.inf), np.full((len(q), k), NO_ID)
+        self.met = self.settled = self.waiting = 0
+        self.wait: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        self.product = metric == "l2" and len(q) > 0 and bool(np.abs(q).max(initial=0.0) < 1e150)
+        self.left = None
+        if self.product:
+            self.centre = q.mean(axis=0)
+            a = q - self.centre
+            reach = np.sqrt((a * a).sum(axis=1).max())
+            if reach == 0 or reach > 1e-140:
+                # a power of two brings the queries into the unit ball, so that no square leaves the range of single precision
+                self.scale = 2.0 ** -np.ceil(np.log2(reach)) if reach else 1.0
+                a *= self.scale
+                # twice the rounding of single precision for each of the product's terms, and more than that of the distance itself
+                self.unit = (q.shape[1] + 6) * float(np.finfo(np.float32).eps)
+                self.left, self.a2 = np.concatenate([-2.0 * a, np.ones((len(a), 1))], axis=1).astype(np.float32), (a * a).sum(axis=1)
+        self._bounded()
+
+    def _bounded(self) -> None:
+        self.bound = np.minimum(self.r2, self.d2[:, -1])
+        if self.left is not None:
+            with np.errstate(over="ignore"):
+                self.limit = np.nextafter((self.bound * self.scale**2 - self.a2 * (1 - self.unit) + 1e-25).astype(np.float32), np.float32(np.inf))
+
+    def meet(self, points: np.ndarray, ids: np.ndarray, block: int = BLOCK) -> None:
+        if not len(self.q) or not len(points):
+            return
+        at, even = 0, -(-len(points) // -(-len(points) // block))
+        while at < len(points):
+            to = min(len(points), at + min(even, max(FIRST, self.met)))  # the first few bound what the many bring
+            self._block(points[at:to], ids[at:to])
+            self.met += to - at
+            at = to
+            if self.waiting > self.k * len(self.q) or self.met >= 2 * self.settled:
+                self._settle()
+
+    def _right(self, x: np.ndarray) -> np.ndarray | None:
+        """A block's side of the product in single precision; none if that can't hold it."""
+        if self.left is None:
+            return None
+        with np.errstate(over="ignore"):
+            b = (x - self.centre) * self.scale
+            b2 = (b * b).sum(axis=1)
+        return np.ascontiguousarray(np.concatenate([b, b2[:, None] * (1 - self.unit)], axis=1).T.astype(np.float32)) if b2.max() < 1e12 else None
+
+    def _block(self, x: np.ndarray, ids: np.ndarray) -> None:
+        product = self.product and np.abs(x).max() < 1e150
+        right = self._right(x) if product else None
+        rest = np.arange(len(self.q)) if right is None else self._looked(x, ids, right)
+        one = len(rest) and (_block_product(x, ids) if product else _block_measured(x, ids, self.metric))
+        for j in range(0, len(rest), TILE):
+            row = rest[j : j + TILE]
+            of, col, far = one(self.q[row], self.k, self.bound[row], None if self.own is None else self.own[row])
+            self._keep(row[of], ids[col], far)
+
+    def _looked(self, x: np.ndarray, ids: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """The block by the product in single precision; returns the queries for which that leaves too many points open."""
+        near, least, rows, cols, rest = np.empty((TILE, len(x)), dtype=np.float32), np.empty(len(self.left), dtype=np.float32), [], [], []
+        for j in range(0, len(least), TILE):
+            np.matmul(self.left[j : j + TILE], right, out=near[: len(least) - j])
+            np.minimum.reduce(near[: len(least) - j], axis=1, out=least[j : j + TILE])
+        hit = np.flatnonzero(least <= self.limit)
+        for j in range(0, len(hit), TILE):  # again, as keeping all products would cost more
+            row = hit[j : j + TILE]
+            np.matmul(self.left[row], right, out=near[: len(row)])
+            found = _set(near[: len(row)] <= self.limit[row, None])
+            if len(found) > 4 * self.k * len(row):
+                rest.append(row)
                 continue
-            row = np.concatenate([np.repeat(np.arange(len(bound)), k), row])
-            far, of = np.concatenate([d2[at].ravel(), far]), np.concatenate([found[at].ravel(), own_ids[col]])
-            by = np.lexsort((of, far, row))
-            by = by.reshape(len(bound), -1) if len(by) == len(bound) * k else by[np.searchsorted(row[by], np.arange(len(bound)))[:, None] + np.arange(k)]
-            d2[at], found[at] = far[by], of[by]
-    return d2, found
+            of, col = np.divmod(found, len(x))
+            rows.append(row[of])
+            cols.append(col)
+        if rows:
+            row, col = np.concatenate(rows), np.concatenate(cols)
+            far = squared(x[col], self.q[row])
+            ok = (far <= self.bound[row]) & np.isfinite(far)
+            if self.own is not None:
+                ok &= ids[col] != self.own[row]
+            self._keep(row[ok], ids[col[ok]], far[ok])
+        return np.concatenate(rest) if rest else np.zeros(0, dtype=np.int64)
+
+    def _keep(self, row: np.ndarray, ids: np.ndarray, far: np.ndarray) -> None:
+        if len(row):
+            self.wait.append((row, ids, far))
+            self.waiting += len(row)
+
+    def _settle(self) -> None:
+        """What waits is merged into the answers of its queries."""
+        self.settled = self.met
+        if not self.waiting:
+            return
+        row, ids, far = (np.concatenate(x) for x in zip(*self.wait, strict=True))
+        self.wait, self.waiting = [], 0
+        each = np.bincount(row, minlength=len(self.q))
+        met = np.flatnonzero(each)
+        row = np.concatenate([np.repeat(met, self.k), row])
+        far, ids = np.concatenate([self.d2[met].ravel(), far]), np.concatenate([self.ids[met].ravel(), ids])
+        by, many = np.lexsort((ids, far, row)), each[met] + self.k
+        by = by[(np.cumsum(many) - many)[:, None] + np.arange(self.k)]
+        self.d2[met], self.ids[met] = far[by], ids[by]
+        self._bounded()
+
+    def answers(self) -> tuple[np.ndarray, np.ndarray]:
+        """(d2, ids) by rising distance, then id; infinite and NO_ID where there are fewer."""
+        self._settle()
+        return self.d2, self.ids
+
+
+def brute(points: np.ndarray, ids: np.ndarray, q: np.ndarray, k: int, r2: np.ndarray | float = np.inf, own: np.ndarray | None = None, block: int = BLOCK, metric: str = "l2") -> tuple[np.ndarray, np.ndarray]:
+    """(d2, ids) of the k nearest by comparing all pairs, block by block."""
+    best = Nearest(q, k, r2, own, metric)
+    best.meet(points, ids, block)
+    return best.answers()
 
 
 def _set(within: np.ndarray) -> np.ndarray:

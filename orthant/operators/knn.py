@@ -256,11 +256,10 @@ def local_brute(shared, dims: int, k: int, r2: float, exclude_self: bool, metric
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         qid, q = shared.value
-        d2, ids = np.full((len(q), k), np.inf), np.full((len(q), k), K.NO_ID)
+        best = K.Nearest(q, k, r2, qid if exclude_self else None, metric)
         for batch in batches:
-            bound = np.minimum(r2, d2[:, -1])
-            new = K.brute(_matrix(batch, dims), batch.column("pid").to_numpy(), q, k, bound, qid if exclude_self else None, metric=metric)
-            d2, ids = K.top_k(np.concatenate([d2, new[0]], axis=1), np.concatenate([ids, new[1]], axis=1), k)
+            best.meet(_matrix(batch, dims), batch.column("pid").to_numpy())
+        d2, ids = best.answers()
         row, rank = np.nonzero(ids != K.NO_ID)
         yield pa.RecordBatch.from_arrays([pa.array(qid[row]), pa.array(ids[row, rank]), pa.array(d2[row, rank])], ["qid", "pid", "d2"])
 
@@ -271,17 +270,19 @@ def knn_brute(points: PointSet, queries: DataFrame, k: int = 5, max_radius: floa
     """Exhaustive search: blocks of queries meet every partition of the points, k rows per query and task come back.
 
     Of points in one spot, which all have the same distances, only those with the smallest ids can answer and are met. There are
-    as many partitions as cores, as each of them sends k rows for every query.
+    as many partitions as keep all cores busy, as each of them sends k rows for every query, and the more points a task meets
+    the fewer come near its queries' best so far.
     """
     spark = points.df.sparkSession
     ship(spark)
-    coords = points.coords
-    every, r2 = collapse_colocated(points, k + exclude_self).repartition(spark.sparkContext.defaultParallelism), float("inf") if max_radius is None else radius_bound(max_radius, metric)
+    coords, r2 = points.coords, float("inf") if max_radius is None else radius_bound(max_radius, metric)
     asked = every_query = queries.select("qid", *coords)
     if not exclude_self:  # queries from one spot have one answer: the least of them asks for all
         asked = asked.groupBy(*coords).agg(F.min("qid").alias("qid"))
-    n = asked.count()
+    asked = written(asked, "asked")  # looked at for each block
+    n, cores = asked.count(), spark.sparkContext.defaultParallelism
     blocks = max(1, -(-n // block))
+    every = collapse_colocated(points, k + exclude_self).repartition(min(cores, max(2, -(-2 * cores // blocks))))
     found = None
     for b in range(blocks):
         own = asked if blocks == 1 else asked.where(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == b)

@@ -157,3 +157,26 @@ def test_one_bucket_and_farthest_first_take_bounded_memory():
         assert tracemalloc.get_traced_memory()[1] < 64 << 20
         tracemalloc.stop()
         assert (found.d2 == want[0]).all() and (found.ids == want[1]).all()
+
+
+@pytest.mark.parametrize(("scale", "spread"), [(1e-30, 0.2), (1.0, 0.2), (1e30, 0.2), (1e120, 0.2), (1e-160, 1e-4), (1.0, 1e-4)])
+def test_exhaustive_search_looks_over_most_pairs_in_single_precision(monkeypatch, scale, spread):
+    """Few pairs are left to double precision, also where the points come in pieces; the answers are those of measuring all."""
+    rng, left, make = np.random.default_rng(8), [], K._block_product
+    x = np.concatenate([rng.normal(size=(16_000, 3)), 3 + spread * rng.normal(size=(4000, 3))])[rng.permutation(20_000)] * scale
+    ids, q = rng.permutation(len(x)).astype(np.int64), x[::80] * (1 + 1e-7)
+    monkeypatch.setattr(K, "_block_product", lambda x, ids: lambda q, *a, one=make(x, ids): left.append(len(q) * len(x)) or one(q, *a))
+    for r2, own in ((np.inf, None), (0.02 * scale**2, None), (np.inf, ids[::80])):
+        d2, found = K.brute(x, ids, q, 5, r2, own)
+        assert sum(left) < 0.2 * len(x) * len(q) or spread < 0.1
+        left.clear()
+        every = K.distance(x[None, :, :], q[:, None, :])
+        every = np.where((every > r2) | ((ids[None, :] == own[:, None]) if own is not None else False), np.inf, every)
+        want = K.top_k(every, np.where(np.isinf(every), K.NO_ID, ids[None, :]), 5)
+        assert (d2 == want[0]).all() and (found == want[1]).all()
+        best = K.Nearest(q, 5, r2, own)
+        for i in (0, 3, 1000, 1001, 9000):
+            to = {0: 3, 3: 1000, 1000: 1001, 1001: 9000, 9000: len(x)}[i]
+            best.meet(x[i:to], ids[i:to])
+        left.clear()
+        assert all((a == b).all() for a, b in zip(best.answers(), want, strict=True))
