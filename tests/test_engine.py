@@ -457,3 +457,20 @@ def test_streams_take_each_event_once(spark, sf, tmp_path):
     for name in ("stream_session_counts", "stream_tumbling_counts"):
         run, sql = relops.QUERIES[name]
         assert same_rows(run(spark, str(tmp_path)), sql, str(tmp_path))
+
+
+def test_recall_runs_each_search_once(spark):
+    """Neighbours and k-th distances are both taken from what a search gave once."""
+    given = spark.createDataFrame([(q, r + 1, 10 * q + r, float(r), float(r)) for q in range(50) for r in range(5)], "qid long, rank int, pid long, d2 double, dist double")
+    passed = [spark.sparkContext.accumulator(0) for _ in range(2)]
+
+    def counted(rows_of):
+        def run(batches):
+            for batch in batches:
+                rows_of.add(batch.num_rows)
+                yield batch
+
+        return given.mapInArrow(run, given.schema)
+
+    told = predict.recall(*(counted(x) for x in passed)).first()
+    assert tuple(told) == (250, 250, 1.0, 1.0) and [x.value for x in passed] == [250, 250]
